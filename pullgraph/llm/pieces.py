@@ -15,11 +15,11 @@ follows another character; chunks repeat, and each worker keeps a bounded two-ge
 from __future__ import annotations
 
 import hashlib
+import re
 from functools import lru_cache
 
 import ahocorasick
 import pyarrow as pa
-import regex
 import sentencepiece
 from pyspark.sql import DataFrame, SparkSession
 
@@ -27,7 +27,7 @@ from .common import arrow_map, batches, documents_of, table
 
 SPACE_MARK = "▁"
 #: Chunks kept per generation in each worker.
-CACHE = 150_000
+CACHE = 400_000
 #: Longer chunks are encoded each time and not kept.
 LONGEST_KEPT = 64
 
@@ -39,6 +39,7 @@ class Merges:
         model = sentencepiece.SentencePieceProcessor(model_file=path)
         self.piece: list[str] = [model.id_to_piece(i) for i in range(model.get_piece_size())]
         self.byte: dict[int, int] = {int(self.piece[i][3:5], 16): i for i in range(len(self.piece)) if model.is_byte(i)}
+        self.byte_of = {i: x for x, i in self.byte.items()}
         plain = [i for i in range(len(self.piece)) if not (model.is_byte(i) or model.is_control(i) or model.is_unknown(i) or model.is_unused(i))]
         self.id = {self.piece[i]: i for i in plain}
         if any(SPACE_MARK in p.lstrip(SPACE_MARK) for p in self.id):
@@ -114,11 +115,17 @@ class Merges:
         """Pieces of a text of known characters that has a space mark at its start at most."""
         last: list[str | None] = [None] * len(text)
         compatible = self.compatible
+        pairs = self.pairs
         for end, p in self.automaton.iter(text):
-            if last[end] is None or len(p) > len(last[end]):
+            # Exactly one piece passes at each place.
+            if last[end] is None:
                 start = end + 1 - len(p)
-                if start == 0 or (before := last[start - 1]) is not None and compatible(before, p):
+                if start == 0:
                     last[end] = p
+                elif (before := last[start - 1]) is not None:
+                    stays = pairs.get((before, p))
+                    if compatible(before, p) if stays is None else stays:
+                        last[end] = p
         out, at = [], len(text) - 1
         while at >= 0:
             p = last[at]
@@ -142,6 +149,8 @@ class Merges:
         body = chunk.lstrip(SPACE_MARK)
         marks = len(chunk) - len(body)
         rest = SPACE_MARK * min(marks, 1) + body
+        if marks < 2 and self.chars.issuperset(rest):
+            return [self.id[p] for p in self.split(rest)]
         ids: list[int] = []
         at, n = 0, len(rest)
         while at < n:
@@ -161,56 +170,63 @@ class Merges:
 
     def text_of(self, ids: list[int]) -> str:
         """Text of ids before the leading space is taken off; runs of byte ids are read as UTF-8."""
-        out = bytearray()
         back = self.byte_of
+        if back.keys().isdisjoint(ids):
+            return "".join([self.piece[i] for i in ids]).replace(SPACE_MARK, " ")
+        out = bytearray()
         for i in ids:
             x = back.get(i)
             out += self.piece[i].encode() if x is None else bytes([x])
         return out.decode("utf-8", "replace").replace(SPACE_MARK, " ")
 
-    @property
-    def byte_of(self) -> dict[int, int]:
-        if not hasattr(self, "_byte_of"):
-            self._byte_of = {i: x for x, i in self.byte.items()}
-        return self._byte_of
 
+class Chunks(dict):
+    """Chunk -> (decimal ids joined by commas, number of ids, decoded text), filled as chunks are asked for.
 
-class Codec:
-    """Encodes and decodes whole texts chunk by chunk."""
+    Two generations bound its size: renew() makes the entries so far the old generation once there are CACHE of them,
+    and an old entry that is asked for again moves on.
+    """
 
-    def __init__(self, path: str) -> None:
-        self.merges = Merges(path)
-        self.young: dict[str, tuple[str, int, str]] = {}
+    def __init__(self, merges: Merges) -> None:
+        super().__init__()
+        self.merges = merges
         self.old: dict[str, tuple[str, int, str]] = {}
-        stops = [c for c in "\n\t\r" if c not in self.merges.chars]
-        x = "".join(regex.escape(c, special_only=False) for c in stops)
-        self.cut = regex.compile(f"[ {SPACE_MARK}]+[^ {SPACE_MARK}{x}]*|[^ {SPACE_MARK}{x}]+" + (f"|[{x}]" if x else "")).findall
 
-    def _entry(self, chunk: str) -> tuple[str, int, str]:
-        got = self.old.pop(chunk, None)
+    def __missing__(self, chunk: str) -> tuple[str, int, str]:
+        got = self.old.get(chunk)
         if got is None:
             ids = self.merges.chunk_ids(chunk.replace(" ", SPACE_MARK))
             got = (",".join(map(str, ids)), len(ids), self.merges.text_of(ids))
         if len(chunk) <= LONGEST_KEPT:
-            if len(self.young) >= CACHE:
-                self.old, self.young = self.young, {}
-            self.young[chunk] = got
+            self[chunk] = got
         return got
 
-    def run(self, text: str) -> list[tuple[str, int, str]]:
-        """Per chunk: decimal ids joined by commas, their number, decoded text."""
+    def renew(self) -> None:
+        if len(self) >= CACHE:
+            self.old = dict(self)
+            self.clear()
+
+
+class Codec:
+    """Encodes and decodes whole texts chunk by chunk."""
+
+    def __init__(self, path: str) -> None:
+        self.merges = Merges(path)
+        self.chunks = Chunks(self.merges)
+        x = "".join(re.escape(c) for c in "\n\t\r" if c not in self.merges.chars)
+        self.cut = re.compile(f"[ {SPACE_MARK}]+[^ {SPACE_MARK}{x}]*|[^ {SPACE_MARK}{x}]+" + (f"|[{x}]" if x else "")).findall
+
+    def run(self, text: str) -> tuple[tuple[str, ...], int, str]:
+        """Per chunk the decimal ids joined by commas; number of ids; decoded text."""
         if not text:
-            return []
-        get, entry = self.young.get, self._entry
-        out = []
-        for c in self.cut(" " + text):
-            out.append(get(c) or entry(c))
-            if get.__self__ is not self.young:
-                get = self.young.get
-        return out
+            return (), 0, ""
+        ids, n, texts = zip(*map(self.chunks.__getitem__, self.cut(" " + text)), strict=True)
+        self.chunks.renew()
+        out = "".join(texts)
+        return ids, sum(n), out[1:] if out.startswith(" ") else out
 
     def encode(self, text: str | None) -> list[int]:
-        return [int(x) for part, n, _ in self.run(text or "") if n for x in part.split(",")]
+        return [int(x) for part in self.run(text or "")[0] for x in part.split(",")]
 
     def decode(self, ids: list[int]) -> str:
         out = self.merges.text_of(ids)
@@ -253,11 +269,10 @@ def digests(docs: DataFrame, model_path: str) -> DataFrame:
         for b in batches(it):
             n, ids, back = [], [], []
             for t in b.column(1).to_pylist():
-                parts = c.run(t or "")
-                n.append(sum(p[1] for p in parts))
-                ids.append(hashlib.sha256(",".join([p[0] for p in parts]).encode()).hexdigest())
-                text = "".join([p[2] for p in parts])
-                back.append(hashlib.sha256((text[1:] if text.startswith(" ") else text).encode()).hexdigest())
+                parts, count, text = c.run(t or "")
+                n.append(count)
+                ids.append(hashlib.sha256(",".join(parts).encode()).hexdigest())
+                back.append(hashlib.sha256(text.encode()).hexdigest())
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(ids), pa.array(back)], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
     return arrow_map(documents_of(docs), run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
