@@ -47,26 +47,47 @@ def quantised(vectors: DataFrame, scale: int = 64, id_col: str = "vec_id", vec_c
     )
 
 
-def _accumulate(queries: list[np.ndarray], postings: dict[int, tuple[np.ndarray, np.ndarray]], width: int, kind: type) -> np.ndarray:
-    """Dense scores (query x candidate) of a strip of sparse query rows, one term after another."""
-    score = np.zeros((len(queries), width), kind)
-    scratch = np.empty_like(score)
-    by_term: dict[int, tuple[list[int], list[int]]] = {}
-    for q, row in enumerate(queries):
-        for t in np.flatnonzero(row):
-            rows, weights = by_term.setdefault(int(t), ([], []))
-            rows.append(q)
-            weights.append(int(row[t]))
-    for t, (rows, weights) in by_term.items():
-        if t not in postings:
-            continue
-        ids, w = postings[t]
-        if len(ids) == width and len(rows) == len(queries):
-            np.multiply.outer(np.array(weights, kind), w, out=scratch)
-            score += scratch
-        else:
-            score[np.ix_(rows, ids)] += np.multiply.outer(np.array(weights, kind), w)
-    return score
+def _exact_kind(reach: int) -> type:
+    """The fastest number type in which no sum of magnitude up to reach is rounded."""
+    return np.float32 if reach < 2**24 else np.float64 if reach < 2**53 else np.int64
+
+
+class Postings:
+    """Postings lists of one candidate block: per term the candidates with a weight, and the weights.
+
+    A list that holds most candidates is kept at full length, zeros included, so that it can be added without scattering;
+    such lists stand together, TOGETHER of them at a time, and one pass over the score array takes a whole group.
+    """
+
+    TOGETHER = 16
+
+    def __init__(self, dense: np.ndarray, kind: type) -> None:
+        self.width = len(dense)
+        filled = np.count_nonzero(dense, axis=0)
+        full = np.flatnonzero(2 * filled > self.width)
+        self.groups = [(t, np.ascontiguousarray(dense[:, t].T, kind)) for t in (full[i : i + self.TOGETHER] for i in range(0, len(full), self.TOGETHER))]
+        sparse = np.flatnonzero((filled > 0) & (2 * filled <= self.width))
+        self.lists = [(int(t), at, dense[at, t].astype(kind)) for t in sparse for at in [np.flatnonzero(dense[:, t])]]
+        self.kind = kind
+
+    def scores(self, queries: np.ndarray) -> np.ndarray:
+        """Dense score array (query x candidate): every term's weighted postings are added once."""
+        score = np.zeros((len(queries), self.width), self.kind)
+        for terms, weights in self.groups:
+            score += queries[:, terms].astype(self.kind) @ weights
+        for t, at, weights in self.lists:
+            rows = np.flatnonzero(queries[:, t])
+            if len(rows):
+                score[np.ix_(rows, at)] += np.multiply.outer(queries[rows, t].astype(self.kind), weights)
+        return score.astype(np.int64)
+
+
+def _matrix(rows: list, terms: int) -> np.ndarray:
+    """Rows of weights side by side, zeros where a row has no such term."""
+    out = np.zeros((len(rows), terms), np.int64)
+    for i, w in enumerate(rows):
+        out[i, : len(w)] = w[:terms]
+    return out
 
 
 def _best_of_pair(k: int):
@@ -76,19 +97,14 @@ def _best_of_pair(k: int):
             right = right.sort_values("vec_id", kind="stable")
             ids = right["vec_id"].to_numpy(np.int64)
             width = len(ids)
-            terms = max(len(w) for w in right["weights"])
-            dense = np.zeros((width, terms), np.int64)
-            for i, w in enumerate(right["weights"]):
-                dense[i, : len(w)] = w
+            terms = max(map(len, right["weights"]))
+            dense, sought = _matrix(right["weights"], terms), _matrix(left["weights"], terms)
+            reach = int(np.abs(sought).max(initial=0)) * int(np.abs(dense).max(initial=0)) * max(terms, 1)
+            postings = Postings(dense, _exact_kind(reach))
             own = left["vec_id"].to_numpy(np.int64)
-            rows = [np.asarray(w, np.int64) for w in left["weights"]]
-            # 32-bit accumulators where no sum can leave them.
-            reach = max((int(np.abs(r).max()) for r in rows if len(r)), default=0) * int(np.abs(dense).max(initial=0)) * max(terms, 1)
-            kind = np.int32 if reach < 2**31 else np.int64
-            postings = {t: (at, np.ascontiguousarray(dense[at, t], kind)) for t in range(terms) if len(at := np.flatnonzero(dense[:, t]))}
-            for at in range(0, len(rows), STRIP):
+            for at in range(0, len(own), STRIP):
                 strip = own[at : at + STRIP]
-                score = _accumulate(rows[at : at + STRIP], postings, width, kind).astype(np.int64)
+                score = postings.scores(sought[at : at + STRIP])
                 # One integer orders by score, then by smaller id (ids ascend within the block).
                 order = score * width + np.arange(width - 1, -1, -1)
                 order[strip[:, None] == ids[None, :]] = np.iinfo(np.int64).min
