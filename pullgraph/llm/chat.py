@@ -194,16 +194,32 @@ def format_turns(conversations: DataFrame) -> DataFrame:
     return conversations.withColumn("__esc", esc).withColumn("formatted", whole).withColumn("loss_spans", spans).drop("__esc")
 
 
+def bound(value: Column, use) -> Column:
+    """use(value) with value computed once, also where `use` needs it inside the lambda of another function."""
+    return F.transform(F.array(value), use)[0]
+
+
 def parse(formatted: Column) -> Column:
     """Turns read back from a formatted text: the inverse of format_turns()."""
-    cut = F.split(formatted, r"<\|im_start\|>|<\|im_sep\|>|<\|im_end\|>\n")
-    starts = F.filter(F.sequence(F.lit(0), F.size(cut) - 1), lambda i: (i % 3 == 1) & (i + 1 < F.size(cut)))
-    return F.transform(starts, lambda i: F.struct(unescape(F.get(cut, i)).alias("role"), unescape(F.get(cut, i + 1)).alias("text")))
+
+    def turns(cut: Column) -> Column:
+        starts = F.filter(F.sequence(F.lit(0), F.size(cut) - 1), lambda i: (i % 3 == 1) & (i + 1 < F.size(cut)))
+        return F.transform(starts, lambda i: F.struct(unescape(F.get(cut, i)).alias("role"), unescape(F.get(cut, i + 1)).alias("text")))
+
+    return bound(F.split(formatted, r"<\|im_start\|>|<\|im_sep\|>|<\|im_end\|>\n"), turns)
 
 
 def loss_text(formatted: Column, spans: Column) -> Column:
-    """Unescaped text under the loss mask, spans in order with nothing between."""
-    return F.array_join(F.transform(spans, lambda s: unescape(F.substring(formatted, (s["start"] + 1).cast("int"), s["length"].cast("int")))), "")
+    """Unescaped text under the loss mask, spans in order with nothing between.
+
+    The text is cut in an encoding of four bytes per code point, where a span is found without reading what precedes it.
+    """
+
+    def read(wide: Column) -> Column:
+        cut = lambda s: F.substring(wide, (4 * s["start"] + 1).cast("int"), (4 * s["length"]).cast("int"))
+        return F.array_join(F.transform(spans, lambda s: unescape(F.decode(cut(s), "UTF-32"))), "")
+
+    return bound(F.encode(formatted, "UTF-32"), read)
 
 
 def op4_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
