@@ -238,6 +238,30 @@ def predict(docs: DataFrame, net: Network) -> DataFrame:
     return arrow_map(documents_of(docs), run, "doc_id long, lang_pred string, score double")
 
 
+#: A document is rejected if no language was found or its pooled probability is below this.
+MIN_SCORE = 0.3
+
+
+def keep_identified(docs: DataFrame, net: Network, min_score: float = MIN_SCORE) -> DataFrame:
+    """docs whose language was identified, all columns as they were but for a null lang, which is filled in.
+
+    One pass over the rows, no shuffle; texts are judged whole.  Nulls and texts without a letter are rejected.
+    """
+    names = docs.columns
+
+    def run(it):
+        reader = Reader(net)
+        for b in batches(it, 4 << 20):
+            labels, scores = reader.read(b.column(b.schema.get_field_index("text")).to_pylist())
+            cols = {n: b.column(n) for n in names}
+            if "lang" in cols:
+                cols["lang"] = pa.array([x if x is not None else y for x, y in zip(cols["lang"].to_pylist(), labels, strict=True)], pa.string())
+            keep = [x != UNDETERMINED and s >= min_score for x, s in zip(labels, scores, strict=True)]
+            yield pa.RecordBatch.from_arrays([cols[n] for n in names], names).filter(pa.array(keep, pa.bool_()))
+
+    return arrow_map(docs, run, docs.schema.simpleString().removeprefix("struct<").removesuffix(">"))
+
+
 def held_out() -> Column:
     return F.crc32(F.col("doc_id").cast("string").cast("binary")) % 4 == 2
 
