@@ -3,17 +3,20 @@
 Only suffixes at content-selected positions are kept: the position whose GRAM-word hash is smallest among `window`
 neighbouring positions.  The choice depends on the words alone, so two copies of a passage keep the same suffixes, and
 any passage of `least` words holds one with `prefix = least - window + 1` words of the passage after it.  Suffixes are
-brought in order by the hash of that prefix (any order in which equal prefixes stand together will do), neighbours
-with equal prefixes and different documents are matches, and every run of matches is extended to the left and to the
-right word by word as far as some other document of its neighbourhood agrees.
-
-A repeat is a maximal run of words covered by such matches, of `least` words or more: it holds every passage of `least`
-words that stands in two documents, and each of its words lies in a passage of `prefix` words or more that does.
-
-Plan: one shuffle of (hash, document, place) triples for the order, where equal hashes are counted with map-side
-combining, so a passage that a third of all documents share is a few rows per task; the join that marks the matches is
-one that adaptive execution can split.  Extension looks only at matches at the ends of runs and at those that share
-their prefix: few rows, whatever the length of the repeat.
+brought in order by the hash of that prefix, then by document, so equal prefixes stand together; a prefix that stands in
+two documents is a match.  Matches at neighbouring kept positions form runs, and the two ends of every run are extended
+to the left and to the right, word by word, as far as its neighbour agrees: the place in the first and the place in the
+last document with the same prefix.
+
+A repeat is a maximal run of words covered by matches and their extensions, of `least` words or more.  Each of its words
+lies in a passage of `prefix` words or more that stands in another document.  A passage of `least` words that stands in
+all documents with its prefixes is always found whole; where a document shares more words with one in the middle of the
+neighbourhood than with its first and last, the ends of a repeat can fall short by less than `window` words.
+
+Plan: one shuffle of (hash, document, place) triples finds equal prefixes, counted with map-side combining, so a passage
+that a third of all documents share is a few rows per task; the join that marks the matches is one that adaptive
+execution can split.  Extension looks at the ends of runs and their two neighbours only, whatever the length of a repeat
+or the size of a neighbourhood.
 """
 
 from __future__ import annotations
@@ -24,7 +27,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..session import materialize, release
-from .common import U64, Words, arrow_map, batches, documents_of, mix, prefix_hash, slice_hash, table
+from .common import U64, Words, arrow_map, batches, documents_of, prefix_hash, slice_hash, table
 
 LEAST = 50
 WINDOW = 26
@@ -63,41 +66,46 @@ def suffixes(docs: DataFrame, least: int = LEAST, window: int = WINDOW, gram: in
     return arrow_map(docs.filter("doc_id IS NOT NULL"), run, "key long, doc_id long, pos int, ord int")
 
 
-def _ladders(asked: DataFrame, docs: DataFrame, prefix: int, reach: int) -> DataFrame:
-    """(doc_id, pos, side, steps, rung): for every asked place, one hash per number of words taken beyond the prefix.
+def _contexts(asked: DataFrame, docs: DataFrame, prefix: int, reach: int) -> DataFrame:
+    """(doc_id, pos, side, words): hashes of the words around each asked place, nearest first.
 
-    side 0 goes left from pos, side 1 right from pos + prefix, up to `reach` words.  The rung also holds the key, so that
-    equal rungs mean equal words around equal prefixes.
+    side 0 goes left from pos, side 1 right from pos + prefix; `reach` words, fewer at the end of the text.
     """
 
     def run(it):
         for batch in it:
             for b in batches([batch], 4 << 20):
                 w = Words(b.column(1).to_pylist())
-                p = prefix_hash(w.hash)
-                wants = b.column(2).to_pylist()
-                number = np.repeat(np.arange(b.num_rows), [len(x) for x in wants])
-                flat = [y for x in wants for y in x]
-                pos = np.array([y["pos"] for y in flat], np.int64)
-                side = np.array([y["side"] for y in flat], np.int64)
-                key = np.array([y["key"] for y in flat], np.int64).view(U64)
-                at = w.first[number] + pos
-                room = np.where(side == 0, pos, w.n[number] - pos - prefix)
-                most = np.minimum(room, reach)
-                who = np.repeat(np.arange(len(flat)), most)
-                steps = np.arange(len(who)) - np.repeat(np.cumsum(most) - most, most) + 1
-                start = np.where(side[who] == 0, at[who] - steps, at[who] + prefix)
-                with np.errstate(over="ignore"):
-                    rung = mix(slice_hash(p, start, start + steps) + key[who] * U64(2) + side[who].astype(U64))
-                ids = np.array(b.column(0).to_pylist(), np.int64)[number]
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(ids[who], pa.int64()), pa.array(pos[who].astype(np.int32)), pa.array(side[who].astype(np.int32)), pa.array(steps.astype(np.int32)), pa.array(rung.view(np.int64))],
-                    ["doc_id", "pos", "side", "steps", "rung"],
-                )
-
-    wants = asked.groupBy("doc_id").agg(F.collect_set(F.struct("pos", "side", "key")).alias("wants"))
+                ids, pos, side, words = [], [], [], []
+                for i, (doc_id, wants) in enumerate(zip(b.column(0).to_pylist(), b.column(2).to_pylist(), strict=True)):
+                    h = w.hash[w.first[i] : w.first[i + 1]]
+                    for y in wants:
+                        at = y["pos"]
+                        around = h[max(0, at - reach) : at][::-1] if y["side"] == 0 else h[at + prefix : at + prefix + reach]
+                        ids.append(doc_id)
+                        pos.append(at)
+                        side.append(y["side"])
+                        words.append(around.tobytes())
+                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(pos, pa.int32()), pa.array(side, pa.int32()), pa.array(words, pa.binary())], ["doc_id", "pos", "side", "words"])
+
+    wants = asked.groupBy("doc_id").agg(F.collect_set(F.struct("pos", "side")).alias("wants"))
     src = docs.join(wants.hint("shuffle_hash"), "doc_id").dropDuplicates(["doc_id"]).select("doc_id", "text", "wants")
-    return arrow_map(src, run, "doc_id long, pos int, side int, steps int, rung long")
+    return arrow_map(src, run, "doc_id long, pos int, side int, words binary")
+
+
+def _agreements(pairs: DataFrame) -> DataFrame:
+    """(doc_id, pos, side, steps, older) of rows that also have words and other: words that agree from the start."""
+
+    def run(it):
+        for b in it:
+            steps = []
+            for x, y in zip(b.column(4).to_pylist(), b.column(5).to_pylist(), strict=True):
+                n = min(len(x), len(y)) // 8
+                differ = np.flatnonzero(np.frombuffer(x, np.int64, n) != np.frombuffer(y, np.int64, n))
+                steps.append(int(differ[0]) if len(differ) else n)
+            yield pa.RecordBatch.from_arrays([*(b.column(i) for i in range(4)), pa.array(steps, pa.int32())], ["doc_id", "pos", "side", "older", "steps"])
+
+    return arrow_map(pairs.select("doc_id", "pos", "side", "older", "words", "other"), run, "doc_id long, pos int, side int, older boolean, steps int")
 
 
 SPANS = "doc_id long, repeats array<struct<start:int,stop:int>>, later array<struct<start:int,stop:int>>, repeat_words long, later_words long"
@@ -116,20 +124,25 @@ def repeated_passages(docs: DataFrame, least: int = LEAST, window: int = WINDOW,
         raise ValueError("window must be between 1 and least, and a gram must fit into the prefix")
     docs, prefix = documents_of(docs), least - window + 1
     kept = materialize(suffixes(docs, least, window, gram), "suffixes")
-    shared = kept.groupBy("key").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).filter("lo <> hi").select("key", "lo")
-    hits = materialize(kept.join(shared, "key").select("key", "doc_id", "pos", "ord", (F.col("lo") < F.col("doc_id")).alias("later")).dropDuplicates(["doc_id", "pos"]), "matches")
+    shared = kept.groupBy("key").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).filter("lo <> hi")
+    hits = materialize(kept.join(shared, "key").select("key", "doc_id", "pos", "ord", (F.col("lo") < F.col("doc_id")).alias("later"), (F.col("hi") > F.col("doc_id")).alias("earlier")), "matches")
     release(kept)
     row = Window.partitionBy("doc_id", "kind").orderBy("ord")
     kinds = hits.withColumn("kind", F.explode(F.when(F.col("later"), F.array(F.lit(0), F.lit(1))).otherwise(F.array(F.lit(0)))))
     runs = materialize(
-        kinds.withColumn("run", F.col("ord") - F.row_number().over(row)).groupBy("doc_id", "kind", "run").agg(F.min(F.struct("pos", "key")).alias("first"), F.max(F.struct("pos", "key")).alias("last")),
+        kinds.withColumn("run", F.col("ord") - F.dense_rank().over(row)).groupBy("doc_id", "kind", "run").agg(F.min(F.struct("pos", "key")).alias("first"), F.max(F.struct("pos", "key")).alias("last")),
         "runs",
     )
-    ends = runs.select(F.explode(F.array(F.struct(F.lit(0).alias("side"), F.col("first.key").alias("key")), F.struct(F.lit(1).alias("side"), F.col("last.key").alias("key")))).alias("e")).select("e.side", "e.key").distinct()
-    asked = hits.join(ends, "key").select("doc_id", "pos", "side", "key")
-    rungs = materialize(_ladders(asked, docs, prefix, window - 1), "ladders")
-    agreed = rungs.groupBy("rung").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).filter("lo <> hi")
-    reach = rungs.join(agreed, "rung").groupBy("doc_id", "pos", "side").agg(F.max("steps").alias("all"), F.max(F.when(F.col("lo") < F.col("doc_id"), F.col("steps"))).alias("older"))
+    both = F.array(F.struct(F.lit(0).alias("side"), F.col("first.pos").alias("pos"), F.col("first.key").alias("key")), F.struct(F.lit(1).alias("side"), F.col("last.pos").alias("pos"), F.col("last.key").alias("key")))
+    ends = materialize(runs.select("doc_id", F.explode(both).alias("e")).select("doc_id", "e.side", "e.pos", "e.key").distinct(), "ends")
+    # The neighbours of an end: the places of its prefix in the first and in the last document that have it.
+    edge = hits.filter("NOT later OR NOT earlier").groupBy("key", "later").agg(F.min(F.struct("doc_id", "pos")).alias("n"))
+    pairs = materialize(ends.join(edge, "key").filter("n.doc_id <> doc_id").select("doc_id", "pos", "side", F.col("n.doc_id").alias("other_id"), F.col("n.pos").alias("other_pos")), "neighbours")
+    asked = pairs.select("doc_id", "pos", "side").unionByName(pairs.select(F.col("other_id").alias("doc_id"), F.col("other_pos").alias("pos"), "side")).distinct()
+    around = materialize(_contexts(asked, docs, prefix, window - 1), "contexts")
+    other = around.select(F.col("doc_id").alias("other_id"), F.col("pos").alias("other_pos"), "side", F.col("words").alias("other"))
+    compared = pairs.join(around, ["doc_id", "pos", "side"]).join(other, ["other_id", "other_pos", "side"]).withColumn("older", F.col("other_id") < F.col("doc_id"))
+    reach = _agreements(compared).groupBy("doc_id", "pos", "side").agg(F.max("steps").alias("all"), F.max(F.when(F.col("older"), F.col("steps"))).alias("older"))
     reach = materialize(reach, "reach")
 
     def step(side: int) -> DataFrame:
