@@ -10,7 +10,9 @@ No pair is left out, and no bucket is expanded into all its pairs:
 1. texts with equal sets are one class, with its smallest doc_id standing for it;
 2. in each bucket all members are compared with one of them (twice, with another one), which joins most;
 3. members that then are in no component with the bucket's chosen member are compared with all members of other
-   components.  Two members of one component need no comparison, whatever their similarity.
+   components.  Two members of one component need no comparison, whatever their similarity.  This is done inside the
+   task, a block of members against a stream of those apart, in the first bucket that a pair shares, and only links come
+   out; buckets of more than BLOCK members are dealt out to several tasks.
 A pair at the threshold shares no bucket with probability (1 - t**ROWS)**BANDS, 5e-8 for the values here.
 """
 
@@ -33,6 +35,8 @@ SKETCH_BITS = 512
 #: deviation about 8.
 SKETCH_SLACK = 94
 THRESHOLD = 80
+#: Members of a bucket that one task holds at a time in the last comparison.
+BLOCK = 512
 
 SIGNATURES = "doc_id long, n_shingles long, set_id binary, bands array<long>, sketch array<long>"
 
@@ -135,6 +139,114 @@ def _confirm(pairs: DataFrame, texts: DataFrame, width: int, threshold: int) ->
     return arrow_map(joined, run, "a long, b long")
 
 
+HELD = ["bucket", "salt", "side", "doc_id", "c", "main", "n_shingles", "sketch", "bands"]
+
+
+def _matches(o: dict, m: dict, threshold: int) -> np.ndarray:
+    """Places of block m that row o of a component apart has to be compared with, in this bucket."""
+    ok = (m["c"] != o["c"]) & (m["main"] | (m["doc_id"] > o["doc_id"]))
+    low, high = np.minimum(m["n_shingles"], o["n_shingles"]), np.maximum(m["n_shingles"], o["n_shingles"])
+    at = np.flatnonzero(ok & (100 * low >= threshold * high))
+    if len(at):
+        at = at[np.bitwise_count(m["sketch"][at] ^ o["sketch"]).sum(axis=1) <= SKETCH_SLACK]
+    if len(at):
+        # The first band two rows share is the one in which they are compared.
+        at = at[(m["bands"][at] == o["bands"]).argmax(axis=1) == int((o["bands"] == o["bucket"]).argmax())]
+    return at
+
+
+def _blocks(it, extra: int = 0):
+    """Streams (member block, rows apart) from rows sorted by bucket, salt, side: members first (side 0), one block per
+    (bucket, salt), then slices of those apart.  A row is a position in the arrays of its slice."""
+    now, members, more = None, None, []
+    for batch in it:
+        for b in batches([batch], 4 << 20):
+            n = b.num_rows
+            col = {c: b.column(i).to_numpy(zero_copy_only=False) for i, c in enumerate(HELD[:7])}
+            for i, c in ((7, "sketch"), (8, "bands")):
+                col[c] = b.column(i).flatten().to_numpy(zero_copy_only=False).reshape(n, -1)
+            texts = b.column(9) if extra else None
+            edge = np.flatnonzero((np.diff(col["bucket"]) != 0) | (np.diff(col["salt"]) != 0) | (np.diff(col["side"]) != 0)) + 1
+            for x, y in zip([0, *edge], [*edge, n], strict=True):
+                key = (col["bucket"][x], col["salt"][x])
+                part = {c: v[x:y] for c, v in col.items()} | ({"text": texts.slice(x, y - x)} if extra else {})
+                if key != now:
+                    now, members, more = key, None, []
+                if part["side"][0] == 0:
+                    more.append(part)
+                    members = None
+                elif more:
+                    if members is None:
+                        members = {c: np.concatenate([p[c] for p in more]) for c in HELD} | ({"text": [t for p in more for t in p["text"].to_pylist()]} if extra else {})
+                    yield members, part
+
+
+def _row(part: dict, i: int) -> dict:
+    return {c: part[c][i] for c in HELD}
+
+
+def _participants(held: DataFrame, threshold: int) -> DataFrame:
+    """The rows of held that have a comparison to make: at most one per row, however many pairs there are."""
+
+    def run(it):
+        for members, part in _blocks(it):
+            hit = np.zeros(len(members["doc_id"]), bool)
+            outside = []
+            for i in range(len(part["doc_id"])):
+                at = _matches(_row(part, i), members, threshold)
+                if len(at):
+                    hit[at] = True
+                    outside.append(i)
+            at = np.flatnonzero(hit)
+            if len(at):
+                rows = [np.concatenate([members[c][at], part[c][outside]]) for c in ("bucket", "salt", "side", "doc_id")]
+                yield pa.RecordBatch.from_arrays([pa.array(r) for r in rows], ["bucket", "salt", "side", "doc_id"])
+
+    return arrow_map(held, run, "bucket long, salt int, side int, doc_id long")
+
+
+def _confirm_apart(held: DataFrame, width: int, threshold: int) -> DataFrame:
+    """Links (a, b) between rows of different components; one link to a component is enough for a row."""
+
+    def run(it):
+        last, sets = None, []
+        for members, part in _blocks(it, 1):
+            if members is not last:
+                last, sets = members, shingle_sets(members["text"], width)
+            own = shingle_sets(part["text"].to_pylist(), width)
+            out = []
+            for i in range(len(own)):
+                o, done = _row(part, i), set()
+                for k in _matches(o, members, threshold):
+                    if members["c"][k] in done:
+                        continue
+                    both = len(np.intersect1d(own[i], sets[k], assume_unique=True))
+                    if 100 * both >= threshold * (len(own[i]) + len(sets[k]) - both):
+                        done.add(members["c"][k])
+                        x, y = int(o["doc_id"]), int(members["doc_id"][k])
+                        out.append((min(x, y), max(x, y)))
+            if out:
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*out, strict=True)], ["a", "b"])
+
+    return arrow_map(held, run, "a long, b long")
+
+
+def _links_apart(known: DataFrame, apart: DataFrame, reps: DataFrame, texts: DataFrame, width: int, threshold: int) -> DataFrame:
+    """All links that are left: between members of a bucket that are in different components."""
+    sizes = apart.select("bucket", F.ceil(F.col("n") / BLOCK).cast("int").alias("salts"))
+    rows = known.join(sizes, "bucket").join(reps.select("doc_id", "n_shingles", "sketch", "bands"), "doc_id")
+    main = known.filter("doc_id = p2").select("bucket", F.col("c").alias("m"))
+    rows = materialize(rows.join(main, "bucket").withColumn("main", F.col("c") == F.col("m")), "apart")
+    inside = rows.withColumn("salt", F.pmod(F.xxhash64("doc_id"), "salts").cast("int")).withColumn("side", F.lit(0))
+    outside = rows.filter("NOT main").withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("salts") - 1))).withColumn("side", F.lit(1))
+    held = inside.select(*HELD).unionByName(outside.select(*HELD))
+    parts = int(held.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    dealt = lambda df: df.repartition(parts, "bucket", "salt").sortWithinPartitions("bucket", "salt", "side")
+    some = materialize(_participants(dealt(held), threshold).distinct(), "participants")
+    again = held.join(some, ["bucket", "salt", "side", "doc_id"], "left_semi").join(texts, "doc_id").select(*HELD, "text")
+    return _confirm_apart(dealt(again), width, threshold)
+
+
 def near_duplicates(docs: DataFrame, width: int = 2, threshold: int = THRESHOLD) -> DataFrame:
     """doc_id, n_shingles, component_id, kept of every row.
 
@@ -153,7 +265,7 @@ def near_duplicates(docs: DataFrame, width: int = 2, threshold: int = THRESHOLD)
     shared = slots.groupBy("bucket").agg(F.min(F.struct(F.xxhash64("doc_id", F.lit(1)), "doc_id")).alias("p1"), F.min(F.struct(F.xxhash64("doc_id", F.lit(2)), "doc_id")).alias("p2"), F.count("*").alias("n")).filter("n > 1")
     crowd = materialize(slots.join(shared.select("bucket", F.col("p1.doc_id").alias("p1"), F.col("p2.doc_id").alias("p2")), "bucket"), "crowd")
     release(slots)
-    light = materialize(reps.join(crowd.select("doc_id").distinct(), "doc_id", "left_semi").select("doc_id", "n_shingles", "sketch"), "sketches")
+    light = materialize(reps.join(crowd.select("doc_id").distinct(), "doc_id", "left_semi").select("doc_id", "n_shingles", "sketch", "bands"), "sketches")
     texts = materialize(docs.join(light.select("doc_id").hint("shuffle_hash"), "doc_id", "left_semi").dropDuplicates(["doc_id"]), "texts")
 
     def linked(pairs: DataFrame) -> DataFrame:
@@ -162,24 +274,19 @@ def near_duplicates(docs: DataFrame, width: int = 2, threshold: int = THRESHOLD)
         return _confirm(near.filter(_plausible("x", "y", threshold)).select("a", "b"), texts, width, threshold)
 
     edges = materialize(linked(crowd.filter("doc_id <> p1").select(F.col("p1").alias("a"), F.col("doc_id").alias("b"))), "edges")
-    for star in ("p2", None):
+    for again in (True, False):
         comp = components(edges)
-        known = crowd.join(comp.select(F.col("node").alias("doc_id"), F.col("component").alias("c")), "doc_id", "left").withColumn("c", F.coalesce("c", "doc_id"))
-        apart = known.groupBy("bucket").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).filter("lo <> hi").select("bucket")
-        if star:
-            # All members of a bucket against its other chosen member, where a component apart is known to be present.
-            pick = comp.select(F.col("node").alias(star), F.col("component").alias("pc"))
-            some = known.join(apart, "bucket", "left_semi").join(pick, star, "left").filter(F.col("c") != F.coalesce("pc", star))
-            pairs = some.select(F.col(star).alias("a"), F.col("doc_id").alias("b"))
+        known = materialize(crowd.join(comp.select(F.col("node").alias("doc_id"), F.col("component").alias("c")), "doc_id", "left").withColumn("c", F.coalesce("c", "doc_id")), "known")
+        apart = known.groupBy("bucket").agg(F.min("c").alias("lo"), F.max("c").alias("hi"), F.count("*").alias("n")).filter("lo <> hi").select("bucket", "n")
+        if again:
+            # All members of such a bucket against its other chosen member, where they are not known to be linked.
+            chosen = known.filter("doc_id = p2").select("bucket", F.col("c").alias("pc")).join(apart, "bucket")
+            pairs = known.join(chosen, "bucket").filter(F.col("c") != F.col("pc")).select(F.col("p2").alias("a"), F.col("doc_id").alias("b"))
+            more = linked(pairs)
         else:
-            # What is still apart from the chosen member, against every member of another component.
-            held = materialize(known.join(apart, "bucket", "left_semi").join(light, "doc_id").select("bucket", "doc_id", "c", "p2", "n_shingles", "sketch"), "apart")
-            main = held.filter("doc_id = p2").select("bucket", F.col("c").alias("main"))
-            outside = held.join(main, "bucket").filter("c <> main").alias("o")
-            every = held.join(main, "bucket").alias("m")
-            differ = (F.col("o.bucket") == F.col("m.bucket")) & (F.col("o.c") != F.col("m.c")) & ((F.col("m.c") == F.col("m.main")) | (F.col("o.doc_id") < F.col("m.doc_id")))
-            pairs = outside.join(every, differ & _plausible("o", "m", threshold)).select(F.col("o.doc_id").alias("a"), F.col("m.doc_id").alias("b"))
-        edges = materialize(edges.unionByName(linked(pairs)), "edges")
+            more = _links_apart(known, apart, light, texts, width, threshold)
+        edges = materialize(edges.unionByName(more), "edges")
+        release(known)
     comp = components(edges)
     whole = member.join(comp.select(F.col("node").alias("rep"), "component"), "rep", "left").select("doc_id", F.coalesce("component", "rep").alias("component_id"))
     out = sigs.select("doc_id", "n_shingles").join(whole, "doc_id", "left")
