@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+import gc
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -24,10 +27,35 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+#: Rows of a side that may be broadcast; they are counted first, and beyond this both sides are shuffled.
+SMALL_ROWS = 100_000
+
+
+def _give_back() -> None:
+    """Return freed memory to the system: workers are reused, and what one task freed would count for the next."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)
+
+
 def arrow_map(df: DataFrame, fn: Callable, schema: str) -> DataFrame:
-    """mapInArrow with the package shipped to the workers first."""
+    """mapInArrow with the package shipped to the workers first, and memory given back after each task."""
     ship(df.sparkSession)
-    return df.mapInArrow(fn, schema)
+
+    def run(it):
+        try:
+            yield from fn(it)
+        finally:
+            _give_back()
+
+    return df.mapInArrow(run, schema)
+
+
+def join_texts(docs: DataFrame, asked: DataFrame) -> DataFrame:
+    """docs with the columns of asked (one row per doc_id): few counted rows go to the texts, many meet them in a shuffle."""
+    few = asked.count() <= SMALL_ROWS
+    return docs.join(asked.hint("broadcast" if few else "shuffle_hash"), "doc_id")
 
 
 def documents_of(df: DataFrame, *more: str) -> DataFrame:

@@ -20,8 +20,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..session import materialize, release
-from .common import U64, arrow_map, batches, documents_of, mix, prefix_hash, slice_hash, table
+from ..session import materialize
+from .common import U64, arrow_map, batches, documents_of, join_texts, mix, prefix_hash, slice_hash, table
 from .components import components
 
 EDITS = 2
@@ -99,29 +99,38 @@ class Lines:
         return np.stack(index, axis=1), np.stack(probe, axis=1) if probe else np.zeros((len(pick), 0), U64)
 
 
-def line_rows(docs: DataFrame, edits: int, shortest: int) -> DataFrame:
-    """(line binary, doc_id, line_no, sketch, index array, probes array) of all lines of `shortest` signs or more."""
+def line_rows(docs: DataFrame, shortest: int) -> DataFrame:
+    """(h1, h2, doc_id, line_no) of all lines of `shortest` signs or more; two hashes stand for the text."""
 
     def run(it):
-        for b in batches(it, 2 << 20):
+        for b in batches(it, 4 << 20):
             x = Lines(b.column(1).to_pylist())
             pick = np.flatnonzero(x.length >= shortest)
-            index, probe = x.keys(pick, edits)
             ids = np.array([-1 if v is None else v for v in b.column(0).to_pylist()], np.int64)
-            raw = np.stack([x.hash[pick], x.hash2[pick]], axis=1).tobytes()
             yield pa.RecordBatch.from_arrays(
-                [
-                    pa.array([raw[i : i + 16] for i in range(0, len(raw), 16)], pa.binary()),
-                    pa.array(ids[x.owner[pick]]),
-                    pa.array(x.number[pick].astype(np.int32)),
-                    pa.array(x.sketch(pick).view(np.int64)),
-                    _nested(index),
-                    _nested(probe),
-                ],
-                ["line", "doc_id", "line_no", "sketch", "index", "probes"],
+                [pa.array(x.hash[pick].view(np.int64)), pa.array(x.hash2[pick].view(np.int64)), pa.array(ids[x.owner[pick]]), pa.array(x.number[pick].astype(np.int32))],
+                ["h1", "h2", "doc_id", "line_no"],
+            )
+
+    return arrow_map(docs.filter("doc_id IS NOT NULL"), run, "h1 long, h2 long, doc_id long, line_no int")
+
+
+def line_keys(docs: DataFrame, edits: int, shortest: int) -> DataFrame:
+    """(h1, h2, sketch, index array, probes array) of the distinct lines of `shortest` signs or more."""
+
+    def run(it):
+        for b in batches(it, 2 << 20):
+            x = Lines(b.column(0).to_pylist())
+            pick = np.flatnonzero(x.length >= shortest)
+            pick = pick[np.unique(x.hash[pick], return_index=True)[1]]
+            index, probe = x.keys(pick, edits)
+            yield pa.RecordBatch.from_arrays(
+                [pa.array(x.hash[pick].view(np.int64)), pa.array(x.hash2[pick].view(np.int64)), pa.array(x.sketch(pick).view(np.int64)), _nested(index), _nested(probe)],
+                ["h1", "h2", "sketch", "index", "probes"],
             )
 
-    return arrow_map(docs.filter("doc_id IS NOT NULL"), run, "line binary, doc_id long, line_no int, sketch long, index array<long>, probes array<long>")
+    rows = arrow_map(docs.filter("doc_id IS NOT NULL").select("text"), run, "h1 long, h2 long, sketch long, index array<long>, probes array<long>")
+    return rows.dropDuplicates(["h1", "h2"])
 
 
 def _nested(keys: np.ndarray) -> pa.Array:
@@ -193,41 +202,44 @@ def similar_lines(docs: DataFrame, edits: int = EDITS, shortest: int = SHORTEST)
     no rows.
     """
     docs = documents_of(docs)
-    rows = materialize(line_rows(docs, edits, shortest), "lines")
-    first = F.min(F.struct("doc_id", "line_no")).alias("at")
-    texts = materialize(rows.groupBy("line").agg(first, F.first("sketch").alias("sketch"), F.first("index").alias("index"), F.first("probes").alias("probes")), "texts")
-    index = texts.select(F.explode("index").alias("key"), F.col("at").alias("a"), F.col("sketch").alias("sa"))
-    probes = texts.select(F.explode("probes").alias("key"), F.col("at").alias("b"), F.col("sketch").alias("sb"))
-    near = F.bit_count(F.col("sa").bitwiseXOR(F.col("sb"))) <= 4 * edits
+    keys = line_keys(docs, edits, shortest)
+    index = keys.select(F.explode("index").alias("key"), F.col("h1").alias("a"), F.col("sketch").alias("sa"))
+    probes = keys.select(F.explode("probes").alias("key"), F.col("h1").alias("b"), F.col("sketch").alias("sb"))
     same = index.select("key", F.col("a").alias("b"), F.col("sa").alias("sb"))
+    near = F.bit_count(F.col("sa").bitwiseXOR(F.col("sb"))) <= 4 * edits
     found = index.join(probes, "key").filter(near & (F.col("a") != F.col("b"))).select("a", "b")
-    level = index.alias("x").join(same.alias("y"), "key").filter(near & (F.col("a") < F.col("b"))).select("a", "b")
+    level = index.join(same, "key").filter(near & (F.col("a") < F.col("b"))).select("a", "b")
     pairs = materialize(found.unionByName(level).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "candidates")
-    links = materialize(_verify(pairs, docs, edits), "links")
+    rows = materialize(line_rows(docs, shortest), "lines")
+    first = materialize(rows.groupBy("h1", "h2").agg(F.min(F.struct("doc_id", "line_no")).alias("at")), "firsts")
+    links = materialize(_verify(pairs, first, docs, edits), "links")
     label = components(links)
     degree = links.select(F.explode(F.array("a", "b")).alias("at")).groupBy("at").agg(F.count("*").alias("n_links"))
-    named = texts.select("line", "at").join(label.withColumnRenamed("node", "at"), "at", "left").join(degree, "at", "left")
-    named = named.select("line", F.coalesce("component", "at").alias("class"), F.coalesce("n_links", F.lit(0).cast("long")).alias("n_links"))
-    out = rows.select("line", "doc_id", "line_no").join(named, "line")
+    named = first.join(label.withColumnRenamed("node", "at"), "at", "left").join(degree, "at", "left")
+    named = named.select("h1", "h2", F.coalesce("component", "at").alias("class"), F.coalesce("n_links", F.lit(0).cast("long")).alias("n_links"))
+    out = rows.join(named, ["h1", "h2"])
     return out.select("doc_id", "line_no", F.col("class.doc_id").alias("class_doc"), F.col("class.line_no").alias("class_line"), "n_links")
 
 
-def _verify(pairs: DataFrame, docs: DataFrame, edits: int) -> DataFrame:
-    """The candidate pairs (a, b), each (doc_id, line_no), whose texts are near enough."""
-    asked = pairs.select(F.explode(F.array("a", "b")).alias("at")).groupBy("at.doc_id").agg(F.collect_set("at.line_no").alias("want"))
-    split = docs.join(asked.hint("shuffle_hash"), "doc_id").dropDuplicates(["doc_id"]).select("doc_id", "want", F.split(F.coalesce("text", F.lit("")), "\n", -1).alias("all"))
-    text = materialize(split.select("doc_id", F.explode("want").alias("line_no"), "all").select(F.struct("doc_id", "line_no").alias("at"), F.col("all")[F.col("line_no")].alias("text")), "texts")
-    joined = pairs.join(text.select(F.col("at").alias("a"), F.col("text").alias("ta")), "a").join(text.select(F.col("at").alias("b"), F.col("text").alias("tb")), "b").select("a", "b", "ta", "tb")
+def _verify(pairs: DataFrame, first: DataFrame, docs: DataFrame, edits: int) -> DataFrame:
+    """Links (a, b), each a first occurrence (doc_id, line_no): candidate pairs whose texts are near enough."""
+    wanted = first.join(pairs.select(F.explode(F.array("a", "b")).alias("h1")).distinct(), "h1", "left_semi")
+    asked = materialize(wanted.groupBy("at.doc_id").agg(F.collect_list(F.struct("at.line_no", "h1")).alias("want")), "asked")
+    split = join_texts(docs, asked).dropDuplicates(["doc_id"]).select("doc_id", "want", F.split(F.coalesce("text", F.lit("")), "\n", -1).alias("all"))
+    text = split.select("doc_id", F.explode("want").alias("w"), "all").select("w.h1", F.struct("doc_id", "w.line_no").alias("at"), F.col("all")[F.col("w.line_no")].alias("text"))
+    text = materialize(text, "texts")
+    side = lambda c: text.select(F.col("h1").alias(c), F.col("at").alias(f"at_{c}"), F.col("text").alias(f"t_{c}"))
+    joined = pairs.join(side("a"), "a").join(side("b"), "b").select("at_a", "at_b", "t_a", "t_b")
 
     def run(it):
         for batch in it:
             for b in batches([batch], 1 << 20):
                 code = [[np.frombuffer((t or "").encode("utf-32-le", "surrogatepass"), np.uint32) for t in b.column(k).to_pylist()] for k in (2, 3)]
-                ok = within(code[0], code[1], edits)
-                yield b.select([0, 1]).filter(pa.array(ok))
+                kept = b.select([0, 1]).filter(pa.array(within(code[0], code[1], edits)))
+                yield pa.RecordBatch.from_arrays(kept.columns, ["a", "b"])
 
     at = "struct<doc_id:bigint,line_no:int>"
-    return arrow_map(joined, run, f"a {at}, b {at}")
+    return arrow_map(joined, run, f"a {at}, b {at}").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
 
 
 def drop_lines(docs: DataFrame, classes: DataFrame) -> DataFrame:

@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..session import materialize, release
-from .common import U64, Words, arrow_map, batches, documents_of, prefix_hash, slice_hash, table
+from .common import U64, Words, arrow_map, batches, documents_of, join_texts, prefix_hash, slice_hash, table
 
 LEAST = 50
 WINDOW = 26
@@ -89,7 +89,7 @@ def _contexts(asked: DataFrame, docs: DataFrame, prefix: int, reach: int) -> Dat
                 yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(pos, pa.int32()), pa.array(side, pa.int32()), pa.array(words, pa.binary())], ["doc_id", "pos", "side", "words"])
 
     wants = asked.groupBy("doc_id").agg(F.collect_set(F.struct("pos", "side")).alias("wants"))
-    src = docs.join(wants.hint("shuffle_hash"), "doc_id").dropDuplicates(["doc_id"]).select("doc_id", "text", "wants")
+    src = join_texts(docs, materialize(wants, "wants")).dropDuplicates(["doc_id"]).select("doc_id", "text", "wants")
     return arrow_map(src, run, "doc_id long, pos int, side int, words binary")
 
 
