@@ -20,6 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..session import materialize
 from .common import arrow_map, batches, table
 
 #: Short notices and opening passages of public licenses, by SPDX identifier.
@@ -169,7 +170,7 @@ def scan(files: DataFrame, **options) -> DataFrame:
 
     Rows that repeat repeat the result, extra columns are dropped, an empty table gives no rows.
     """
-    return inherit(own_licenses(files, **options))
+    return inherit(materialize(own_licenses(files, **options), "licenses"))
 
 
 def as_files(docs: DataFrame) -> DataFrame:
