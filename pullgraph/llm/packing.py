@@ -26,7 +26,7 @@ from .common import arrow_map, batches, documents_of, table
 
 WINDOW = 2048
 #: Distinct words kept per generation in each worker.
-CACHE = 500_000
+CACHE = 250_000
 LONGEST_KEPT = 64
 #: sequence_id = task * SEQUENCES + number within the task.
 SEQUENCES = 1 << 40
