@@ -55,24 +55,53 @@ class WordTokenizer:
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = encode_special
         self.parts = re.compile(f"[{LETTERS}]+(?=[{BLANK}{STOPS}]|\\Z)|[{STOPS}]+(?=[{BLANK}]|\\Z)|[^{BLANK}]+").findall
+        self.plain = re.compile(f"[{LETTERS}]+").fullmatch
+        # A run of letters is one word, and the last token of each word carries the end mark.
+        vocabulary = self.tokenizer.get_vocab(with_added_tokens=False)
+        self.ends = np.zeros(max(self.tokenizer.get_vocab(with_added_tokens=True).values()) + 1, bool)
+        self.ends[[i for t, i in vocabulary.items() if t.endswith("</w>")]] = True
         self.young: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
 
-    def ids(self, texts: list[str]) -> list[bytes]:
-        """Little-endian unsigned 32-bit ids of each text."""
-        cut = [self.parts(t) for t in texts]
+    def _words(self, words: list[str]) -> None:
+        """Encode lower-case letter runs many at a time, and cut the ids at the ends of words."""
+        for at in range(0, len(words), 256):
+            some = words[at : at + 256]
+            ids = np.array(self.tokenizer.encode(" ".join(some), add_special_tokens=False).ids, "<u4")
+            stops = (4 * (np.flatnonzero(self.ends[ids]) + 1)).tolist()
+            raw = ids.tobytes()
+            self.young.update(zip(some, [raw[x:y] for x, y in zip([0, *stops], stops, strict=False)], strict=True))
+
+    def _learn(self, new: set[str]) -> None:
         young, old = self.young, self.old
-        missing = []
-        for part in set().union(*cut).difference(young):
+        lower, missing, others = {}, set(), []
+        for part in new:
             if part in old:
                 young[part] = old[part]
+            elif self.plain(part):
+                low = part.lower()
+                lower[part] = low
+                if low not in young:
+                    if low in old:
+                        young[low] = old[low]
+                    else:
+                        missing.add(low)
             else:
-                missing.append(part)
-        for part, e in zip(missing, self.tokenizer.encode_batch_fast(missing, add_special_tokens=False), strict=True):
-            young[part] = array("I", e.ids).tobytes()
-        out = [b"".join(map(young.__getitem__, ps)) for ps in cut]
-        if len(young) >= CACHE:
-            self.old, self.young = {k: v for k, v in young.items() if len(k) <= LONGEST_KEPT}, {}
+                others.append(part)
+        self._words(list(missing))
+        for part, low in lower.items():
+            young[part] = young[low]
+        for part in others:
+            young[part] = array("I", self.tokenizer.encode(part, add_special_tokens=False).ids).tobytes()
+
+    def ids(self, texts: list[str]) -> list[bytes]:
+        """Little-endian unsigned 32-bit ids of each text."""
+        cut = [self.parts(t) for t in texts]
+        self._learn(set().union(*cut).difference(self.young))
+        get = self.young.__getitem__
+        out = [b"".join(map(get, ps)) for ps in cut]
+        if len(self.young) >= CACHE:
+            self.old, self.young = {k: v for k, v in self.young.items() if len(k) <= LONGEST_KEPT}, {}
         return out
 
 
