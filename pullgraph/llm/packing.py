@@ -16,6 +16,7 @@ import re
 import zlib
 from array import array
 from functools import lru_cache
+from itertools import islice
 
 import numpy as np
 import pyarrow as pa
@@ -25,8 +26,8 @@ from pyspark.sql import DataFrame, SparkSession
 from .common import arrow_map, batches, documents_of, table
 
 WINDOW = 2048
-#: Distinct words kept per generation in each worker.
-CACHE = 250_000
+#: Distinct parts kept in each worker; beyond it the older half goes.
+CACHE = 700_000
 LONGEST_KEPT = 64
 #: sequence_id = task * SEQUENCES + number within the task.
 SEQUENCES = 1 << 40
@@ -46,7 +47,7 @@ class WordTokenizer:
     Its normaliser only recomposes characters, lower-cases and folds white space, and its splitter drops white space and
     never joins letters with other signs, so a text's ids are those of its parts, one after another: runs of plain
     letters before white space or a stop, runs of stops before white space, and whatever else stands between white
-    space.  Parts are remembered in a bounded two-generation table.
+    space.  Parts are remembered in a bounded table.
     """
 
     def __init__(self, path: str, encode_special: bool = True) -> None:
@@ -60,8 +61,7 @@ class WordTokenizer:
         vocabulary = self.tokenizer.get_vocab(with_added_tokens=False)
         self.ends = np.zeros(max(self.tokenizer.get_vocab(with_added_tokens=True).values()) + 1, bool)
         self.ends[[i for t, i in vocabulary.items() if t.endswith("</w>")]] = True
-        self.young: dict[str, bytes] = {}
-        self.old: dict[str, bytes] = {}
+        self.known: dict[str, bytes] = {}
 
     def _words(self, words: list[str]) -> None:
         """Encode lower-case letter runs many at a time, and cut the ids at the ends of words."""
@@ -70,38 +70,39 @@ class WordTokenizer:
             ids = np.array(self.tokenizer.encode(" ".join(some), add_special_tokens=False).ids, "<u4")
             stops = (4 * (np.flatnonzero(self.ends[ids]) + 1)).tolist()
             raw = ids.tobytes()
-            self.young.update(zip(some, [raw[x:y] for x, y in zip([0, *stops], stops, strict=False)], strict=True))
+            self.known.update(zip(some, [raw[x:y] for x, y in zip([0, *stops], stops, strict=False)], strict=True))
 
-    def _learn(self, new: set[str]) -> None:
-        young, old = self.young, self.old
+    def _learn(self, new: set[str]) -> list[str]:
+        """Put new parts into the table; returns those too long to stay there."""
+        known = self.known
         lower, missing, others = {}, set(), []
         for part in new:
-            if part in old:
-                young[part] = old[part]
-            elif self.plain(part):
-                low = part.lower()
-                lower[part] = low
-                if low not in young:
-                    if low in old:
-                        young[low] = old[low]
-                    else:
+            if part.isalpha() and (part.isascii() or self.plain(part)):
+                if part.islower():
+                    missing.add(part)
+                else:
+                    low = lower[part] = part.lower()
+                    if low not in known:
                         missing.add(low)
             else:
                 others.append(part)
         self._words(list(missing))
         for part, low in lower.items():
-            young[part] = young[low]
+            known[part] = known[low]
         for part in others:
-            young[part] = array("I", self.tokenizer.encode(part, add_special_tokens=False).ids).tobytes()
+            known[part] = array("I", self.tokenizer.encode(part, add_special_tokens=False).ids).tobytes()
+        return [p for p in (*others, *missing, *lower) if len(p) > LONGEST_KEPT]
 
     def ids(self, texts: list[str]) -> list[bytes]:
         """Little-endian unsigned 32-bit ids of each text."""
         cut = [self.parts(t) for t in texts]
-        self._learn(set().union(*cut).difference(self.young))
-        get = self.young.__getitem__
+        long = self._learn(set().union(*cut).difference(self.known))
+        get = self.known.__getitem__
         out = [b"".join(map(get, ps)) for ps in cut]
-        if len(self.young) >= CACHE:
-            self.old, self.young = {k: v for k, v in self.young.items() if len(k) <= LONGEST_KEPT}, {}
+        for p in long:
+            self.known.pop(p, None)
+        if len(self.known) > CACHE:
+            self.known = dict(islice(self.known.items(), len(self.known) // 2, None))
         return out
 
 
