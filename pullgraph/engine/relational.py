@@ -66,9 +66,9 @@ def run(g: Graph, program: VertexProgram, stop: StopRule = StopRule(), cut_every
     if frontier and not program.idempotent:
         raise ValueError("a sum must gather all in-edges again; only idempotent gathers can follow a frontier")
     n = g.n_vertices
-    state = g.vertices.select("id", program.init(F.col("id"), n).alias("value"), F.lit(True).alias("changed"))
     if n == 0:
-        return Result(state.select("id", "value"), 0)
+        return Result(g.vertices.select("id", F.lit(None).cast("double").alias("value")), 0)
+    state = g.vertices.select("id", program.init(F.col("id"), n).alias("value"), F.lit(True).alias("changed"))
     rows = materialize(augmented(g, program), "augmented")
     every = 1 if log else cut_every
     entries, done, held = [], 0, None
