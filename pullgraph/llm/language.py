@@ -3,7 +3,7 @@
 The network reads the bytes of a segment forwards and backwards, and a softmax over both hidden states labels every
 byte position.  A document's probabilities are the mean over all its positions.  Segments are words with a boundary
 mark on either side: no state passes a boundary, so a word has the same labels wherever it stands, and a worker scores
-each distinct word once and keeps the sums in a bounded two-generation table.  The mean over a document is still taken
+each distinct word once and keeps the sums in a bounded table.  The mean over a document is still taken
 over every position of its whole text.
 
 Training is backpropagation through time with Adam on a bounded sample of labelled documents: TRAIN_DOCUMENTS rows
@@ -13,6 +13,7 @@ with the smallest hash, TRAIN_WORDS words in all.  Its cost does not depend on t
 from __future__ import annotations
 
 from dataclasses import dataclass
+from itertools import islice
 
 import numpy as np
 import pyarrow as pa
@@ -32,9 +33,9 @@ HIDDEN, EMBED = 20, 12
 #: Longest segment in bytes; longer words are cut into segments of this length.
 SEGMENT = 24
 UNDETERMINED = "und"
-CACHE = 200_000
+CACHE = 400_000
 
-LETTER_WORDS = regex.compile(r"[\p{L}\p{M}'’]+")
+LETTER_WORDS = regex.compile(r"[\p{L}\p{M}'’]+").findall
 ANY_LETTER = regex.compile(r"\p{L}").search
 
 
@@ -154,48 +155,51 @@ def segments(word: str) -> list[bytes]:
 
 
 class Reader:
-    """Scores whole texts with one network; word sums are kept in a bounded table."""
+    """Scores whole texts with one network; each word's sums are a row of one table, the older half of which is dropped
+    when there are CACHE of them."""
 
     def __init__(self, net: Network) -> None:
         self.net = net
-        self.young: dict[str, np.ndarray] = {}
-        self.old: dict[str, np.ndarray] = {}
+        self.row: dict[str, int] = {}
+        self.sums = np.zeros((1024, len(net.labels) + 1), np.float32)
 
     def _score(self, words: list[str]) -> None:
+        """Label sums over the positions of new words, and their number of positions."""
         parts = [(k, s) for k, w in enumerate(words) for s in segments(w)]
         parts.sort(key=lambda x: len(x[1]))
         sums = np.zeros((len(words), len(self.net.labels) + 1))
-        for at in range(0, len(parts), 2048):
-            some = parts[at : at + 2048]
+        for at in range(0, len(parts), 1024):
+            some = parts[at : at + 1024]
             ids, mask = padded([s for _, s in some])
             p = self.net.positions(ids, mask) * mask[:, :, None]
             np.add.at(sums, [k for k, _ in some], np.column_stack([p.sum(axis=0), mask.sum(axis=0)]))
-        for w, x in zip(words, sums, strict=True):
-            self.young[w] = x
+        n = len(self.row)
+        while n + len(words) > len(self.sums):
+            self.sums = np.concatenate([self.sums, np.zeros_like(self.sums)])
+        self.sums[n : n + len(words)] = sums
+        self.row.update(zip(words, range(n, n + len(words)), strict=True))
+
+    def _drop_half(self) -> None:
+        kept = list(islice(self.row, len(self.row) // 2, None))
+        self.sums[: len(kept)] = self.sums[len(self.row) - len(kept) : len(self.row)]
+        self.row = {w: i for i, w in enumerate(kept)}
 
     def read(self, texts: list[str | None]) -> tuple[list[str], list[float]]:
-        found = [LETTER_WORDS.findall(t) if t and ANY_LETTER(t) else [] for t in texts]
-        missing = []
-        for w in {w for ws in found for w in ws}:
-            if w not in self.young:
-                if w in self.old:
-                    self.young[w] = self.old[w]
-                else:
-                    missing.append(w)
-        self._score(missing)
-        labels, scores = [], []
+        found = [LETTER_WORDS(t) if t and ANY_LETTER(t) else [] for t in texts]
+        self._score(list(set().union(*found).difference(self.row)))
+        labels, scores, get = [], [], self.row.__getitem__
         for ws in found:
             if not ws or not self.net.labels:
                 labels.append(UNDETERMINED)
                 scores.append(0.0)
                 continue
-            total = np.sum([self.young[w] for w in ws], axis=0)
+            total = self.sums[np.fromiter(map(get, ws), np.int64, len(ws))].sum(axis=0, dtype=np.float64)
             p = total[:-1] / total[-1]
             best = int(np.argmax(p))
             labels.append(self.net.labels[best])
             scores.append(min(1.0, float(p[best])))
-        if len(self.young) > CACHE:
-            self.old, self.young = self.young, {}
+        if len(self.row) > CACHE:
+            self._drop_half()
         return labels, scores
 
 
@@ -231,7 +235,7 @@ def predict(docs: DataFrame, net: Network) -> DataFrame:
 
     def run(it):
         reader = Reader(net)
-        for b in batches(it, 4 << 20):
+        for b in batches(it, 1 << 20):
             labels, scores = reader.read(b.column(1).to_pylist())
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(labels, pa.string()), pa.array(scores, pa.float64())], ["doc_id", "lang_pred", "score"])
 
@@ -239,7 +243,7 @@ def predict(docs: DataFrame, net: Network) -> DataFrame:
 
 
 #: A document is rejected if no language was found or its pooled probability is below this.
-MIN_SCORE = 0.3
+MIN_SCORE = 0.28
 
 
 def keep_identified(docs: DataFrame, net: Network, min_score: float = MIN_SCORE) -> DataFrame:
@@ -251,7 +255,7 @@ def keep_identified(docs: DataFrame, net: Network, min_score: float = MIN_SCORE)
 
     def run(it):
         reader = Reader(net)
-        for b in batches(it, 4 << 20):
+        for b in batches(it, 1 << 20):
             labels, scores = reader.read(b.column(b.schema.get_field_index("text")).to_pylist())
             cols = {n: b.column(n) for n in names}
             if "lang" in cols:

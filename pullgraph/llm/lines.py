@@ -103,7 +103,7 @@ def line_rows(docs: DataFrame, shortest: int) -> DataFrame:
     """(h1, h2, doc_id, line_no) of all lines of `shortest` signs or more; two hashes stand for the text."""
 
     def run(it):
-        for b in batches(it, 4 << 20):
+        for b in batches(it, 1 << 20):
             x = Lines(b.column(1).to_pylist())
             pick = np.flatnonzero(x.length >= shortest)
             ids = np.array([-1 if v is None else v for v in b.column(0).to_pylist()], np.int64)
@@ -119,7 +119,7 @@ def line_keys(docs: DataFrame, edits: int, shortest: int) -> DataFrame:
     """(h1, h2, sketch, index array, probes array) of the distinct lines of `shortest` signs or more."""
 
     def run(it):
-        for b in batches(it, 2 << 20):
+        for b in batches(it, 1 << 20):
             x = Lines(b.column(0).to_pylist())
             pick = np.flatnonzero(x.length >= shortest)
             pick = pick[np.unique(x.hash[pick], return_index=True)[1]]

@@ -88,7 +88,7 @@ def signatures(docs: DataFrame, width: int) -> DataFrame:
     def run(it):
         signer = Signer()
         names = ["doc_id", "n_shingles", "set_id", "bands", "sketch"]
-        for b in batches(it, 4 << 20):
+        for b in batches(it, 1 << 20):
             sets = shingle_sets(b.column(1).to_pylist(), width)
             samples = np.stack([signer.samples(s) for s in sets])
             keys, sketches = signer.keys(samples).view(np.int64), signer.sketches(samples)
@@ -119,7 +119,7 @@ def _confirm(pairs: DataFrame, texts: DataFrame, width: int, threshold: int) ->
     def run(it):
         last, last_set = None, None
         for batch in it:
-            for b in batches([batch], 4 << 20):
+            for b in batches([batch], 1 << 20):
                 ids_a, ids_b = b.column(0).to_pylist(), b.column(1).to_pylist()
                 text_a = b.column(2)
                 sets_b = shingle_sets(b.column(3).to_pylist(), width)
@@ -160,7 +160,7 @@ def _blocks(it, extra: int = 0):
     (bucket, salt), then slices of those apart.  A row is a position in the arrays of its slice."""
     now, members, more = None, None, []
     for batch in it:
-        for b in batches([batch], 4 << 20):
+        for b in batches([batch], 1 << 20):
             n = b.num_rows
             col = {c: b.column(i).to_numpy(zero_copy_only=False) for i, c in enumerate(HELD[:7])}
             for i, c in ((7, "sketch"), (8, "bands")):

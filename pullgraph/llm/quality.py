@@ -175,7 +175,7 @@ def quality(docs: DataFrame, **limits: float) -> DataFrame:
     names = [x.split()[0] for x in SCHEMA.split(", ")]
 
     def run(it):
-        for b in batches(it, 4 << 20):
+        for b in batches(it, 1 << 20):
             m = measure(b.column(1).to_pylist())
             failed, kept = verdicts(m, **limits)
             yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array(m[k]) for k in names[1:8]), pa.array(failed), pa.array(kept)], names)
