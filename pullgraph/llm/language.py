@@ -185,11 +185,13 @@ class Reader:
         self.row = {w: i for i, w in enumerate(kept)}
 
     def read(self, texts: list[str | None]) -> tuple[list[str], list[float]]:
+        if not self.net.labels:
+            return [UNDETERMINED] * len(texts), [0.0] * len(texts)
         found = [LETTER_WORDS(t) if t and ANY_LETTER(t) else [] for t in texts]
         self._score(list(set().union(*found).difference(self.row)))
         labels, scores, get = [], [], self.row.__getitem__
         for ws in found:
-            if not ws or not self.net.labels:
+            if not ws:
                 labels.append(UNDETERMINED)
                 scores.append(0.0)
                 continue

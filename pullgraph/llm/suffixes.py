@@ -5,18 +5,17 @@ neighbouring positions.  The choice depends on the words alone, so two copies of
 any passage of `least` words holds one with `prefix = least - window + 1` words of the passage after it.  Suffixes are
 brought in order by the hash of that prefix, then by document, so equal prefixes stand together; a prefix that stands in
 two documents is a match.  Matches at neighbouring kept positions form runs, and the two ends of every run are extended
-to the left and to the right, word by word, as far as its neighbour agrees: the place in the first and the place in the
-last document with the same prefix.
+to the left and to the right, word by word, as far as one of its neighbours agrees: the other run ends with the same
+prefix, and that prefix's places in the first and in the last document.
 
 A repeat is a maximal run of words covered by matches and their extensions, of `least` words or more.  Each of its words
-lies in a passage of `prefix` words or more that stands in another document.  A passage of `least` words that stands in
-all documents with its prefixes is always found whole; where a document shares more words with one in the middle of the
-neighbourhood than with its first and last, the ends of a repeat can fall short by less than `window` words.
+lies in a passage of `prefix` words or more that stands in another document.  Where a document shares more words beyond
+an end only with places that are neither, an end of its repeat can fall short by less than `window` words.
 
 Plan: one shuffle of (hash, document, place) triples finds equal prefixes, counted with map-side combining, so a passage
 that a third of all documents share is a few rows per task; the join that marks the matches is one that adaptive
-execution can split.  Extension looks at the ends of runs and their two neighbours only, whatever the length of a repeat
-or the size of a neighbourhood.
+execution can split.  Extension looks at the ends of runs and two more places of each prefix only, whatever the length of
+a repeat or the size of a neighbourhood, and counts equal extensions with map-side combining.
 """
 
 from __future__ import annotations
@@ -67,7 +66,7 @@ def suffixes(docs: DataFrame, least: int = LEAST, window: int = WINDOW, gram: in
 
 
 def _contexts(asked: DataFrame, docs: DataFrame, prefix: int, reach: int) -> DataFrame:
-    """(doc_id, pos, side, words): hashes of the words around each asked place, nearest first.
+    """(doc_id, pos, side, key, words): hashes of the words around each asked (doc_id, pos, side, key), nearest first.
 
     side 0 goes left from pos, side 1 right from pos + prefix; `reach` words, fewer at the end of the text.
     """
@@ -76,7 +75,7 @@ def _contexts(asked: DataFrame, docs: DataFrame, prefix: int, reach: int) -> Dat
         for batch in it:
             for b in batches([batch], 1 << 20):
                 w = Words(b.column(1).to_pylist())
-                ids, pos, side, words = [], [], [], []
+                ids, pos, side, key, words = [], [], [], [], []
                 for i, (doc_id, wants) in enumerate(zip(b.column(0).to_pylist(), b.column(2).to_pylist(), strict=True)):
                     h = w.hash[w.first[i] : w.first[i + 1]]
                     for y in wants:
@@ -85,27 +84,13 @@ def _contexts(asked: DataFrame, docs: DataFrame, prefix: int, reach: int) -> Dat
                         ids.append(doc_id)
                         pos.append(at)
                         side.append(y["side"])
+                        key.append(y["key"])
                         words.append(around.tobytes())
-                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(pos, pa.int32()), pa.array(side, pa.int32()), pa.array(words, pa.binary())], ["doc_id", "pos", "side", "words"])
+                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(pos, pa.int32()), pa.array(side, pa.int32()), pa.array(key, pa.int64()), pa.array(words, pa.binary())], ["doc_id", "pos", "side", "key", "words"])
 
-    wants = asked.groupBy("doc_id").agg(F.collect_set(F.struct("pos", "side")).alias("wants"))
+    wants = asked.groupBy("doc_id").agg(F.collect_set(F.struct("pos", "side", "key")).alias("wants"))
     src = join_texts(docs, materialize(wants, "wants")).dropDuplicates(["doc_id"]).select("doc_id", "text", "wants")
-    return arrow_map(src, run, "doc_id long, pos int, side int, words binary")
-
-
-def _agreements(pairs: DataFrame) -> DataFrame:
-    """(doc_id, pos, side, steps, older) of rows that also have words and other: words that agree from the start."""
-
-    def run(it):
-        for b in it:
-            steps = []
-            for x, y in zip(b.column(4).to_pylist(), b.column(5).to_pylist(), strict=True):
-                n = min(len(x), len(y)) // 8
-                differ = np.flatnonzero(np.frombuffer(x, np.int64, n) != np.frombuffer(y, np.int64, n))
-                steps.append(int(differ[0]) if len(differ) else n)
-            yield pa.RecordBatch.from_arrays([*(b.column(i) for i in range(4)), pa.array(steps, pa.int32())], ["doc_id", "pos", "side", "older", "steps"])
-
-    return arrow_map(pairs.select("doc_id", "pos", "side", "older", "words", "other"), run, "doc_id long, pos int, side int, older boolean, steps int")
+    return arrow_map(src, run, "doc_id long, pos int, side int, key long, words binary")
 
 
 SPANS = "doc_id long, repeats array<struct<start:int,stop:int>>, later array<struct<start:int,stop:int>>, repeat_words long, later_words long"
@@ -135,14 +120,16 @@ def repeated_passages(docs: DataFrame, least: int = LEAST, window: int = WINDOW,
     )
     both = F.array(F.struct(F.lit(0).alias("side"), F.col("first.pos").alias("pos"), F.col("first.key").alias("key")), F.struct(F.lit(1).alias("side"), F.col("last.pos").alias("pos"), F.col("last.key").alias("key")))
     ends = materialize(runs.select("doc_id", F.explode(both).alias("e")).select("doc_id", "e.side", "e.pos", "e.key").distinct(), "ends")
-    # The neighbours of an end: the places of its prefix in the first and in the last document that have it.
-    edge = hits.filter("NOT later OR NOT earlier").groupBy("key", "later").agg(F.min(F.struct("doc_id", "pos")).alias("n"))
-    pairs = materialize(ends.join(edge, "key").filter("n.doc_id <> doc_id").select("doc_id", "pos", "side", F.col("n.doc_id").alias("other_id"), F.col("n.pos").alias("other_pos")), "neighbours")
-    asked = pairs.select("doc_id", "pos", "side").unionByName(pairs.select(F.col("other_id").alias("doc_id"), F.col("other_pos").alias("pos"), "side")).distinct()
+    # The neighbours of an end: all ends with its prefix, and the prefix's places in the first and last document.
+    edge = hits.filter("NOT later OR NOT earlier").groupBy("key", "doc_id").agg(F.min("pos").alias("pos")).join(ends.select("key", "side").distinct(), "key")
+    asked = ends.select("doc_id", "pos", "side", "key").unionByName(edge.select("doc_id", "pos", "side", "key")).distinct()
     around = materialize(_contexts(asked, docs, prefix, window - 1), "contexts")
-    other = around.select(F.col("doc_id").alias("other_id"), F.col("pos").alias("other_pos"), "side", F.col("words").alias("other"))
-    compared = pairs.join(around, ["doc_id", "pos", "side"]).join(other, ["other_id", "other_pos", "side"]).withColumn("older", F.col("other_id") < F.col("doc_id"))
-    reach = _agreements(compared).groupBy("doc_id", "pos", "side").agg(F.max("steps").alias("all"), F.max(F.when(F.col("older"), F.col("steps"))).alias("older"))
+    # One hash per number of words taken beyond the prefix: equal hashes are equal words around equal prefixes.
+    steps = F.sequence(F.lit(1), (F.length("words") / 8).cast("int"))
+    rungs = around.filter(F.length("words") > 0).select("doc_id", "pos", "side", "key", "words", F.explode(steps).alias("steps"))
+    rungs = rungs.select("doc_id", "pos", "side", "steps", F.xxhash64("key", "side", F.substring("words", F.lit(1), F.col("steps") * 8)).alias("rung"))
+    agreed = rungs.groupBy("rung").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).filter("lo <> hi")
+    reach = rungs.join(agreed, "rung").groupBy("doc_id", "pos", "side").agg(F.max("steps").alias("all"), F.max(F.when(F.col("lo") < F.col("doc_id"), F.col("steps"))).alias("older"))
     reach = materialize(reach, "reach")
 
     def step(side: int) -> DataFrame:
