@@ -14,40 +14,37 @@ from __future__ import annotations
 
 import re
 import zlib
-from array import array
 from functools import lru_cache
-from itertools import islice
 
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 
-from .common import arrow_map, batches, documents_of, table
+from .common import U64, Words, arrow_map, batches, documents_of, prefix_hash, slice_hash, table
 
 WINDOW = 2048
-#: Distinct parts kept in each worker; beyond it the older half goes.
-CACHE = 700_000
-LONGEST_KEPT = 64
+#: Distinct parts and their ids that a worker keeps, 24 bytes and 4 bytes each; beyond either, the table starts anew.
+CACHE_PARTS, CACHE_IDS = 3_000_000, 16_000_000
 #: sequence_id = task * SEQUENCES + number within the task.
 SEQUENCES = 1 << 40
 
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
 
 
-#: White space as the tokenizer's patterns know it, and letters whose lower case is one letter.
-BLANK = "\\t-\\r \\x85\\xa0\\u1680\\u2000-\\u200a\\u2028\\u2029\\u202f\\u205f\\u3000"
+#: Letters whose lower case is one letter, and signs that are words of their own after letters.
 LETTERS = "A-Za-zÀ-ÖØ-öø-ÿ"
-STOPS = ".,;:!?"
+STOPS = b".,;:!?"
 
 
 class WordTokenizer:
     """Ids of whole texts by a tokenizer whose words never reach across white space.
 
     Its normaliser only recomposes characters, lower-cases and folds white space, and its splitter drops white space and
-    never joins letters with other signs, so a text's ids are those of its parts, one after another: runs of plain
-    letters before white space or a stop, runs of stops before white space, and whatever else stands between white
-    space.  Parts are remembered in a bounded table.
+    never joins letters with other signs but apostrophes.  So a text's ids are those of its parts, one after another: what
+    stands between ASCII white space, with stops after a letter as a part of their own.  Parts are told apart by a hash of
+    their bytes with ASCII letters in lower case, and a sorted table of hashes leads to the ids of those seen before; only
+    new parts become strings and go to the tokenizer.
     """
 
     def __init__(self, path: str, encode_special: bool = True) -> None:
@@ -55,55 +52,84 @@ class WordTokenizer:
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = encode_special
-        self.parts = re.compile(f"[{LETTERS}]+(?=[{BLANK}{STOPS}]|\\Z)|[{STOPS}]+(?=[{BLANK}]|\\Z)|[^{BLANK}]+").findall
         self.plain = re.compile(f"[{LETTERS}]+").fullmatch
         # A run of letters is one word, and the last token of each word carries the end mark.
         vocabulary = self.tokenizer.get_vocab(with_added_tokens=False)
         self.ends = np.zeros(max(self.tokenizer.get_vocab(with_added_tokens=True).values()) + 1, bool)
         self.ends[[i for t, i in vocabulary.items() if t.endswith("</w>")]] = True
-        self.known: dict[str, bytes] = {}
-
-    def _words(self, words: list[str]) -> None:
-        """Encode lower-case letter runs many at a time, and cut the ids at the ends of words."""
-        for at in range(0, len(words), 256):
-            some = words[at : at + 256]
-            ids = np.array(self.tokenizer.encode(" ".join(some), add_special_tokens=False).ids, "<u4")
-            stops = (4 * (np.flatnonzero(self.ends[ids]) + 1)).tolist()
-            raw = ids.tobytes()
-            self.known.update(zip(some, [raw[x:y] for x, y in zip([0, *stops], stops, strict=False)], strict=True))
-
-    def _learn(self, new: set[str]) -> list[str]:
-        """Put new parts into the table; returns those too long to stay there."""
-        known = self.known
-        lower, missing, others = {}, set(), []
-        for part in new:
-            if part.isalpha() and (part.isascii() or self.plain(part)):
-                if part.islower():
-                    missing.add(part)
-                else:
-                    low = lower[part] = part.lower()
-                    if low not in known:
-                        missing.add(low)
-            else:
-                others.append(part)
-        self._words(list(missing))
-        for part, low in lower.items():
-            known[part] = known[low]
-        for part in others:
-            known[part] = array("I", self.tokenizer.encode(part, add_special_tokens=False).ids).tobytes()
-        return [p for p in (*others, *missing, *lower) if len(p) > LONGEST_KEPT]
+        self.stop = np.zeros(256, bool)
+        self.stop[list(STOPS)] = True
+        self._clear()
+
+    def _clear(self) -> None:
+        self.hash, self.row = np.zeros(0, U64), np.zeros(0, np.int32)  # sorted hashes, and the row of each
+        self.at, self.n = np.zeros(0, np.int64), np.zeros(0, np.int32)  # per row: its place in flat, and its length
+        self.flat, self.used = np.zeros(1 << 16, "<u4"), 0
+
+    def _encode(self, parts: list[str]) -> list[np.ndarray]:
+        """Ids of each part; letter runs go many at a time, and their ids are cut at the ends of words."""
+        out: list = [None] * len(parts)
+        plain = [i for i, p in enumerate(parts) if self.plain(p)]
+        for k in range(0, len(plain), 256):
+            some = plain[k : k + 256]
+            ids = np.array(self.tokenizer.encode(" ".join([parts[i] for i in some]), add_special_tokens=False).ids, "<u4")
+            stops = (np.flatnonzero(self.ends[ids]) + 1).tolist()
+            for i, x, y in zip(some, [0, *stops], stops, strict=False):
+                out[i] = ids[x:y]
+        for i, p in enumerate(parts):
+            if out[i] is None:
+                out[i] = np.array(self.tokenizer.encode(p, add_special_tokens=False).ids, "<u4")
+        return out
+
+    def _learn(self, hashes: np.ndarray, parts: list[str]) -> None:
+        ids = self._encode(parts)
+        n = np.array([len(x) for x in ids], np.int32)
+        total = int(n.sum())
+        if self.used + total > len(self.flat):
+            self.flat = np.concatenate([self.flat[: self.used], np.zeros(self.used + total, "<u4")])
+        if total:
+            self.flat[self.used : self.used + total] = np.concatenate(ids)
+        first = len(self.n)
+        self.at = np.concatenate([self.at, self.used + np.cumsum(n) - n])
+        self.n = np.concatenate([self.n, n])
+        self.used += total
+        place = np.searchsorted(self.hash, hashes)
+        self.hash = np.insert(self.hash, place, hashes)
+        self.row = np.insert(self.row, place, np.arange(first, first + len(n), dtype=np.int32))
+
+    def _parts(self, w: Words) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(start, stop, text number) of the parts: words without stops that follow a letter, then those stops."""
+        data = w.data
+        solid = np.maximum.accumulate(np.where(self.stop[data], -1, np.arange(len(data))))
+        cut = solid[w.stop - 1] + 1  # end of the word without trailing stops
+        last, before = data[np.maximum(cut - 1, 0)], data[np.maximum(cut - 2, 0)]
+        letter = ((last >= 97) & (last <= 122)) | ((last >= 0x80) & (last != 0x97) & (last != 0xB7) & (before == 0xC3))
+        cut = np.where((cut > w.start) & letter, cut, w.stop)
+        start, stop = np.stack([w.start, cut], axis=1).ravel(), np.stack([cut, w.stop], axis=1).ravel()
+        there = start < stop
+        return start[there], stop[there], np.repeat(np.repeat(np.arange(len(w.n)), w.n), 2)[there]
 
     def ids(self, texts: list[str]) -> list[bytes]:
         """Little-endian unsigned 32-bit ids of each text."""
-        cut = [self.parts(t) for t in texts]
-        long = self._learn(set().union(*cut).difference(self.known))
-        get = self.known.__getitem__
-        out = [b"".join(map(get, ps)) for ps in cut]
-        for p in long:
-            self.known.pop(p, None)
-        if len(self.known) > CACHE:
-            self.known = dict(islice(self.known.items(), len(self.known) // 2, None))
-        return out
+        w = Words(texts, lower_ascii=True)
+        if not len(w.start):
+            return [b""] * len(texts)
+        start, stop, owner = self._parts(w)
+        part, first, back = np.unique(slice_hash(prefix_hash(w.data.astype(U64) + U64(1)), start, stop), return_index=True, return_inverse=True)
+        place = np.minimum(np.searchsorted(self.hash, part), max(len(self.hash) - 1, 0))
+        new = np.flatnonzero(self.hash[place] != part) if len(self.hash) else np.arange(len(part))
+        if len(new):
+            raw = w.data.tobytes()
+            self._learn(part[new], [raw[x:y].decode("utf-8", "replace") for x, y in zip(start[first[new]].tolist(), stop[first[new]].tolist(), strict=True)])
+            place = np.searchsorted(self.hash, part)
+        row = self.row[place][back]
+        n = self.n[row].astype(np.int64)
+        ends = np.cumsum(n)
+        flat = self.flat[np.repeat(self.at[row] - (ends - n), n) + np.arange(int(ends[-1]))].tobytes()
+        bounds = np.concatenate([[0], ends])[np.searchsorted(owner, np.arange(len(texts) + 1))].tolist()
+        if len(self.hash) > CACHE_PARTS or self.used > CACHE_IDS:
+            self._clear()
+        return [flat[4 * x : 4 * y] for x, y in zip(bounds, bounds[1:], strict=False)]
 
 
 @lru_cache(maxsize=4)
