@@ -31,6 +31,8 @@ class VertexProgram:
     components: tuple[str, ...] = ()
     apply_without_input: bool = True
     start: int | None = None
+    #: The value of vertices without out-edges is shared among all vertices (tile kernel with full replication only).
+    spread: bool = False
 
     @property
     def neutral(self) -> float:

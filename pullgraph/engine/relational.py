@@ -65,6 +65,8 @@ def run(g: Graph, program: VertexProgram, stop: StopRule = StopRule(), cut_every
     """
     if frontier and not program.idempotent:
         raise ValueError("a sum must gather all in-edges again; only idempotent gathers can follow a frontier")
+    if program.spread:
+        raise ValueError("dangling mass is known only where all values are; use the tile kernel")
     n = g.n_vertices
     if n == 0:
         return Result(g.vertices.select("id", F.lit(None).cast("double").alias("value")), 0)

@@ -36,11 +36,12 @@ class Replicas:
             p.unpersist()
 
 
-def gather_tile(program: VertexProgram, n: int, v_lo: int, row: np.ndarray, col: np.ndarray, val: np.ndarray | None, old: np.ndarray, value, d_out) -> np.ndarray:
-    """Candidate values of a tile's targets; value and d_out are functions from source ids to numbers."""
+def gather_tile(program: VertexProgram, n: int, v_lo: int, row: np.ndarray, col: np.ndarray, val: np.ndarray | None, old: np.ndarray, value, d_out, shared: float = 0.0) -> np.ndarray:
+    """Candidate values of a tile's targets; value and d_out are functions from source ids to numbers, shared is added to
+    what every target gathers."""
     degree = d_out(col) if "d_out" in program.components and len(col) else None
     messages = program.np_message(value(col), degree, val) if len(col) else np.zeros(0)
-    return program.np_apply(np.arange(v_lo, v_lo + len(old)), old, program.np_fold(messages, row), n)
+    return program.np_apply(np.arange(v_lo, v_lo + len(old)), old, program.np_fold(messages, row) + shared, n)
 
 
 def vertices_of_tiles(tiles: DataFrame) -> DataFrame:
@@ -56,6 +57,8 @@ def run_on_demand(prep: Prepared, program: VertexProgram, stop: StopRule) -> Res
     updates come back as rows.  No array of all vertices exists anywhere, so this is the path for graphs whose state does
     not fit into one machine.
     """
+    if program.spread:
+        raise ValueError("dangling mass is known only where all values are; use full replication")
     spark, n = prep.tiles.sparkSession, prep.graph.n_vertices
     ship(spark)
     route = materialize(vertices_of_tiles(prep.tiles), "routing")

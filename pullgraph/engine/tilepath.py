@@ -49,7 +49,7 @@ class EngineConfig:
 MESSAGE = "tile_id long, v_lo long, n long, mode string, codec string, n_changed long, raw_bytes long, payload binary"
 
 
-def _kernel(program: VertexProgram, n: int, value: Replicas, d_out: Replicas | None, tol: float, cfg: EngineConfig):
+def _kernel(program: VertexProgram, n: int, value: Replicas, d_out: Replicas | None, tol: float, cfg: EngineConfig, shared: float):
     def run(it):
         for b in it:
             cols = {name: b.column(i) for i, name in enumerate(b.schema.names)}
@@ -62,7 +62,7 @@ def _kernel(program: VertexProgram, n: int, value: Replicas, d_out: Replicas | N
                     val = cols["val"][k].values
                     val = None if val is None else val.to_numpy(zero_copy_only=False)
                 old = value.at(np.arange(lo, hi))
-                new = gather_tile(program, n, lo, row, col, val, old, value.at, d_out.at if d_out else None)
+                new = gather_tile(program, n, lo, row, col, val, old, value.at, d_out.at if d_out else None, shared)
                 flags = np_changed(new, old, tol)
                 changed = int(flags.sum())
                 if cfg.message_mode == "hybrid" and changed == 0:
@@ -103,7 +103,8 @@ def run(prep: Prepared, program: VertexProgram, stop: StopRule = StopRule(), cfg
         began = time.time()
         active, exact = _active(spark, prep, program, cfg, filters, tile_src, moved, done, n)
         share = Replicas(spark, values)
-        run_one = _kernel(program, n, share, d_out, stop.tol, cfg)
+        lost = float(values[degree == 0].sum()) / n if program.spread else 0.0
+        run_one = _kernel(program, n, share, d_out, stop.tol, cfg, lost)
         parts = [d if active is None else d.filter(F.col("tile_id").isin(active)) for d in (cached, plain) if d is not None]
         messages = [m for d in parts for m in d.mapInArrow(run_one, MESSAGE).collect()]
         new, ids = values.copy(), []
@@ -151,7 +152,7 @@ def _cache(prep: Prepared, cfg: EngineConfig) -> tuple[DataFrame | None, DataFra
 
 def _active(spark: SparkSession, prep: Prepared, program: VertexProgram, cfg: EngineConfig, filters, tile_src, moved: np.ndarray, done: int, n: int) -> tuple[list[int] | None, int | None]:
     """(tiles to load, None for all; how many have a changed source, where that is known)."""
-    if cfg.skip == "none" or done == 0 and program.apply_without_input or len(moved) > cfg.probe_below * n:
+    if cfg.skip == "none" or program.spread or done == 0 and program.apply_without_input or len(moved) > cfg.probe_below * n:
         return None, None
     exact = [r[0] for r in active_exact(tile_src, ids_frame(spark, moved)).collect()]
     if cfg.skip == "exact":

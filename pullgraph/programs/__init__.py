@@ -10,8 +10,13 @@ from ..engine.program import VertexProgram
 DAMPING = 0.85
 
 
-def pagerank(damping: float = DAMPING) -> VertexProgram:
-    """Rank (1 - damping) / n + damping * sum of value / out-degree; the mass of dangling vertices is lost."""
+def pagerank(damping: float = DAMPING, dangling: str = "ignore") -> VertexProgram:
+    """Rank (1 - damping) / n + damping * sum of value / out-degree.
+
+    dangling: the mass of vertices without out-edges is lost (ignore), or, as an extension, shared by all (spread).
+    """
+    if dangling not in ("ignore", "spread"):
+        raise ValueError("dangling is ignore or spread")
     return VertexProgram(
         "pagerank", "sum",
         init=lambda _, n: F.lit(1.0 / n),
@@ -20,7 +25,7 @@ def pagerank(damping: float = DAMPING) -> VertexProgram:
         np_init=lambda n: np.full(n, 1.0 / n),
         np_message=lambda value, d_out, _: value / d_out,
         np_apply=lambda _, __, accum, n: (1.0 - damping) / n + damping * accum,
-        components=("d_out",),
+        components=("d_out",), spread=dangling == "spread",
     )
 
 

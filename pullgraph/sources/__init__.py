@@ -5,8 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .graphs import EDGE_SCHEMA, Graph
-from .partition.tiles import TILE, Prepared
+from ..graphs import EDGE_SCHEMA, Graph
+from ..partition.tiles import TILE, Prepared
 
 
 def read_edge_list(spark: SparkSession, path: str, sep: str = ",", weighted: bool = True, header: bool = False) -> DataFrame:
