@@ -164,6 +164,6 @@ def oracle_sql() -> dict[str, str]:
   b AS (SELECT src, dst FROM e UNION SELECT dst, src FROM e UNION SELECT id, id FROM ids),
   cc(step, id, v) AS (SELECT 0, id, id FROM ids UNION ALL SELECT step + 1, dst, min(v) FROM cc JOIN b ON b.src = cc.id WHERE step < 30 GROUP BY step, dst)""") + "SELECT CAST(id AS BIGINT) AS id, CAST(v AS BIGINT) AS component FROM cc WHERE step = 30"
     out["reachable_skew"] = _with("skew", MORE, AUG, SSSP.format(w="1", steps=FAR)) + f"SELECT CAST(count(*) AS BIGINT) AS reached FROM ds WHERE step = {FAR} AND isfinite(v)"
-    out["event_edges_windowed"] = "WITH q AS (SELECT ts, user_id AS src, lead(user_id) OVER (ORDER BY ts, event_id) AS dst FROM events) SELECT time_bucket(INTERVAL 1 DAY, ts, TIMESTAMP '1970-01-01') AS day, count(*) AS n_edges, count(DISTINCT src) AS n_sources FROM q WHERE dst IS NOT NULL AND src <> dst GROUP BY 1"
+    out["event_edges_windowed"] = "WITH q AS (SELECT ts, user_id AS src, lead(user_id) OVER (ORDER BY ts, event_id) AS dst FROM events) SELECT strftime(ts, '%Y-%m-%d') AS day, count(*) AS n_edges, count(DISTINCT src) AS n_sources FROM q WHERE dst IS NOT NULL AND src <> dst GROUP BY 1"
     out["degree_rollup_trade"] = _with("trade", MORE) + "SELECT coalesce(kind, 'all') AS kind, CAST(sum(d_in) AS BIGINT) AS d_in, CAST(sum(d_out) AS BIGINT) AS d_out, count(*) AS n FROM (SELECT CASE WHEN id < nc THEN 'customer' WHEN id < nc + np THEN 'part' ELSE 'supplier' END AS kind, d_in, d_out FROM dg, c) GROUP BY ROLLUP (kind)"
     return out

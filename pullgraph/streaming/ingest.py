@@ -30,7 +30,7 @@ def daily_edges(events: DataFrame) -> DataFrame:
     border = F.try_element_at(F.create_map(*after), F.col("part")) if after else F.lit(None).cast("long")
     dst = F.coalesce(F.lead("user_id").over(Window.partitionBy("part").orderBy("at")), border)
     edges = rows.select(F.date_trunc("DAY", "ts").cast("timestamp_ntz").alias("day"), F.col("user_id").alias("src"), dst.alias("dst")).filter("dst IS NOT NULL AND src <> dst")
-    return edges.groupBy("day").agg(F.count("*").alias("n_edges"), F.countDistinct("src").alias("n_sources"))
+    return edges.groupBy(F.date_format("day", "yyyy-MM-dd").alias("day")).agg(F.count("*").alias("n_edges"), F.countDistinct("src").alias("n_sources"))
 
 
 def event_stream(spark: SparkSession, path: str, files_per_batch: int = 1) -> DataFrame:
