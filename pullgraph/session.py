@@ -6,15 +6,19 @@ given.
 
 from __future__ import annotations
 
+import functools
+import gc
 import os
 import tempfile
 import uuid
 import zipfile
+from collections.abc import Callable
 from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 
 _SHIPPED: set[str] = set()
+_SCOPES: list[list[DataFrame]] = []
 
 
 def local_session(app: str = "pullgraph", cores: str = "8", partitions: int = 8) -> SparkSession:
@@ -73,9 +77,41 @@ def materialize(df: DataFrame, name: str = "step") -> DataFrame:
     df.write.parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._scratch_path = path
+    if _SCOPES:
+        _SCOPES[-1].append(out)
     return out
 
 
+def scoped(fn: Callable[..., DataFrame]) -> Callable[..., DataFrame]:
+    """A function that returns a table: its result is written, and then all tables made on the way are deleted.
+
+    What is left on the shared disk is the result alone; the driver's garbage is collected, so that Spark drops the
+    shuffle files of the jobs that are over.
+    """
+
+    @functools.wraps(fn)
+    def run(*args, **kwargs) -> DataFrame:
+        _SCOPES.append([])
+        try:
+            made = fn(*args, **kwargs)
+            _SCOPES.append([])
+            try:
+                out = materialize(made, fn.__name__)
+            finally:
+                _SCOPES.pop()
+        finally:
+            for t in _SCOPES.pop():
+                release(t)
+        if _SCOPES:
+            _SCOPES[-1].append(out)
+        del made
+        gc.collect()
+        out.sparkSession.sparkContext._jvm.System.gc()
+        return out
+
+    return run
+
+
 def release(df: DataFrame | None) -> None:
     """Delete the files of a materialize() result that nothing will read again."""
     path = getattr(df, "_scratch_path", None)
