@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..session import materialize
+from ..session import materialize, scoped
 from .common import U64, arrow_map, batches, documents_of, join_texts, mix, prefix_hash, slice_hash, table
 from .components import components
 
@@ -193,6 +193,7 @@ def within(a: list[np.ndarray], b: list[np.ndarray], edits: int) -> np.ndarray:
     return out & (final <= edits)
 
 
+@scoped
 def similar_lines(docs: DataFrame, edits: int = EDITS, shortest: int = SHORTEST) -> DataFrame:
     """doc_id, line_no, class_doc, class_line, n_links of every line of `shortest` signs or more.
 

@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..session import materialize, release
+from ..session import materialize, release, scoped
 from .common import U64, Words, arrow_map, batches, documents_of, mix, prefix_hash, slice_hash, table
 from .components import components
 
@@ -247,6 +247,7 @@ def _links_apart(known: DataFrame, apart: DataFrame, reps: DataFrame, texts: Dat
     return _confirm_apart(dealt(again), width, threshold)
 
 
+@scoped
 def near_duplicates(docs: DataFrame, width: int = 2, threshold: int = THRESHOLD) -> DataFrame:
     """doc_id, n_shingles, component_id, kept of every row.
 

@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..session import materialize, release
+from ..session import materialize, release, scoped
 from .common import U64, Words, arrow_map, batches, documents_of, join_texts, prefix_hash, slice_hash, table
 
 LEAST = 50
@@ -96,6 +96,7 @@ def _contexts(asked: DataFrame, docs: DataFrame, prefix: int, reach: int) -> Dat
 SPANS = "doc_id long, repeats array<struct<start:int,stop:int>>, later array<struct<start:int,stop:int>>, repeat_words long, later_words long"
 
 
+@scoped
 def repeated_passages(docs: DataFrame, least: int = LEAST, window: int = WINDOW, gram: int = GRAM) -> DataFrame:
     """One row per document that holds a passage standing in another document too.
 
