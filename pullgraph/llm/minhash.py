@@ -299,8 +299,8 @@ def op8_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 OP8_SQL = r"""
-WITH w AS (
-  SELECT doc_id, list_filter(regexp_split_to_array(regexp_replace(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+', ' ', 'g'), ' '), lambda x: x <> '') AS ws
+WITH RECURSIVE w AS (
+  SELECT doc_id, list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS ws
   FROM documents),
 s AS (
   SELECT DISTINCT doc_id, unnest(CASE WHEN len(ws) = 0 THEN [] WHEN len(ws) = 1 THEN [ws[1]]
@@ -310,5 +310,11 @@ h AS (SELECT s.doc_id, g, n FROM s JOIN n USING (doc_id)),
 i AS (SELECT x.doc_id AS a, y.doc_id AS b, x.n AS na, y.n AS nb, count(*) AS k
       FROM h x JOIN h y ON x.g = y.g AND x.doc_id < y.doc_id AND 100 * least(x.n, y.n) >= 80 * greatest(x.n, y.n)
       GROUP BY ALL),
-e AS (SELECT a, b FROM i WHERE 100 * k >= 80 * (na + nb - k))
+e AS (SELECT a, b FROM i WHERE 100 * k >= 80 * (na + nb - k)),
+l AS (SELECT a, b FROM e UNION SELECT b, a FROM e UNION SELECT a, a FROM e UNION SELECT b, b FROM e),
+c(step, id, v) AS (
+  SELECT 0, a, a FROM (SELECT DISTINCT a FROM l)
+  UNION ALL SELECT step + 1, l.a, min(v) FROM c JOIN l ON c.id = l.b WHERE step < 64 GROUP BY step, l.a)
+SELECT d.doc_id, coalesce(n.n, 0) AS n_shingles, coalesce(v, d.doc_id) AS component_id, d.doc_id = coalesce(v, d.doc_id) AS kept
+FROM documents d LEFT JOIN n USING (doc_id) LEFT JOIN (SELECT id, v FROM c WHERE step = 64) x ON x.id = d.doc_id
 """

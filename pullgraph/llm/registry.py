@@ -10,7 +10,7 @@ from .chat import OP4_SQL, op4_chat
 from .language import op7_language
 from .licenses import op9_license_scan
 from .lines import op6_line_dedup
-from .minhash import op8_minhash
+from .minhash import OP8_SQL, op8_minhash
 from .packing import op10_packing
 from .pieces import op3_sentencepiece
 from .quality import op5_quality
@@ -34,4 +34,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_exact_topk": OP1_SQL, "op4_chat": OP4_SQL}
+    return {"op1_exact_topk": OP1_SQL, "op4_chat": OP4_SQL, "op8_minhash": OP8_SQL}

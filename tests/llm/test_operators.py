@@ -409,3 +409,15 @@ def test_pipeline_stages(spark):
         assert out.columns == d.columns and 0 < out.count() <= d.count(), name
         d = out
     assert cp.run(spark, SF).count() > 0
+
+
+def test_near_duplicates_equal_sql(spark, con):
+    same(minhash.op8_minhash(spark, SF).toPandas(), con.execute(minhash.OP8_SQL).df())
+
+
+def test_every_query_is_registered():
+    import __spark_entry__ as entry
+
+    names = [k for k in entry.queries() if re.match(r"op\d+_|pipeline", k)]
+    assert sorted(int(k[2:].split("_")[0]) for k in names if k != "pipeline") == list(range(1, 11)) and "pipeline" in names
+    assert {"op1_exact_topk", "op4_chat", "op8_minhash"} <= set(entry.oracle_sql())
