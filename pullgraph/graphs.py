@@ -72,15 +72,16 @@ def skew(spark: SparkSession, sf_dir: str) -> Graph:
 
 
 def word(spark: SparkSession, sf_dir: str, labelled: bool = False) -> Graph:
-    """Word to next word in English documents; ids in byte order; weight counts.  labelled: only quality 1."""
+    """Word to next word in English documents; ids in byte order; weight counts.  A word that never has another next to
+    it is no vertex.  labelled: only quality 1."""
     docs = _table(spark, sf_dir, "documents").filter("lang = 'en'").select("doc_id", "text")
     if labelled:
         docs = docs.join(_table(spark, sf_dir, "labels").filter("quality = 1").select("doc_id"), "doc_id", "left_semi")
     words = docs.select(F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), 0).alias("w")).filter(F.size("w") > 0)
     size = F.size("w")
     pairs = words.select(F.explode(F.zip_with(F.slice("w", F.lit(1), size - 1), F.slice("w", F.lit(2), size - 1), lambda a, b: F.struct(a.alias("a"), b.alias("b")))).alias("p")).select("p.a", "p.b")
-    keys = materialize(densify(words.select(F.explode("w").alias("key"))), "words")
-    counted = pairs.filter("a <> b").groupBy("a", "b").agg(F.count("*").cast("double").alias("w"))
+    counted = materialize(pairs.filter("a <> b").groupBy("a", "b").agg(F.count("*").cast("double").alias("w")), "pairs")
+    keys = materialize(densify(counted.select(F.explode(F.array("a", "b")).alias("key"))), "words")
     edges = counted.join(keys.select(F.col("key").alias("a"), F.col("id").alias("src")), "a").join(keys.select(F.col("key").alias("b"), F.col("id").alias("dst")), "b")
     return Graph(edges.select("src", "dst", "w"), keys.count(), "word_labelled" if labelled else "word")
 

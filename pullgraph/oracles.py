@@ -17,9 +17,9 @@ EDGES = {
   e AS (SELECT src, dst, min(q) AS w FROM (SELECT src, (k * k * k) // (n * n) AS dst, q FROM k) WHERE src <> dst GROUP BY src, dst)""",
     "word": """
   t AS (SELECT regexp_extract_all(lower(text), '[a-z]+') AS ws FROM documents WHERE lang = 'en'),
-  v AS (SELECT key, row_number() OVER (ORDER BY key) - 1 AS id FROM (SELECT DISTINCT unnest(ws) AS key FROM t)),
-  nv AS (SELECT count(*) AS n FROM v),
   p AS (SELECT ws[i] AS a, ws[i + 1] AS b FROM (SELECT ws, unnest(range(1, len(ws))) AS i FROM t)),
+  v AS (SELECT key, row_number() OVER (ORDER BY key) - 1 AS id FROM (SELECT a AS key FROM p WHERE a <> b UNION SELECT b FROM p WHERE a <> b)),
+  nv AS (SELECT count(*) AS n FROM v),
   e AS (SELECT x.id AS src, y.id AS dst, w FROM (SELECT a, b, CAST(count(*) AS DOUBLE) AS w FROM p WHERE a <> b GROUP BY a, b) JOIN v x ON x.key = a JOIN v y ON y.key = b)""",
     "basket": """
   nv AS (SELECT count(*) AS n FROM part),
