@@ -105,7 +105,7 @@ def run(prep: Prepared, program: VertexProgram, stop: StopRule = StopRule(), cfg
         share = Replicas(spark, values)
         lost = float(values[degree == 0].sum()) / n if program.spread else 0.0
         run_one = _kernel(program, n, share, d_out, stop.tol, cfg, lost)
-        parts = [d if active is None else d.filter(F.col("tile_id").isin(active)) for d in (cached, plain) if d is not None]
+        parts = [_only(d, active) for d in (cached, plain) if d is not None]
         messages = [m for d in parts for m in d.mapInArrow(run_one, MESSAGE).collect()]
         new, ids = values.copy(), []
         for m in messages:  # the barrier is behind us: commit
@@ -150,6 +150,19 @@ def _cache(prep: Prepared, cfg: EngineConfig) -> tuple[DataFrame | None, DataFra
     return cached, prep.tiles.filter(~F.col("tile_id").isin(keep)) if keep else prep.tiles, {r["tile_id"]: (r["raw_bytes"], r["cached"]) for r in rows}
 
 
+#: Up to so many tile numbers are written into the plan, where they prune files; more are joined.
+LISTED = 1000
+
+
+def _only(tiles: DataFrame, active: list[int] | None) -> DataFrame:
+    """The tiles to load; the list has a number per tile, so broadcasting it is bounded by the number of tiles."""
+    if active is None:
+        return tiles
+    if len(active) <= LISTED:
+        return tiles.filter(F.col("tile_id").isin(active))
+    return tiles.join(F.broadcast(ids_frame(tiles.sparkSession, np.array(active)).withColumnRenamed("id", "tile_id")), "tile_id", "left_semi")
+
+
 def _active(spark: SparkSession, prep: Prepared, program: VertexProgram, cfg: EngineConfig, filters, tile_src, moved: np.ndarray, done: int, n: int) -> tuple[list[int] | None, int | None]:
     """(tiles to load, None for all; how many have a changed source, where that is known)."""
     if cfg.skip == "none" or program.spread or done == 0 and program.apply_without_input or len(moved) > cfg.probe_below * n:
