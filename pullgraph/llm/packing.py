@@ -26,6 +26,8 @@ from .common import U64, Words, arrow_map, batches, documents_of, prefix_hash, s
 WINDOW = 2048
 #: Distinct parts and their ids that a worker keeps, 24 bytes and 4 bytes each; beyond either, the table starts anew.
 CACHE_PARTS, CACHE_IDS = 3_000_000, 16_000_000
+#: Parts that may stay in a worker after a task.
+KEPT_PARTS = 600_000
 #: sequence_id = task * SEQUENCES + number within the task.
 SEQUENCES = 1 << 40
 
@@ -66,6 +68,11 @@ class WordTokenizer:
         self.at, self.n = np.zeros(0, np.int64), np.zeros(0, np.int32)  # per row: its place in flat, and its length
         self.flat, self.used = np.zeros(1 << 16, "<u4"), 0
 
+    def trim(self) -> None:
+        """What stays between tasks of a worker: a table of moderate size, or none."""
+        if len(self.hash) > KEPT_PARTS:
+            self._clear()
+
     def _encode(self, parts: list[str]) -> list[np.ndarray]:
         """Ids of each part; letter runs go many at a time, and their ids are cut at the ends of words."""
         out: list = [None] * len(parts)
@@ -233,6 +240,7 @@ def pack(docs: DataFrame, tokenizer_path: str, window: int = WINDOW, end_id: int
                 done += packer.add(doc_id, ids + end)
             out, number = rows(done, task, number)
             yield emit(out)
+        tok.trim()
         out, number = rows(packer.close(), task, number)
         yield emit(out)
 

@@ -52,7 +52,7 @@ def suffixes(docs: DataFrame, least: int = LEAST, window: int = WINDOW, gram: in
     """(key, doc_id, pos, ord): prefix hash, place in words, and number within the document of each kept suffix."""
 
     def run(it):
-        for b in batches(it, 1 << 20):
+        for b in batches(it, 1 << 19):
             w = Words(b.column(1).to_pylist())
             at, owner, key = _anchors(w, least, window, gram)
             ids = np.array([-1 if x is None else x for x in b.column(0).to_pylist()], np.int64)
@@ -73,7 +73,7 @@ def _contexts(asked: DataFrame, docs: DataFrame, prefix: int, reach: int) -> Dat
 
     def run(it):
         for batch in it:
-            for b in batches([batch], 1 << 20):
+            for b in batches([batch], 1 << 19):
                 w = Words(b.column(1).to_pylist())
                 ids, pos, side, key, words = [], [], [], [], []
                 for i, (doc_id, wants) in enumerate(zip(b.column(0).to_pylist(), b.column(2).to_pylist(), strict=True)):
@@ -172,7 +172,7 @@ def cut_passages(docs: DataFrame, passages: DataFrame) -> DataFrame:
 
     def run(it):
         for batch in it:
-            for b in batches([batch], 1 << 20):
+            for b in batches([batch], 1 << 19):
                 texts, cuts = b.column(b.schema.get_field_index("text")).to_pylist(), b.column(b.num_columns - 1).to_pylist()
                 w = Words(texts)
                 data = w.data.tobytes()
