@@ -138,8 +138,29 @@ def _nested(keys: np.ndarray) -> pa.Array:
     return pa.ListArray.from_arrays(pa.array(np.arange(n + 1, dtype=np.int32) * k), pa.array(np.ascontiguousarray(keys).view(np.int64).ravel()))
 
 
+#: Signs, padding included, that are compared side by side; a longer pair goes alone.
+CELLS = 1 << 20
+
+
 def within(a: list[np.ndarray], b: list[np.ndarray], edits: int) -> np.ndarray:
-    """True where the edit distance of a[k] and b[k] is `edits` or less; all pairs advance together.
+    """True where the edit distance of a[k] and b[k] is `edits` or less.
+
+    Pairs of similar length are compared side by side, as many as CELLS signs hold.
+    """
+    size = np.array([len(x) + len(y) + 2 * edits + 4 for x, y in zip(a, b, strict=True)], np.int64)
+    out, group = np.zeros(len(a), bool), []
+    for k in np.argsort(size, kind="stable").tolist():
+        if group and (len(group) + 1) * int(size[k]) > CELLS:
+            out[group] = _side_by_side([a[i] for i in group], [b[i] for i in group], edits)
+            group = []
+        group.append(k)
+    if group:
+        out[group] = _side_by_side([a[i] for i in group], [b[i] for i in group], edits)
+    return out
+
+
+def _side_by_side(a: list[np.ndarray], b: list[np.ndarray], edits: int) -> np.ndarray:
+    """within() for pairs that advance together.
 
     Banded bit-parallel: column j of the table is kept for rows j - edits .. j + edits only, as vertical differences in
     the bits of one word per pair, bit 0 for the lowest row number.
