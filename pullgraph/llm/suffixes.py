@@ -110,7 +110,8 @@ def repeated_passages(docs: DataFrame, least: int = LEAST, window: int = WINDOW,
         raise ValueError("window must be between 1 and least, and a gram must fit into the prefix")
     docs, prefix = documents_of(docs), least - window + 1
     kept = materialize(suffixes(docs, least, window, gram), "suffixes")
-    shared = kept.groupBy("key").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).filter("lo <> hi")
+    # Written, so that the join has a shuffle of its own on either side, whose large partitions can be split.
+    shared = materialize(kept.groupBy("key").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).filter("lo <> hi"), "shared")
     hits = materialize(kept.join(shared, "key").select("key", "doc_id", "pos", "ord", (F.col("lo") < F.col("doc_id")).alias("later"), (F.col("hi") > F.col("doc_id")).alias("earlier")), "matches")
     release(kept)
     row = Window.partitionBy("doc_id", "kind").orderBy("ord")
@@ -129,7 +130,7 @@ def repeated_passages(docs: DataFrame, least: int = LEAST, window: int = WINDOW,
     steps = F.sequence(F.lit(1), (F.length("words") / 8).cast("int"))
     rungs = around.filter(F.length("words") > 0).select("doc_id", "pos", "side", "key", "words", F.explode(steps).alias("steps"))
     rungs = rungs.select("doc_id", "pos", "side", "steps", F.xxhash64("key", "side", F.substring("words", F.lit(1), F.col("steps") * 8)).alias("rung"))
-    agreed = rungs.groupBy("rung").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).filter("lo <> hi")
+    agreed = materialize(rungs.groupBy("rung").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).filter("lo <> hi"), "agreed")
     reach = rungs.join(agreed, "rung").groupBy("doc_id", "pos", "side").agg(F.max("steps").alias("all"), F.max(F.when(F.col("lo") < F.col("doc_id"), F.col("steps"))).alias("older"))
     reach = materialize(reach, "reach")
 
