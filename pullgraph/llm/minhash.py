@@ -264,6 +264,8 @@ def near_duplicates(docs: DataFrame, width: int = 2, threshold: int = THRESHOLD)
 
     slots = materialize(reps.select("doc_id", F.explode("bands").alias("bucket")), "slots")
     shared = slots.groupBy("bucket").agg(F.min(F.struct(F.xxhash64("doc_id", F.lit(1)), "doc_id")).alias("p1"), F.min(F.struct(F.xxhash64("doc_id", F.lit(2)), "doc_id")).alias("p2"), F.count("*").alias("n")).filter("n > 1")
+    # Written, so that the join has a shuffle of its own on either side, whose large partitions can be split.
+    shared = materialize(shared, "shared")
     crowd = materialize(slots.join(shared.select("bucket", F.col("p1.doc_id").alias("p1"), F.col("p2.doc_id").alias("p2")), "bucket"), "crowd")
     release(slots)
     light = materialize(reps.join(crowd.select("doc_id").distinct(), "doc_id", "left_semi").select("doc_id", "n_shingles", "sketch", "bands"), "sketches")
