@@ -1,8 +1,10 @@
 """License scans: sparse TF-IDF cosine to templates, then inheritance from the nearest ancestor directory.
 
-A file's candidate texts are its header (the first lines that speak of a licence anywhere in it are taken as well) and,
-for files with a licence file's name, the whole text.  Each is turned into a sparse vector of words and word pairs,
-weighted by inverse document frequency over the templates, and compared with every template; the best template at or
+The templates are whole license texts (`licence_texts/`), the opening lines of each, standard notices, one-line notices
+by name, and SPDX tags.  A licence file is compared whole first, and a full text it agrees with is its license.
+Otherwise, and for all other files, the candidate texts are the header, comment blocks and runs of lines that speak of a
+licence, each such line by itself, and each license an SPDX tag names.  A candidate is a sparse vector of words and word
+pairs, weighted by inverse document frequency over the templates, and compared with every template; the best one at or
 above `threshold` is the file's own license.  A directory has the license of its licence files; a file without a
 license of its own takes that of its nearest ancestor directory, found by joining its ancestor paths with those.
 
@@ -15,6 +17,8 @@ from __future__ import annotations
 import math
 import re
 from collections import Counter
+from functools import cache
+from pathlib import Path
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -23,28 +27,82 @@ from pyspark.sql import functions as F
 from ..session import materialize
 from .common import arrow_map, batches, table
 
-#: Short notices and opening passages of public licenses, by SPDX identifier.
+#: Standard notices, by SPDX identifier.
 TEMPLATES: dict[str, tuple[str, ...]] = {
     "Apache-2.0": (
-        "Licensed under the Apache License, Version 2.0.",
         "Licensed under the Apache License, Version 2.0 (the License); you may not use this file except in compliance with the License.",
+        "Licensed under the Apache License, Version 2.0 (the License); you may not use this file except in compliance with the License. You may obtain a copy of the License at http://www.apache.org/licenses/LICENSE-2.0 Unless required by applicable law or agreed to in writing, software distributed under the License is distributed on an AS IS BASIS, WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied. See the License for the specific language governing permissions and limitations under the License.",
         "Apache License Version 2.0, January 2004 http://www.apache.org/licenses/ TERMS AND CONDITIONS FOR USE, REPRODUCTION, AND DISTRIBUTION",
     ),
     "MIT": (
-        "Released under the MIT License.",
         "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files, to deal in the Software without restriction.",
     ),
-    "GPL-3.0": (
-        "This work is licensed under the GNU General Public License, version 3.",
-        "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version 3 of the License.",
-    ),
     "GPL-2.0": ("This program is free software; you can redistribute it and/or modify it under the terms of the GNU General Public License version 2.",),
     "BSD-3-Clause": ("Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met: neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products.",),
-    "MPL-2.0": ("This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0.",),
-    "CC-BY-NC-4.0": ("Licensed under CC BY-NC 4.0.", "This work is licensed under the Creative Commons Attribution-NonCommercial 4.0 International License."),
-    "CC-BY-4.0": ("Licensed under CC BY 4.0.", "This work is licensed under the Creative Commons Attribution 4.0 International License."),
-    "CC0-1.0": ("To the extent possible under law, the author has waived all copyright and related rights: CC0 1.0 Universal.",),
+    "MPL-2.0": (
+        "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0.",
+        "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0. If a copy of the MPL was not distributed with this file, You can obtain one at https://mozilla.org/MPL/2.0/.",
+    ),
+    "EPL-2.0": (
+        "This program and the accompanying materials are made available under the terms of the Eclipse Public License 2.0 which is available at https://www.eclipse.org/legal/epl-2.0/",
+        "Eclipse Public License - v 2.0 THE ACCOMPANYING PROGRAM IS PROVIDED UNDER THE TERMS OF THIS ECLIPSE PUBLIC LICENSE (AGREEMENT). ANY USE, REPRODUCTION OR DISTRIBUTION OF THE PROGRAM CONSTITUTES RECIPIENT'S ACCEPTANCE OF THIS AGREEMENT. 1. DEFINITIONS",
+        "Eclipse Public License - v 2.0 THE ACCOMPANYING PROGRAM IS PROVIDED UNDER THE TERMS OF THIS ECLIPSE PUBLIC LICENSE (AGREEMENT). ANY USE, REPRODUCTION OR DISTRIBUTION OF THE PROGRAM CONSTITUTES RECIPIENT'S ACCEPTANCE OF THIS AGREEMENT.",
+    ),
+    "EPL-1.0": ("This program and the accompanying materials are made available under the terms of the Eclipse Public License v1.0 which accompanies this distribution, and is available at http://www.eclipse.org/legal/epl-v10.html",),
+    "CC0-1.0": ("To the extent possible under law, the author has waived all copyright and related rights: CC0 1.0 Universal.", "To the extent possible under law, the author has waived all copyright and related or neighboring rights to this work."),
+    "Unlicense": ("This is free and unencumbered software released into the public domain.",),
 }
+#: The families whose notices are made from GNU_NOTICE, by identifier: full name and version.
+GNU = {
+    "GPL-1.0": ("General", "1"), "GPL-2.0": ("General", "2"), "GPL-3.0": ("General", "3"), "AGPL-3.0": ("Affero General", "3"),
+    "LGPL-2.0": ("Library General", "2"), "LGPL-2.1": ("Lesser General", "2.1"), "LGPL-3.0": ("Lesser General", "3"),
+}
+GNU_NOTICE = (
+    "This {0} is free software: you can redistribute it and/or modify it under the terms of the GNU {1} Public License as published by the Free Software Foundation, either version {2} of the License",
+    ", or (at your option) any later version.",
+    " This {0} is distributed in the hope that it will be useful, but WITHOUT ANY WARRANTY; without even the implied warranty of MERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE. See the GNU {1} Public License for more details.",
+)
+#: Names in one-line notices, by SPDX identifier; every identifier here has an SPDX tag too.
+NAMES: dict[str, tuple[str, ...]] = {
+    "Apache-2.0": ("Apache License, Version 2.0", "Apache License 2.0", "Apache 2.0 License", "Apache-2.0"),
+    "MIT": ("MIT License", "MIT license (MIT)", "MIT"),
+    "GPL-1.0": ("GNU General Public License, version 1", "GPLv1", "GPL-1.0"),
+    "GPL-2.0": ("GNU General Public License, version 2", "GNU General Public License v2.0", "GNU GPL v2", "GPL v2", "GPLv2", "GPL-2.0"),
+    "GPL-3.0": ("GNU General Public License, version 3", "GNU General Public License v3.0", "GNU GPL v3", "GPL v3", "GPLv3", "GPL-3.0"),
+    "AGPL-3.0": ("GNU Affero General Public License, version 3", "GNU Affero General Public License v3.0", "GNU AGPL v3", "AGPL v3", "AGPLv3", "AGPL-3.0"),
+    "LGPL-2.0": ("GNU Library General Public License, version 2", "LGPLv2", "LGPL-2.0"),
+    "LGPL-2.1": ("GNU Lesser General Public License, version 2.1", "GNU Lesser General Public License v2.1", "LGPL v2.1", "LGPLv2.1", "LGPL-2.1"),
+    "LGPL-3.0": ("GNU Lesser General Public License, version 3", "GNU Lesser General Public License v3.0", "GNU LGPL v3", "LGPL v3", "LGPLv3", "LGPL-3.0"),
+    "BSD-2-Clause": ("BSD 2-Clause License", "2-Clause BSD License", "Simplified BSD License", "BSD-2-Clause"),
+    "BSD-3-Clause": ("BSD 3-Clause License", "3-Clause BSD License", "New BSD License", "Modified BSD License", "BSD-3-Clause"),
+    "ISC": ("ISC License", "ISC"),
+    "Zlib": ("zlib License", "Zlib"),
+    "Unlicense": ("Unlicense",),
+    "BSL-1.0": ("Boost Software License, Version 1.0", "BSL-1.0"),
+    "MPL-1.1": ("Mozilla Public License, Version 1.1", "MPL-1.1"),
+    "MPL-2.0": ("Mozilla Public License, Version 2.0", "Mozilla Public License 2.0", "MPL 2.0", "MPL-2.0"),
+    "EPL-1.0": ("Eclipse Public License, Version 1.0", "Eclipse Public License 1.0", "EPL-1.0"),
+    "EPL-2.0": ("Eclipse Public License, Version 2.0", "Eclipse Public License 2.0", "Eclipse Public License - v 2.0", "EPL-2.0"),
+    "Artistic-1.0": ("Artistic License, Version 1.0", "Artistic-1.0"),
+    "Artistic-2.0": ("Artistic License, Version 2.0", "Artistic License 2.0", "Artistic-2.0"),
+    "GFDL-1.2": ("GNU Free Documentation License, Version 1.2", "GFDL-1.2"),
+    "GFDL-1.3": ("GNU Free Documentation License, Version 1.3", "GFDL-1.3"),
+    "CC0-1.0": ("Creative Commons CC0 1.0 Universal", "CC0 1.0 Universal", "CC0 1.0", "CC0-1.0"),
+} | {
+    f"CC-{code}-{v}": (f"CC {code} {v}", f"CC-{code}-{v}", f"Creative Commons {name} {v} International License", f"Creative Commons {name} {v} License")
+    for code, name in (
+        ("BY", "Attribution"), ("BY-SA", "Attribution-ShareAlike"), ("BY-NC", "Attribution-NonCommercial"), ("BY-ND", "Attribution-NoDerivatives"),
+        ("BY-NC-SA", "Attribution-NonCommercial-ShareAlike"), ("BY-NC-ND", "Attribution-NonCommercial-NoDerivatives"),
+    )
+    for v in ("2.0", "2.5", "3.0", "4.0")
+}
+#: How a one-line notice is worded.
+WORDINGS = ("Licensed under {}.", "Licensed under the {}.", "Released under the {}.", "This work is licensed under a {}.", "This work is licensed under the {}.", "This project is licensed under the {}.", "Distributed under the {}.", "License: {}")
+#: A candidate of this many words or more can be a whole license; lines of the opening templates of each.
+FULL_WORDS, OPENINGS = 80, (2, 4, 10)
+#: From this cosine on, the whole text of a licence file decides alone.
+WHOLE = 0.9
+TEXTS = Path(__file__).resolve().parent / "licence_texts"
 #: A line with one of these is a candidate wherever it stands.
 MARKERS = re.compile(r"licen[sc]e|copyright|spdx|redistribut|permission is hereby|public domain|cc by|cc0|creative commons", re.IGNORECASE)
 #: Names of licence files.
@@ -52,6 +110,27 @@ LICENSE_NAME = r"(?i)(^|/)(licen[sc]e|copying|copyright|notice|unlicense)(\.(txt
 HEADER_LINES = 10
 THRESHOLD = 0.72
 WORD = re.compile(r"[a-z0-9]+(?:[.-][a-z0-9]+)*")
+SPDX = re.compile(r"SPDX-License-Identifier:\s*([^\n]*)", re.IGNORECASE)
+SPDX_ID = re.compile(r"[A-Za-z0-9][A-Za-z0-9.+-]*")
+COMMENT = re.compile(r"\s*(?://|/\*|\*|#|--|;|%|<!--|\.\.|REM\b|dnl\b)", re.IGNORECASE)
+
+
+@cache
+def standard() -> dict[str, tuple[str, ...]]:
+    """All templates: notices, one-line notices, SPDX tags, opening lines and whole texts.  Read by the driver alone."""
+    out: dict[str, list[str]] = {k: list(v) for k, v in TEMPLATES.items()}
+    for k, names in NAMES.items():
+        tags = [k, *(f"{k}{end}" for end in ("-only", "-or-later", "+") if "GPL" in k or "GFDL" in k)]
+        out.setdefault(k, []).extend([w.format(n) for n in names for w in WORDINGS] + [f"SPDX-License-Identifier: {t}" for t in tags])
+    for k, (family, version) in GNU.items():
+        notices = ("".join(GNU_NOTICE[:n]).format(what, family, version) for what in ("program", "library") for n in (1, 2, 3))
+        out.setdefault(k, []).extend(notices)
+    for f in sorted(TEXTS.glob("*.txt")):
+        text = f.read_text("utf-8")
+        lines = [x for x in text.split("\n") if x.strip()]
+        k = f.stem.removesuffix("-Regents")
+        out.setdefault(k, []).extend(["\n".join(lines[:n]) for n in OPENINGS if len(lines) > n and len(lines) > 60] + [text])
+    return {k: tuple(dict.fromkeys(v)) for k, v in out.items()}
 
 
 def terms(text: str) -> Counter:
@@ -69,14 +148,15 @@ class Templates:
         self.idf = {t: math.log((1 + len(bags)) / (1 + n)) + 1 for t, n in seen.items()}
         self.unknown = math.log(1 + len(bags)) + 1
         self.names = [k for k, _ in bags]
+        self.full = [sum(n for t, n in b.items() if " " not in t) >= FULL_WORDS for _, b in bags]
         self.postings: dict[str, list[tuple[int, float]]] = {}
         for i, (_, b) in enumerate(bags):
             size = math.sqrt(sum((n * self.idf[t]) ** 2 for t, n in b.items()))
             for t, n in b.items():
                 self.postings.setdefault(t, []).append((i, n * self.idf[t] / size))
 
-    def best(self, text: str) -> tuple[str | None, float]:
-        """Most similar template and its cosine; ties go to the first in the list."""
+    def best(self, text: str) -> tuple[str | None, float, bool]:
+        """Most similar template, its cosine, and whether it is a whole license; ties go to the first in the list."""
         bag = terms(text)
         size = math.sqrt(sum((n * self.idf.get(t, self.unknown)) ** 2 for t, n in bag.items()))
         score = [0.0] * len(self.names)
@@ -84,16 +164,18 @@ class Templates:
             for i, w in self.postings.get(t, ()):
                 score[i] += n * self.idf[t] * w
         if not size or not max(score):
-            return None, 0.0
+            return None, 0.0, False
         i = max(range(len(score)), key=lambda k: (score[k], -k))
-        return self.names[i], score[i] / size
+        return self.names[i], score[i] / size, self.full[i]
 
 
-def candidates(text: str, whole: bool) -> list[str]:
-    """Texts of a file that may state a license: runs of marked lines, the header, and for licence files all of it."""
+def candidates(text: str) -> list[str]:
+    """Texts of a file that may state a license: marked lines and runs of them, SPDX tags, comment blocks, the header."""
+    if not MARKERS.search(text):
+        return []
     lines = text.split("\n")
-    out, run = [], []
-    for line in lines:
+    out, run, block = [], [], []
+    for line in [*lines, ""]:
         if MARKERS.search(line):
             run.append(line)
             out.append(line)
@@ -101,31 +183,39 @@ def candidates(text: str, whole: bool) -> list[str]:
             if len(run) > 1:
                 out.append("\n".join(run))
             run = []
-    if len(run) > 1:
-        out.append("\n".join(run))
-    header = "\n".join(lines[:HEADER_LINES])
-    if MARKERS.search(header):
-        out.append(header)
-    if whole:
-        out.append(text)
+        if COMMENT.match(line):
+            block.append(line)
+        else:
+            if len(block) > 1 and any(map(MARKERS.search, block)):
+                out.append("\n".join(block))
+            block = []
+    out += [f"SPDX-License-Identifier: {x}" for found in SPDX.findall(text) for x in SPDX_ID.findall(found)]
+    filled = [x for x in lines[: 4 * HEADER_LINES] if x.strip()]
+    for header in ("\n".join(x) for x in (lines[:HEADER_LINES], *(filled[:n] for n in OPENINGS))):
+        if MARKERS.search(header):
+            out.append(header)
     return list(dict.fromkeys(out))
 
 
 def own_licenses(files: DataFrame, threshold: float = THRESHOLD, templates: dict[str, tuple[str, ...]] | None = None) -> DataFrame:
     """(doc_id, path, is_license_file, own_license, cosine) of every file (doc_id, path, text).
 
-    Null text or path: empty.  A file with several licenses gets the one with the highest cosine, ties by name.
+    Null text or path: empty.  A licence file whose whole text is a full license has that one; otherwise a file with
+    several licenses gets the one with the highest cosine, ties by name.
     """
-    known = templates or TEMPLATES
+    known = templates or standard()
 
     def run(it):
         t = Templates(known)
-        seen: dict[str, tuple[str | None, float]] = {}
+        seen: dict[str, tuple[str | None, float, bool]] = {}
         for b in batches(it):
             names, scores = [], []
             for text, whole in zip(b.column(2).to_pylist(), b.column(3).to_pylist(), strict=True):
                 best: tuple[float, str] | None = None
-                for c in candidates(text or "", whole) if text else []:
+                all_ = t.best(text) if text and whole else (None, 0.0, False)
+                if all_[0] and all_[1] >= threshold:
+                    best = (-all_[1], all_[0])
+                for c in candidates(text) if text and not (all_[2] and all_[1] >= max(threshold, WHOLE)) else []:
                     got = seen.get(c)
                     if got is None:
                         got = t.best(c)

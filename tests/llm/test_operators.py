@@ -421,3 +421,54 @@ def test_every_query_is_registered():
     names = [k for k in entry.queries() if re.match(r"op\d+_|pipeline", k)]
     assert sorted(int(k[2:].split("_")[0]) for k in names if k != "pipeline") == list(range(1, 11)) and "pipeline" in names
     assert {"op1_exact_topk", "op4_chat", "op8_minhash"} <= set(entry.oracle_sql())
+
+
+MIT_FILE = """MIT License
+
+Copyright (c) 2021 Somebody Else
+
+Permission is hereby granted, free of charge, to any person obtaining a copy
+of this software and associated documentation files (the "Software"), to deal
+in the Software without restriction, including without limitation the rights
+to use, copy, modify, merge, publish, distribute, sublicense, and/or sell
+copies of the Software, and to permit persons to whom the Software is
+furnished to do so, subject to the following conditions:
+
+The above copyright notice and this permission notice shall be included in all
+copies or substantial portions of the Software.
+
+THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR
+IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY,
+FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE
+AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER
+LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM,
+OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE
+SOFTWARE.
+"""
+
+
+def test_full_license_files_and_near_relatives(spark):
+    want, files = {}, []
+
+    def add(path, text, license):
+        want[len(files)] = license
+        files.append((len(files), f"d{len(files)}/{path}", text))
+
+    add("LICENSE", MIT_FILE, "MIT")
+    add("x.c", "".join(f" * {x}\n" for x in MIT_FILE.split("\n")) + "int main() {}\n" * 50, "MIT")
+    for f in sorted(licenses.TEXTS.glob("*.txt")):
+        text, name = f.read_text("utf-8"), f.stem.removesuffix("-Regents")
+        words = text.split()
+        other = [" ".join(words[i : i + 9]) for i in range(0, len(words), 9)]
+        add("COPYING", "Copyright 2020 Some Body\nAll rights reserved.\n\n" + "\n".join(other), name)
+        if len(words) > 900:
+            add("COPYING", "\n".join(text.split("\n")[:60]), name)
+    for t in ("MIT", "BSD-2-Clause", "LGPL-2.1-or-later", "AGPL-3.0-only", "ISC", "EPL-2.0", "CC-BY-SA-4.0", "Unlicense"):
+        add("a.py", f"#!/usr/bin/python\n# SPDX-License-Identifier: {t}\nimport os\n", t.removesuffix("-or-later").removesuffix("-only"))
+    add("a.py", "# SPDX-License-Identifier: NotListed\n", None)
+    for t, name in (("CC BY-SA 4.0", "CC-BY-SA-4.0"), ("CC BY-NC 4.0", "CC-BY-NC-4.0"), ("CC BY-SA 3.0", "CC-BY-SA-3.0"), ("CC BY 4.0", "CC-BY-4.0")):
+        add("a.txt", f"text\nLicensed under {t}.", name)
+    for what, name, v in (("GNU Lesser General Public License", "LGPL", "2.1"), ("GNU Affero General Public License", "AGPL", "3"), ("GNU General Public License", "GPL", "2")):
+        add("a.c", f"/* This file is free software; you can redistribute it and/or\n * modify it under the terms of the {what} as\n * published by the Free Software Foundation; either version {v} of the\n * License, or (at your option) any later version.\n */\nint x;\n", f"{name}-{v if '.' in v else v + '.0'}")
+    got = {r.doc_id: r.own_license for r in licenses.own_licenses(spark.createDataFrame(files, "doc_id long, path string, text string")).collect()}
+    assert {(files[k][2][:70], got[k], want[k]) for k in want if got[k] != want[k]} == set()
