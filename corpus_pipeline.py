@@ -24,7 +24,7 @@ def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 def dedup_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Take out lines that repeat, exactly or nearly, a line of an earlier place."""
-    return lines.drop_lines(docs, lines.similar_lines(docs))
+    return lines.drop_lines(docs, lines.line_classes(docs))
 
 
 def dedup_near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -1,6 +1,6 @@
-"""Line dedup by a segment-partition edit join.
+"""Line dedup by equality, and by a segment-partition edit join.
 
-Two lines are near copies if their edit distance in code points is `edits` or less and both have `shortest` code points
+Lines of any length that are equal are copies.  Two lines are near copies if their edit distance in code points is `edits` or less and both have `shortest` code points
 or more.  Such a pair shares one of edits + 1 segments: the shorter line's segments are indexed by (length, number,
 text), and the longer line probes that index with the substrings that could match, at the few starts that the length
 difference allows.  Keys are hashes, made for all lines of a batch from prefix hashes without cutting a string.  The
@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..session import materialize, scoped
-from .common import U64, arrow_map, batches, documents_of, join_texts, mix, prefix_hash, slice_hash, table
+from .common import SPACE, U64, arrow_map, batches, documents_of, join_texts, mix, prefix_hash, slice_hash, table
 from .components import components
 
 EDITS = 2
@@ -66,6 +66,12 @@ class Lines:
             second = prefix_hash(mix(self.code.astype(U64) * U64(2654435761)))
             self.hash2 = slice_hash(second, self.start, self.stop) ^ up
 
+    def spoken(self) -> np.ndarray:
+        """Whether each line holds a word."""
+        sign = (self.code > 255) | ~SPACE[np.minimum(self.code, 255)]
+        seen = np.concatenate([[0], np.cumsum(sign)])
+        return seen[self.stop] > seen[self.start]
+
     def sketch(self, pick: np.ndarray) -> np.ndarray:
         """64 parities of neighbouring sign pairs; one edit flips four bits at most."""
         code = self.code.astype(U64)
@@ -99,13 +105,14 @@ class Lines:
         return np.stack(index, axis=1), np.stack(probe, axis=1) if probe else np.zeros((len(pick), 0), U64)
 
 
-def line_rows(docs: DataFrame, shortest: int) -> DataFrame:
-    """(h1, h2, doc_id, line_no) of all lines of `shortest` signs or more; two hashes stand for the text."""
+def line_rows(docs: DataFrame, shortest: int | None) -> DataFrame:
+    """(h1, h2, doc_id, line_no) of all lines of `shortest` signs or more, None: of all with a word; two hashes stand for
+    the text."""
 
     def run(it):
         for b in batches(it, 1 << 20):
             x = Lines(b.column(1).to_pylist())
-            pick = np.flatnonzero(x.length >= shortest)
+            pick = np.flatnonzero(x.spoken() if shortest is None else x.length >= shortest)
             ids = np.array([-1 if v is None else v for v in b.column(0).to_pylist()], np.int64)
             yield pa.RecordBatch.from_arrays(
                 [pa.array(x.hash[pick].view(np.int64)), pa.array(x.hash2[pick].view(np.int64)), pa.array(ids[x.owner[pick]]), pa.array(x.number[pick].astype(np.int32))],
@@ -223,6 +230,19 @@ def similar_lines(docs: DataFrame, edits: int = EDITS, shortest: int = SHORTEST)
     Rows without doc_id take no part; rows that repeat repeat the result; extra columns are dropped; an empty table gives
     no rows.
     """
+    return _classes(docs, edits, shortest, shortest)
+
+
+@scoped
+def line_classes(docs: DataFrame, edits: int = EDITS, shortest: int = SHORTEST) -> DataFrame:
+    """similar_lines() of every line with a word, whatever its length.
+
+    Lines under `shortest` signs are in a class with their equals alone, without links; lines without a word have no row.
+    """
+    return _classes(docs, edits, shortest, None)
+
+
+def _classes(docs: DataFrame, edits: int, shortest: int, rows_from: int | None) -> DataFrame:
     docs = documents_of(docs)
     keys = line_keys(docs, edits, shortest)
     index = keys.select(F.explode("index").alias("key"), F.col("h1").alias("a"), F.col("sketch").alias("sa"))
@@ -232,7 +252,7 @@ def similar_lines(docs: DataFrame, edits: int = EDITS, shortest: int = SHORTEST)
     found = index.join(probes, "key").filter(near & (F.col("a") != F.col("b"))).select("a", "b")
     level = index.join(same, "key").filter(near & (F.col("a") < F.col("b"))).select("a", "b")
     pairs = materialize(found.unionByName(level).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "candidates")
-    rows = materialize(line_rows(docs, shortest), "lines")
+    rows = materialize(line_rows(docs, rows_from), "lines")
     first = materialize(rows.groupBy("h1", "h2").agg(F.min(F.struct("doc_id", "line_no")).alias("at")), "firsts")
     links = materialize(_verify(pairs, first, docs, edits), "links")
     label = components(links)
@@ -281,4 +301,4 @@ def drop_lines(docs: DataFrame, classes: DataFrame) -> DataFrame:
 
 
 def op6_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return similar_lines(table(spark, sf_dir, "documents"))
+    return line_classes(table(spark, sf_dir, "documents"))

@@ -472,3 +472,16 @@ def test_full_license_files_and_near_relatives(spark):
         add("a.c", f"/* This file is free software; you can redistribute it and/or\n * modify it under the terms of the {what} as\n * published by the Free Software Foundation; either version {v} of the\n * License, or (at your option) any later version.\n */\nint x;\n", f"{name}-{v if '.' in v else v + '.0'}")
     got = {r.doc_id: r.own_license for r in licenses.own_licenses(spark.createDataFrame(files, "doc_id long, path string, text string")).collect()}
     assert {(files[k][2][:70], got[k], want[k]) for k in want if got[k] != want[k]} == set()
+
+
+def test_short_lines_have_classes_by_equality(spark):
+    long = "a line that is long enough for the edit join"
+    texts = [f"Yes.\n{long}\n\n  \nold", "Yes.\nyes.\nfirst　\n" + " " * 40, None, f"{long}!\nYes.\nold\nodd", "Yes."]
+    df = docs(spark, texts)
+    classes = lines.line_classes(df)
+    got = {(r.doc_id, r.line_no): (r.class_doc, r.class_line, r.n_links) for r in classes.collect()}
+    assert got == {
+        (0, 0): (0, 0, 0), (0, 1): (0, 1, 1), (0, 4): (0, 4, 0), (1, 0): (0, 0, 0), (1, 1): (1, 1, 0), (1, 2): (1, 2, 0),
+        (3, 0): (0, 1, 1), (3, 1): (0, 0, 0), (3, 2): (0, 4, 0), (3, 3): (3, 3, 0), (4, 0): (0, 0, 0),
+    }
+    assert {r.doc_id: r.text for r in lines.drop_lines(df, classes).collect()} == {0: texts[0], 1: "yes.\nfirst　\n" + " " * 40, 2: None, 3: "odd"}
