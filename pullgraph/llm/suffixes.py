@@ -1,96 +1,93 @@
 """Repeated passages across documents with a sparse suffix array over words.
 
 Only suffixes at content-selected positions are kept: the position whose GRAM-word hash is smallest among `window`
-neighbouring positions.  The choice depends on the words alone, so two copies of a passage keep the same suffixes, and
-any passage of `least` words holds one with `prefix = least - window + 1` words of the passage after it.  Suffixes are
-brought in order by the hash of that prefix, then by document, so equal prefixes stand together; a prefix that stands in
-two documents is a match.  Matches at neighbouring kept positions form runs, and the two ends of every run are extended
-to the left and to the right, word by word, as far as one of its neighbours agrees: the other run ends with the same
-prefix, and that prefix's places in the first and in the last document.
-
-A repeat is a maximal run of words covered by matches and their extensions, of `least` words or more.  Each of its words
-lies in a passage of `prefix` words or more that stands in another document.  Where a document shares more words beyond
-an end only with places that are neither, an end of its repeat can fall short by less than `window` words.
-
-Plan: one shuffle of (hash, document, place) triples finds equal prefixes, counted with map-side combining, so a passage
-that a third of all documents share is a few rows per task; the join that marks the matches is one that adaptive
-execution can split.  Extension looks at the ends of runs and two more places of each prefix only, whatever the length of
-a repeat or the size of a neighbourhood, and counts equal extensions with map-side combining.
+neighbouring positions.  The choice depends on the words alone, so two copies of a passage keep the same suffixes: each
+passage of `least` words belongs to one kept suffix, which has `prefix = least - window + 1` words of the passage after
+it.  The passages of one suffix start at neighbouring words; all words they cover are its stretch.  Suffixes are brought
+in order by the hash of that prefix, then by document, so equal prefixes stand together; a prefix that stands in two
+documents is a match.
+
+A repeat is a maximal run of words covered by passages of `least` words, each of which stands in another document as a
+whole.  Equal stretches are counted once, with their first and last document.  Where a prefix has one stretch only, all
+its passages stand wherever it does; where it has more, every passage of each of them is counted over all of them, so the
+result is exact, whichever document shares a passage and whatever surrounds it there.
+
+Plan: shuffles of (hash, document, place) rows find equal prefixes and equal stretches, counted with map-side combining,
+so a passage that a third of all documents share is a few rows per task; the joins that mark the matches are ones that
+adaptive execution can split.  Passages are hashed once per different stretch, `window` at most for each.
 """
 
 from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..session import materialize, release, scoped
-from .common import U64, Words, arrow_map, batches, documents_of, join_texts, prefix_hash, slice_hash, table
+from .common import U64, Words, arrow_map, batches, documents_of, join_texts, mix, prefix_hash, slice_hash, table
 
 LEAST = 50
 WINDOW = 26
 GRAM = 4
 
 
-def _anchors(w: Words, least: int, window: int, gram: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(word index, text number, prefix hash) of the retained suffixes of a batch."""
+def _anchors(w: Words, least: int, window: int, gram: int) -> tuple[np.ndarray, ...]:
+    """Of the retained suffixes of a batch: word index, text number, prefix hash, first passage, passages, stretch hash."""
     total = len(w.hash)
     if total < least:
-        return np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, U64)
+        return np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, U64), np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, U64)
     p = prefix_hash(w.hash)
     at = np.arange(total)
     rank = slice_hash(p, at, np.minimum(at + gram, total))
     owner = np.repeat(np.arange(len(w.n)), w.n)
     fits = at[: total - least + 1] + least <= w.first[1:][owner[: total - least + 1]]
     low = np.lib.stride_tricks.sliding_window_view(rank, window)[: total - least + 1].argmin(axis=1) + at[: total - least + 1]
-    chosen = np.unique(low[fits])
-    return chosen, owner[chosen], slice_hash(p, chosen, chosen + (least - window + 1))
+    # The chosen place never goes back from one passage to the next, so the passages of a suffix are neighbours.
+    start = np.flatnonzero(fits)
+    chosen, head, n = np.unique(low[fits], return_index=True, return_counts=True)
+    begin = start[head]
+    with np.errstate(over="ignore"):
+        stretch = slice_hash(p, begin, begin + n - 1 + least) ^ mix((chosen - begin).astype(U64) + U64(1))
+    return chosen, owner[chosen], slice_hash(p, chosen, chosen + (least - window + 1)), begin, n, stretch
 
 
 def suffixes(docs: DataFrame, least: int = LEAST, window: int = WINDOW, gram: int = GRAM) -> DataFrame:
-    """(key, doc_id, pos, ord): prefix hash, place in words, and number within the document of each kept suffix."""
+    """(key, stretch, doc_id, start, n) of each kept suffix: prefix hash, stretch hash, first of its n passages in words."""
 
     def run(it):
         for b in batches(it, 1 << 19):
             w = Words(b.column(1).to_pylist())
-            at, owner, key = _anchors(w, least, window, gram)
+            _, owner, key, begin, n, stretch = _anchors(w, least, window, gram)
             ids = np.array([-1 if x is None else x for x in b.column(0).to_pylist()], np.int64)
-            first = np.searchsorted(owner, np.arange(b.num_rows))
             yield pa.RecordBatch.from_arrays(
-                [pa.array(key.view(np.int64)), pa.array(ids[owner]), pa.array((at - w.first[owner]).astype(np.int32)), pa.array((np.arange(len(at)) - first[owner]).astype(np.int32))],
-                ["key", "doc_id", "pos", "ord"],
+                [pa.array(key.view(np.int64)), pa.array(stretch.view(np.int64)), pa.array(ids[owner]), pa.array((begin - w.first[owner]).astype(np.int32)), pa.array(n.astype(np.int32))],
+                ["key", "stretch", "doc_id", "start", "n"],
             )
 
-    return arrow_map(docs.filter("doc_id IS NOT NULL"), run, "key long, doc_id long, pos int, ord int")
+    return arrow_map(docs.filter("doc_id IS NOT NULL"), run, "key long, stretch long, doc_id long, start int, n int")
 
 
-def _contexts(asked: DataFrame, docs: DataFrame, prefix: int, reach: int) -> DataFrame:
-    """(doc_id, pos, side, key, words): hashes of the words around each asked (doc_id, pos, side, key), nearest first.
-
-    side 0 goes left from pos, side 1 right from pos + prefix; `reach` words, fewer at the end of the text.
-    """
+def _passages(asked: DataFrame, docs: DataFrame, least: int) -> DataFrame:
+    """(stretch, i, lo, hi, passage) of each passage of the asked (stretch, lo, hi, at: doc_id and start, n)."""
 
     def run(it):
         for batch in it:
             for b in batches([batch], 1 << 19):
                 w = Words(b.column(1).to_pylist())
-                ids, pos, side, key, words = [], [], [], [], []
-                for i, (doc_id, wants) in enumerate(zip(b.column(0).to_pylist(), b.column(2).to_pylist(), strict=True)):
-                    h = w.hash[w.first[i] : w.first[i + 1]]
-                    for y in wants:
-                        at = y["pos"]
-                        around = h[max(0, at - reach) : at][::-1] if y["side"] == 0 else h[at + prefix : at + prefix + reach]
-                        ids.append(doc_id)
-                        pos.append(at)
-                        side.append(y["side"])
-                        key.append(y["key"])
-                        words.append(around.tobytes())
-                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(pos, pa.int32()), pa.array(side, pa.int32()), pa.array(key, pa.int64()), pa.array(words, pa.binary())], ["doc_id", "pos", "side", "key", "words"])
-
-    wants = asked.groupBy("doc_id").agg(F.collect_set(F.struct("pos", "side", "key")).alias("wants"))
+                p = prefix_hash(w.hash)
+                lists = b.column(2)
+                flat, count = lists.flatten(), np.diff(lists.offsets.to_numpy())
+                field = lambda k: flat.field(k).to_numpy(zero_copy_only=False).astype(np.int64)  # noqa: B023, E731
+                n = field("n")
+                i = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+                s = np.repeat(w.first[:-1][np.repeat(np.arange(len(count)), count)] + field("start"), n) + i
+                put = [np.repeat(field(k), n) for k in ("stretch", "lo", "hi")]
+                yield pa.RecordBatch.from_arrays([pa.array(put[0]), pa.array(i.astype(np.int32)), pa.array(put[1]), pa.array(put[2]), pa.array(slice_hash(p, s, s + least).view(np.int64))], ["stretch", "i", "lo", "hi", "passage"])
+
+    wants = asked.groupBy("at.doc_id").agg(F.collect_list(F.struct("stretch", "lo", "hi", "at.start", "n")).alias("wants"))
     src = join_texts(docs, materialize(wants, "wants")).dropDuplicates(["doc_id"]).select("doc_id", "text", "wants")
-    return arrow_map(src, run, "doc_id long, pos int, side int, key long, words binary")
+    return arrow_map(src, run, "stretch long, i int, lo long, hi long, passage long")
 
 
 SPANS = "doc_id long, repeats array<struct<start:int,stop:int>>, later array<struct<start:int,stop:int>>, repeat_words long, later_words long"
@@ -108,38 +105,25 @@ def repeated_passages(docs: DataFrame, least: int = LEAST, window: int = WINDOW,
     """
     if not 0 < window <= least or gram > least - window + 1:
         raise ValueError("window must be between 1 and least, and a gram must fit into the prefix")
-    docs, prefix = documents_of(docs), least - window + 1
+    docs = documents_of(docs)
     kept = materialize(suffixes(docs, least, window, gram), "suffixes")
     # Written, so that the join has a shuffle of its own on either side, whose large partitions can be split.
-    shared = materialize(kept.groupBy("key").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).filter("lo <> hi"), "shared")
-    hits = materialize(kept.join(shared, "key").select("key", "doc_id", "pos", "ord", (F.col("lo") < F.col("doc_id")).alias("later"), (F.col("hi") > F.col("doc_id")).alias("earlier")), "matches")
+    shared = materialize(kept.groupBy("key").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).filter("lo <> hi").select("key"), "shared")
+    hits = materialize(kept.join(shared, "key"), "matches")
     release(kept)
-    row = Window.partitionBy("doc_id", "kind").orderBy("ord")
-    kinds = hits.withColumn("kind", F.explode(F.when(F.col("later"), F.array(F.lit(0), F.lit(1))).otherwise(F.array(F.lit(0)))))
-    runs = materialize(
-        kinds.withColumn("run", F.col("ord") - F.dense_rank().over(row)).groupBy("doc_id", "kind", "run").agg(F.min(F.struct("pos", "key")).alias("first"), F.max(F.struct("pos", "key")).alias("last")),
-        "runs",
-    )
-    both = F.array(F.struct(F.lit(0).alias("side"), F.col("first.pos").alias("pos"), F.col("first.key").alias("key")), F.struct(F.lit(1).alias("side"), F.col("last.pos").alias("pos"), F.col("last.key").alias("key")))
-    ends = materialize(runs.select("doc_id", F.explode(both).alias("e")).select("doc_id", "e.side", "e.pos", "e.key").distinct(), "ends")
-    # The neighbours of an end: all ends with its prefix, and the prefix's places in the first and last document.
-    edge = hits.filter("NOT later OR NOT earlier").groupBy("key", "doc_id").agg(F.min("pos").alias("pos")).join(ends.select("key", "side").distinct(), "key")
-    asked = ends.select("doc_id", "pos", "side", "key").unionByName(edge.select("doc_id", "pos", "side", "key")).distinct()
-    around = materialize(_contexts(asked, docs, prefix, window - 1), "contexts")
-    # One hash per number of words taken beyond the prefix: equal hashes are equal words around equal prefixes.
-    steps = F.sequence(F.lit(1), (F.length("words") / 8).cast("int"))
-    rungs = around.filter(F.length("words") > 0).select("doc_id", "pos", "side", "key", "words", F.explode(steps).alias("steps"))
-    rungs = rungs.select("doc_id", "pos", "side", "steps", F.xxhash64("key", "side", F.substring("words", F.lit(1), F.col("steps") * 8)).alias("rung"))
-    agreed = materialize(rungs.groupBy("rung").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).filter("lo <> hi"), "agreed")
-    reach = rungs.join(agreed, "rung").groupBy("doc_id", "pos", "side").agg(F.max("steps").alias("all"), F.max(F.when(F.col("lo") < F.col("doc_id"), F.col("steps"))).alias("older"))
-    reach = materialize(reach, "reach")
-
-    def step(side: int) -> DataFrame:
-        return reach.filter(F.col("side") == side).select("doc_id", F.col("pos").alias(f"p{side}"), F.struct("all", "older").alias(f"e{side}"))
-
-    by = runs.withColumn("p0", F.col("first.pos")).withColumn("p1", F.col("last.pos")).join(step(0), ["doc_id", "p0"], "left").join(step(1), ["doc_id", "p1"], "left")
-    grow = lambda e: F.coalesce(F.when(F.col("kind") == 0, F.col(f"{e}.all")).otherwise(F.col(f"{e}.older")), F.lit(0))
-    spans = by.select("doc_id", "kind", (F.col("p0") - grow("e0")).alias("start"), (F.col("p1") + prefix + grow("e1")).alias("stop"))
+    stretches = materialize(hits.groupBy("key", "stretch", "n").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi"), F.min(F.struct("doc_id", "start")).alias("at")), "stretches")
+    several = materialize(stretches.groupBy("key").agg(F.count("*").alias("k")).filter("k > 1").select("key"), "several")
+    single = stretches.join(several, "key", "left_anti").select("stretch", F.lit(0).alias("i"), "n", "lo", "hi")
+    passages = materialize(_passages(stretches.join(several, "key", "left_semi"), docs, least), "passages")
+    agreed = materialize(passages.groupBy("passage").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi")).filter("lo <> hi"), "agreed")
+    # Neighbouring passages of a stretch with the same documents are one range.
+    found = passages.select("stretch", "i", "passage").join(agreed, "passage").groupBy("stretch", "lo", "hi").agg(F.sort_array(F.collect_set("i")).alias("at"))
+    numbered = found.select("stretch", "lo", "hi", F.posexplode("at").alias("k", "i"))
+    ranges = numbered.groupBy("stretch", "lo", "hi", (F.col("i") - F.col("k")).alias("g")).agg(F.min("i").alias("i"), F.count("*").cast("int").alias("n")).drop("g")
+    parts = materialize(single.unionByName(ranges), "parts").groupBy("stretch").agg(F.collect_list(F.struct("i", "n", "lo", "hi")).alias("parts"))
+    parts = materialize(parts, "ranges")
+    places = hits.select("stretch", "doc_id", "start").join(parts, "stretch").select("doc_id", "start", F.explode("parts").alias("p"))
+    spans = places.select("doc_id", (F.col("start") + F.col("p.i")).alias("start"), (F.col("start") + F.col("p.i") + F.col("p.n") + F.lit(least - 1)).alias("stop"), (F.col("p.lo") < F.col("doc_id")).cast("int").alias("kind"))
 
     def merge(it):
         for b in it:
@@ -147,12 +131,12 @@ def repeated_passages(docs: DataFrame, least: int = LEAST, window: int = WINDOW,
             for doc_id, all_ in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
                 out: list[list[dict]] = [[], []]
                 for s in sorted(all_, key=lambda x: (x["start"], x["stop"])):
-                    held = out[s["kind"]]
-                    if held and s["start"] <= held[-1]["stop"]:
-                        held[-1]["stop"] = max(held[-1]["stop"], s["stop"])
-                    else:
-                        held.append({"start": s["start"], "stop": s["stop"]})
-                repeats, later = ([s for s in k if s["stop"] - s["start"] >= least] for k in out)
+                    for held in out[: 1 + s["kind"]]:
+                        if held and s["start"] <= held[-1]["stop"]:
+                            held[-1]["stop"] = max(held[-1]["stop"], s["stop"])
+                        else:
+                            held.append({"start": s["start"], "stop": s["stop"]})
+                repeats, later = out
                 if repeats:
                     rows.append((doc_id, repeats, later, *(sum(s["stop"] - s["start"] for s in k) for k in (repeats, later))))
             span = pa.list_(pa.struct([("start", pa.int32()), ("stop", pa.int32())]))

@@ -485,3 +485,22 @@ def test_short_lines_have_classes_by_equality(spark):
         (3, 0): (0, 1, 1), (3, 1): (0, 0, 0), (3, 2): (0, 4, 0), (3, 3): (3, 3, 0), (4, 0): (0, 0, 0),
     }
     assert {r.doc_id: r.text for r in lines.drop_lines(df, classes).collect()} == {0: texts[0], 1: "yes.\nfirst　\n" + " " * 40, 2: None, 3: "odd"}
+
+
+def test_repeated_passages_of_edited_copies_equal_brute_force(spark):
+    rng = random.Random(11)
+    texts = []
+    for g in range(4):
+        base = [f"g{g}w{rng.randrange(400)}" for _ in range(500)]
+        for _ in range(15):
+            texts.append(" ".join(f"x{rng.random()}" if rng.random() < 1 / 40 else w for w in base))
+    got = {r.doc_id: r for r in suffixes.repeated_passages(docs(spark, texts)).collect()}
+    words = lambda spans: {i for s in spans for i in range(s.start, s.stop)}
+    whole = covers(texts, 50)
+    assert {d: words(r.repeats) for d, r in got.items()} == {d: x for d, x in whole.items() if x}
+    w, first, older = [t.split() for t in texts], {}, defaultdict(set)
+    for d, x in enumerate(w):
+        for i in range(len(x) - 49):
+            if first.setdefault(tuple(x[i : i + 50]), d) < d:
+                older[d] |= set(range(i, i + 50))
+    assert {d: words(r.later) for d, r in got.items() if r.later} == older
