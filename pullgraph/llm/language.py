@@ -244,16 +244,22 @@ def predict(docs: DataFrame, net: Network) -> DataFrame:
     return arrow_map(documents_of(docs), run, "doc_id long, lang_pred string, score double")
 
 
-#: A document is rejected if no language was found or its pooled probability is below this.
-MIN_SCORE = 0.28
+#: A document is rejected if no language was found or its pooled probability is no more than this part of the way from
+#: what an even guess among the learned labels has to 1.
+MARGIN = 0.04
 
 
-def keep_identified(docs: DataFrame, net: Network, min_score: float = MIN_SCORE) -> DataFrame:
+def least_score(labels: int, margin: float = MARGIN) -> float:
+    """Smallest pooled probability that identifies one of so many labels; with one label any text with a letter has it."""
+    return 1 / labels + margin * (1 - 1 / labels) - 1e-6 if labels else 1.0
+
+
+def keep_identified(docs: DataFrame, net: Network, margin: float = MARGIN) -> DataFrame:
     """docs whose language was identified, all columns as they were but for a null lang, which is filled in.
 
     One pass over the rows, no shuffle; texts are judged whole.  Nulls and texts without a letter are rejected.
     """
-    names = docs.columns
+    names, min_score = docs.columns, least_score(len(net.labels), margin)
 
     def run(it):
         reader = Reader(net)

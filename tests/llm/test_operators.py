@@ -504,3 +504,11 @@ def test_repeated_passages_of_edited_copies_equal_brute_force(spark):
             if first.setdefault(tuple(x[i : i + 50]), d) < d:
                 older[d] |= set(range(i, i + 50))
     assert {d: words(r.later) for d, r in got.items() if r.later} == older
+
+
+def test_least_score_follows_the_number_of_languages():
+    assert abs(language.least_score(4) - 0.28) < 1e-5 and language.least_score(1) < 1
+    for n in (2, 4, 20, 100):
+        assert 1 / n < language.least_score(n), "junk that looks like every language alike is rejected"
+    for n in (20, 100):
+        assert language.least_score(n) < 0.25, "a clean text in four languages is kept"
