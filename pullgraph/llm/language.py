@@ -6,8 +6,8 @@ mark on either side: no state passes a boundary, so a word has the same labels w
 each distinct word once and keeps the sums in a bounded table.  The mean over a document is still taken
 over every position of its whole text.
 
-Training is backpropagation through time with Adam on a bounded sample of labelled documents: TRAIN_DOCUMENTS rows
-with the smallest hash, TRAIN_WORDS words in all.  Its cost does not depend on the size of the corpus.
+Training is backpropagation through time with Adam on a bounded sample of labelled documents: TRAIN_DOCUMENTS rows,
+shared out evenly among the languages, with the smallest hashes of each, and TRAIN_WORDS words likewise.  Its cost does not depend on the size of the corpus.
 """
 
 from __future__ import annotations
@@ -18,7 +18,7 @@ from itertools import islice
 import numpy as np
 import pyarrow as pa
 import regex
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import arrow_map, batches, documents_of, table
@@ -205,23 +205,39 @@ class Reader:
         return labels, scores
 
 
+def level(counts: list[int], most: int) -> int:
+    """Largest number, 1 at least, that each of the groups can give, or all it has, with no more than `most` in all."""
+    low, high = 1, max([1, *counts])
+    while low < high:
+        mid = (low + high + 1) // 2
+        low, high = (mid, high) if sum(min(c, mid) for c in counts) <= most else (low, mid - 1)
+    return low
+
+
 def fit(labelled: DataFrame, documents: int = TRAIN_DOCUMENTS, words: int = TRAIN_WORDS, steps: int = STEPS) -> Network:
-    """Train on (doc_id, text, lang) rows: a bounded sample with the smallest hashes, ties by doc_id.
+    """Train on (doc_id, text, lang) rows: a bounded sample with the smallest hashes of each lang, ties by doc_id.
 
     Rows with a null text or lang are no examples.  No examples: a network without labels, which answers `und`.
     """
     pick = labelled.filter(F.col("text").isNotNull() & F.col("lang").isNotNull()).select("doc_id", "text", "lang", F.xxhash64("doc_id").alias("h"))
     # The text stays out of the sort; only the chosen rows bring theirs, cut to words before they leave the executors.
-    ids = pick.select("h", "doc_id").orderBy("h", "doc_id").limit(documents)
+    # Each task passes on its first rows of every lang alone.
+    counts = [r["count"] for r in pick.groupBy("lang").count().collect()]
+    place = F.row_number().over(Window.partitionBy("lang").orderBy("h", "doc_id"))
+    ids = pick.select("h", "doc_id", "lang").withColumn("place", place).filter(F.col("place") <= level(counts, documents))
+    documents = max(documents, len(counts))
     cut = F.regexp_extract_all(F.lower("text"), F.lit(r"([\p{L}\p{M}'’]+)"), 1)
     every = F.greatest(F.lit(1), F.floor(F.size("w") / F.lit(WORDS_PER_DOCUMENT)))
     some = F.slice(F.filter("w", lambda _, i: i % F.col("every") == 0), 1, WORDS_PER_DOCUMENT)
-    rows = pick.join(F.broadcast(ids.select("doc_id").distinct()), "doc_id", "left_semi").select("h", "doc_id", "lang", cut.alias("w")).withColumn("every", every).select("h", "doc_id", "lang", some.alias("w")).orderBy("h", "doc_id").limit(documents).collect()
+    rows = pick.join(F.broadcast(ids.select("doc_id", "lang").distinct()), ["doc_id", "lang"], "left_semi").select("h", "doc_id", "lang", cut.alias("w")).withColumn("every", every).select("h", "doc_id", "lang", some.alias("w")).orderBy("h", "doc_id").limit(documents).collect()
     labels = sorted({r["lang"] for r in rows if r["w"]})
     net = Network.fresh(labels)
     examples = [(s, labels.index(r["lang"])) for r in rows for w in r["w"] for s in segments(w)]
     if len(examples) > words:
-        keep = np.random.default_rng(5).permutation(len(examples))[:words]
+        label = np.array([k for _, k in examples])
+        shuffled = np.random.default_rng(5).permutation(len(examples))
+        share = level(np.bincount(label).tolist(), words)
+        keep = np.concatenate([shuffled[label[shuffled] == k][:share] for k in range(len(labels))])
         examples = [examples[i] for i in sorted(keep)]
     if labels:
         net.train([w for w, _ in examples], np.array([k for _, k in examples]), steps)

@@ -512,3 +512,12 @@ def test_least_score_follows_the_number_of_languages():
         assert 1 / n < language.least_score(n), "junk that looks like every language alike is rejected"
     for n in (20, 100):
         assert language.least_score(n) < 0.25, "a clean text in four languages is kept"
+
+
+def test_rare_languages_are_learned(spark):
+    rows = [(i, "the cat and the dog", "en") for i in range(300)] + [(i, "кот и собака", "ru") for i in range(300, 303)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    net = language.fit(df, documents=8, words=12, steps=60)
+    assert net.labels == ["en", "ru"]
+    assert {r.lang_pred for r in language.predict(df.filter("doc_id >= 300"), net).collect()} == {"ru"}
+    assert language.level([10, 2, 1], 9) == 6 and language.level([5, 5], 1) == 1 and language.level([], 3) == 1
