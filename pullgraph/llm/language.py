@@ -1,10 +1,11 @@
 """Language identification with a bidirectional gated recurrent network over bytes, in numpy.
 
 The network reads the bytes of a segment forwards and backwards, and a softmax over both hidden states labels every
-byte position.  A document's probabilities are the mean over all its positions.  Segments are words with a boundary
-mark on either side: no state passes a boundary, so a word has the same labels wherever it stands, and a worker scores
-each distinct word once and keeps the sums in a bounded table.  The mean over a document is still taken
-over every position of its whole text.
+byte position of a segment.  Segments are words of letters with a boundary mark on either side, cut after SEGMENT bytes;
+digits, signs and white space are not read.  No state passes a boundary, so a word has the same labels wherever it
+stands, and a worker scores each distinct word once and keeps the sums in a bounded table.  A document's probabilities
+are the mean over all positions of all its words, boundary marks included: word sums weighted by how often each stands
+in the whole text, without context across words.
 
 Training is backpropagation through time with Adam on a bounded sample of labelled documents: TRAIN_DOCUMENTS rows,
 shared out evenly among the languages, with the smallest hashes of each, and TRAIN_WORDS words likewise.  Its cost does not depend on the size of the corpus.
