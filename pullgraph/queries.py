@@ -53,7 +53,7 @@ def distances(values: DataFrame) -> DataFrame:
 
 
 def _changed(spark: SparkSession, d: str, g: str) -> DataFrame:
-    return _keep("changes", spark, d, g, lambda: workloads.changes(graph(spark, d, g), programs.sssp(0), 40))
+    return _keep("changes", spark, d, g, lambda: workloads.changes(graph(spark, d, g), programs.sssp(0)))
 
 
 def _active(spark: SparkSession, d: str, g: str, mode: str) -> DataFrame:

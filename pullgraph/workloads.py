@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from functools import reduce
+from itertools import count
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
@@ -28,13 +29,13 @@ def datasets(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("trade"
     return reduce(DataFrame.unionByName, parts)
 
 
-def changes(g: Graph, program: VertexProgram, steps: int) -> DataFrame:
-    """(superstep, id): which vertices changed in which superstep, until none does or `steps` are done."""
+def changes(g: Graph, program: VertexProgram, steps: int | None = None) -> DataFrame:
+    """(superstep, id): which vertices changed in which superstep, until none does or `steps`, if given, are done."""
     n = g.n_vertices
     rows = materialize(relational.augmented(g, program), "augmented")
     state = g.vertices.select("id", program.init(F.col("id"), n).alias("value"), F.lit(True).alias("changed"))
     out = []
-    for k in range(1, steps + 1):
+    for k in count(1) if steps is None else range(1, steps + 1):
         state = materialize(relational.step(rows, state, program, n), "state")
         moved = state.filter("changed").select(F.lit(k).alias("superstep"), "id")
         if not moved.limit(1).count():
@@ -152,4 +153,4 @@ def load_rates(spark: SparkSession) -> DataFrame:
     return spark.createDataFrame([(c, *model.load_rate(22, s).values()) for c, s in speeds.items()], "codec string, decode_mb_s double, disk_mb_s double, ratio double")
 
 
-__all__ = [n for n in dir() if not n.startswith("_") and n not in {"annotations", "reduce", "MODES"}]
+__all__ = [n for n in dir() if not n.startswith("_") and n not in {"annotations", "count", "reduce", "MODES"}]

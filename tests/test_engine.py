@@ -1,7 +1,7 @@
 import numpy as np
 import pytest
 
-from pullgraph import graphs, programs
+from pullgraph import graphs, programs, queries, workloads
 from pullgraph.baselines.engines import ENGINES
 from pullgraph.costs import meters
 from pullgraph.engine import cache, exchange, relational, skip, tilepath
@@ -107,6 +107,16 @@ def test_a_chain_needs_one_superstep_per_hop(spark):
     assert r.supersteps == 6 and [e["changed"] for e in r.log] == [1, 1, 1, 1, 1, 0]
 
 
+def test_the_change_log_runs_to_its_fixed_point(spark, monkeypatch):
+    chain = of_rows(spark, [(i, i + 1, 1) for i in range(4)], 5)
+    asked, made = [], workloads.changes
+    monkeypatch.setattr(workloads, "changes", lambda g, p, *steps: asked.append(steps) or made(g, p, *steps))
+    monkeypatch.setattr(queries, "graph", lambda *_: chain)
+    monkeypatch.setattr(queries, "_KEPT", {})
+    got = sorted((r.superstep, r.id) for r in queries._changed(spark, "none", "chain").collect())
+    assert asked == [()] and got == [(k, k) for k in range(1, 5)]
+
+
 def test_two_runs_are_identical(skew):
     a, b = (values(tilepath.run(skew, programs.pagerank(), StopRule(8))) for _ in range(2))
     assert (a == b).all()
