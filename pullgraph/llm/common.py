@@ -1,4 +1,4 @@
-"""Shared pieces of the text operators: table access, Arrow plumbing and vectorised word hashing."""
+"""Shared pieces of the text operators: table access, Arrow plumbing, and identities of words and runs of words."""
 
 from __future__ import annotations
 
@@ -6,6 +6,7 @@ import contextlib
 import ctypes
 import gc
 from collections.abc import Callable, Iterator
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
@@ -27,8 +28,9 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-#: Rows of a side that may be broadcast; they are counted first, and beyond this both sides are shuffled.
-SMALL_ROWS = 100_000
+#: What a side may hold that is broadcast, counted first: rows, and elements of its lists (32 bytes each at most).  Beyond
+#: either, both sides are shuffled.
+SMALL_ROWS, SMALL_ELEMENTS = 100_000, 1_000_000
 
 
 def _give_back() -> None:
@@ -52,9 +54,11 @@ def arrow_map(df: DataFrame, fn: Callable, schema: str) -> DataFrame:
     return df.mapInArrow(run, schema)
 
 
-def join_texts(docs: DataFrame, asked: DataFrame) -> DataFrame:
-    """docs with the columns of asked (one row per doc_id): few counted rows go to the texts, many meet them in a shuffle."""
-    few = asked.count() <= SMALL_ROWS
+def join_texts(docs: DataFrame, asked: DataFrame, lists: str) -> DataFrame:
+    """docs with the columns of asked (one row per doc_id, with one column of lists): few rows with few list elements, both
+    counted, go to the texts; otherwise the two meet in a shuffle."""
+    rows, elements = asked.agg(F.count("*"), F.coalesce(F.sum(F.size(lists)), F.lit(0))).first()
+    few = rows <= SMALL_ROWS and elements <= SMALL_ELEMENTS
     return docs.join(asked.hint("broadcast" if few else "shuffle_hash"), "doc_id")
 
 
@@ -106,7 +110,11 @@ POWERS = Powers()
 
 
 def prefix_hash(values: np.ndarray) -> np.ndarray:
-    """P with P[i] = sum of values[j] * base**j for j < i, so that any slice has a hash in constant time."""
+    """P with P[i] = sum of values[j] * base**j for j < i, so that any slice has a key in constant time.
+
+    Equal slices have equal keys, but patterns exist for which different ones have too: for finding candidates alone,
+    never for telling things apart.
+    """
     up, _ = POWERS.need(len(values) + 1)
     out = np.zeros(len(values) + 1, U64)
     with np.errstate(over="ignore"):
@@ -115,18 +123,92 @@ def prefix_hash(values: np.ndarray) -> np.ndarray:
 
 
 def slice_hash(prefix: np.ndarray, start: np.ndarray, stop: np.ndarray) -> np.ndarray:
-    """Hash of values[start:stop], the same wherever the slice stands."""
+    """Key of values[start:stop], the same wherever the slice stands."""
     _, down = POWERS.need(len(prefix))
     with np.errstate(over="ignore"):
         return mix((prefix[stop] - prefix[start]) * down[start] + (stop - start).astype(U64) * U64(0xD6E8FEB86659FD93))
 
 
+#: Odd factors and a start value for each of the two lanes of a slice's identity.
+_LANES = ((0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x27D4EB2F165667C5), (0xD6E8FEB86659FD93, 0xA0761D6478BD642F, 0xE7037ED1A0B428DB))
+_EIGHTS = np.array([(1 << (8 * k)) - 1 for k in range(8)] + [(1 << 64) - 1], U64)
+
+
+def slice_identity(data: np.ndarray, start: np.ndarray, stop: np.ndarray, lane: int = 0) -> np.ndarray:
+    """64 bits for each byte slice, from eight bytes at a time with a non-linear step between them.
+
+    Slices of eight bytes or less never share a value unless their lengths differ; longer ones do so by chance alone, once
+    in 2**64 pairs.  The two lanes are independent of each other and together make 128 bits.
+    """
+    a, b, seed = (U64(x) for x in _LANES[lane])
+    n = stop - start
+    wide = np.concatenate([data, np.zeros(8, np.uint8)])
+    eight = np.ndarray((len(data) + 1,), "<u8", wide, strides=(1,))
+    with np.errstate(over="ignore"):
+        out = mix(n.astype(U64) * a + seed)
+        todo, at = np.flatnonzero(n > 0), 0
+        while len(todo):
+            x = eight[start[todo] + at] & _EIGHTS[np.minimum(n[todo] - at, 8)]
+            out[todo] = mix((out[todo] ^ (x * b)) + a)
+            at += 8
+            todo = todo[n[todo] > at]
+    return out
+
+
+def numbered(data: np.ndarray, start: np.ndarray, stop: np.ndarray) -> tuple[np.ndarray, pa.Array]:
+    """(number of each slice among the distinct ones, those as bytes): told apart by their bytes.  Slices ascend, do not
+    overlap and are not empty."""
+    edge = np.zeros(len(data) + 1, np.int8)
+    edge[start] = 1
+    edge[stop] -= 1
+    offsets = np.concatenate([[0], np.cumsum(stop - start)]).astype(np.int64)
+    body = data[np.cumsum(edge[:-1], dtype=np.int8) > 0] if len(data) else data
+    found = pa.Array.from_buffers(pa.large_binary(), len(start), [None, pa.py_buffer(offsets), pa.py_buffer(np.ascontiguousarray(body))]).dictionary_encode()
+    return found.indices.to_numpy(zero_copy_only=False).astype(np.int64), found.dictionary
+
+
+class Runs:
+    """Identities of runs of neighbouring values, 64 bits each, whatever their length.
+
+    Level k has one value for the 2**k values from each place, made from two of the level below by a step that is not
+    linear; a run of any length is two overlapping runs of a level and its length.  So equal runs have equal identities
+    wherever they stand, and no pattern of repeated values makes different ones collide.
+    """
+
+    def __init__(self, values: np.ndarray) -> None:
+        self.levels = [values.astype(U64)]
+
+    @staticmethod
+    def _join(x: np.ndarray, y: np.ndarray, size: np.ndarray | int) -> np.ndarray:
+        with np.errstate(over="ignore"):
+            return mix(mix(x + U64(0x9E3779B97F4A7C15) * np.asarray(size).astype(U64)) * U64(0xC2B2AE3D27D4EB4F) + (y ^ (y >> U64(29))))
+
+    def _level(self, k: int) -> np.ndarray:
+        while len(self.levels) <= k:
+            low, half = self.levels[-1], 1 << (len(self.levels) - 1)
+            self.levels.append(self._join(low[: max(len(low) - half, 0)], low[half:], 2 * half))
+        return self.levels[k]
+
+    def of(self, start: np.ndarray, size: np.ndarray | int) -> np.ndarray:
+        """Identities of the runs of size values from each start, which must lie inside."""
+        size = np.broadcast_to(np.asarray(size, np.int64), start.shape)
+        out = np.zeros(len(start), U64)
+        if not len(start):
+            return out
+        level = np.frexp(size.astype(float))[1] - 1
+        for k in np.unique(level).tolist():
+            pick = np.flatnonzero(level == k)
+            row, s, n = self._level(k), start[pick], size[pick]
+            out[pick] = self._join(row[s], row[s + n - (1 << k)], n)
+        return out
+
+
 class Words:
     """Words `[^\\x20\\x09-\\x0D]+` of a batch of texts, laid end to end.
 
     data: the UTF-8 bytes of all texts, each followed by one line feed; start/stop: byte bounds of each word; first:
-    index of each text's first word, with the total at the end; base: byte offset of each text, likewise; hash: one
-    64-bit hash per word.
+    index of each text's first word, with the total at the end; base: byte offset of each text, likewise; hash and hash2:
+    the two lanes of each word's identity.
     """
 
     def __init__(self, texts: list[str | None], lower_ascii: bool = False) -> None:
@@ -142,4 +224,16 @@ class Words:
         self.start, self.stop = edge[0::2], edge[1::2]
         self.first = np.searchsorted(self.start, self.base)
         self.n = np.diff(self.first)
-        self.hash = slice_hash(prefix_hash(data.astype(U64) + U64(1)), self.start, self.stop) if len(self.start) else np.zeros(0, U64)
+
+    @cached_property
+    def hash(self) -> np.ndarray:
+        return slice_identity(self.data, self.start, self.stop, 0)
+
+    @cached_property
+    def hash2(self) -> np.ndarray:
+        return slice_identity(self.data, self.start, self.stop, 1)
+
+    @cached_property
+    def number(self) -> np.ndarray:
+        """Number of each word among the distinct words of the batch, by its bytes."""
+        return numbered(self.data, self.start, self.stop)[0]

@@ -1,23 +1,27 @@
 """Line dedup by equality, and by a segment-partition edit join.
 
-Lines of any length that are equal are copies.  Two lines are near copies if their edit distance in code points is `edits` or less and both have `shortest` code points
-or more.  Such a pair shares one of edits + 1 segments: the shorter line's segments are indexed by (length, number,
-text), and the longer line probes that index with the substrings that could match, at the few starts that the length
-difference allows.  Keys are hashes, made for all lines of a batch from prefix hashes without cutting a string.  The
-candidates that a parity sketch of neighbouring signs does not rule out are verified with banded bit-parallel edit
-distance, many pairs side by side.
-
-Plan: equal lines become one before anything is indexed (an aggregate with map-side combining), so a line that stands
-in a third of all documents has the index rows of one line.  Index and probes meet in an equi join on the key that
-adaptive execution can split; pairs of a key that the sketch rules out never leave the join.  Classes are connected
-components of the links.
+Lines of any length that are equal are copies; a line is told apart by 128 bits of BLAKE2.  Two lines are near copies if
+their edit distance in code points is `edits` or less and both have `shortest` code points or more: the method needs
+segments long enough to tell lines apart.  Such a pair shares one of edits + 1 segments: the shorter line's segments are
+indexed by (length, number, text), and the longer line probes that index with the substrings that could match, at the few
+starts that the length difference allows.  Keys are hashes, made for all lines of a batch from prefix sums without
+cutting a string.  The candidates that a parity sketch of neighbouring signs does not rule out are verified with banded
+bit-parallel edit distance, many pairs side by side.
+
+Plan: texts are parsed once, into rows of (line, place, sketch, keys); a task makes the keys of a line that repeats once.
+Index and probes meet in an equi join on the key.  A segment that very many lines share is found in a sample of the
+lines, and its members meet in a second join instead, by that segment and one of the parts of their sketch: of lines
+within the distance one part at least is equal, so no pair is lost, and members that differ elsewhere never meet.  Classes
+are connected components of the links.
 """
 
 from __future__ import annotations
 
+import hashlib
+
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..session import materialize, scoped
@@ -26,6 +30,12 @@ from .components import components
 
 EDITS = 2
 SHORTEST = 30
+#: Longs of a sketch.
+WIDE = 4
+#: A segment with about so many lines or more, judged by the lines whose hash is divisible by SAMPLE, is a hot one.
+HOT, SAMPLE = 4096, 64
+#: Lines that a task remembers, so as to make their keys once.
+REMEMBERED = 200_000
 
 
 def segments(length: np.ndarray, edits: int) -> tuple[np.ndarray, np.ndarray]:
@@ -60,11 +70,12 @@ class Lines:
         self.owner = np.repeat(np.arange(len(texts)), per)
         self.number = np.arange(len(self.owner)) - np.repeat(np.cumsum(per) - per, per)
         self.length = self.stop - self.start
-        self.hash = slice_hash(self.prefix, self.start, self.stop)
-        up = mix(self.hash ^ U64(0xA0761D6478BD642F))
-        with np.errstate(over="ignore"):
-            second = prefix_hash(mix(self.code.astype(U64) * U64(2654435761)))
-            self.hash2 = slice_hash(second, self.start, self.stop) ^ up
+        self.text = joined[:-1].split("\n") if texts else []
+
+    def identity(self, pick: np.ndarray) -> np.ndarray:
+        """(line x 2) 64 bits each."""
+        raw = b"".join([hashlib.blake2b(self.text[i].encode("utf-8", "surrogatepass"), digest_size=16).digest() for i in pick.tolist()])
+        return np.frombuffer(raw, "<i8").reshape(-1, 2)
 
     def spoken(self) -> np.ndarray:
         """Whether each line holds a word."""
@@ -73,15 +84,20 @@ class Lines:
         return seen[self.stop] > seen[self.start]
 
     def sketch(self, pick: np.ndarray) -> np.ndarray:
-        """64 parities of neighbouring sign pairs; one edit flips four bits at most."""
+        """(line x WIDE) parities of neighbouring sign pairs; one edit flips four bits at most."""
         code = self.code.astype(U64)
         with np.errstate(over="ignore"):
-            bit = mix(code[:-1] * U64(0x9E3779B97F4A7C15) + code[1:] * U64(0xC2B2AE3D27D4EB4F)) & U64(63)
-        flips = np.concatenate([np.zeros(1, U64), np.bitwise_xor.accumulate(U64(1) << bit)])
-        return flips[np.maximum(self.stop[pick] - 1, self.start[pick])] ^ flips[self.start[pick]]
+            bit = mix(code[:-1] * U64(0x9E3779B97F4A7C15) + code[1:] * U64(0xC2B2AE3D27D4EB4F))
+        one, word = U64(1) << (bit & U64(63)), (bit >> U64(6)) & U64(WIDE - 1)
+        first, last = self.start[pick], np.maximum(self.stop[pick] - 1, self.start[pick])
+        out = np.empty((len(pick), WIDE), np.int64)
+        for k in range(WIDE):
+            flips = np.concatenate([np.zeros(1, U64), np.bitwise_xor.accumulate(np.where(word == U64(k), one, U64(0)))])
+            out[:, k] = (flips[last] ^ flips[first]).view(np.int64)
+        return out
 
-    def keys(self, pick: np.ndarray, edits: int) -> tuple[np.ndarray, np.ndarray]:
-        """(index keys, probe keys) per picked line.
+    def keys(self, pick: np.ndarray, edits: int) -> np.ndarray:
+        """Keys per picked line: first the edits + 1 of the index, then the probes.
 
         Probes of a line for lines of its own length at its own segments are its index keys; they are not repeated.
         """
@@ -100,49 +116,48 @@ class Lines:
                     if differ == 0 and shift == 0:
                         index.append(key)
                     else:
-                        # A start outside the line gets a key of its own that no index row has.
-                        probe.append(np.where(inside, key, mix(key ^ self.hash[pick])))
-        return np.stack(index, axis=1), np.stack(probe, axis=1) if probe else np.zeros((len(pick), 0), U64)
-
+                        # A start outside the line gets a key of its place alone, at best no candidate.
+                        probe.append(np.where(inside, key, mix(key + s.astype(U64))))
+        return np.stack(index + probe, axis=1)
 
-def line_rows(docs: DataFrame, shortest: int | None) -> DataFrame:
-    """(h1, h2, doc_id, line_no) of all lines of `shortest` signs or more, None: of all with a word; two hashes stand for
-    the text."""
 
-    def run(it):
-        for b in batches(it, 1 << 20):
-            x = Lines(b.column(1).to_pylist())
-            pick = np.flatnonzero(x.spoken() if shortest is None else x.length >= shortest)
-            ids = np.array([-1 if v is None else v for v in b.column(0).to_pylist()], np.int64)
-            yield pa.RecordBatch.from_arrays(
-                [pa.array(x.hash[pick].view(np.int64)), pa.array(x.hash2[pick].view(np.int64)), pa.array(ids[x.owner[pick]]), pa.array(x.number[pick].astype(np.int32))],
-                ["h1", "h2", "doc_id", "line_no"],
-            )
+ROWS = "h1 long, h2 long, doc_id long, line_no int, sketch array<long>, keys array<long>"
 
-    return arrow_map(docs.filter("doc_id IS NOT NULL"), run, "h1 long, h2 long, doc_id long, line_no int")
 
+def line_rows(docs: DataFrame, edits: int, shortest: int, all_lengths: bool) -> DataFrame:
+    """(h1, h2, doc_id, line_no, sketch, keys) of all lines with a word, or of those with `shortest` signs or more.
 
-def line_keys(docs: DataFrame, edits: int, shortest: int) -> DataFrame:
-    """(h1, h2, sketch, index array, probes array) of the distinct lines of `shortest` signs or more."""
+    sketch and keys are null for shorter lines and for those that the task has met before.
+    """
 
     def run(it):
+        seen: set[bytes] = set()
         for b in batches(it, 1 << 20):
-            x = Lines(b.column(0).to_pylist())
-            pick = np.flatnonzero(x.length >= shortest)
-            pick = pick[np.unique(x.hash[pick], return_index=True)[1]]
-            index, probe = x.keys(pick, edits)
-            yield pa.RecordBatch.from_arrays(
-                [pa.array(x.hash[pick].view(np.int64)), pa.array(x.hash2[pick].view(np.int64)), pa.array(x.sketch(pick).view(np.int64)), _nested(index), _nested(probe)],
-                ["h1", "h2", "sketch", "index", "probes"],
-            )
-
-    rows = arrow_map(docs.filter("doc_id IS NOT NULL").select("text"), run, "h1 long, h2 long, sketch long, index array<long>, probes array<long>")
-    return rows.dropDuplicates(["h1", "h2"])
-
-
-def _nested(keys: np.ndarray) -> pa.Array:
-    n, k = keys.shape
-    return pa.ListArray.from_arrays(pa.array(np.arange(n + 1, dtype=np.int32) * k), pa.array(np.ascontiguousarray(keys).view(np.int64).ravel()))
+            x = Lines(b.column(1).to_pylist())
+            pick = np.flatnonzero(x.spoken() if all_lengths else x.length >= shortest)
+            ids = np.array([-1 if v is None else v for v in b.column(0).to_pylist()], np.int64)
+            name = x.identity(pick)
+            first = np.zeros(len(pick), bool)
+            raw = name.tobytes()
+            for i in np.flatnonzero(x.length[pick] >= shortest).tolist():
+                h = raw[16 * i : 16 * i + 16]
+                if h not in seen:
+                    seen.add(h)
+                    first[i] = True
+            if len(seen) > REMEMBERED:
+                seen.clear()
+            keyed = pick[first]
+            cols = [pa.array(name[:, 0].copy()), pa.array(name[:, 1].copy()), pa.array(ids[x.owner[pick]]), pa.array(x.number[pick].astype(np.int32))]
+            cols += [_nested(v, first) for v in (x.sketch(keyed), x.keys(keyed, edits).view(np.int64))]
+            yield pa.RecordBatch.from_arrays(cols, ["h1", "h2", "doc_id", "line_no", "sketch", "keys"])
+
+    return arrow_map(docs.filter("doc_id IS NOT NULL"), run, ROWS)
+
+
+def _nested(values: np.ndarray, there: np.ndarray) -> pa.Array:
+    """Lists of equal length where `there`, null elsewhere."""
+    offsets = np.concatenate([[0], np.cumsum(there)]).astype(np.int32) * values.shape[1]
+    return pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.ascontiguousarray(values).ravel()), mask=pa.array(~there))
 
 
 #: Signs, padding included, that are compared side by side; a longer pair goes alone.
@@ -230,7 +245,7 @@ def similar_lines(docs: DataFrame, edits: int = EDITS, shortest: int = SHORTEST)
     Rows without doc_id take no part; rows that repeat repeat the result; extra columns are dropped; an empty table gives
     no rows.
     """
-    return _classes(docs, edits, shortest, shortest)
+    return _classes(docs, edits, shortest, False)
 
 
 @scoped
@@ -239,37 +254,95 @@ def line_classes(docs: DataFrame, edits: int = EDITS, shortest: int = SHORTEST)
 
     Lines under `shortest` signs are in a class with their equals alone, without links; lines without a word have no row.
     """
-    return _classes(docs, edits, shortest, None)
+    return _classes(docs, edits, shortest, True)
 
 
-def _classes(docs: DataFrame, edits: int, shortest: int, rows_from: int | None) -> DataFrame:
-    docs = documents_of(docs)
-    keys = line_keys(docs, edits, shortest)
-    index = keys.select(F.explode("index").alias("key"), F.col("h1").alias("a"), F.col("sketch").alias("sa"))
-    probes = keys.select(F.explode("probes").alias("key"), F.col("h1").alias("b"), F.col("sketch").alias("sb"))
-    same = index.select("key", F.col("a").alias("b"), F.col("sa").alias("sb"))
+def _candidates(rows: DataFrame, edits: int) -> DataFrame:
+    """(a, b), a < b: lines (h1) that share a segment and whose sketches allow the distance."""
+    parts = edits + 1
+    keyed = rows.filter("keys IS NOT NULL")
+    hot = keyed.filter(F.col("h1") % SAMPLE == 0).select(F.explode("keys").alias("key")).groupBy("key").count()
+    # Written, so that its size is known: Spark broadcasts it only below its own limit of bytes.
+    hot = materialize(hot.filter(F.col("count") >= HOT // SAMPLE).select("key"), "hot")
+    fold = F.col("sketch")[0].bitwiseXOR(F.col("sketch")[1]).bitwiseXOR(F.col("sketch")[2]).bitwiseXOR(F.col("sketch")[3])
     near = F.bit_count(F.col("sa").bitwiseXOR(F.col("sb"))) <= 4 * edits
-    found = index.join(probes, "key").filter(near & (F.col("a") != F.col("b"))).select("a", "b")
-    level = index.join(same, "key").filter(near & (F.col("a") < F.col("b"))).select("a", "b")
-    pairs = materialize(found.unionByName(level).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "candidates")
-    rows = materialize(line_rows(docs, rows_from), "lines")
+
+    def side(keys: Column, line: str, sketch: str) -> DataFrame:
+        exploded = keyed.select(F.explode(keys).alias("key"), F.col("h1").alias(line), fold.alias(sketch)).join(hot, "key", "left_anti")
+        # Tasks may have made the keys of one line more than once.
+        return exploded.repartition("key").dropDuplicates(["key", line])
+
+    index = side(F.slice("keys", 1, parts), "a", "sa")
+    probes = side(F.slice("keys", parts + 1, F.size("keys")), "b", "sb")
+    same = index.select("key", F.col("a").alias("b"), F.col("sa").alias("sb"))
+    found = index.join(probes, "key").filter(near & (F.col("a") != F.col("b")))
+    level = index.join(same, "key").filter(near & (F.col("a") < F.col("b")))
+    pairs = found.select("a", "b").unionByName(level.select("a", "b"))
+    if hot.limit(1).count():
+        pairs = pairs.unionByName(_hot_candidates(keyed, hot, edits))
+    return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+
+
+def _hot_candidates(keyed: DataFrame, hot: DataFrame, edits: int) -> DataFrame:
+    """(a, b): members of hot segments that also share a part of the sketch.
+
+    The sketches of a pair within the distance differ in 4 * edits bits at most, so one of 4 * edits + 1 parts is equal.
+    """
+    n = 4 * edits + 1
+    size = min(64 * WIDE // n, 63)
+
+    def part(j: int) -> Column:
+        word, shift = divmod(j * size, 64)
+        low = F.shiftrightunsigned(F.col("sketch")[word], shift)
+        if shift + size > 64:
+            low = low.bitwiseOR(F.shiftleft(F.col("sketch")[word + 1], 64 - shift))
+        return low.bitwiseAND(F.lit((1 << size) - 1))
+
+    members = keyed.select(F.posexplode("keys").alias("pos", "key"), "h1", "sketch").join(hot, "key")
+    members = members.select("key", (F.col("pos") <= edits).alias("indexed"), "h1", "sketch", F.posexplode(F.array(*[part(j) for j in range(n)])).alias("j", "bits"))
+    rows = materialize(members.dropDuplicates(["key", "j", "bits", "h1", "indexed"]), "members")
+    a = rows.filter("indexed").select("key", "j", "bits", F.col("h1").alias("a"), F.col("sketch").alias("sa"))
+    b = rows.select("key", "j", "bits", F.col("h1").alias("b"), F.col("sketch").alias("sb"), "indexed")
+    differ = sum((F.bit_count(F.col("sa")[i].bitwiseXOR(F.col("sb")[i])) for i in range(WIDE)), F.lit(0))
+    return a.join(b, ["key", "j", "bits"]).filter((differ <= 4 * edits) & F.when(F.col("indexed"), F.col("a") < F.col("b")).otherwise(F.col("a") != F.col("b"))).select("a", "b")
+
+
+def _classes(docs: DataFrame, edits: int, shortest: int, all_lengths: bool) -> DataFrame:
+    docs = documents_of(docs)
+    rows = materialize(line_rows(docs, edits, shortest, all_lengths), "lines")
+    pairs = materialize(_candidates(rows, edits), "candidates")
     first = materialize(rows.groupBy("h1", "h2").agg(F.min(F.struct("doc_id", "line_no")).alias("at")), "firsts")
     links = materialize(_verify(pairs, first, docs, edits), "links")
     label = components(links)
     degree = links.select(F.explode(F.array("a", "b")).alias("at")).groupBy("at").agg(F.count("*").alias("n_links"))
     named = first.join(label.withColumnRenamed("node", "at"), "at", "left").join(degree, "at", "left")
     named = named.select("h1", "h2", F.coalesce("component", "at").alias("class"), F.coalesce("n_links", F.lit(0).cast("long")).alias("n_links"))
-    out = rows.join(named, ["h1", "h2"])
+    named = materialize(named, "named")
+    out = rows.select("h1", "h2", "doc_id", "line_no").join(named, ["h1", "h2"])
     return out.select("doc_id", "line_no", F.col("class.doc_id").alias("class_doc"), F.col("class.line_no").alias("class_line"), "n_links")
 
 
 def _verify(pairs: DataFrame, first: DataFrame, docs: DataFrame, edits: int) -> DataFrame:
     """Links (a, b), each a first occurrence (doc_id, line_no): candidate pairs whose texts are near enough."""
     wanted = first.join(pairs.select(F.explode(F.array("a", "b")).alias("h1")).distinct(), "h1", "left_semi")
-    asked = materialize(wanted.groupBy("at.doc_id").agg(F.collect_list(F.struct("at.line_no", "h1")).alias("want")), "asked")
-    split = join_texts(docs, asked).dropDuplicates(["doc_id"]).select("doc_id", "want", F.split(F.coalesce("text", F.lit("")), "\n", -1).alias("all"))
-    text = split.select("doc_id", F.explode("want").alias("w"), "all").select("w.h1", F.struct("doc_id", "w.line_no").alias("at"), F.col("all")[F.col("w.line_no")].alias("text"))
-    text = materialize(text, "texts")
+    asked = materialize(wanted.groupBy("at.doc_id").agg(F.collect_list(F.struct("at.line_no", "h1", "h2")).alias("want")), "asked")
+
+    def cut(it):
+        # Rows may share a doc_id: a line is the asked one only if its identity is.
+        for batch in it:
+            for b in batches([batch], 1 << 20):
+                x = Lines(b.column(1).to_pylist())
+                begin = np.searchsorted(x.owner, np.arange(b.num_rows + 1))
+                found = [(begin[i] + w["line_no"], w["h1"], w["h2"], w["line_no"], i) for i, ws in enumerate(b.column(2).to_pylist()) for w in ws if begin[i] + w["line_no"] < begin[i + 1]]
+                at = np.array([f[0] for f in found], np.int64)
+                name = x.identity(at)
+                ids = b.column(0).to_pylist()
+                out = [(h1, ids[i], no, x.text[k]) for (k, h1, h2, no, i), n in zip(found, name.tolist(), strict=True) if n == [h1, h2]]
+                cols = list(zip(*out, strict=True)) if out else [[]] * 4
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int32(), pa.string()), strict=True)], ["h1", "doc_id", "line_no", "text"])
+
+    text = arrow_map(join_texts(docs, asked, "want").select("doc_id", "text", "want"), cut, "h1 long, doc_id long, line_no int, text string")
+    text = materialize(text.select("h1", F.struct("doc_id", "line_no").alias("at"), "text").dropDuplicates(["h1", "at"]), "texts")
     side = lambda c: text.select(F.col("h1").alias(c), F.col("at").alias(f"at_{c}"), F.col("text").alias(f"t_{c}"))
     joined = pairs.join(side("a"), "a").join(side("b"), "b").select("at_a", "at_b", "t_a", "t_b")
 
@@ -281,23 +354,38 @@ def _verify(pairs: DataFrame, first: DataFrame, docs: DataFrame, edits: int) ->
                 yield pa.RecordBatch.from_arrays(kept.columns, ["a", "b"])
 
     at = "struct<doc_id:bigint,line_no:int>"
-    return arrow_map(joined, run, f"a {at}, b {at}").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
+    return arrow_map(joined, run, f"a {at}, b {at}").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
 def drop_lines(docs: DataFrame, classes: DataFrame) -> DataFrame:
     """docs without the lines that are not the first of their class; n_chars is set anew, other columns stay.
 
     A document of which no line with a sign other than white space is left is dropped; one that had none from the start,
-    or no text, is kept as it is.
+    or no text or no doc_id, is kept as it is.  Rows that repeat a doc_id all lose the lines of those numbers.  An empty
+    table gives none.
     """
     names = docs.columns
     doomed = classes.filter((F.col("doc_id") != F.col("class_doc")) | (F.col("line_no") != F.col("class_line"))).groupBy(F.col("doc_id").alias("__id")).agg(F.collect_set("line_no").alias("__drop"))
-    marked = docs.join(doomed, docs["doc_id"] == F.col("__id"), "left").withColumn("__all", F.split("text", "\n", -1))
-    kept = F.array_join(F.filter("__all", lambda _, i: ~F.array_contains("__drop", i)), "\n")
-    marked = marked.withColumn("text", F.when(F.col("__drop").isNull(), F.col("text")).otherwise(kept)).filter(F.col("__drop").isNull() | F.col("text").rlike(r"\S"))
-    if "n_chars" in names:
-        marked = marked.withColumn("n_chars", F.when(F.col("__drop").isNull(), F.col("n_chars")).otherwise(F.char_length("text")).cast(docs.schema["n_chars"].dataType))
-    return marked.select(*names)
+    src = docs.join(materialize(doomed, "doomed"), docs["doc_id"] == F.col("__id"), "left").drop("__id")
+
+    def run(it):
+        for batch in it:
+            for b in batches([batch], 1 << 20):
+                texts, out, keep = b.column(b.schema.get_field_index("text")).to_pylist(), [], []
+                drops = b.column(b.num_columns - 1).to_pylist()
+                for t, drop in zip(texts, drops, strict=True):
+                    if drop and t is not None:
+                        gone = set(drop)
+                        t = "\n".join([x for i, x in enumerate(t.split("\n")) if i not in gone])
+                    out.append(t)
+                    keep.append(not drop or bool(t and t.strip(" \t\n\x0b\x0c\r")))
+                cols = {n: b.column(n) for n in names}
+                cols["text"] = pa.array(out, pa.string())
+                if "n_chars" in cols:
+                    cols["n_chars"] = pa.array([n if not d else len(t or "") for n, d, t in zip(cols["n_chars"].to_pylist(), drops, out, strict=True)], cols["n_chars"].type)
+                yield pa.RecordBatch.from_arrays([cols[n] for n in names], names).filter(pa.array(keep, pa.bool_()))
+
+    return arrow_map(src, run, docs.schema.simpleString().removeprefix("struct<").removesuffix(">"))
 
 
 def op6_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -3,11 +3,14 @@
 Each scan task packs its own stream of documents.  A document longer than a window first gives whole windows; what
 remains, of size s, goes to the open window level h (or a new window) that minimises the sum of squared counts of
 partially filled windows: moving a window from level h to h + s changes that sum by counts alone, so a level array
-decides without looking at single windows.  A window that becomes full is written at once.  At the end of the task the
-windows still open are closed by cutting: the fullest are kept and filled up with pieces of the emptiest, which leaves
-one partly filled window per task.
+decides without looking at single windows.  A window that becomes full is written at once.
 
-Tasks share nothing, so nothing is shuffled; memory is the open windows, fewer tokens than window squared.
+Open windows hold OPEN_TOKENS tokens and OPEN_PIECES pieces at most.  When either is reached, and at the end of the task,
+they are settled by cutting: the fullest are kept and filled up with pieces of the emptiest, which leaves less than a
+window of room.  What is left at the end is cut into full windows and ones whose sizes are powers of two, which need no
+padding.
+
+Tasks share nothing, so nothing is shuffled; memory is one slice of texts and the open windows, whatever the task holds.
 """
 
 from __future__ import annotations
@@ -21,11 +24,14 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 
-from .common import U64, Words, arrow_map, batches, documents_of, prefix_hash, slice_hash, table
+from .common import U64, Words, arrow_map, batches, documents_of, numbered, slice_identity, table
 
 WINDOW = 2048
-#: Distinct parts and their ids that a worker keeps, 24 bytes and 4 bytes each; beyond either, the table starts anew.
-CACHE_PARTS, CACHE_IDS = 3_000_000, 16_000_000
+#: Tokens and pieces in open windows of a task at most; with either, open windows are settled.
+OPEN_TOKENS, OPEN_PIECES = 2 << 20, 100_000
+#: Distinct parts and their ids that a worker keeps, 36 bytes besides the part's own and 4 bytes each; beyond either, the
+#: table starts anew.
+CACHE_PARTS, CACHE_IDS = 2_500_000, 16_000_000
 #: Parts that may stay in a worker after a task.
 KEPT_PARTS = 600_000
 #: sequence_id = task * SEQUENCES + number within the task.
@@ -44,16 +50,16 @@ class WordTokenizer:
 
     Its normaliser only recomposes characters, lower-cases and folds white space, and its splitter drops white space and
     never joins letters with other signs but apostrophes.  So a text's ids are those of its parts, one after another: what
-    stands between ASCII white space, with stops after a letter as a part of their own.  Parts are told apart by a hash of
-    their bytes with ASCII letters in lower case, and a sorted table of hashes leads to the ids of those seen before; only
-    new parts become strings and go to the tokenizer.
+    stands between ASCII white space, with stops after a letter as a part of their own.  Parts are told apart by their bytes
+    with ASCII letters in lower case: a sorted table of hashes finds those seen before, whose bytes are then compared; only
+    new parts become strings and go to the tokenizer.  A text with one of the tokenizer's special strings goes to it whole.
     """
 
-    def __init__(self, path: str, encode_special: bool = True) -> None:
+    def __init__(self, path: str) -> None:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = encode_special
+        self.special = [t.content.lower() for t in self.tokenizer.get_added_tokens_decoder().values()]
         self.plain = re.compile(f"[{LETTERS}]+").fullmatch
         # A run of letters is one word, and the last token of each word carries the end mark.
         vocabulary = self.tokenizer.get_vocab(with_added_tokens=False)
@@ -67,10 +73,12 @@ class WordTokenizer:
         self.hash, self.row = np.zeros(0, U64), np.zeros(0, np.int32)  # sorted hashes, and the row of each
         self.at, self.n = np.zeros(0, np.int64), np.zeros(0, np.int32)  # per row: its place in flat, and its length
         self.flat, self.used = np.zeros(1 << 16, "<u4"), 0
+        self.from_, self.size = np.zeros(0, np.int64), np.zeros(0, np.int32)  # per row: where its bytes are, and how many
+        self.bytes, self.written = np.zeros(1 << 16, np.uint8), 0
 
     def trim(self) -> None:
         """What stays between tasks of a worker: a table of moderate size, or none."""
-        if len(self.hash) > KEPT_PARTS:
+        if len(self.n) > KEPT_PARTS:
             self._clear()
 
     def _encode(self, parts: list[str]) -> list[np.ndarray]:
@@ -88,21 +96,48 @@ class WordTokenizer:
                 out[i] = np.array(self.tokenizer.encode(p, add_special_tokens=False).ids, "<u4")
         return out
 
-    def _learn(self, hashes: np.ndarray, parts: list[str]) -> None:
-        ids = self._encode(parts)
-        n = np.array([len(x) for x in ids], np.int32)
-        total = int(n.sum())
+    def _learn(self, hashes: np.ndarray, parts: list[bytes]) -> np.ndarray:
+        """Rows of new parts; of those that share a hash, one alone can be found again."""
+        ids = self._encode([x.decode("utf-8", "replace") for x in parts])
+        n, size = np.array([len(x) for x in ids], np.int32), np.array([len(x) for x in parts], np.int32)
+        first, total, width = len(self.n), int(n.sum()), int(size.sum())
         if self.used + total > len(self.flat):
             self.flat = np.concatenate([self.flat[: self.used], np.zeros(self.used + total, "<u4")])
+        if self.written + width > len(self.bytes):
+            self.bytes = np.concatenate([self.bytes[: self.written], np.zeros(self.written + width, np.uint8)])
         if total:
             self.flat[self.used : self.used + total] = np.concatenate(ids)
-        first = len(self.n)
+        self.bytes[self.written : self.written + width] = np.frombuffer(b"".join(parts), np.uint8)
         self.at = np.concatenate([self.at, self.used + np.cumsum(n) - n])
         self.n = np.concatenate([self.n, n])
-        self.used += total
+        self.from_ = np.concatenate([self.from_, self.written + np.cumsum(size) - size])
+        self.size = np.concatenate([self.size, size])
+        self.used, self.written = self.used + total, self.written + width
+        rows = np.arange(first, first + len(n), dtype=np.int32)
+        hashes, one = np.unique(hashes, return_index=True)
         place = np.searchsorted(self.hash, hashes)
-        self.hash = np.insert(self.hash, place, hashes)
-        self.row = np.insert(self.row, place, np.arange(first, first + len(n), dtype=np.int32))
+        fresh = np.ones(len(hashes), bool)
+        if len(self.hash):
+            fresh = self.hash[np.minimum(place, len(self.hash) - 1)] != hashes
+        self.hash, self.row = np.insert(self.hash, place[fresh], hashes[fresh]), np.insert(self.row, place[fresh], rows[one[fresh]])
+        return rows
+
+    def _find(self, hashes: np.ndarray, parts: pa.Array) -> np.ndarray:
+        """Row of each of the distinct parts, -1 where it is new; the hash finds it and the bytes decide."""
+        if not len(self.hash):
+            return np.full(len(parts), -1, np.int64)
+        place = np.minimum(np.searchsorted(self.hash, hashes), len(self.hash) - 1)
+        offsets = np.frombuffer(parts.buffers()[1], np.int64, len(parts) + 1)
+        size, row = np.diff(offsets), self.row[place].astype(np.int64)
+        known = np.flatnonzero((self.hash[place] == hashes) & (self.size[row] == size))
+        n = size[known]
+        inside = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n)
+        data = np.frombuffer(parts.buffers()[2], np.uint8) if len(inside) else np.zeros(0, np.uint8)
+        differ = data[np.repeat(offsets[known], n) + inside] != self.bytes[np.repeat(self.from_[row[known]], n) + inside]
+        out = np.full(len(parts), -1, np.int64)
+        out[known] = row[known]
+        out[known[np.repeat(np.arange(len(known)), n)[differ]]] = -1
+        return out
 
     def _parts(self, w: Words) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(start, stop, text number) of the parts: words without stops that follow a letter, then those stops."""
@@ -118,39 +153,53 @@ class WordTokenizer:
 
     def ids(self, texts: list[str]) -> list[bytes]:
         """Little-endian unsigned 32-bit ids of each text."""
+        whole = {}
+        for i, t in enumerate(texts):
+            low = t.lower() if "<" in t or any("<" not in x for x in self.special) else ""
+            if any(x in low for x in self.special):
+                whole[i] = np.array(self.tokenizer.encode(t, add_special_tokens=False).ids, "<u4").tobytes()
+        out = self._ids(["" if i in whole else t for i, t in enumerate(texts)])
+        return [whole.get(i, x) for i, x in enumerate(out)]
+
+    def _ids(self, texts: list[str]) -> list[bytes]:
         w = Words(texts, lower_ascii=True)
         if not len(w.start):
             return [b""] * len(texts)
         start, stop, owner = self._parts(w)
-        part, first, back = np.unique(slice_hash(prefix_hash(w.data.astype(U64) + U64(1)), start, stop), return_index=True, return_inverse=True)
-        place = np.minimum(np.searchsorted(self.hash, part), max(len(self.hash) - 1, 0))
-        new = np.flatnonzero(self.hash[place] != part) if len(self.hash) else np.arange(len(part))
+        back, parts = numbered(w.data, start, stop)
+        offsets = np.frombuffer(parts.buffers()[1], np.int64, len(parts) + 1)
+        hashes = slice_identity(np.frombuffer(parts.buffers()[2], np.uint8), offsets[:-1], offsets[1:])
+        found = self._find(hashes, parts)
+        new = np.flatnonzero(found < 0)
         if len(new):
-            raw = w.data.tobytes()
-            self._learn(part[new], [raw[x:y].decode("utf-8", "replace") for x, y in zip(start[first[new]].tolist(), stop[first[new]].tolist(), strict=True)])
-            place = np.searchsorted(self.hash, part)
-        row = self.row[place][back]
+            raw = parts.buffers()[2].to_pybytes()
+            found[new] = self._learn(hashes[new], [raw[x:y] for x, y in zip(offsets[new].tolist(), offsets[new + 1].tolist(), strict=True)])
+        row = found[back]
         n = self.n[row].astype(np.int64)
         ends = np.cumsum(n)
         flat = self.flat[np.repeat(self.at[row] - (ends - n), n) + np.arange(int(ends[-1]))].tobytes()
         bounds = np.concatenate([[0], ends])[np.searchsorted(owner, np.arange(len(texts) + 1))].tolist()
-        if len(self.hash) > CACHE_PARTS or self.used > CACHE_IDS:
+        if len(self.n) > CACHE_PARTS or self.used > CACHE_IDS:
             self._clear()
         return [flat[4 * x : 4 * y] for x, y in zip(bounds, bounds[1:], strict=False)]
 
 
 @lru_cache(maxsize=4)
-def word_tokenizer(path: str, encode_special: bool) -> WordTokenizer:
-    return WordTokenizer(path, encode_special)
+def word_tokenizer(path: str) -> WordTokenizer:
+    return WordTokenizer(path)
 
 
 class Packer:
     """One task's windows.  A piece is (doc_id, start, ids, doc_tokens)."""
 
-    def __init__(self, window: int = WINDOW) -> None:
-        self.window = window
-        self.count = np.zeros(window + 1, np.int64)  # open windows by fill level
-        self.open: list[list[list[tuple]]] = [[] for _ in range(window + 1)]
+    def __init__(self, window: int = WINDOW, open_tokens: int = OPEN_TOKENS, open_pieces: int = OPEN_PIECES) -> None:
+        self.window, self.most = window, (max(open_tokens, 2 * window), max(open_pieces, 2))
+        self._empty()
+
+    def _empty(self) -> None:
+        self.count = np.zeros(self.window + 1, np.int64)  # open windows by fill level
+        self.open: list[list[list[tuple]]] = [[] for _ in range(self.window + 1)]
+        self.tokens = self.pieces = 0  # in open windows
 
     def add(self, doc_id: int | None, ids: bytes) -> list[list[tuple]]:
         """Place one document; returns the windows that became full."""
@@ -177,13 +226,17 @@ class Packer:
         held.append(piece)
         if h + s == w:
             done.append(held)
+            self.tokens, self.pieces = self.tokens - h, self.pieces - (len(held) - 1)
         else:
             self.open[h + s].append(held)
             n[h + s] += 1
+            self.tokens, self.pieces = self.tokens + s, self.pieces + 1
+            if self.tokens > self.most[0] or self.pieces > self.most[1]:
+                done += self.settle()
         return done
 
-    def close(self) -> list[list[tuple]]:
-        """Fill the fullest open windows with cuts of the emptiest."""
+    def settle(self) -> list[list[tuple]]:
+        """Fill the fullest open windows with cuts of the emptiest; what does not fill a window stays open."""
         w = self.window
         levels = [(h, held) for h in range(w, 0, -1) for held in self.open[h]]
         total = sum(h for h, _ in levels)
@@ -199,15 +252,39 @@ class Packer:
                 if 4 * take < len(ids):
                     donors.append((doc_id, start + take, ids[4 * take :], n))
                 room -= take
-            out.append(held)
-        self.__init__(w)
-        return out
+            out.append((w - room, held))
+        self._empty()
+        for h, held in out:
+            if h < w:
+                self.open[h].append(held)
+                self.count[h] += 1
+                self.tokens, self.pieces = self.tokens + h, self.pieces + len(held)
+        return [held for h, held in out if h == w]
+
+    def close(self) -> list[list[tuple]]:
+        """settle(), with what is left cut into full windows and windows whose sizes are powers of two."""
+        done = self.settle()
+        rest = [p for level in self.open for held in level for p in held][::-1]
+        left = self.tokens
+        self._empty()
+        while left:
+            room, held = min(self.window, 1 << (left.bit_length() - 1)), []
+            left -= room
+            while room:
+                doc_id, start, ids, n = rest.pop()
+                take = min(room, len(ids) // 4)
+                held.append((doc_id, start, ids[: 4 * take], n))
+                if 4 * take < len(ids):
+                    rest.append((doc_id, start + take, ids[4 * take :], n))
+                room -= take
+            done.append(held)
+        return done
 
 
-def pack(docs: DataFrame, tokenizer_path: str, window: int = WINDOW, end_id: int = 1, encode_special: bool = True, with_ids: bool = False) -> DataFrame:
+def pack(docs: DataFrame, tokenizer_path: str, window: int = WINDOW, end_id: int = 1, with_ids: bool = False) -> DataFrame:
     """Pieces of all documents: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset (and ids).
 
-    Null text: empty, so the document is its end id alone.  Rows that repeat are packed as often as they occur, a null
+    Ids are the library's own, special strings included.  Null text: empty, so the document is its end id alone.  Rows that repeat are packed as often as they occur, a null
     doc_id is kept.  Extra columns are dropped.  An empty table has no pieces.  A document of any length is cut into
     whole windows, so no size is special.
     """
@@ -232,7 +309,7 @@ def pack(docs: DataFrame, tokenizer_path: str, window: int = WINDOW, end_id: int
         return pa.RecordBatch.from_arrays(arrays, names + ["ids"] * with_ids)
 
     def run(it):
-        tok, packer, task, number = word_tokenizer(tokenizer_path, encode_special), Packer(window), TaskContext.get().partitionId(), 0
+        tok, packer, task, number = word_tokenizer(tokenizer_path), Packer(window), TaskContext.get().partitionId(), 0
         end = np.array([end_id], "<u4").tobytes()
         for b in batches(it, 2 << 20):
             done = []

@@ -17,6 +17,16 @@ WORD = re.compile(r"[^\x20\x09-\x0D]+")
 ODD = [None, "", " ", "\n\n", "a", "One two", "x" * 3000, "é 日本 ß\r\n\x1c z", "a b " * 40]
 
 
+def thue_morse(a, b, rounds):
+    """Two different texts of 2**rounds signs that a polynomial hash with an even modulus cannot tell apart."""
+    for _ in range(rounds):
+        a, b = a + b, b + a
+    return a, b
+
+
+THUE_MORSE = [x for k in (10, 11, 12) for x in thue_morse("a", "b", k)]
+
+
 def docs(spark, texts):
     """Documents with clashing extra columns."""
     rows = [(i, t, "en", "zz", i) for i, t in enumerate(texts)]
@@ -368,8 +378,7 @@ def test_packing(spark, corpus):
 
     path = public_tokenizers.path("word_bpe_49k.json")
     lib = Tokenizer.from_file(path)
-    lib.encode_special_tokens = True
-    texts = ODD + corpus[:150] + ["I'll don't 'S x'sy <|endoftext|> İ Σς abc.def,ghi! \x1c\x1f q", "word " * 5000]
+    texts = ODD + corpus[:150] + ["I'll don't 'S x'sy İ Σς abc.def,ghi! \x1c\x1f q", "a <|endoftext|> b", "A<|ENDOFTEXT|>.x<|startoftext|>", "word " * 5000, *THUE_MORSE]
     rows = packing.pack(docs(spark, texts).repartition(2), path, with_ids=True).collect()
     by_doc, by_seq = defaultdict(list), defaultdict(list)
     for r in rows:
@@ -381,16 +390,27 @@ def test_packing(spark, corpus):
         ps = sorted(by_doc[i], key=lambda r: r.start)
         assert [x for p in ps for x in p.ids] == ids and all(p.doc_tokens == len(ids) for p in ps)
         assert [p.start for p in ps] == list(np.cumsum([0, *(p.length for p in ps)])[:-1])
-    total = 0
     for ps in by_seq.values():
         ps.sort(key=lambda r: r.offset)
         fill = sum(p.length for p in ps)
         assert fill <= 2048 and [p.offset for p in ps] == list(np.cumsum([0, *(p.length for p in ps)])[:-1])
-        total += 2048 - fill
-    assert total < 2 * 2048
+        assert fill == 2048 or fill & (fill - 1) == 0, "no sequence needs padding"
     assert packing.pack(docs(spark, ["x"]).limit(0), path).count() == 0
 
 
+def test_open_windows_are_bounded():
+    p = packing.Packer(2048, open_tokens=100_000)
+    fills, most = Counter(), 0
+    for i in range(20_000):
+        for held in p.add(i, b"abcd" * 1500):
+            fills[sum(len(x[2]) // 4 for x in held)] += 1
+        most = max(most, p.tokens)
+    assert most <= 100_000 and set(fills) == {2048}
+    for held in p.close():
+        fills[sum(len(x[2]) // 4 for x in held)] += 1
+    assert sum(k * n for k, n in fills.items()) == 30_000_000 and all(k & (k - 1) == 0 for k in fills)
+
+
 def test_packer_prefers_levels_that_even_out():
     p = packing.Packer(10)
     one = lambda n: np.zeros(n, "<u4").tobytes()
