@@ -10,7 +10,7 @@ from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..session import ship
@@ -62,11 +62,19 @@ def join_texts(docs: DataFrame, asked: DataFrame, lists: str) -> DataFrame:
     return docs.join(asked.hint("broadcast" if few else "shuffle_hash"), "doc_id")
 
 
-def documents_of(df: DataFrame, *more: str) -> DataFrame:
+def documents_of(df: DataFrame, *more: str | Column) -> DataFrame:
     """doc_id as long, text as string, and the named extra columns; whatever else the input has is dropped."""
     return df.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), *more)
 
 
+def unused(names: list[str], base: str) -> str:
+    """A column name that none of names is, in any case of letters."""
+    taken = {n.lower() for n in names}
+    while base.lower() in taken:
+        base += "_"
+    return base
+
+
 def batches(it: Iterator[pa.RecordBatch], most_bytes: int = 2 << 20) -> Iterator[pa.RecordBatch]:
     """Slices of the incoming batches holding about most_bytes of text at most (one row at least)."""
     for b in it:

@@ -1,14 +1,15 @@
 """Exact top-k search by exhaustive term-at-a-time accumulation.
 
 A vector is a sparse row of (term, weight): the term is the component's index, the weight an integer that is not 0.
-Candidates are cut into blocks, each block is turned into one postings list per term, and a block of query rows walks
-the terms one after another: for each term, the weights of the queries that have it are scattered, times the posting
-weights, into a dense score array (queries x candidates).  A partition selection keeps each query's k best of the
-block; the short lists of all blocks are then merged.
+Candidates are cut into blocks, and each block is turned into one postings list per term: the candidates that have it,
+and their weights.  A strip of query rows walks the terms one after another; for each, its postings, times the queries'
+weights, are scattered into a dense score array with a row per candidate and a column per query.  A partition selection
+keeps each query's k best of the block; the short lists of all blocks are then merged.
 
 Plan: queries are `query_block`-sized groups, candidates `candidate_block`-sized groups (both by a hash of vec_id,
 with the number of groups taken from a count), and each pair of groups is one task's input, so no side is broadcast and
-a task's memory depends on the block sizes alone.  What leaves a pair is k rows per query; the merge ranks
+a task's memory depends on the block sizes alone.  The search is exhaustive, so for n candidates and m queries
+n * m / query_block and n * m / candidate_block rows travel.  What leaves a pair is k rows per query; the merge ranks
 k * candidate_groups rows per query.
 """
 
@@ -27,59 +28,63 @@ from .common import table
 CANDIDATE_BLOCK = 4096
 QUERY_BLOCK = 1024
 #: Queries scored at once inside a task: bounds the dense score array to STRIP * CANDIDATE_BLOCK cells.
-STRIP = 32
+STRIP = 64
 
 
 def quantised(vectors: DataFrame, scale: int = 64, id_col: str = "vec_id", vec_col: str = "embedding") -> DataFrame:
     """(vec_id long, weights array<long>) with weight floor(scale * x), x as double.
 
     Vectors that are null or hold a null, NaN or infinite component, and rows without an id, take no part.  A row that
-    repeats another's id and weights counts once.  Other columns are dropped.
+    repeats another's id and weights counts once; rows that share an id with other weights are candidates and queries of
+    their own.  A component whose weight is beyond 2**62 is an error, as scores would be beyond a long.  Other columns are
+    dropped; an empty table gives none.
     """
+    wide = F.lit(float(1 << 62))
+    weight = lambda v: F.when(F.abs(v) < wide, F.floor(v)).otherwise(F.raise_error(F.lit("a component is too large for integer scores")).cast("long"))
     x = F.col(vec_col)
     fine = x.isNotNull() & F.col(id_col).isNotNull() & F.forall(
         x, lambda v: v.isNotNull() & ~F.isnan(v.cast("double")) & (F.abs(v.cast("double")) < F.lit(float("inf")))
     )
     return (
         vectors.filter(fine)
-        .select(F.col(id_col).cast("long").alias("vec_id"), F.transform(x, lambda v: F.floor(v.cast("double") * F.lit(float(scale)))).alias("weights"))
+        .select(F.col(id_col).cast("long").alias("vec_id"), F.transform(x, lambda v: weight(v.cast("double") * F.lit(float(scale)))).alias("weights"))
         .dropDuplicates(["vec_id", "weights"])
     )
 
 
 def _exact_kind(reach: int) -> type:
-    """The fastest number type in which no sum of magnitude up to reach is rounded."""
-    return np.float32 if reach < 2**24 else np.float64 if reach < 2**53 else np.int64
+    """The fastest number type in which no sum of magnitude up to reach is rounded or wraps; Python's own beyond 64 bits."""
+    return np.float32 if reach < 2**24 else np.float64 if reach < 2**53 else np.int64 if reach < 2**63 else object
 
 
 class Postings:
-    """Postings lists of one candidate block: per term the candidates with a weight, and the weights.
+    """Postings lists of one candidate block: per term the candidates with a weight, and the weights."""
 
-    A list that holds most candidates is kept at full length, zeros included, so that it can be added without scattering;
-    such lists stand together, TOGETHER of them at a time, and one pass over the score array takes a whole group.
-    """
-
-    TOGETHER = 16
-
-    def __init__(self, dense: np.ndarray, kind: type) -> None:
-        self.width = len(dense)
-        filled = np.count_nonzero(dense, axis=0)
-        full = np.flatnonzero(2 * filled > self.width)
-        self.groups = [(t, np.ascontiguousarray(dense[:, t].T, kind)) for t in (full[i : i + self.TOGETHER] for i in range(0, len(full), self.TOGETHER))]
-        sparse = np.flatnonzero((filled > 0) & (2 * filled <= self.width))
-        self.lists = [(int(t), at, dense[at, t].astype(kind)) for t in sparse for at in [np.flatnonzero(dense[:, t])]]
-        self.kind = kind
+    def __init__(self, rows: np.ndarray, kind: type) -> None:
+        self.width, self.kind = len(rows), kind
+        self.lists = []
+        for t in range(rows.shape[1]):
+            at = np.flatnonzero(rows[:, t])
+            if len(at):
+                self.lists.append((t, at, rows[at, t].astype(kind)[:, None]))
 
     def scores(self, queries: np.ndarray) -> np.ndarray:
-        """Dense score array (query x candidate): every term's weighted postings are added once."""
-        score = np.zeros((len(queries), self.width), self.kind)
-        for terms, weights in self.groups:
-            score += queries[:, terms].astype(self.kind) @ weights
+        """Dense score array (candidate x query): every term's weighted postings are added once."""
+        score = np.zeros((self.width, len(queries)), self.kind)
+        add, held = np.empty_like(score), np.empty_like(score)
         for t, at, weights in self.lists:
-            rows = np.flatnonzero(queries[:, t])
-            if len(rows):
-                score[np.ix_(rows, at)] += np.multiply.outer(queries[rows, t].astype(self.kind), weights)
-        return score.astype(np.int64)
+            having = np.flatnonzero(queries[:, t])
+            if 4 * len(having) < len(queries):
+                if len(having):
+                    score[np.ix_(at, having)] += weights * queries[having, t].astype(self.kind)
+                continue
+            # Many queries have the term: whole rows of the score array are taken, added to (0 for the others) and put back.
+            more, rows = add[: len(at)], held[: len(at)]
+            np.multiply(weights, queries[:, t].astype(self.kind), out=more)
+            np.take(score, at, axis=0, out=rows, mode="clip")
+            rows += more
+            score[at] = rows
+        return score
 
 
 def _matrix(rows: list, terms: int) -> np.ndarray:
@@ -90,29 +95,34 @@ def _matrix(rows: list, terms: int) -> np.ndarray:
     return out
 
 
+def _best(score: np.ndarray, ids: np.ndarray, k: int) -> np.ndarray:
+    """Places of the k best of one query, ids ascending: partition selection by score, ties at the border by smaller id."""
+    if len(score) <= k:
+        return np.arange(len(score))
+    border = np.partition(score, len(score) - k)[len(score) - k]
+    above = np.flatnonzero(score > border)
+    return np.concatenate([above, np.flatnonzero(score == border)[: k - len(above)]])
+
+
 def _best_of_pair(k: int):
     def run(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
         out: list[tuple] = []
         if len(left) and len(right):
             right = right.sort_values("vec_id", kind="stable")
             ids = right["vec_id"].to_numpy(np.int64)
-            width = len(ids)
             terms = max(map(len, right["weights"]))
             dense, sought = _matrix(right["weights"], terms), _matrix(left["weights"], terms)
-            reach = int(np.abs(sought).max(initial=0)) * int(np.abs(dense).max(initial=0)) * max(terms, 1)
+            reach = max(map(abs, (int(sought.max(initial=0)), int(sought.min(initial=0))))) * max(map(abs, (int(dense.max(initial=0)), int(dense.min(initial=0))))) * max(terms, 1)
             postings = Postings(dense, _exact_kind(reach))
             own = left["vec_id"].to_numpy(np.int64)
             for at in range(0, len(own), STRIP):
-                strip = own[at : at + STRIP]
                 score = postings.scores(sought[at : at + STRIP])
-                # One integer orders by score, then by smaller id (ids ascend within the block).
-                order = score * width + np.arange(width - 1, -1, -1)
-                order[strip[:, None] == ids[None, :]] = np.iinfo(np.int64).min
-                keep = min(k, width)
-                part = np.argpartition(order, width - keep, axis=1)[:, width - keep :]
-                for q in range(len(strip)):
-                    p = part[q][strip[q] != ids[part[q]]]
-                    out += [(int(strip[q]), int(ids[c]), int(score[q, c])) for c in p]
+                for q, vec_id in enumerate(own[at : at + STRIP].tolist()):
+                    others = np.flatnonzero(ids != vec_id)
+                    best = others[_best(score[others, q], ids[others], k)]
+                    out += [(vec_id, int(ids[c]), int(score[c, q])) for c in best]
+        if any(abs(x[2]) >= 2**63 for x in out):
+            raise OverflowError("a score is beyond a long")
         return pd.DataFrame(out, columns=["query_id", "vec_id", "score"]).astype("int64")
 
     return run
