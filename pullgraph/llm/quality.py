@@ -1,10 +1,13 @@
 """Quality rules from a suffix array over words.
 
-All texts of a slice are laid end to end and share one suffix array, built by prefix doubling on word hashes; a suffix
-starts with its text's number, so suffixes of different texts never stand between each other, and only suffixes that
-are not told apart yet are sorted again.  Longest common prefixes between neighbours follow, and the intervals of that
-array are the maximal repeated substrings: a suffix that shares `n` words with a neighbour starts a repeat of n words.
-The union of the spans of repeats gives the covered fraction, the largest value the longest repeat.
+All texts of a slice are laid end to end and share one suffix array, built by prefix doubling on the numbers of the words,
+which are told apart by their bytes; a suffix starts with its text's number, so suffixes of different texts never stand
+between each other, and only suffixes that are not told apart yet are sorted again.  Longest common prefixes between
+neighbours are read off the ranks of the doubling steps, longest step first, and are exact.  The intervals of that array are
+the maximal repeated substrings: a suffix that shares `n` words with a neighbour starts a repeat of n words.  The union of
+the spans of repeats gives the covered fraction, the largest value the longest repeat.
+
+Memory is one slice of texts, or one text, and 4 bytes a word for each doubling of its longest repeat.
 """
 
 from __future__ import annotations
@@ -13,14 +16,14 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from .common import U64, Words, arrow_map, batches, documents_of, prefix_hash, slice_hash, table
+from .common import Words, arrow_map, batches, documents_of, numbered, table
 
 #: Words of a window that counts as repeated in the base rule.
 BASE_WINDOW = 8
 MIN_WORDS = 20
 MAX_REPEAT_PERCENT = 30
 #: The method's own limits: a repeat has LEAST_REPEAT words at least; the union of repeats covers MAX_COVERED of the
-#: words at most; the longest repeat has MAX_LONGEST words at most, unless it is a small part of the text.
+#: words at most; the longest repeat has MAX_LONGEST words and MAX_LONGEST_SHARE of the text's words at most.
 LEAST_REPEAT = 4
 MAX_COVERED = 0.5
 MAX_LONGEST = 150
@@ -30,16 +33,15 @@ SYMBOLS[[ord(c) for c in "#*$%&|<>"]] = True
 
 
 def suffix_array(tokens: np.ndarray, owner: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(order, rank-free longest common prefix) of all suffixes, each ending where its owner's text ends.
+    """(order, longest common prefix) of all suffixes, each ending where its owner's text ends.
 
-    tokens: one 64-bit hash per word; owner: the text's number per word, ascending.  order[i] is the start of the i-th
+    tokens: one number per word; owner: the text's number per word, ascending.  order[i] is the start of the i-th
     smallest suffix; lcp[i] the words that suffixes order[i - 1] and order[i] share (0 at the first and between texts).
     """
     n = len(tokens)
     if n == 0:
         return np.zeros(0, np.int64), np.zeros(0, np.int64)
-    _, word = np.unique(tokens, return_inverse=True)
-    key = owner.astype(np.int64) * (int(word.max()) + 2) + word + 1
+    key = owner.astype(np.int64) * (int(tokens.max()) + 2) + tokens + 1
     order = np.argsort(key, kind="stable")
     sorted_key = key[order]
     head = np.concatenate([[True], sorted_key[1:] != sorted_key[:-1]])
@@ -47,6 +49,8 @@ def suffix_array(tokens: np.ndarray, owner: np.ndarray) -> tuple[np.ndarray, np.
     rank = np.empty(n, np.int64)
     rank[order] = np.maximum.accumulate(np.where(head, np.arange(n), 0))
     end = np.searchsorted(owner, owner, side="right")  # end of each position's text
+    kind = np.int32 if n < 2**31 else np.int64
+    levels = [rank.astype(kind)]  # ranks by the first 1, 2, 4, ... words
     step = 1
     open_ = _open(head)
     while len(open_):
@@ -63,7 +67,8 @@ def suffix_array(tokens: np.ndarray, owner: np.ndarray) -> tuple[np.ndarray, np.
         rank[order[open_]] = first
         open_ = _open(head)
         step *= 2
-    return order, _lcp(tokens, owner, order, end)
+        levels.append(rank.astype(kind))
+    return order, _lcp(order, end, levels)
 
 
 def _open(head: np.ndarray) -> np.ndarray:
@@ -72,22 +77,20 @@ def _open(head: np.ndarray) -> np.ndarray:
     return np.flatnonzero(~single)
 
 
-def _lcp(tokens: np.ndarray, owner: np.ndarray, order: np.ndarray, end: np.ndarray) -> np.ndarray:
-    """Shared words of neighbours, by bisection on slice hashes."""
-    n = len(order)
-    out = np.zeros(n, np.int64)
-    a, b = order[:-1], order[1:]
-    todo = np.flatnonzero((owner[a] == owner[b]) & (tokens[a] == tokens[b]))
+def _lcp(order: np.ndarray, end: np.ndarray, levels: list[np.ndarray]) -> np.ndarray:
+    """Shared words of neighbours: the ranks of level k are equal if and only if the first 2**k words are."""
+    out = np.zeros(len(order), np.int64)
+    todo = np.flatnonzero(levels[0][order[:-1]] == levels[0][order[1:]])
     if len(todo) == 0:
         return out
-    a, b = a[todo], b[todo]
-    p = prefix_hash(tokens)
-    low, high = np.ones(len(todo), np.int64), np.minimum(end[a] - a, end[b] - b)
-    while (low < high).any():
-        mid = (low + high + 1) // 2
-        same = slice_hash(p, a, a + mid) == slice_hash(p, b, b + mid)
-        low, high = np.where(same, mid, low), np.where(same, high, mid - 1)
-    out[todo + 1] = low
+    a, b = order[todo], order[todo + 1]
+    shared = np.zeros(len(todo), np.int64)
+    for k in range(len(levels) - 1, -1, -1):
+        x, y = a + shared, b + shared
+        inside = (x < end[a]) & (y < end[b])
+        rank = levels[k]
+        shared += np.where(inside & (rank[np.where(inside, x, 0)] == rank[np.where(inside, y, 0)]), 1 << k, 0)
+    out[todo + 1] = shared
     return out
 
 
@@ -113,7 +116,7 @@ def measure(texts: list[str | None]) -> dict[str, np.ndarray]:
     np.add.at(inside, w.stop, -1)
     word_chars = _sums((np.cumsum(inside[:-1]) > 0) & begin, base)
     symbols = _sums(SYMBOLS[data], base)
-    order, lcp = suffix_array(w.hash, owner)
+    order, lcp = suffix_array(w.number, owner)
     shared = np.zeros(len(order), np.int64)
     shared[order] = np.maximum(lcp, np.concatenate([lcp[1:], [0]])) if len(order) else lcp
     window = np.where(shared >= BASE_WINDOW, BASE_WINDOW, 0)
@@ -145,7 +148,7 @@ def _dup_lines(w: Words, n: int) -> np.ndarray:
     start = np.concatenate([[0], stop[:-1] + 1])
     has = np.searchsorted(w.start, stop) > np.searchsorted(w.start, start)
     start, stop = start[has], stop[has]
-    line = slice_hash(prefix_hash(data.astype(U64) + U64(1)), start, stop)
+    line = numbered(data, start, stop)[0]
     owner = np.searchsorted(w.base, start, side="right") - 1
     if len(line) == 0:
         return np.zeros(n, np.int64)
@@ -159,7 +162,7 @@ def verdicts(m: dict[str, np.ndarray], max_covered: float = MAX_COVERED, max_lon
     """(base_failed, kept)."""
     n = m["n_words"]
     failed = (n < MIN_WORDS) | (100 * m["n_repeat_words"] > MAX_REPEAT_PERCENT * n)
-    long_ = (m["longest_repeat"] > max_longest) & (m["longest_repeat"] > max_share * n)
+    long_ = m["longest_repeat"] > max_longest + max_share * n
     return failed, ~(failed | (m["covered_words"] > max_covered * n) | long_)
 
 
@@ -169,7 +172,7 @@ SCHEMA = "doc_id long, n_words long, word_chars long, n_symbols long, n_dup_line
 def quality(docs: DataFrame, **limits: float) -> DataFrame:
     """Counts, measures and verdict of every document.
 
-    Null and empty texts have no words and fail the base rule.  Rows that repeat give repeated results; a null doc_id is
+    Null and empty texts have no words and fail the base rule.  Ties do not arise: every number is a count.  Rows that repeat give repeated results; a null doc_id is
     kept; other columns are dropped; an empty table gives none.  A text longer than a slice is measured whole.
     """
     names = [x.split()[0] for x in SCHEMA.split(", ")]
