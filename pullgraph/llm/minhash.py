@@ -13,12 +13,15 @@ No pair is left out, and no bucket is expanded into all its pairs:
    components.  Two members of one component need no comparison, whatever their similarity.  This is done inside the
    task, a block of members against a stream of those apart, in the first bucket that a pair shares, and only links come
    out; buckets of more than BLOCK members are dealt out to several tasks.
-A pair at the threshold shares no bucket with probability (1 - t**ROWS)**BANDS, 5e-8 for the values here.
+Bands have as many rows as keep the chance that a pair at the threshold t shares no bucket, (1 - t**rows)**bands, at MISS or
+less (32 bands of 4 rows and 5e-8 at 0.8), and sketches rule a pair out only beyond DEVIATIONS standard deviations from
+what the threshold makes likely.
 """
 
 from __future__ import annotations
 
 import hashlib
+import math
 
 import numpy as np
 import pyarrow as pa
@@ -26,39 +29,85 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..session import materialize, release, scoped
-from .common import U64, Words, arrow_map, batches, documents_of, mix, prefix_hash, slice_hash, table
+from .common import Runs, U64, Words, arrow_map, batches, documents_of, mix, table
 from .components import components
 
-BANDS, ROWS = 32, 4
+SAMPLES = 128
 SKETCH_BITS = 512
-#: Differing bits up to which a pair goes to the exact comparison: the expectation at similarity 0.8 is 46, its standard
-#: deviation about 8.
-SKETCH_SLACK = 94
 THRESHOLD = 80
+#: Largest chance that a pair at the threshold shares no bucket; standard deviations left to the sketches.
+MISS, DEVIATIONS = 1e-7, 6
 #: Members of a bucket that one task holds at a time in the last comparison.
 BLOCK = 512
 
-SIGNATURES = "doc_id long, n_shingles long, set_id binary, bands array<long>, sketch array<long>"
+SIGNATURES = "doc_id long, version long, n_shingles long, set_id binary, bands array<long>, sketch array<long>"
+
+
+def rows_per_band(threshold: int) -> int:
+    """Most samples a band may have; with one, a pair below about 12 % similarity could still be missed."""
+    t = threshold / 100
+    return next((r for r in (16, 8, 4, 2) if (1 - t**r) ** (SAMPLES // r) <= MISS), 1)
+
+
+def slack(threshold: int) -> int:
+    """Differing bits up to which a pair goes to the exact comparison.
+
+    Of SAMPLES places k differ, binomially, and each flips one bit in either sketch, so 2 k flips fall on SKETCH_BITS bits;
+    variance has one part from the number of places and one from flips that fall together.
+    """
+    t, n = threshold / 100, SKETCH_BITS
+    k = SAMPLES * (1 - t)
+    odd = lambda flips: n / 2 * (1 - (1 - 2 / n) ** flips)
+    share = odd(2 * k) / n
+    spread = (odd(2 * (k + 1)) - odd(2 * k)) ** 2 * SAMPLES * t * (1 - t) + n * share * (1 - share)
+    return min(n, math.ceil(odd(2 * k) + DEVIATIONS * math.sqrt(spread)))
 
 
 def shingle_sets(texts: list[str | None], width: int) -> list[np.ndarray]:
-    """Sorted distinct shingle hashes of each text; fewer words than width: the whole sequence as one; none: empty."""
+    """Sorted distinct shingle identities of each text; fewer words than width: the whole sequence as one; none: empty."""
     w = Words(texts, lower_ascii=True)
-    p = prefix_hash(w.hash)
+    runs = Runs(w.hash ^ mix(w.hash2))
+    every = runs.of(np.arange(max(len(w.start) - width + 1, 0)), width)
     out = []
     for first, n in zip(w.first[:-1].tolist(), w.n.tolist(), strict=True):
         if n == 0:
             out.append(np.zeros(0, U64))
+        elif n < width:
+            out.append(runs.of(np.array([first]), n))
+        else:
+            out.append(np.unique(every[first : first + n - width + 1]))
+    return out
+
+
+def exact_sets(texts: list[str | None], width: int) -> list[np.ndarray]:
+    """Sets as shingle_sets(), of numbers that are equal within the call if and only if the words are, by their bytes."""
+    w = Words(texts, lower_ascii=True)
+    base = int(w.number.max(initial=0)) + 1
+    every = w.number
+    for k in range(1, width):
+        # Numbers of runs of k words, made dense, times those of the next word: below 2**63 for any batch.
+        dense = every if k == 1 else np.unique(every, return_inverse=True)[1].reshape(-1)
+        every = dense[: max(len(dense) - 1, 0)] * base + w.number[k:]
+    out = []
+    for first, n in zip(w.first[:-1].tolist(), w.n.tolist(), strict=True):
+        if n < width:
+            # Too short a text is one shingle, equal to one of the same words alone: below 0, by length and words.
+            out.append(np.array([-1 - hash(tuple(w.number[first : first + n].tolist())) % (1 << 62)]) if n else np.zeros(0, np.int64))
         else:
-            size = min(width, n)
-            at = np.arange(first, first + n - size + 1)
-            out.append(np.unique(slice_hash(p, at, at + size)))
+            out.append(np.unique(every[first : first + n - width + 1]))
     return out
 
 
+def similar(a: np.ndarray, b: np.ndarray, threshold: int) -> bool:
+    both = len(np.intersect1d(a, b, assume_unique=True))
+    return 100 * both >= threshold * (len(a) + len(b) - both)
+
+
 class Signer:
-    def __init__(self, bands: int = BANDS, rows: int = ROWS, bits: int = SKETCH_BITS, seed: int = 11) -> None:
-        self.bands, self.rows, self.bits = bands, rows, bits
+    def __init__(self, threshold: int = THRESHOLD, bits: int = SKETCH_BITS, seed: int = 11) -> None:
+        self.rows, self.bits = rows_per_band(threshold), bits
+        self.bands = bands = SAMPLES // self.rows
+        rows = self.rows
         self.factor = np.random.default_rng(seed).integers(0, 2**63, bands * rows, dtype=np.uint64) * U64(2) + U64(1)
         self.place = mix(np.arange(1, bands * rows + 1, dtype=U64))
 
@@ -82,12 +131,12 @@ class Signer:
         return np.packbits((flips & 1).astype(np.uint8).reshape(len(samples), self.bits), axis=1).view(np.int64)
 
 
-def signatures(docs: DataFrame, width: int) -> DataFrame:
-    """One row per document: set size, set identity, bucket keys and odd sketch."""
+def signatures(docs: DataFrame, width: int, threshold: int = THRESHOLD) -> DataFrame:
+    """One row per row: version of the text, set size, set identity, bucket keys and odd sketch."""
 
     def run(it):
-        signer = Signer()
-        names = ["doc_id", "n_shingles", "set_id", "bands", "sketch"]
+        signer = Signer(threshold)
+        names = ["doc_id", "version", "n_shingles", "set_id", "bands", "sketch"]
         for b in batches(it, 1 << 20):
             sets = shingle_sets(b.column(1).to_pylist(), width)
             samples = np.stack([signer.samples(s) for s in sets])
@@ -95,6 +144,7 @@ def signatures(docs: DataFrame, width: int) -> DataFrame:
             yield pa.RecordBatch.from_arrays(
                 [
                     b.column(0),
+                    b.column(2),
                     pa.array([len(s) for s in sets], pa.int64()),
                     pa.array([hashlib.blake2b(s.tobytes(), digest_size=16).digest() for s in sets], pa.binary()),
                     pa.array(list(keys), pa.list_(pa.int64())),
@@ -110,26 +160,23 @@ def _plausible(a: str, b: str, threshold: int) -> Column:
     """Sizes and sketches of rows a and b allow the threshold."""
     n, m = F.col(f"{a}.n_shingles"), F.col(f"{b}.n_shingles")
     differ = sum((F.bit_count(F.col(f"{a}.sketch")[i].bitwiseXOR(F.col(f"{b}.sketch")[i])) for i in range(SKETCH_BITS // 64)), F.lit(0))
-    return (100 * F.least(n, m) >= threshold * F.greatest(n, m)) & (differ <= SKETCH_SLACK)
+    return (100 * F.least(n, m) >= threshold * F.greatest(n, m)) & (differ <= slack(threshold))
 
 
 def _confirm(pairs: DataFrame, texts: DataFrame, width: int, threshold: int) -> DataFrame:
     """The pairs (a, b) with 100 * intersection >= threshold * union, on full sets."""
 
     def run(it):
-        last, last_set = None, None
         for batch in it:
             for b in batches([batch], 1 << 20):
                 ids_a, ids_b = b.column(0).to_pylist(), b.column(1).to_pylist()
-                text_a = b.column(2)
-                sets_b = shingle_sets(b.column(3).to_pylist(), width)
-                ok = []
+                head = [i for i, a in enumerate(ids_a) if i == 0 or a != ids_a[i - 1]]
+                sets = exact_sets([b.column(2)[i].as_py() for i in head] + b.column(3).to_pylist(), width)
+                own, keep = -1, []
                 for i, a in enumerate(ids_a):
-                    if a != last:
-                        last, last_set = a, shingle_sets([text_a[i].as_py()], width)[0]
-                    both = len(np.intersect1d(last_set, sets_b[i], assume_unique=True))
-                    ok.append(100 * both >= threshold * (len(last_set) + len(sets_b[i]) - both))
-                keep = [i for i, x in enumerate(ok) if x]
+                    own += i == 0 or a != ids_a[i - 1]
+                    if similar(sets[own], sets[len(head) + i], threshold):
+                        keep.append(i)
                 yield pa.RecordBatch.from_arrays([pa.array([ids_a[i] for i in keep], pa.int64()), pa.array([ids_b[i] for i in keep], pa.int64())], ["a", "b"])
 
     right = texts.select(F.col("doc_id").alias("b"), F.col("text").alias("text_b"))
@@ -148,7 +195,7 @@ def _matches(o: dict, m: dict, threshold: int) -> np.ndarray:
     low, high = np.minimum(m["n_shingles"], o["n_shingles"]), np.maximum(m["n_shingles"], o["n_shingles"])
     at = np.flatnonzero(ok & (100 * low >= threshold * high))
     if len(at):
-        at = at[np.bitwise_count(m["sketch"][at] ^ o["sketch"]).sum(axis=1) <= SKETCH_SLACK]
+        at = at[np.bitwise_count(m["sketch"][at] ^ o["sketch"]).sum(axis=1) <= slack(threshold)]
     if len(at):
         # The first band two rows share is the one in which they are compared.
         at = at[(m["bands"][at] == o["bands"]).argmax(axis=1) == int((o["bands"] == o["bucket"]).argmax())]
@@ -220,8 +267,7 @@ def _confirm_apart(held: DataFrame, width: int, threshold: int) -> DataFrame:
                 for k in _matches(o, members, threshold):
                     if members["c"][k] in done:
                         continue
-                    both = len(np.intersect1d(own[i], sets[k], assume_unique=True))
-                    if 100 * both >= threshold * (len(own[i]) + len(sets[k]) - both):
+                    if similar(own[i], sets[k], threshold) and similar(*exact_sets([part["text"][i].as_py(), members["text"][k]], width), threshold):
                         done.add(members["c"][k])
                         x, y = int(o["doc_id"]), int(members["doc_id"][k])
                         out.append((min(x, y), max(x, y)))
@@ -253,14 +299,19 @@ def near_duplicates(docs: DataFrame, width: int = 2, threshold: int = THRESHOLD)
 
     Links join texts with 100 * intersection >= threshold * union of their shingle sets; component_id is the smallest
     doc_id that links reach.  Null and empty texts and texts without words have an empty set and no link.  Rows that
-    repeat an id and text repeat the result.  A row without doc_id takes no part: its component_id is null, and it is
-    kept.  Extra columns are dropped.  An empty table gives none.
+    repeat an id and text repeat the result; of rows that share an id with different texts, the one whose text has the
+    smallest hash stands for all in links, and n_shingles is each row's own.  A row without doc_id takes no part: its
+    component_id is null, and it is kept.  Extra columns are dropped.  An empty table gives none.
     """
-    docs = documents_of(docs)
-    sigs = materialize(signatures(docs, width), "signatures")
-    classes = sigs.filter("n_shingles > 0 AND doc_id IS NOT NULL").groupBy("set_id").agg(F.min("doc_id").alias("rep"))
-    member = materialize(sigs.filter("doc_id IS NOT NULL").join(classes, "set_id", "left").select("doc_id", "n_shingles", F.coalesce("rep", "doc_id").alias("rep")).distinct(), "membership")
-    reps = sigs.join(member.filter("doc_id = rep AND n_shingles > 0").select("doc_id").distinct(), "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    docs = documents_of(docs, F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit(""))).alias("version"))
+    sigs = materialize(signatures(docs, width, threshold), "signatures")
+    one = materialize(sigs.filter("doc_id IS NOT NULL").groupBy("doc_id").agg(F.min(F.struct("version", "set_id", "n_shingles")).alias("m")).select("doc_id", "m.set_id", "m.n_shingles", "m.version"), "documents")
+    # Written, so that the join has a shuffle of its own on either side, whose large partitions can be split.
+    classes = materialize(one.filter("n_shingles > 0").groupBy("set_id").agg(F.min("doc_id").alias("rep"), F.count("*").alias("n")), "classes")
+    many = one.join(classes.filter("n > 1").select("set_id", "rep"), "set_id").select("doc_id", "rep")
+    member = materialize(many, "membership")
+    alone = classes.select(F.col("rep").alias("doc_id"))
+    reps = sigs.join(one.join(alone, "doc_id", "left_semi").select("doc_id", "version"), ["doc_id", "version"], "left_semi").dropDuplicates(["doc_id"])
 
     slots = materialize(reps.select("doc_id", F.explode("bands").alias("bucket")), "slots")
     shared = slots.groupBy("bucket").agg(F.min(F.struct(F.xxhash64("doc_id", F.lit(1)), "doc_id")).alias("p1"), F.min(F.struct(F.xxhash64("doc_id", F.lit(2)), "doc_id")).alias("p2"), F.count("*").alias("n")).filter("n > 1")
@@ -269,7 +320,8 @@ def near_duplicates(docs: DataFrame, width: int = 2, threshold: int = THRESHOLD)
     crowd = materialize(slots.join(shared.select("bucket", F.col("p1.doc_id").alias("p1"), F.col("p2.doc_id").alias("p2")), "bucket"), "crowd")
     release(slots)
     light = materialize(reps.join(crowd.select("doc_id").distinct(), "doc_id", "left_semi").select("doc_id", "n_shingles", "sketch", "bands"), "sketches")
-    texts = materialize(docs.join(light.select("doc_id").hint("shuffle_hash"), "doc_id", "left_semi").dropDuplicates(["doc_id"]), "texts")
+    texts = docs.join(light.join(one, "doc_id").select("doc_id", "version").hint("shuffle_hash"), ["doc_id", "version"], "left_semi")
+    texts = materialize(texts.dropDuplicates(["doc_id"]).select("doc_id", "text"), "texts")
 
     def linked(pairs: DataFrame) -> DataFrame:
         near = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
@@ -291,8 +343,11 @@ def near_duplicates(docs: DataFrame, width: int = 2, threshold: int = THRESHOLD)
         edges = materialize(edges.unionByName(more), "edges")
         release(known)
     comp = components(edges)
-    whole = member.join(comp.select(F.col("node").alias("rep"), "component"), "rep", "left").select("doc_id", F.coalesce("component", "rep").alias("component_id"))
-    out = sigs.select("doc_id", "n_shingles").join(whole, "doc_id", "left")
+    # Members that stand for themselves need no row: only those of larger classes and those with links are looked up.
+    above = comp.select(F.col("node").alias("doc_id"), F.col("component").alias("linked"))
+    moved = member.join(above.select(F.col("doc_id").alias("rep"), "linked"), "rep", "left").select("doc_id", F.coalesce("linked", "rep").alias("linked"))
+    moved = materialize(moved.unionByName(above.join(member, "doc_id", "left_anti")), "moved")
+    out = sigs.select("doc_id", "n_shingles").join(moved, "doc_id", "left").withColumn("component_id", F.coalesce("linked", "doc_id"))
     return out.select("doc_id", "n_shingles", "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)).alias("kept"))
 
 
