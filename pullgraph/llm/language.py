@@ -1,52 +1,61 @@
 """Language identification with a bidirectional gated recurrent network over bytes, in numpy.
 
-The network reads the bytes of a segment forwards and backwards, and a softmax over both hidden states labels every
-byte position of a segment.  Segments are words of letters with a boundary mark on either side, cut after SEGMENT bytes;
-digits, signs and white space are not read.  No state passes a boundary, so a word has the same labels wherever it
-stands, and a worker scores each distinct word once and keeps the sums in a bounded table.  A document's probabilities
-are the mean over all positions of all its words, boundary marks included: word sums weighted by how often each stands
-in the whole text, without context across words.
+The network reads all bytes of a text forwards and backwards, ASCII letters in lower case, and a softmax over both hidden
+states labels every byte position: letters, digits, signs and white space alike.  A document's probabilities are the mean
+over all its positions.
+
+States run across words.  So that texts of any length are read side by side, a text is cut into stretches of STRETCH
+bytes, each of which is read with CONTEXT bytes of the text before and after it; the states have forgotten what is further
+away, and every position counts once, in the stretch it belongs to.
 
 Training is backpropagation through time with Adam on a bounded sample of labelled documents: TRAIN_DOCUMENTS rows,
-shared out evenly among the languages, with the smallest hashes of each, and TRAIN_WORDS words likewise.  Its cost does not depend on the size of the corpus.
+shared out evenly among the languages, with the smallest hashes of each, and WINDOWS stretches of WINDOW characters spread
+over the whole text of each.  Its cost does not depend on the size of the corpus.
 """
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass
-from itertools import islice
 
 import numpy as np
 import pyarrow as pa
 import regex
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Window as Over
 from pyspark.sql import functions as F
 
 from .common import arrow_map, batches, documents_of, table
 
 TRAIN_DOCUMENTS = 1500
-TRAIN_WORDS = 60_000
-#: Words of one training document at most, spread over its whole text.
-WORDS_PER_DOCUMENT = 200
-STEPS = 700
+#: Stretches of a training document, and characters of each.
+WINDOWS, WINDOW = 12, 64
+STEPS = 500
 BATCH = 192
-HIDDEN, EMBED = 20, 12
-#: Longest segment in bytes; longer words are cut into segments of this length.
-SEGMENT = 24
+HIDDEN, EMBED = 10, 12
+#: Bytes that are read side by side as one row, and bytes of the same text that are read before and after them.
+STRETCH, CONTEXT = 512, 64
+#: Numbers in the arrays of one group of stretches.
+CELLS = 6_000_000
 UNDETERMINED = "und"
-CACHE = 400_000
 
-LETTER_WORDS = regex.compile(r"[\p{L}\p{M}'’]+").findall
 ANY_LETTER = regex.compile(r"\p{L}").search
+PADDING = 256
+LOWER = np.arange(256, dtype=np.uint8)
+LOWER[65:91] += 32
 
 
-def _sigmoid(x: np.ndarray) -> np.ndarray:
-    return 0.5 * (np.tanh(0.5 * x) + 1.0)
+def _sigmoid_in(x: np.ndarray) -> None:
+    """Logistic function in place."""
+    x *= 0.5
+    np.tanh(x, out=x)
+    x += 1.0
+    x *= 0.5
 
 
 @dataclass
 class Network:
-    """Weights; labels has the learned languages in order."""
+    """Weights; labels has the learned languages in order.  States and gates are arrays (unit, row)."""
 
     labels: list[str]
     w: dict[str, np.ndarray]
@@ -60,67 +69,88 @@ class Network:
             w |= {f"x{d}": draw(EMBED, 3 * HIDDEN), f"h{d}": draw(HIDDEN, 3 * HIDDEN), f"b{d}": np.zeros(3 * HIDDEN, np.float32)}
         return cls(labels, w)
 
-    def _direction(self, ids: np.ndarray, mask: np.ndarray, d: str, keep: list | None = None) -> np.ndarray:
-        """Hidden states (time, segment, unit) of one direction; mask (time, segment) stops the state at padding."""
-        w, h3 = self.w, 3 * HIDDEN
-        table_ = w["emb"] @ w[f"x{d}"] + w[f"b{d}"]
-        steps = range(len(ids)) if d == "f" else range(len(ids) - 1, -1, -1)
-        h = np.zeros((ids.shape[1], HIDDEN), np.float32)
-        out = np.zeros((*ids.shape, HIDDEN), np.float32)
-        for t in steps:
-            gx, gh = table_[ids[t]], h @ w[f"h{d}"]
-            zr = _sigmoid(gx[:, : 2 * HIDDEN] + gh[:, : 2 * HIDDEN])
-            z, r = zr[:, :HIDDEN], zr[:, HIDDEN:]
-            n = np.tanh(gx[:, 2 * HIDDEN : h3] + r * gh[:, 2 * HIDDEN : h3])
-            m = mask[t][:, None]
-            new = h + m * (1 - z) * (n - h)
+    def _direction(self, ids: np.ndarray, mask: np.ndarray, d: str, see: Callable, keep: list | None = None) -> None:
+        """Calls see(time, states) along one direction; ids, mask (time, row).  Padding sets a state back to zero."""
+        w, two = self.w, 2 * HIDDEN
+        rows = np.ascontiguousarray((w["emb"] @ w[f"x{d}"] + w[f"b{d}"]).T)
+        recurrent = np.ascontiguousarray(w[f"h{d}"].T)
+        whole = mask.all(axis=1)
+        h = np.zeros((HIDDEN, ids.shape[1]), rows.dtype)
+        for t in range(len(ids)) if d == "f" else range(len(ids) - 1, -1, -1):
+            gx, gh = np.take(rows, ids[t], axis=1, mode="clip"), recurrent @ h
+            zr = gx[:two]
+            zr += gh[:two]
+            _sigmoid_in(zr)
+            z, r, c = zr[:HIDDEN], zr[HIDDEN:], gx[two:]
+            c += gh[two:] * r
+            np.tanh(c, out=c)
+            new = h - c
+            new *= z
+            new += c
+            if not whole[t]:
+                new *= mask[t]
             if keep is not None:
-                keep.append((t, h, z, r, n, gh[:, 2 * HIDDEN :], m))
+                keep.append((t, h, z, r, c, gh[two:]))
             h = new
-            out[t] = h
-        return out
+            see(t, h)
 
     def positions(self, ids: np.ndarray, mask: np.ndarray) -> np.ndarray:
-        """Label probabilities of every position (time, segment, label)."""
-        s = np.concatenate([self._direction(ids, mask, "f"), self._direction(ids, mask, "b")], axis=2) @ self.w["out"] + self.w["out_b"]
-        e = np.exp(s - s.max(axis=2, keepdims=True))
-        return e / e.sum(axis=2, keepdims=True)
+        """Label probabilities of every position (time, label, row)."""
+        s = np.empty((len(ids), len(self.labels), ids.shape[1]), self.w["out"].dtype)
+        s[:] = self.w["out_b"][:, None]
+        for k, d in enumerate("fb"):
+            part = np.ascontiguousarray(self.w["out"][k * HIDDEN : (k + 1) * HIDDEN].T)
+
+            def see(t, h, part=part):
+                s[t] += part @ h
+
+            self._direction(ids, mask, d, see)
+        s -= s.max(axis=1, keepdims=True)
+        np.exp(s, out=s)
+        s /= s.sum(axis=1, keepdims=True)
+        return s
 
     def gradients(self, ids: np.ndarray, mask: np.ndarray, label: np.ndarray) -> tuple[float, dict[str, np.ndarray]]:
         """Mean cross entropy over positions and its gradient by backpropagation through time."""
         w, kept = self.w, {"f": [], "b": []}
-        hidden = np.concatenate([self._direction(ids, mask, d, kept[d]) for d in "fb"], axis=2)
-        s = hidden @ w["out"] + w["out_b"]
-        e = np.exp(s - s.max(axis=2, keepdims=True))
-        p = e / e.sum(axis=2, keepdims=True)
+        hidden = np.zeros((len(ids), 2 * HIDDEN, ids.shape[1]), w["out"].dtype)
+        for k, d in enumerate("fb"):
+
+            def see(t, h, k=k):
+                hidden[t, k * HIDDEN : (k + 1) * HIDDEN] = h
+
+            self._direction(ids, mask, d, see, kept[d])
+        s = np.matmul(w["out"].T, hidden) + w["out_b"][:, None]
+        e = np.exp(s - s.max(axis=1, keepdims=True))
+        p = e / e.sum(axis=1, keepdims=True)
         total = float(mask.sum())
         right = np.arange(len(label))
-        loss = float(-(np.log(p[:, right, label] + 1e-9) * mask).sum() / total)
-        ds = p.copy()
-        ds[:, right, label] -= 1
-        ds *= mask[:, :, None] / total
+        loss = float(-(np.log(p[:, label, right] + 1e-9) * mask).sum() / total)
+        p[:, label, right] -= 1
+        p *= mask[:, None, :] / total
         g = {k: np.zeros_like(v) for k, v in w.items()}
-        g["out"] = np.tensordot(hidden, ds, axes=([0, 1], [0, 1]))
-        g["out_b"] = ds.sum(axis=(0, 1))
-        dh_all = ds @ w["out"].T
+        g["out"] = np.tensordot(hidden, p, axes=([0, 2], [0, 2]))
+        g["out_b"] = p.sum(axis=(0, 2))
+        dh_all = np.matmul(w["out"], p)
         for k, d in enumerate("fb"):
-            back = np.zeros((ids.shape[1], HIDDEN), np.float32)
-            by_byte = np.zeros((257, 3 * HIDDEN), np.float32)
-            for t, h, z, r, n, ghn, m in reversed(kept[d]):
-                dh = dh_all[t, :, k * HIDDEN : (k + 1) * HIDDEN] + back
-                dz, dn = -dh * m * (n - h) * z * (1 - z), dh * m * (1 - z) * (1 - n * n)
-                dr = dn * ghn * r * (1 - r)
-                dgx = np.concatenate([dz, dr, dn], axis=1)
-                dgh = np.concatenate([dz, dr, dn * r], axis=1)
-                np.add.at(by_byte, ids[t], dgx)
-                g[f"h{d}"] += h.T @ dgh
-                back = dh * (1 - m * (1 - z)) + dgh @ w[f"h{d}"].T
-            g[f"x{d}"] = w["emb"].T @ by_byte
-            g[f"b{d}"] = by_byte.sum(axis=0)
-            g["emb"] += by_byte @ w[f"x{d}"].T
+            back = np.zeros((HIDDEN, ids.shape[1]), w["out"].dtype)
+            steps = np.zeros((len(ids), 3 * HIDDEN, ids.shape[1]), w["out"].dtype)
+            for t, h, z, r, c, ghc in reversed(kept[d]):
+                dh = (dh_all[t, k * HIDDEN : (k + 1) * HIDDEN] + back) * mask[t]
+                dz, dc = dh * (h - c) * z * (1 - z), dh * (1 - z) * (1 - c * c)
+                dr = dc * ghc * r * (1 - r)
+                steps[t] = np.concatenate([dz, dr, dc])
+                dgh = np.concatenate([dz, dr, dc * r])
+                g[f"h{d}"] += h @ dgh.T
+                back = dh * z + w[f"h{d}"] @ dgh
+            flat = ids.ravel()
+            by_byte = np.stack([np.bincount(flat, weights=steps[:, u].ravel(), minlength=257) for u in range(3 * HIDDEN)]).astype(w["out"].dtype)
+            g[f"x{d}"] = (by_byte @ w["emb"]).T
+            g[f"b{d}"] = by_byte.sum(axis=1)
+            g["emb"] += by_byte.T @ w[f"x{d}"].T
         return loss, g
 
-    def train(self, words: list[bytes], label: np.ndarray, steps: int = STEPS, batch: int = BATCH, rate: float = 0.012, seed: int = 3) -> list[float]:
+    def train(self, stretches: list[bytes], label: np.ndarray, steps: int = STEPS, batch: int = BATCH, rate: float = 0.015, seed: int = 3) -> list[float]:
         rng = np.random.default_rng(seed)
         m, v = ({k: np.zeros_like(x) for k, x in self.w.items()} for _ in range(2))
         losses = []
@@ -128,7 +158,7 @@ class Network:
         by = [np.flatnonzero(label == k) for k in range(len(self.labels))]
         for step in range(1, steps + 1):
             pick = np.concatenate([rng.choice(x, -(-batch // len(by))) for x in by])
-            ids, mask = padded([words[i] for i in pick])
+            ids, mask = padded([stretches[i] for i in pick])
             loss, g = self.gradients(ids, mask, label[pick])
             losses.append(loss)
             slow = rate * min(1.0, step / 30) * (1 - 0.9 * step / steps)
@@ -139,71 +169,79 @@ class Network:
         return losses
 
 
-def padded(words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-    """(time, segment) byte ids with a boundary mark (256) on either side, and the mask of real positions."""
-    n = max(map(len, words), default=0) + 2
-    ids = np.full((n, len(words)), 256, np.int64)
-    mask = np.zeros((n, len(words)), np.float32)
-    for i, w in enumerate(words):
-        ids[1 : len(w) + 1, i] = np.frombuffer(w, np.uint8)
-        mask[: len(w) + 2, i] = 1
-    return ids, mask
+def encoded(text: str) -> np.ndarray:
+    """Bytes of a text as the network reads them."""
+    return LOWER[np.frombuffer(text.encode("utf-8", "replace"), np.uint8)]
 
 
-def segments(word: str) -> list[bytes]:
-    raw = word.lower().encode("utf-8", "replace")
-    return [raw[i : i + SEGMENT] for i in range(0, len(raw), SEGMENT)]
+def padded(stretches: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """(time, row) byte ids and the mask of real positions."""
+    n = max(map(len, stretches), default=0)
+    ids = np.full((n, len(stretches)), PADDING, np.int64)
+    mask = np.zeros((n, len(stretches)), np.float32)
+    for i, x in enumerate(stretches):
+        ids[: len(x), i] = np.frombuffer(x, np.uint8)
+        mask[: len(x), i] = 1
+    return ids, mask
 
 
 class Reader:
-    """Scores whole texts with one network; each word's sums are a row of one table, the older half of which is dropped
-    when there are CACHE of them."""
+    """Reads whole texts with one network."""
 
     def __init__(self, net: Network) -> None:
         self.net = net
-        self.row: dict[str, int] = {}
-        self.sums = np.zeros((1024, len(net.labels) + 1), np.float32)
-
-    def _score(self, words: list[str]) -> None:
-        """Label sums over the positions of new words, and their number of positions."""
-        parts = [(k, s) for k, w in enumerate(words) for s in segments(w)]
-        parts.sort(key=lambda x: len(x[1]))
-        sums = np.zeros((len(words), len(self.net.labels) + 1))
-        for at in range(0, len(parts), 1024):
-            some = parts[at : at + 1024]
-            ids, mask = padded([s for _, s in some])
-            p = self.net.positions(ids, mask) * mask[:, :, None]
-            np.add.at(sums, [k for k, _ in some], np.column_stack([p.sum(axis=0), mask.sum(axis=0)]))
-        n = len(self.row)
-        while n + len(words) > len(self.sums):
-            self.sums = np.concatenate([self.sums, np.zeros_like(self.sums)])
-        self.sums[n : n + len(words)] = sums
-        self.row.update(zip(words, range(n, n + len(words)), strict=True))
-
-    def _drop_half(self) -> None:
-        kept = list(islice(self.row, len(self.row) // 2, None))
-        self.sums[: len(kept)] = self.sums[len(self.row) - len(kept) : len(self.row)]
-        self.row = {w: i for i, w in enumerate(kept)}
+
+    def _groups(self, raw: list[np.ndarray]):
+        """(number of the text, first position, counted (time, row), ids, mask) of groups of stretches of similar length."""
+        size = np.array([len(r) for r in raw], np.int64)
+        per = -(-size // STRETCH)
+        text = np.repeat(np.arange(len(raw)), per)
+        if not len(text):
+            return
+        data = np.concatenate([*raw, np.zeros(1, np.uint8)])
+        base = (np.cumsum(size) - size)[text]
+        at = (np.arange(len(text)) - np.repeat(np.cumsum(per) - per, per)) * STRETCH
+        low, high = np.maximum(at - CONTEXT, 0), np.minimum(at + STRETCH + CONTEXT, size[text])
+        order = np.argsort(high - low, kind="stable")[::-1]
+        first = 0
+        while first < len(order):
+            longest = int((high - low)[order[first]])
+            pick = order[first : first + max(16, CELLS // (longest * max(len(self.net.labels), 3)))]
+            first += len(pick)
+            place = np.arange(longest)[:, None]
+            inside = place < (high - low)[pick]
+            ids = np.where(inside, data[np.minimum(base[pick] + low[pick] + place, len(data) - 1)], PADDING)
+            begin = (at - low)[pick]
+            yield text[pick], low[pick], (place >= begin) & (place < begin + STRETCH) & inside, ids, inside.astype(np.float32)
+
+    def probabilities(self, texts: list[str | None]) -> np.ndarray:
+        """(text, label) mean over all positions of each text; zeros for a text without a letter."""
+        raw = [encoded(t) if t and ANY_LETTER(t) else np.zeros(0, np.uint8) for t in texts]
+        total = np.zeros((len(texts), len(self.net.labels)))
+        for text, _, counted, ids, mask in self._groups(raw):
+            p = self.net.positions(ids, mask)
+            p *= counted[:, None, :]
+            np.add.at(total, text, p.sum(axis=0, dtype=np.float64).T)
+        return total / np.maximum([[len(r)] for r in raw], 1) if len(raw) else total
+
+    def label_positions(self, text: str) -> list[str]:
+        """The likeliest language at every byte of one text."""
+        raw = encoded(text)
+        out = np.zeros(len(raw), np.int64)
+        for _, low, counted, ids, mask in self._groups([raw]):
+            best = self.net.positions(ids, mask).argmax(axis=1)
+            t, row = np.nonzero(counted)
+            out[low[row] + t] = best[t, row]
+        return [self.net.labels[k] for k in out]
 
     def read(self, texts: list[str | None]) -> tuple[list[str], list[float]]:
+        """Likeliest language of each text and its pooled probability; ties go to the first in the order of labels."""
         if not self.net.labels:
             return [UNDETERMINED] * len(texts), [0.0] * len(texts)
-        found = [LETTER_WORDS(t) if t and ANY_LETTER(t) else [] for t in texts]
-        self._score(list(set().union(*found).difference(self.row)))
-        labels, scores, get = [], [], self.row.__getitem__
-        for ws in found:
-            if not ws:
-                labels.append(UNDETERMINED)
-                scores.append(0.0)
-                continue
-            total = self.sums[np.fromiter(map(get, ws), np.int64, len(ws))].sum(axis=0, dtype=np.float64)
-            p = total[:-1] / total[-1]
-            best = int(np.argmax(p))
-            labels.append(self.net.labels[best])
-            scores.append(min(1.0, float(p[best])))
-        if len(self.row) > CACHE:
-            self._drop_half()
-        return labels, scores
+        p = self.probabilities(texts)
+        best = p.argmax(axis=1) if len(p) else []
+        score = [min(1.0, float(p[i, k])) for i, k in enumerate(best)]
+        return [self.net.labels[k] if s > 0 else UNDETERMINED for k, s in zip(best, score, strict=True)], score
 
 
 def level(counts: list[int], most: int) -> int:
@@ -215,31 +253,26 @@ def level(counts: list[int], most: int) -> int:
     return low
 
 
-def fit(labelled: DataFrame, documents: int = TRAIN_DOCUMENTS, words: int = TRAIN_WORDS, steps: int = STEPS) -> Network:
+def fit(labelled: DataFrame, documents: int = TRAIN_DOCUMENTS, windows: int = WINDOWS, steps: int = STEPS) -> Network:
     """Train on (doc_id, text, lang) rows: a bounded sample with the smallest hashes of each lang, ties by doc_id.
 
-    Rows with a null text or lang are no examples.  No examples: a network without labels, which answers `und`.
+    Rows with a null text or lang, or a text without a letter, are no examples.  No examples: a network without labels,
+    which answers `und`.
     """
-    pick = labelled.filter(F.col("text").isNotNull() & F.col("lang").isNotNull()).select("doc_id", "text", "lang", F.xxhash64("doc_id").alias("h"))
-    # The text stays out of the sort; only the chosen rows bring theirs, cut to words before they leave the executors.
+    pick = labelled.filter(F.col("text").rlike(r"\p{L}") & F.col("lang").isNotNull()).select("doc_id", "text", "lang", F.xxhash64("doc_id").alias("h"))
+    # The text stays out of the sort; only the chosen rows bring theirs, cut to stretches before they leave the executors.
     # Each task passes on its first rows of every lang alone.
     counts = [r["count"] for r in pick.groupBy("lang").count().collect()]
-    place = F.row_number().over(Window.partitionBy("lang").orderBy("h", "doc_id"))
+    place = F.row_number().over(Over.partitionBy("lang").orderBy("h", "doc_id"))
     ids = pick.select("h", "doc_id", "lang").withColumn("place", place).filter(F.col("place") <= level(counts, documents))
     documents = max(documents, len(counts))
-    cut = F.regexp_extract_all(F.lower("text"), F.lit(r"([\p{L}\p{M}'’]+)"), 1)
-    every = F.greatest(F.lit(1), F.floor(F.size("w") / F.lit(WORDS_PER_DOCUMENT)))
-    some = F.slice(F.filter("w", lambda _, i: i % F.col("every") == 0), 1, WORDS_PER_DOCUMENT)
-    rows = pick.join(F.broadcast(ids.select("doc_id", "lang").distinct()), ["doc_id", "lang"], "left_semi").select("h", "doc_id", "lang", cut.alias("w")).withColumn("every", every).select("h", "doc_id", "lang", some.alias("w")).orderBy("h", "doc_id").limit(documents).collect()
-    labels = sorted({r["lang"] for r in rows if r["w"]})
+    step = F.greatest(F.lit(WINDOW), F.floor(F.char_length("text") / windows))
+    starts = F.slice(F.sequence(F.lit(0).cast("long"), F.char_length("text").cast("long"), step.cast("long")), 1, windows)
+    cut = F.transform(starts, lambda i: F.substring("text", (i + 1).cast("int"), F.lit(WINDOW)))
+    rows = pick.join(F.broadcast(ids.select("doc_id", "lang").distinct()), ["doc_id", "lang"], "left_semi").select("h", "doc_id", "lang", cut.alias("w")).orderBy("h", "doc_id").limit(documents).collect()
+    labels = sorted({r["lang"] for r in rows})
     net = Network.fresh(labels)
-    examples = [(s, labels.index(r["lang"])) for r in rows for w in r["w"] for s in segments(w)]
-    if len(examples) > words:
-        label = np.array([k for _, k in examples])
-        shuffled = np.random.default_rng(5).permutation(len(examples))
-        share = level(np.bincount(label).tolist(), words)
-        keep = np.concatenate([shuffled[label[shuffled] == k][:share] for k in range(len(labels))])
-        examples = [examples[i] for i in sorted(keep)]
+    examples = [(encoded(w).tobytes(), labels.index(r["lang"])) for r in rows for w in r["w"] if w]
     if labels:
         net.train([w for w, _ in examples], np.array([k for _, k in examples]), steps)
     return net
