@@ -25,7 +25,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..session import materialize, scoped
-from .common import SPACE, U64, arrow_map, batches, documents_of, join_texts, mix, prefix_hash, slice_hash, table
+from .common import SPACE, U64, arrow_map, batches, documents_of, join_texts, mix, prefix_hash, slice_hash, table, unused
 from .components import components
 
 EDITS = 2
@@ -365,8 +365,9 @@ def drop_lines(docs: DataFrame, classes: DataFrame) -> DataFrame:
     table gives none.
     """
     names = docs.columns
-    doomed = classes.filter((F.col("doc_id") != F.col("class_doc")) | (F.col("line_no") != F.col("class_line"))).groupBy(F.col("doc_id").alias("__id")).agg(F.collect_set("line_no").alias("__drop"))
-    src = docs.join(materialize(doomed, "doomed"), docs["doc_id"] == F.col("__id"), "left").drop("__id")
+    key, drop = unused(names, "__id"), unused(names, "__drop")
+    doomed = classes.filter((F.col("doc_id") != F.col("class_doc")) | (F.col("line_no") != F.col("class_line"))).groupBy(F.col("doc_id").alias(key)).agg(F.collect_set("line_no").alias(drop))
+    src = docs.join(materialize(doomed, "doomed"), docs["doc_id"] == F.col(key), "left").drop(key)
 
     def run(it):
         for batch in it:
