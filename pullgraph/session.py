@@ -13,12 +13,14 @@ import tempfile
 import uuid
 import zipfile
 from collections.abc import Callable
+from contextvars import ContextVar
 from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 
 _SHIPPED: set[str] = set()
-_SCOPES: list[list[DataFrame]] = []
+#: Tables made in the scopes that are open, innermost last; each thread has scopes of its own.
+_SCOPES: ContextVar[tuple[list[DataFrame], ...]] = ContextVar("scopes", default=())
 
 
 def local_session(app: str = "pullgraph", cores: str = "8", partitions: int = 8) -> SparkSession:
@@ -54,31 +56,33 @@ def ship(spark: SparkSession) -> None:
 
 
 def scratch_root(spark: SparkSession) -> str:
-    """The shared folder named by spark.checkpoint.dir; one of our own only where that is unset, as in tests."""
+    """The shared folder named by spark.checkpoint.dir; one of our own only where that is unset and all is one machine."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
     own = spark.sparkContext.getCheckpointDir()
     if own is None:
+        if not (spark.sparkContext.master == "local" or spark.sparkContext.master.startswith("local[")):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
         own = "file://" + tempfile.mkdtemp(prefix="pullgraph-scratch-")
         spark.sparkContext.setCheckpointDir(own)
         own = spark.sparkContext.getCheckpointDir()
     return own.rstrip("/")
 
 
-def materialize(df: DataFrame, name: str = "step") -> DataFrame:
-    """Cut lineage by a compressed columnar table in the shared folder.
+def materialize(df: DataFrame, name: str = "step", by: tuple[str, ...] = ()) -> DataFrame:
+    """Cut lineage by a compressed columnar table in the shared folder, in folders by the columns `by`.
 
     Unlike a block kept by one executor, the files outlive any executor, and they are several times smaller than the
     row format that checkpoint() writes.
     """
     spark = df.sparkSession
     path = f"{scratch_root(spark)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    df.write.partitionBy(*by).parquet(path) if by else df.write.parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._scratch_path = path
-    if _SCOPES:
-        _SCOPES[-1].append(out)
+    for scope in _SCOPES.get()[-1:]:
+        scope.append(out)
     return out
 
 
@@ -91,27 +95,34 @@ def scoped(fn: Callable[..., DataFrame]) -> Callable[..., DataFrame]:
 
     @functools.wraps(fn)
     def run(*args, **kwargs) -> DataFrame:
-        _SCOPES.append([])
+        made: list[DataFrame] = []
+        outer = _SCOPES.set((*_SCOPES.get(), made))
         try:
-            made = fn(*args, **kwargs)
-            _SCOPES.append([])
+            plan = fn(*args, **kwargs)
+            inner = _SCOPES.set((*_SCOPES.get(), []))
             try:
-                out = materialize(made, fn.__name__)
+                out = materialize(plan, fn.__name__)
             finally:
-                _SCOPES.pop()
+                _SCOPES.reset(inner)
         finally:
-            for t in _SCOPES.pop():
+            _SCOPES.reset(outer)
+            for t in made:
                 release(t)
-        if _SCOPES:
-            _SCOPES[-1].append(out)
-        del made
-        gc.collect()
-        out.sparkSession.sparkContext._jvm.System.gc()
+        for scope in _SCOPES.get()[-1:]:
+            scope.append(out)
+        del plan
+        collect_garbage(out.sparkSession)
         return out
 
     return run
 
 
+def collect_garbage(spark: SparkSession) -> None:
+    """Spark drops the shuffle files of a plan when the driver no longer refers to it; this lets it see that now."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def release(df: DataFrame | None) -> None:
     """Delete the files of a materialize() result that nothing will read again."""
     path = getattr(df, "_scratch_path", None)
