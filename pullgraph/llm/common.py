@@ -28,9 +28,9 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-#: What a side may hold that is broadcast, counted first: rows, and elements of its lists (32 bytes each at most).  Beyond
+#: What a side may hold that is broadcast, counted first: rows, and elements of its lists (48 bytes each at most).  Beyond
 #: either, both sides are shuffled.
-SMALL_ROWS, SMALL_ELEMENTS = 100_000, 1_000_000
+SMALL_ROWS, SMALL_ELEMENTS = 100_000, 250_000
 
 
 def _give_back() -> None:
