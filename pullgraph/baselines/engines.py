@@ -2,6 +2,10 @@
 
 All return the same values as the pull engine.  Sum programs run a fixed number of supersteps with all vertices active;
 programs with an idempotent gather follow each engine's own activity rule and stop when no vertex is active.
+
+Edges are laid out once, by the key that each engine's superstep joins them on and sorted by it: in blocks of memory for
+in-memory engines, of disk for out-of-core ones.  So a superstep moves values and messages, as the methods mean it, and
+reads edges where they are.
 """
 
 from __future__ import annotations
@@ -9,6 +13,7 @@ from __future__ import annotations
 import time
 from collections.abc import Callable
 
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -19,6 +24,11 @@ from ..partition.cuts import CUTS, hash_edge_cut, replicas, streaming_partitions
 from ..session import materialize, release
 
 
+def _laid_out(edges: DataFrame, *keys: str, on_disk: bool = False) -> DataFrame:
+    n = int(edges.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return edges.repartition(n, *keys).sortWithinPartitions(*keys).persist(StorageLevel.DISK_ONLY if on_disk else StorageLevel.MEMORY_AND_DISK)
+
+
 def _start(g: Graph, program: VertexProgram) -> DataFrame:
     n = g.n_vertices
     first = F.lit(True) if program.start is None else F.col("id") == F.lit(program.start)
@@ -45,6 +55,7 @@ def _loop(g: Graph, program: VertexProgram, stop: StopRule, one: Callable[[DataF
         began, entry = time.time(), {"superstep": done + 1}
         kept = materialize(one(state, done, entry), "state")
         release(state)
+        release(entry.pop("spool", None))
         state, done = kept, done + 1
         moved = state.filter("active").count()
         log.append(entry | {"wall_s": time.time() - began, "changed": moved, "update_ratio": moved / max(n, 1)})
@@ -60,23 +71,21 @@ def msg_mem(g: Graph, program: VertexProgram, stop: StopRule, servers: int = 9,
     (combine), then folded at the target.  In an idempotent program a vertex halts until a message improves it.  on_disk:
     edges and uncombined messages are files, as in the out-of-core engine.
     """
-    out = hash_edge_cut(g, servers)
-    out = materialize(out, "out-edges") if on_disk else out.persist()
+    out = _laid_out(hash_edge_cut(g, servers), "src", on_disk=on_disk)
     n = g.n_vertices
 
     def one(state: DataFrame, done: int, entry: dict) -> DataFrame:
         sending = state.filter("active") if program.idempotent else state
         sent = out.join(sending.select(F.col("id").alias("src"), "value", "d_out"), "src").select("worker", "dst", program.message(F.col("value"), F.col("d_out"), F.col("w")).alias("m"))
         if on_disk:
-            sent = materialize(sent, "spool")
+            sent = entry["spool"] = materialize(sent, "spool")
         combined = sent.groupBy("worker", "dst").agg(program.fold(F.col("m")).alias("m")) if combine else sent
         if count:
             entry |= {"msg_raw": sent.count(), "msg_count": combined.count()}
         return _commit(state, combined.groupBy(F.col("dst").alias("id")).agg(program.fold(F.col("m")).alias("accum")), program, n, stop.tol)
 
     result = _loop(g, program, stop, one)
-    if not on_disk:
-        out.unpersist()
+    out.unpersist()
     return result
 
 
@@ -95,9 +104,9 @@ def gas(g: Graph, program: VertexProgram, stop: StopRule, servers: int = 9, cut:
     Mirrors fold the in-edges of their part, masters fold the partial results and apply, new values go to the mirrors, and
     changed vertices activate their out-neighbours, which alone gather next time.
     """
-    edges = CUTS[cut](g, servers).persist()
-    places = replicas(edges).persist()
-    n = g.n_vertices
+    edges = _laid_out(CUTS[cut](g, servers), "part", "src")
+    places = _laid_out(replicas(edges), "id")
+    n, all_active = g.n_vertices, not program.idempotent
     active_next: list[DataFrame | None] = [None]
 
     def one(state: DataFrame, done: int, entry: dict) -> DataFrame:
@@ -108,16 +117,21 @@ def gas(g: Graph, program: VertexProgram, stop: StopRule, servers: int = 9, cut:
         local = edges if active is None else edges.join(active.select(F.col("id").alias("dst")), "dst", "left_semi")
         partial = local.join(mirrors, ["part", "src"]).groupBy("part", "dst").agg(program.fold(program.message(F.col("value"), F.col("d_out"), F.col("w"))).alias("m"))
         folded = partial.groupBy(F.col("dst").alias("id")).agg(program.fold(F.col("m")).alias("accum"))
-        new = materialize(_commit(state, folded, program, n, stop.tol, active), "gas")
+        new = _commit(state, folded, program, n, stop.tol, active)
+        if all_active and not count:
+            return new
+        new = entry["spool"] = materialize(new, "gas")
         if count:
             up = partial.select("part", F.col("dst").alias("id")).join(places.filter("NOT is_master"), ["part", "id"], "left_semi").count()
             down = places.filter("NOT is_master").join(new.filter("active"), "id", "left_semi").count()
-            entry |= {"msg_up": up, "msg_down": down, "msg_count": up + down}
-        active_next[0] = materialize(edges.join(new.filter("active").select(F.col("id").alias("src")), "src", "left_semi").select(F.col("dst").alias("id")).distinct(), "active")
-        release(old)
+            entry |= {"msg_up": up, "msg_down": down, "msg_count": up + down, "op_gather": partial.count(), "op_apply": n if active is None else active.count(), "op_scatter": edges.join(new.filter("active").select(F.col("id").alias("src")), "src", "left_semi").select("part", "src").distinct().count()}
+        if not all_active:
+            active_next[0] = materialize(edges.join(new.filter("active").select(F.col("id").alias("src")), "src", "left_semi").select(F.col("dst").alias("id")).distinct(), "active")
+            release(old)
         return new
 
     result = _loop(g, program, stop, one)
+    release(active_next[0])
     edges.unpersist()
     places.unpersist()
     return result
@@ -137,18 +151,20 @@ def edge_stream(g: Graph, program: VertexProgram, stop: StopRule, servers: int =
     Every superstep reads every edge and writes one message per edge to its target's partition; a second pass folds the
     messages; a third applies.  Nothing is combined and no edge is left out.
     """
-    edges = materialize(streaming_partitions(g, parts, servers), "stream-edges")
+    edges = _laid_out(streaming_partitions(g, parts, servers), "src", on_disk=True)
     n = g.n_vertices
 
     def one(state: DataFrame, done: int, entry: dict) -> DataFrame:
         sent = edges.join(state.select(F.col("id").alias("src"), "value", "d_out"), "src")
-        spool = materialize(sent.select(F.pmod("dst", F.lit(parts)).alias("part"), "dst", program.message(F.col("value"), F.col("d_out"), F.col("w")).alias("m")), "inbox")
+        spool = entry["spool"] = materialize(sent.select(F.pmod("dst", F.lit(parts)).alias("part"), "dst", program.message(F.col("value"), F.col("d_out"), F.col("w")).alias("m")), "inbox")
         if count:
             k = spool.count()
             entry |= {"msg_raw": k, "msg_count": k}
         return _commit(state, spool.groupBy(F.col("dst").alias("id")).agg(program.fold(F.col("m")).alias("accum")), program, n, stop.tol)
 
-    return _loop(g, program, stop, one)
+    result = _loop(g, program, stop, one)
+    edges.unpersist()
+    return result
 
 
 def triplets(g: Graph, program: VertexProgram, stop: StopRule, servers: int = 9, count: bool = False) -> Result:

@@ -3,8 +3,8 @@
 from __future__ import annotations
 
 import time
+from functools import reduce
 
-import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -80,18 +80,49 @@ def traffic_rows(changes: DataFrame, splitter: DataFrame, threshold: float = SPA
     return rows.select("superstep", "tile_id", "n", "k", dense.cast("long").alias("dense_b"), sparse.cast("long").alias("sparse_b"), hybrid.cast("long").alias("hybrid_b"))
 
 
+def sparsity(rows: DataFrame) -> DataFrame:
+    """Per superstep, least, mean and largest share of unchanged vertices over the tiles of traffic_rows()."""
+    share = (F.col("n") - F.col("k")) / F.col("n")
+    return rows.filter("n > 0").groupBy("superstep").agg(F.round(F.min(share), 6).alias("least"), F.round(F.avg(share), 6).alias("mean"), F.round(F.max(share), 6).alias("most"))
+
+
 def traffic(log: list[dict], servers: int) -> list[dict]:
     """Network bytes per superstep: every message goes to all other servers."""
     return [{"superstep": e["superstep"], **{k: e[k] * (servers - 1) for k in ("msg_dense_b", "msg_sparse_b", "msg_hybrid_b", "msg_compressed_b")}} for e in log]
 
 
+def messages(log: list[dict]) -> int:
+    """Messages that were sent, where the engine counts them."""
+    return sum(e["msg_count"] for e in log)
+
+
+def gas_messages(cut: DataFrame) -> DataFrame:
+    """One row: messages of a superstep with all vertices active, mirrors to masters and masters to mirrors."""
+    mirrors = replicas(cut).filter("NOT is_master").select("part", "id")
+    up = cut.select("part", F.col("dst").alias("id")).distinct().join(mirrors, ["part", "id"], "left_semi")
+    return up.unionAll(mirrors).agg(F.count("*").alias("messages"))
+
+
+def stored_bytes(df: DataFrame) -> int:
+    """Bytes that a table takes when it is held in executors."""
+    sc = df.sparkSession.sparkContext._jsc.sc()
+    size = lambda: sum(i.memSize() + i.diskSize() for i in sc.getRDDStorageInfo())
+    before = size()
+    df.persist()
+    df.count()
+    out = size() - before
+    df.unpersist(blocking=True)
+    return out
+
+
 def hit_ratio(log: list[dict]) -> float:
     loads = sum(e["tiles_loaded"] for e in log)
     return sum(e["cache_hits"] for e in log) / loads if loads else 0.0
 
 
 def disk(log: list[dict]) -> int:
-    return sum(e["disk_read_b"] for e in log)
+    """Bytes read from and written to disk."""
+    return sum(e["disk_read_b"] + e["disk_write_b"] for e in log)
 
 
 def skips(log: list[dict]) -> list[dict]:
@@ -123,15 +154,22 @@ def codec_stats(tiles: DataFrame) -> DataFrame:
     )
 
 
-def format_sizes(g: Graph, tiles: DataFrame, weighted: bool = True) -> DataFrame:
+def csv_bytes(g: Graph, weighted: bool = True) -> int:
+    """Bytes of the edge list as text."""
+    return format_sizes(g, None, weighted).filter("format = 'csv_edge_list'").first()["bytes"]
+
+
+def format_sizes(g: Graph, tiles: DataFrame | None, weighted: bool = True) -> DataFrame:
     """(format, bytes): edge list as text, adjacency text, binary edges, tiles with degree arrays."""
     sign = F.length(F.col("src").cast("string")) + F.length(F.col("dst").cast("string")) + 2
     csv = g.edges.select(F.lit("csv_edge_list").alias("format"), (sign + (F.length(F.col("w").cast("string")) + 1 if weighted else 0)).alias("b"))
     lists = g.edges.groupBy("src").agg(F.sum(F.length(F.col("dst").cast("string")) + 1).alias("b")).select(F.lit("adjacency_text").alias("format"), (F.col("b") + F.length(F.col("src").cast("string")) + 1).alias("b"))
     binary = g.edges.select(F.lit("binary_edges").alias("format"), F.lit(16 if weighted else 8).alias("b"))
-    packed = tiles.select(F.lit("tiles").alias("format"), (4 * F.size("row") + 4 * F.size("col") + F.coalesce(8 * F.size("val"), F.lit(0)) + 8 * (F.col("v_hi") - F.col("v_lo"))).alias("b"))
-    parts = [x.select("format", F.col("b").cast("long")) for x in (csv, lists, binary, packed)]
-    return parts[0].union(parts[1]).union(parts[2]).union(parts[3]).groupBy("format").agg(F.sum("b").cast("long").alias("bytes"))
+    parts = [csv, lists, binary]
+    if tiles is not None:
+        # What the engine stores: 8 bytes a number in tiles, and both degrees of every vertex.
+        parts.append(tiles.select(F.lit("tiles").alias("format"), (8 * (F.size("row") + F.size("col") + F.coalesce(F.size("val"), F.lit(0))) + 16 * (F.col("v_hi") - F.col("v_lo"))).alias("b")))
+    return reduce(DataFrame.unionAll, [x.select("format", F.col("b").cast("long")) for x in parts]).groupBy("format").agg(F.sum("b").cast("long").alias("bytes"))
 
 
 def agree(a: DataFrame, b: DataFrame) -> DataFrame:
@@ -141,19 +179,19 @@ def agree(a: DataFrame, b: DataFrame) -> DataFrame:
     return x.agg(F.coalesce(F.max(d), F.lit(0.0)).alias("max_diff"), F.coalesce(F.sum(d), F.lit(0.0)).alias("l1_diff"), F.sum((F.col("x").isNull() | F.col("y").isNull()).cast("long")).alias("unmatched"))
 
 
-#: Operations per vertex update; pull computes and communicates once, a vertex-cut three and two times.
-OPERATIONS = (("pull", 1, 1), ("gas_vcut", 3, 2))
-
+def op_counts(spark: SparkSession, logs: dict[str, list[dict]]) -> DataFrame:
+    """(engine, gathers, applies, scatters, messages) of the last superstep of each engine's log, as the engine counted them.
 
-def op_counts(spark: SparkSession) -> DataFrame:
-    return spark.createDataFrame(list(OPERATIONS), "engine string, compute_ops int, communication_ops int")
+    A gather is a fold of the in-edges of a vertex in one place, so the pull engine gathers where it applies.
+    """
+    rows = []
+    for engine, log in logs.items():
+        e = log[-1]
+        rows.append((engine, e["op_apply"] if engine == "pull" else e["op_gather"], e["op_apply"], e.get("op_scatter", 0), e["op_broadcast"] if engine == "pull" else e["msg_count"]))
+    return spark.createDataFrame(rows, "engine string, gathers long, applies long, scatters long, messages long")
 
 
 def update_trend(log: DataFrame) -> DataFrame:
     """A step log (superstep, update_ratio) with its change from the step before and its mean over five steps."""
     w = Window.orderBy("superstep")  # one row per superstep
     return log.withColumn("step_change", F.col("update_ratio") - F.lag("update_ratio").over(w)).withColumn("mean5", F.avg("update_ratio").over(w.rowsBetween(-4, 0)))
-
-
-def np_update_curve(values: list[np.ndarray]) -> list[float]:
-    return [float(np.mean(a != b)) for a, b in zip(values, values[1:], strict=False)]

@@ -83,11 +83,16 @@ def od_column(n_v: Column, d_avg: Column, servers: Column) -> Column:
     return (F.lit(1.0) - F.exp(-d_avg / servers)) * n_v + n_v / servers
 
 
-def replication_sweep(graphs: DataFrame, most: int = 64) -> DataFrame:
-    """Memory per server of both policies for 1..most servers; graphs (graph, n_v, d_avg), a few rows."""
+def replication_sweep(graphs: DataFrame, most: int = 64, workers: int = 0) -> DataFrame:
+    """Memory per server of both policies for 1..most servers; graphs (graph, n_v, d_avg), a few rows.
+
+    With workers, graphs also has tile_b, and a server holds a tile of that size for each worker.
+    """
     n = graphs.sparkSession.range(1, most + 1).select(F.col("id").alias("servers"))
     rows = graphs.crossJoin(n)
-    aa, od = F.col("n_v") * F.lit(float(BYTES_ALL)), od_column(F.col("n_v"), F.col("d_avg"), F.col("servers")) * F.lit(float(BYTES_ON_DEMAND))
+    held = F.col("tile_b") * F.lit(workers) if workers else F.lit(0)
+    aa = F.col("n_v") * F.lit(float(BYTES_ALL)) + held
+    od = od_column(F.col("n_v"), F.col("d_avg"), F.col("servers")) * F.lit(float(BYTES_ON_DEMAND)) + held
     return rows.select("graph", "servers", F.round(aa, 0).cast("long").alias("aa_bytes"), F.round(od, 0).cast("long").alias("od_bytes"), F.when(aa <= od, F.lit("all")).otherwise(F.lit("on_demand")).alias("cheaper"))
 
 

@@ -58,8 +58,8 @@ def decode_payload(payload: bytes, codec: str, n_targets: int, n_edges: int) ->
 def plan_cache(sizes: DataFrame, capacity: int, servers: int) -> DataFrame:
     """sizes (tile_id, bytes) with server_id, fill and cached.
 
-    Tiles are met in order of their number, and each server admits a tile while it still fits beside those admitted;
-    nothing is given up again.  Here as prefix sums: a tile is cached if all up to it fit.
+    Tiles are met in order of their number, and each server admits them until one does not fit; then its cache is full,
+    and nothing is given up again.
     """
     w = Window.partitionBy("server_id").orderBy("tile_id").rowsBetween(Window.unboundedPreceding, 0)
     out = sizes.withColumn("server_id", F.pmod("tile_id", F.lit(servers)).cast("int")).withColumn("fill", F.sum("bytes").over(w).cast("long"))

@@ -9,6 +9,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field
 
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -72,6 +73,10 @@ def run(g: Graph, program: VertexProgram, stop: StopRule = StopRule(), cut_every
         return Result(g.vertices.select("id", F.lit(None).cast("double").alias("value")), 0)
     state = g.vertices.select("id", program.init(F.col("id"), n).alias("value"), F.lit(True).alias("changed"))
     rows = materialize(augmented(g, program), "augmented")
+    by_source = not (broadcast if broadcast is not None else n <= BROADCAST_VERTICES)
+    if by_source:
+        # Both sides of the join are laid out by vertex: the rows once, the state by the aggregation that made it.
+        rows = rows.repartition(int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")), "src").persist(StorageLevel.DISK_ONLY)
     every = 1 if log else cut_every
     entries, done, held = [], 0, None
     while stop.max_supersteps is None or done < stop.max_supersteps:
@@ -79,7 +84,7 @@ def run(g: Graph, program: VertexProgram, stop: StopRule = StopRule(), cut_every
         for _ in range(k):
             state = step(rows, state, program, n, stop.tol, frontier, broadcast)
         done += k
-        if not log and stop.max_supersteps is not None and done == stop.max_supersteps and done <= cut_every:
+        if not by_source and not log and stop.max_supersteps is not None and done == stop.max_supersteps and done <= cut_every:
             break
         state = materialize(state, "state")
         release(held)
@@ -89,6 +94,6 @@ def run(g: Graph, program: VertexProgram, stop: StopRule = StopRule(), cut_every
             entries.append({"superstep": done, "changed": moved, "update_ratio": moved / n})
             if moved == 0:
                 break
+    if by_source:
+        rows.unpersist()
     return Result(state.select("id", "value"), done, entries)
-
-

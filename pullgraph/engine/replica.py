@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
+import time
+
 import numpy as np
 import pandas as pd
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..partition.tiles import Prepared
+from ..partition.tiles import Prepared, sources
 from ..session import materialize, release, ship
 from .program import StopRule, VertexProgram, np_changed
 from .relational import Result
@@ -61,7 +64,13 @@ def run_on_demand(prep: Prepared, program: VertexProgram, stop: StopRule) -> Res
         raise ValueError("dangling mass is known only where all values are; use full replication")
     spark, n = prep.tiles.sparkSession, prep.graph.n_vertices
     ship(spark)
-    route = materialize(vertices_of_tiles(prep.tiles), "routing")
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    # Laid out once, in blocks on the executors' disks that are made again if one is lost: tiles by tile, the routing table
+    # and the sources by vertex.  What travels in a superstep is values alone.
+    lay = lambda df, key: df.repartition(parts, key).persist(StorageLevel.DISK_ONLY)
+    placed = prep.once("placed", lambda: lay(prep.tiles, "tile_id"))
+    route = prep.once("routing", lambda: lay(materialize(vertices_of_tiles(prep.tiles), "routing"), "id"))
+    tile_src = prep.once("sources-by-vertex", lambda: lay(materialize(sources(prep.tiles), "tile-sources"), "src"))
     state = materialize(prep.degrees.select("id", program.init(F.col("id"), n).alias("value"), "d_out", F.lit(True).alias("changed")), "state")
     tol = stop.tol
 
@@ -78,13 +87,13 @@ def run_on_demand(prep: Prepared, program: VertexProgram, stop: StopRule) -> Res
             out.append(pd.DataFrame({"id": np.arange(t.v_lo, t.v_hi)[flags], "new": new[flags]}))
         return pd.concat(out) if out else pd.DataFrame({"id": np.zeros(0, np.int64), "new": np.zeros(0)})
 
-    log, done = [], 0
+    log, done, active = [], 0, None
     while stop.max_supersteps is None or done < stop.max_supersteps:
-        tiles = prep.tiles
+        began, tiles = time.time(), placed
         if done or not program.apply_without_input:
-            sources = prep.tiles.select("tile_id", F.explode(F.array_distinct("col")).alias("src"))
             moved = state.filter("changed" if done else F.col("id") == F.lit(program.start)).select(F.col("id").alias("src"))
-            tiles = tiles.join(sources.join(moved, "src", "left_semi").select("tile_id").distinct(), "tile_id", "left_semi")
+            active = materialize(tile_src.join(moved, "src", "left_semi").select("tile_id").distinct(), "active")
+            tiles = tiles.join(active, "tile_id", "left_semi")
         routed = route.join(state, "id").select("tile_id", "id", "value", "d_out")
         updates = tiles.groupBy("tile_id").cogroup(routed.groupBy("tile_id")).applyInPandas(kernel, "id long, new double")
         new = state.drop("changed").join(updates, "id", "left").select("id", F.coalesce("new", "value").alias("value"), "d_out", F.col("new").isNotNull().alias("changed"))
@@ -92,7 +101,9 @@ def run_on_demand(prep: Prepared, program: VertexProgram, stop: StopRule) -> Res
         release(state)
         state, done = kept, done + 1
         moved = state.filter("changed").count()
-        log.append({"superstep": done, "changed": moved, "update_ratio": moved / max(n, 1)})
+        log.append({"superstep": done, "wall_s": time.time() - began, "changed": moved, "update_ratio": moved / max(n, 1)})
+        release(active)
+        active = None
         if not moved:
             break
     return Result(state.select("id", "value"), done, log)

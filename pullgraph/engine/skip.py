@@ -46,7 +46,7 @@ def tile_filters(tiles: DataFrame, fpp: float = 0.01) -> DataFrame:
         for b in it:
             rows = []
             for tile_id, col in zip(b.column(0).to_pylist(), b.column(1), strict=True):
-                ids = np.unique(col.values.to_numpy(zero_copy_only=False)) if col.as_py() else np.zeros(0, np.int64)
+                ids = np.unique(col.values.to_numpy(zero_copy_only=False)) if col.is_valid and len(col.values) else np.zeros(0, np.int64)
                 m, k = bloom_size(len(ids), fpp)
                 bits = np.zeros(m, np.uint8)
                 if m:

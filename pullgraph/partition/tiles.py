@@ -7,7 +7,8 @@ shuffle brings each tile's edges together, sorted by target, then source.
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from collections.abc import Callable
+from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
@@ -15,16 +16,21 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..graphs import Graph, degrees
-from ..session import materialize, ship
+from ..session import materialize, release, ship
 
-#: Ids whose prefix sums one window partition holds, and that the driver looks at together.
+#: Ids whose prefix sums one window partition holds.
 BLOCK = 1 << 20
+#: Blocks that one task walks at a time to find where tiles close.
+STRIPE = 16
 TILE = "tile_id long, v_lo long, v_hi long, n_edges long, `row` array<long>, col array<long>, val array<double>"
 
 
 @dataclass
 class Prepared:
-    """A partitioned graph: its degrees, boundaries and tiles, for any number of programs."""
+    """A partitioned graph: its degrees, boundaries and tiles, for any number of programs.
+
+    kept: what engines derive from the tiles and use again in later runs, by name.
+    """
 
     graph: Graph
     degrees: DataFrame
@@ -33,6 +39,18 @@ class Prepared:
     n_tiles: int
     weighted: bool
     tile_edges: int
+    kept: dict[str, object] = field(default_factory=dict)
+
+    def once(self, name: str, make: Callable[[], object]):
+        if name not in self.kept:
+            self.kept[name] = make()
+        return self.kept[name]
+
+    @property
+    def largest_tile(self) -> int:
+        """Bytes of the largest tile as the engine holds it."""
+        each = 8 * (F.col("v_hi") - F.col("v_lo") + 1 + (2 if self.weighted else 1) * F.col("n_edges"))
+        return self.once("largest_tile", lambda: self.splitter.agg(F.max(each)).first()[0] or 0)
 
 
 def out_degrees(g: Graph) -> DataFrame:
@@ -57,34 +75,49 @@ def prefix_sums(deg: DataFrame, block: int = BLOCK) -> DataFrame:
     return out.select("id", "d_in", (F.col("start") + F.col("inside") - F.col("d_in")).cast("long").alias("before"), (F.col("start") + F.col("inside")).cast("long").alias("through"), "block")
 
 
-def split_greedy(deg: DataFrame, tile_edges: int, block: int = BLOCK) -> DataFrame:
+def split_greedy(deg: DataFrame, tile_edges: int, block: int = BLOCK, stripe: int = STRIPE) -> DataFrame:
     """(tile_id, v_lo, v_hi, n_edges): a tile closes after the first id that brings it to tile_edges or more.
 
-    Exact and sequential over tiles, not over ids: the driver walks the block totals and fetches a block's prefix sums
-    only if a tile closes in it, one block of `block` ids at a time.
+    Exact and sequential over tiles, not over ids.  Prefix sums are written by stripes of `stripe` blocks; where a tile
+    closes in a stripe, one task walks the stripe from where the open tile starts, and the ids that close tiles are all
+    the driver sees.  split_quota() needs no walk.
     """
     if tile_edges < 1:
         raise ValueError("a tile needs room for one edge at least")
     spark = deg.sparkSession
-    sums = materialize(prefix_sums(deg, block), "prefix")
-    blocks = sums.groupBy("block").agg(F.min("id").alias("lo"), F.max("id").alias("hi"), F.max("through").alias("through")).orderBy("block").collect()
+    ship(spark)
+    sums = prefix_sums(deg, block).select("id", "through", F.floor(F.col("block") / stripe).cast("long").alias("stripe"))
+    sums = materialize(sums.repartition("stripe"), "prefix", by=("stripe",))
+    stripes = sums.groupBy("stripe").agg(F.max("id").alias("hi"), F.max("through").alias("through")).orderBy("stripe").collect()
     rows, v_lo, start = [], 0, 0
-    for b in blocks:
-        if b["through"] - start < tile_edges:
+    for x in stripes:
+        if x["through"] - start < tile_edges:
             continue
-        got = sums.filter(F.col("block") == b["block"]).select("id", "through").orderBy("id").toPandas()
-        through, base = got["through"].to_numpy(), b["lo"]
-        while True:
-            k = int(np.searchsorted(through, start + tile_edges))
-            if k == len(through):
-                break
-            rows.append((len(rows), v_lo, base + k + 1, int(through[k]) - start))
-            v_lo, start = base + k + 1, int(through[k])
-    if blocks and v_lo <= blocks[-1]["hi"]:
-        rows.append((len(rows), v_lo, blocks[-1]["hi"] + 1, blocks[-1]["through"] - start))
+        part = sums.filter(F.col("stripe") == x["stripe"]).select("id", "through").repartition(1).sortWithinPartitions("id")
+        for r in part.mapInArrow(_closings(start, tile_edges), "id long, through long").collect():
+            rows.append((len(rows), v_lo, r["id"] + 1, r["through"] - start))
+            v_lo, start = r["id"] + 1, r["through"]
+    if stripes and v_lo <= stripes[-1]["hi"]:
+        rows.append((len(rows), v_lo, stripes[-1]["hi"] + 1, stripes[-1]["through"] - start))
+    release(sums)
     return spark.createDataFrame(rows, "tile_id long, v_lo long, v_hi long, n_edges long")
 
 
+def _closings(start: int, tile_edges: int) -> Callable:
+    """Walk over (id, through) in order of id; start: edges before the tile that is open."""
+
+    def run(it):
+        at = start
+        for b in it:
+            through, closed = b.column(1).to_numpy(zero_copy_only=False), []
+            while (k := int(np.searchsorted(through, at + tile_edges))) < len(through):
+                closed.append(k)
+                at = int(through[k])
+            yield b.take(pa.array(closed, pa.int64()))
+
+    return run
+
+
 def split_quota(deg: DataFrame, tile_edges: int, block: int = BLOCK) -> DataFrame:
     """Extension for very many tiles: an id belongs to tile floor(in-edges of smaller ids / tile_edges).
 
@@ -158,7 +191,8 @@ def pack_csr(edges_with_tile: DataFrame, splitter: DataFrame, weighted: bool = T
         if parts:
             yield tile(now, parts)
 
-    packed = edges_with_tile.repartition(n, "tile_id").sortWithinPartitions("tile_id", "dst", "src", "w").mapInArrow(run, TILE)
+    # The tile's number is the partition's: hashing few tiles would leave some tasks empty and others with several.
+    packed = edges_with_tile.repartitionById(n, F.pmod("tile_id", F.lit(n)).cast("int")).sortWithinPartitions("tile_id", "dst", "src", "w").mapInArrow(run, TILE)
     empty = splitter.filter("n_edges = 0").select(
         "tile_id", "v_lo", "v_hi", "n_edges", F.array_repeat(F.lit(0).cast("long"), (F.col("v_hi") - F.col("v_lo") + 1).cast("int")).alias("row"),
         F.array().cast("array<long>").alias("col"), (F.array().cast("array<double>") if weighted else F.lit(None).cast("array<double>")).alias("val"),

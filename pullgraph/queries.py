@@ -21,9 +21,11 @@ from .partition import tiles
 from .partition.cuts import CUTS
 
 GRAPHS = ("trade", "skew", "word", "basket", "event", "link")
-#: PageRank supersteps of the pull queries and of the baselines, and the number of tiles asked for.
-STEPS, BASE_STEPS, TILES = 10, 5, 32
-SERVERS = 9
+#: The four graphs of the engine comparisons.
+COMPARED = ("trade", "skew", "word", "basket")
+#: PageRank supersteps of all engines, those of the timed sweeps over servers, and the number of tiles asked for.
+STEPS, TIMED_STEPS, TILES = 21, 4, 32
+SERVERS, WORKERS = 9, 24
 
 _KEPT: dict[tuple[str, str, str, str], object] = {}
 Query = Callable[[SparkSession, str], DataFrame]
@@ -56,10 +58,12 @@ def _changed(spark: SparkSession, d: str, g: str) -> DataFrame:
     return _keep("changes", spark, d, g, lambda: workloads.changes(graph(spark, d, g), programs.sssp(0)))
 
 
+def _skips(spark: SparkSession, d: str, g: str, mode: str) -> DataFrame:
+    return _keep(f"skips-{mode}", spark, d, g, lambda: workloads.skip_effect(spark, prepared(spark, d, g), mode))
+
+
 def _active(spark: SparkSession, d: str, g: str, mode: str) -> DataFrame:
-    r = tilepath.run(prepared(spark, d, g), programs.sssp(0), StopRule(), tilepath.EngineConfig(skip=mode))
-    rows = [(e["superstep"], e["tiles_loaded"]) for e in r.log if e["tiles_loaded"]]
-    return spark.createDataFrame(rows, "superstep long, tiles long")
+    return _skips(spark, d, g, mode).filter("tiles_loaded > 0").select("superstep", F.col("tiles_loaded").alias("tiles"))
 
 
 def _traffic(spark: SparkSession, d: str, g: str, mode: str) -> DataFrame:
@@ -67,6 +71,30 @@ def _traffic(spark: SparkSession, d: str, g: str, mode: str) -> DataFrame:
     return rows.groupBy(F.col("superstep").cast("long").alias("superstep")).agg(F.sum(f"{mode}_b").cast("long").alias("bytes"))
 
 
+def _compared(spark: SparkSession, d: str, g: str, program: str) -> DataFrame:
+    """The engines' runs over servers, once for the query of times and that of agreement."""
+    servers = (1, SERVERS) if program == "pagerank" else (SERVERS,)
+    make = lambda: workloads.compare_engines(spark, d, program, (g,), workloads.COMPARED, servers, TIMED_STEPS if program == "pagerank" else None, lambda name: prepared(spark, d, name))
+    return _keep(f"compared-{program}", spark, d, g, make)
+
+
+def _agreement(spark: SparkSession, d: str, g: str) -> DataFrame:
+    """Whether each engine came to pull's result, to 12 digits, on each number of servers."""
+    both = _compared(spark, d, g, "pagerank").unionAll(_compared(spark, d, g, "sssp"))
+    return both.select("program", "engine", F.col("servers").cast("long").alias("servers"), (F.col("max_diff") < 1e-12).alias("agrees"))
+
+
+def _communication(spark: SparkSession, d: str, g: str) -> DataFrame:
+    return _keep("communication", spark, d, g, lambda: workloads.communication(spark, prepared(spark, d, g)))
+
+
+def _raw_cache(spark: SparkSession, d: str, g: str) -> DataFrame:
+    """Hits of a cache of raw tiles that holds a third of the tiles, on one, three and nine servers."""
+    prep = prepared(spark, d, g)
+    third = tilepath.raw_bytes(prep) // 3
+    return workloads.cache_modes(spark, prep, (third,), (1, 3, 9), TIMED_STEPS, (1,)).select("servers", "capacity", "hits", "loads", "disk_read_b")
+
+
 def _events_windowed(spark: SparkSession, d: str) -> DataFrame:
     from .streaming.ingest import daily_edges
 
@@ -104,30 +132,52 @@ def _per_graph(g: str) -> dict[str, Query]:
     }
 
 
+def _experiments(g: str) -> dict[str, Query]:
+    """The experiments on each of the compared graphs."""
+    out: dict[str, Query] = {
+        f"messages_by_servers_{g}": lambda s, d: workloads.messages_by_servers(graph(s, d, g)),
+        f"compare_pagerank_{g}": lambda s, d: _compared(s, d, g, "pagerank"),
+        f"compare_sssp_{g}": lambda s, d: _compared(s, d, g, "sssp"),
+        f"engine_agreement_{g}": lambda s, d: _agreement(s, d, g),
+        f"engine_memory_{g}": lambda s, d: workloads.memory_counted(s, graph(s, d, g), SERVERS, TILES),
+        f"input_sizes_{g}": lambda s, d: meters.format_sizes(graph(s, d, g), prepared(s, d, g).tiles),
+        f"replication_memory_{g}": lambda s, d: workloads.replication(prepared(s, d, g), 64, WORKERS),
+        f"cache_hits_raw_{g}": lambda s, d: _raw_cache(s, d, g),
+        f"skip_effect_{g}": lambda s, d: _skips(s, d, g, "exact").select("superstep", "tiles_total", "tiles_loaded", "tiles_skipped"),
+        f"skip_effect_bloom_{g}": lambda s, d: _skips(s, d, g, "bloom"),
+        f"tile_size_sweep_{g}": lambda s, d: workloads.tile_sizes(s, graph(s, d, g)),
+    }
+    for e in workloads.COMPARED[1:] + (("msg_hadoop", "triplets") if g in ("trade", "skew") else ()):
+        out[f"pagerank_{e}_{g}"] = lambda s, d, e=e: ranks(ENGINES[e](graph(s, d, g), programs.pagerank(), StopRule(STEPS)).values)
+    for e in ("msg_mem", "msg_disk", "gas_vcut", "gas_hybrid", "edge_stream"):
+        out[f"sssp_{e}_{g}"] = lambda s, d, e=e: distances(ENGINES[e](graph(s, d, g), programs.sssp(0), StopRule()).values)
+    return out
+
+
 def _measures(g: str) -> dict[str, Query]:
     out: dict[str, Query] = {
         f"update_ratio_sssp_{g}": lambda s, d: _changed(s, d, g).groupBy(F.col("superstep").cast("long").alias("superstep")).agg(F.count("*").alias("changed")),
         f"active_tiles_exact_{g}": lambda s, d: _active(s, d, g, "exact"),
         f"active_tiles_bloom_superset_{g}": lambda s, d: _active(s, d, g, "bloom"),
+        f"bloom_misses_none_{g}": lambda s, d: _skips(s, d, g, "bloom").join(_skips(s, d, g, "exact").select("superstep", F.col("tiles_loaded").alias("needed")), "superstep").select("superstep", "needed", (F.col("tiles_loaded") - F.col("tiles_fp") == F.col("needed")).alias("all_loaded")),
+        f"sparsity_{g}": lambda s, d: meters.sparsity(meters.traffic_rows(_changed(s, d, g), prepared(s, d, g).splitter)).withColumn("superstep", F.col("superstep").cast("long")),
         f"edgecut_balance_{g}": lambda s, d: meters.edgecut_balance(graph(s, d, g), SERVERS),
         f"od_vertices_measured_{g}": lambda s, d: meters.od_vertices(graph(s, d, g), prepared(s, d, g).splitter, SERVERS),
         f"cache_plan_{g}": lambda s, d: plan_cache(prepared(s, d, g).splitter.select("tile_id", (8 * (F.col("v_hi") - F.col("v_lo") + 1 + 2 * F.col("n_edges"))).alias("bytes")), 400_000, SERVERS),
         f"cost_table_{g}": lambda s, d: workloads.costs(s, graph(s, d, g), SERVERS, TILES),
+        f"engine_ops_{g}": lambda s, d: workloads.ops(s, prepared(s, d, g), SERVERS),
         f"codec_stats_{g}": lambda s, d: meters.codec_stats(prepared(s, d, g).tiles),
-        f"format_sizes_{g}": lambda s, d: meters.format_sizes(graph(s, d, g), prepared(s, d, g).tiles),
-        f"pagerank_ondemand_{g}": lambda s, d: ranks(tilepath.run(prepared(s, d, g), programs.pagerank(), StopRule(BASE_STEPS), tilepath.EngineConfig(replication="on_demand")).values),
+        f"memory_measured_{g}": lambda s, d: workloads.memory_measured(s, prepared(s, d, g), SERVERS, WORKERS),
+        f"pagerank_ondemand_{g}": lambda s, d: ranks(tilepath.run(prepared(s, d, g), programs.pagerank(), StopRule(STEPS), tilepath.EngineConfig(replication="on_demand")).values),
+        f"sssp_ondemand_{g}": lambda s, d: distances(tilepath.run(prepared(s, d, g), programs.sssp(0), StopRule(), tilepath.EngineConfig(replication="on_demand")).values),
         f"sssp_skip_bloom_{g}": lambda s, d: distances(tilepath.run(prepared(s, d, g), programs.sssp(0), StopRule(), tilepath.EngineConfig(skip="bloom")).values),
         f"sssp_frontier_{g}": lambda s, d: distances(relational.run(graph(s, d, g), programs.sssp(0), frontier=True).values),
         f"update_ratio_pagerank_{g}": lambda s, d: meters.update_trend(meters.log_frame(s, tilepath.run(prepared(s, d, g), programs.pagerank(), StopRule(20)).log).select("superstep", "update_ratio")),
     }
     for mode in ("dense", "sparse", "hybrid"):
         out[f"traffic_{mode}_{g}"] = lambda s, d, mode=mode: _traffic(s, d, g, mode)
-    for cut in ("random", "grid", "hybrid"):
+    for cut in ("random", "grid", "hybrid", "degree"):
         out[f"replication_factor_{cut}_{g}"] = lambda s, d, cut=cut: meters.replication_factor(CUTS[cut](graph(s, d, g), SERVERS), graph(s, d, g).n_vertices)
-    for e in ("msg_mem", "msg_disk", "msg_hadoop", "gas_vcut", "gas_hybrid", "edge_stream", "triplets"):
-        out[f"pagerank_{e}_{g}"] = lambda s, d, e=e: ranks(ENGINES[e](graph(s, d, g), programs.pagerank(), StopRule(BASE_STEPS)).values)
-    for e in ("msg_mem", "msg_disk", "gas_vcut", "edge_stream"):
-        out[f"sssp_{e}_{g}"] = lambda s, d, e=e: distances(ENGINES[e](graph(s, d, g), programs.sssp(0), StopRule()).values)
     return out
 
 
@@ -135,8 +185,12 @@ def queries() -> dict[str, Query]:
     out: dict[str, Query] = {}
     for g in GRAPHS:
         out |= _per_graph(g)
+    for g in COMPARED:
+        out |= _experiments(g)
     for g in ("trade", "skew"):
         out |= _measures(g)
+    for g in ("trade", "word"):
+        out[f"single_node_{g}"] = lambda s, d, g=g: ranks(workloads.single_node(prepared(s, d, g), STEPS).values)
     for g in ("geo", "dialog"):
         out[f"graph_stats_{g}"] = lambda s, d, g=g: graphs.stats(graphs.build(s, d, g))
     for g in ("trade", "word"):
@@ -148,7 +202,12 @@ def queries() -> dict[str, Query]:
         "cache_mode_choice": lambda s, d: workloads.cache_choice(s),
         "memory_aa_od_sweep": lambda s, d: model.replication_sweep(model.published(s)),
         "od_crossover": lambda s, d: workloads.crossovers(s),
-        "op_counts": lambda s, d: meters.op_counts(s),
+        "communication_word": lambda s, d: _communication(s, d, "word"),
+        "message_codecs_word": lambda s, d: workloads.message_codecs(s, prepared(s, d, "word")),
+        "cache_study_word": lambda s, d: workloads.cache_study(s, prepared(s, d, "word")),
+        "compression_table": lambda s, d: workloads.codecs(s, {g: prepared(s, d, g) for g in COMPARED}),
+        "tile_size_times_trade": lambda s, d: workloads.tile_size_times(s, graph(s, d, "trade")),
+        "load_rates": lambda s, d: workloads.load_rates(s),
         "explosion_factor": lambda s, d: workloads.memory(s),
         "components_link": lambda s, d: relational.run(graph(s, d, "link_both"), programs.components()).values.select("id", F.col("value").cast("long").alias("component")),
         "reachable_skew": lambda s, d: relational.run(graph(s, d, "skew"), programs.reachable(0)).values.agg(F.sum("value").cast("long").alias("reached")),

@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+import pickle
 from functools import reduce
 from itertools import count
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -16,8 +18,8 @@ from .engine import relational, tilepath
 from .engine.cache import GAMMAS, MODES, choose_mode
 from .engine.program import StopRule, VertexProgram
 from .graphs import Graph
-from .partition import tiles
-from .partition.cuts import CUTS
+from .partition import cuts, tiles
+from .partition.cuts import CUTS, replicas
 from .session import materialize
 
 PROGRAMS = {"pagerank": programs.pagerank, "sssp": programs.sssp}
@@ -44,20 +46,45 @@ def changes(g: Graph, program: VertexProgram, steps: int | None = None) -> DataF
     return reduce(DataFrame.union, out) if out else g.spark.createDataFrame([], "superstep int, id long")
 
 
-def compare_engines(spark: SparkSession, sf_dir: str, program: str, names=("trade",), engines: tuple[str, ...] = ("pull", *ENGINES), servers: tuple[int, ...] = (9,), steps: int | None = 21) -> DataFrame:
-    """Mean seconds per superstep after the first, messages, and largest difference from pull, per engine, graph, servers."""
+#: Engines of the published comparison, and those on general-purpose stacks.
+COMPARED = ("pull", "msg_mem", "gas_vcut", "gas_hybrid", "msg_disk", "edge_stream")
+EVERY_ENGINE = (*COMPARED, "msg_hadoop", "triplets")
+
+
+def _run(engine: str, prep: tiles.Prepared, program: VertexProgram, stop: StopRule, servers: int) -> relational.Result:
+    if engine == "pull":
+        cfg = tilepath.EngineConfig(servers=servers, skip="bloom" if program.idempotent else "none", cache_mode=0)
+        return tilepath.run(prep, program, stop, cfg)
+    return ENGINES[engine](prep.graph, program, stop, servers=servers)
+
+
+def compare_engines(spark: SparkSession, sf_dir: str, program: str, names=("trade",), engines: tuple[str, ...] = EVERY_ENGINE, servers: tuple[int, ...] = (1, 3, 6, 9), steps: int | None = 21, prepare=None) -> DataFrame:
+    """Per graph, engine and number of servers: supersteps, mean seconds of those after the first, how many times as long as
+    pull on as many servers, and the largest difference from pull's result on one server."""
+    prepare = prepare or (lambda name: tiles.prepare(graphs.build(spark, sf_dir, name), n_tiles=32))
     out = []
     for name in names:
-        g = graphs.build(spark, sf_dir, name).stored()
-        prep = tiles.prepare(g, n_tiles=32)
-        p, stop = PROGRAMS[program](), StopRule(steps)
-        ours = tilepath.run(prep, p, stop, tilepath.EngineConfig(skip="bloom" if program == "sssp" else "none"))
+        prep, p, stop = prepare(name), PROGRAMS[program](), StopRule(steps)
+        first = None
         for n in servers:
+            ours = _run("pull", prep, p, stop, n)
+            first = first or ours
             for e in engines:
-                r = ours if e == "pull" else ENGINES[e](g, p, stop, servers=n)
-                diff = meters.agree(r.values, ours.values).first()["max_diff"]
-                out.append((name, program, e, n, r.supersteps, meters.mean_step_time(r.log), float(diff)))
-    return spark.createDataFrame(pd.DataFrame(out, columns=["graph", "program", "engine", "servers", "supersteps", "mean_step_s", "max_diff"]))
+                r = ours if e == "pull" else _run(e, prep, p, stop, n)
+                diff = meters.agree(r.values, first.values).first()["max_diff"]
+                out.append((name, program, e, n, r.supersteps, meters.mean_step_time(r.log), meters.speedup(r.log, ours.log), float(diff)))
+    return spark.createDataFrame(pd.DataFrame(out, columns=["graph", "program", "engine", "servers", "supersteps", "mean_step_s", "times_pull", "max_diff"]))
+
+
+def messages_by_servers(g: Graph, servers: tuple[int, ...] = (1, 3, 6, 9)) -> DataFrame:
+    """(engine, servers, messages) of a PageRank superstep in which every vertex changes, counted on each engine's layout."""
+    n_e, parts = g.n_edges, []
+    for n in servers:
+        one = lambda df, e, n=n: df.select(F.lit(e).alias("engine"), F.lit(n).alias("servers"), F.col("messages").cast("long").alias("messages"))
+        fixed = g.spark.createDataFrame([("pull", n, g.n_vertices * (n - 1)), ("msg_disk", n, n_e), ("edge_stream", n, n_e)], "engine string, servers int, messages long")
+        parts += [fixed, one(meters.eta(g, n).withColumnRenamed("combined", "messages"), "msg_mem")]
+        parts += [one(meters.gas_messages(CUTS[cut](g, n)), e) for e, cut in (("gas_vcut", "random"), ("gas_hybrid", "hybrid"))]
+    return reduce(DataFrame.unionAll, parts)
 
 
 def by_engine(results: DataFrame) -> DataFrame:
@@ -85,13 +112,47 @@ def memory(spark: SparkSession) -> DataFrame:
     return rows.withColumn("explosion", F.round(F.col("memory_gb") / 93.0, 2))
 
 
-def replication(spark: SparkSession, sf_dir: str, names=("trade", "skew", "word", "basket"), most: int = 64) -> DataFrame:
-    """Memory per server of both replication policies for the published and the derived graphs."""
-    own = []
-    for n in names:
-        g = graphs.build(spark, sf_dir, n)
-        own.append((n, float(g.n_vertices), g.n_edges / g.n_vertices))
-    return model.replication_sweep(model.published(spark).unionByName(spark.createDataFrame(own, "graph string, n_v double, d_avg double")), most)
+def memory_counted(spark: SparkSession, g: Graph, servers: int = 9, n_tiles: int = 32) -> DataFrame:
+    """(engine, memory_b, explosion): what each engine holds in a superstep by the cost table with the graph's own combining
+    ratio and replication factor, at 24 bytes a vertex state, 16 an edge and 16 a message, and its ratio to the edge list."""
+    text = meters.csv_bytes(g)
+    held = 24 * F.col("ram_vertex") + 16 * F.col("ram_edge") + 16 * F.col("ram_msg")
+    return costs(spark, g, servers, n_tiles).select(F.col("system").alias("engine"), held.alias("memory_b"), F.round(held / F.lit(text), 4).alias("explosion"))
+
+
+def memory_measured(spark: SparkSession, prep: tiles.Prepared, servers: int = 9, workers: int = 24) -> DataFrame:
+    """(engine, program, vertex_b, edge_b): bytes really taken, over all servers.
+
+    pull: the arrays that are broadcast to every server and the tiles its workers hold, without a cache; the others: the
+    tables that their layouts keep in executors.
+    """
+    g, n = prep.graph, prep.graph.n_vertices
+    out = []
+    for name in ("pagerank", "sssp"):
+        arrays = 1 + len(PROGRAMS[name]().components)
+        sent = sum(len(pickle.dumps(np.zeros(n), protocol=5)) for _ in range(arrays)) + 8 * n  # values, components, messages
+        out.append(("pull", name, sent * servers, prep.largest_tile * min(workers * servers, prep.n_tiles)))
+    state = graphs.degrees(g).withColumn("value", F.lit(0.0)).select("id", "value", "d_out")
+    one_state = meters.stored_bytes(state)
+    for e, edges, per_vertex in (("msg_mem", cuts.hash_edge_cut(g, servers), None), ("gas_vcut", CUTS["random"](g, servers), "random"), ("gas_hybrid", CUTS["hybrid"](g, servers), "hybrid")):
+        places = meters.stored_bytes(replicas(CUTS[per_vertex](g, servers)).join(state, "id")) if per_vertex else one_state
+        out.append((e, "pagerank", places, meters.stored_bytes(edges)))
+    return spark.createDataFrame(out, "engine string, program string, vertex_b long, edge_b long")
+
+
+def ops(spark: SparkSession, prep: tiles.Prepared, servers: int = 9) -> DataFrame:
+    """Counted operations of a PageRank superstep: pull and the vertex-cut engines."""
+    p, one = PROGRAMS["pagerank"](), StopRule(1)
+    logs = {"pull": tilepath.run(prep, p, one, tilepath.EngineConfig(servers=servers)).log}
+    logs |= {e: ENGINES[e](prep.graph, p, one, servers=servers, count=True).log for e in ("gas_vcut", "gas_hybrid")}
+    return meters.op_counts(spark, logs)
+
+
+def replication(prep: tiles.Prepared, most: int = 64, workers: int = 24) -> DataFrame:
+    """Memory per server of both replication policies for a graph, with a tile for each worker."""
+    g = prep.graph
+    own = [(g.name, float(g.n_vertices), g.n_edges / max(g.n_vertices, 1), prep.largest_tile)]
+    return model.replication_sweep(g.spark.createDataFrame(own, "graph string, n_v double, d_avg double, tile_b long"), most, workers)
 
 
 def crossovers(spark: SparkSession) -> DataFrame:
@@ -99,7 +160,10 @@ def crossovers(spark: SparkSession) -> DataFrame:
     return spark.createDataFrame([(g, model.crossover(d)) for g, _, _, d in model.PUBLISHED], "graph string, servers int")
 
 
-def tile_sizes(spark: SparkSession, g: Graph, parts: tuple[int, ...] = (4, 16, 64, 256)) -> DataFrame:
+SIZES = (4, 16, 64, 256)
+
+
+def tile_sizes(spark: SparkSession, g: Graph, parts: tuple[int, ...] = SIZES) -> DataFrame:
     """Balance of greedy tiles for several sizes."""
     deg = materialize(graphs.degrees(g), "degrees")
     n_e, out = g.n_edges, []
@@ -109,21 +173,38 @@ def tile_sizes(spark: SparkSession, g: Graph, parts: tuple[int, ...] = (4, 16, 6
     return reduce(DataFrame.unionByName, out)
 
 
-def codecs(spark: SparkSession, sf_dir: str, names=("trade", "skew", "word", "basket")) -> DataFrame:
-    """Compression ratio and speed of each codec on each graph's unweighted tiles."""
-    parts = [meters.codec_stats(tiles.prepare(graphs.build(spark, sf_dir, n), n_tiles=32, weighted=False).tiles).withColumn("graph", F.lit(n)) for n in names]
-    return reduce(DataFrame.unionByName, parts)
+def tile_size_times(spark: SparkSession, g: Graph, parts: tuple[int, ...] = SIZES, steps: int = 4, workers: int = 24) -> DataFrame:
+    """Step time of PageRank, tiles, and memory of a server's workers for several tile sizes."""
+    out = []
+    for p in parts:
+        prep = tiles.prepare(g, n_tiles=p)
+        r = tilepath.run(prep, PROGRAMS["pagerank"](), StopRule(steps), tilepath.EngineConfig(cache_mode=1))
+        out.append((p, prep.n_tiles, prep.largest_tile * workers, meters.mean_step_time(r.log)))
+    return spark.createDataFrame(out, "asked int, n_tiles long, workers_b long, mean_step_s double")
+
+
+def codecs(spark: SparkSession, prepared: dict[str, tiles.Prepared]) -> DataFrame:
+    """Compression ratio and speed of each codec on each graph's tiles without weights, as the published graphs have none."""
+    bare = lambda p: p.tiles.withColumn("val", F.lit(None).cast("array<double>"))
+    return reduce(DataFrame.unionByName, [meters.codec_stats(bare(p)).withColumn("graph", F.lit(n)) for n, p in prepared.items()])
 
 
 def cache_modes(spark: SparkSession, prep: tiles.Prepared, capacities: tuple[int, ...], servers: tuple[int, ...] = (1, 3, 9), steps: int = 4, modes: tuple[int, ...] = (0, 1, 2, 3, 4)) -> DataFrame:
-    """Hit ratio, bytes read from disk and step time per cache mode (0: chosen), capacity and number of servers."""
+    """Hit ratio, hits, loads, bytes read from disk and step time per cache mode (0: chosen), capacity and servers."""
     out = []
     for n in servers:
         for c in capacities:
             for m in modes:
                 r = tilepath.run(prep, programs.pagerank(), StopRule(steps), tilepath.EngineConfig(servers=n, cache_mode=m, cache_capacity=c))
-                out.append((n, c, m, meters.hit_ratio(r.log), meters.disk(r.log), meters.mean_step_time(r.log)))
-    return spark.createDataFrame(out, "servers int, capacity long, mode int, hit_ratio double, disk_read_b long, mean_step_s double")
+                loads, hits = (sum(e[k] for e in r.log) for k in ("tiles_loaded", "cache_hits"))
+                out.append((n, c, m, meters.hit_ratio(r.log), hits, loads, meters.disk(r.log), meters.mean_step_time(r.log)))
+    return spark.createDataFrame(out, "servers int, capacity long, mode int, hit_ratio double, hits long, loads long, disk_read_b long, mean_step_s double")
+
+
+def cache_study(spark: SparkSession, prep: tiles.Prepared, share: float = 0.5, steps: int = 4) -> DataFrame:
+    """The cache modes where a server holds `share` of a third of the tiles: on three servers raw tiles do not fit and well
+    compressed ones do, on nine all fit."""
+    return cache_modes(spark, prep, (int(share * tilepath.raw_bytes(prep) / 3),), steps=steps)
 
 
 def cache_choice(spark: SparkSession, total: float = 100.0, capacities: tuple[float, ...] = (100, 60, 30, 20, 19)) -> DataFrame:
@@ -132,19 +213,33 @@ def cache_choice(spark: SparkSession, total: float = 100.0, capacities: tuple[fl
     return spark.createDataFrame(rows, "capacity double, mode int, mode_other_fallback int")
 
 
-def communication(spark: SparkSession, prep: tiles.Prepared, steps: int = 200, servers: int = 9, codecs: tuple[str, ...] = ("none", "snappy", "zlib1", "zlib3")) -> DataFrame:
-    """Per superstep: update ratio, bytes of dense, sparse and hybrid messages and of hybrid ones under each codec."""
-    out = None
+def communication(spark: SparkSession, prep: tiles.Prepared, steps: int = 200, servers: int = 9) -> DataFrame:
+    """Per PageRank superstep: update ratio, and network bytes of dense, sparse, hybrid and compressed hybrid messages."""
+    r = tilepath.run(prep, programs.pagerank(), StopRule(steps), tilepath.EngineConfig(servers=servers, cache_mode=0))
+    ratio = pd.DataFrame(r.log)[["superstep", "update_ratio"]]
+    return spark.createDataFrame(ratio.merge(pd.DataFrame(meters.traffic(r.log, servers)), on="superstep"))
+
+
+def message_codecs(spark: SparkSession, prep: tiles.Prepared, steps: int = 50, servers: int = 9, codecs: tuple[str, ...] = ("none", "snappy", "zlib1", "zlib3")) -> DataFrame:
+    """(codec, sent_b, reduction, mean_step_s) of hybrid messages over the first supersteps of PageRank."""
+    out = []
     for codec in codecs:
-        r = tilepath.run(prep, programs.pagerank(), StopRule(steps), tilepath.EngineConfig(servers=servers, codec=codec))
-        rows = pd.DataFrame(r.log)[["superstep", "update_ratio", "msg_dense_b", "msg_sparse_b", "msg_hybrid_b", "msg_compressed_b"]].rename(columns={"msg_compressed_b": f"{codec}_b"})
-        out = rows if out is None else out.merge(rows[["superstep", f"{codec}_b"]], on="superstep")
-    return spark.createDataFrame(out)
+        r = tilepath.run(prep, programs.pagerank(), StopRule(steps), tilepath.EngineConfig(servers=servers, codec=codec, cache_mode=0))
+        sent = sum(e["msg_compressed_b"] for e in meters.traffic(r.log, servers))
+        plain = sum(e["msg_hybrid_b"] for e in meters.traffic(r.log, servers))
+        out.append((codec, sent, plain / max(sent, 1), meters.mean_step_time(r.log)))
+    return spark.createDataFrame(out, "codec string, sent_b long, reduction double, mean_step_s double")
+
+
+def skip_effect(spark: SparkSession, prep: tiles.Prepared, mode: str = "bloom", audit: bool = True) -> DataFrame:
+    """Per superstep of shortest paths: tiles, those loaded and skipped, and those loaded in vain."""
+    r = tilepath.run(prep, programs.sssp(0), StopRule(), tilepath.EngineConfig(skip=mode, audit=audit))
+    return spark.createDataFrame(pd.DataFrame(meters.skips(r.log)).astype("int64"))
 
 
-def single_node(spark: SparkSession, sf_dir: str, name: str = "trade", steps: int = 21) -> DataFrame:
-    """The pull engine on one logical server."""
-    return compare_engines(spark, sf_dir, "pagerank", (name,), ("pull",), (1,), steps)
+def single_node(prep: tiles.Prepared, steps: int = 21) -> relational.Result:
+    """The pull engine on one logical server: nothing goes over the network, all tiles belong to it."""
+    return tilepath.run(prep, programs.pagerank(), StopRule(steps), tilepath.EngineConfig(servers=1, cache_mode=0))
 
 
 def load_rates(spark: SparkSession) -> DataFrame:
@@ -153,4 +248,4 @@ def load_rates(spark: SparkSession) -> DataFrame:
     return spark.createDataFrame([(c, *model.load_rate(22, s).values()) for c, s in speeds.items()], "codec string, decode_mb_s double, disk_mb_s double, ratio double")
 
 
-__all__ = [n for n in dir() if not n.startswith("_") and n not in {"annotations", "count", "reduce", "MODES"}]
+__all__ = [n for n in dir() if not n.startswith("_") and n not in {"annotations", "count", "reduce", "pickle", "np", "pd", "MODES"}]

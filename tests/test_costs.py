@@ -2,6 +2,8 @@ import pytest
 
 from pullgraph import graphs, workloads
 from pullgraph.costs import meters, model
+from pullgraph.engine import tilepath
+from pullgraph.engine.program import StopRule
 from pullgraph.partition import tiles
 from tests.conftest import SF
 
@@ -26,18 +28,41 @@ def test_cost_order():
 
 def test_workloads_run(spark):
     prep = tiles.prepare(graphs.build(spark, SF, "trade"), n_tiles=8)
+    g = prep.graph
     assert workloads.datasets(spark, SF).count() == 6
-    assert workloads.tile_sizes(spark, prep.graph, (2, 8)).count() == 2
+    assert workloads.tile_sizes(spark, g, (2, 8)).count() == 2
+    assert workloads.tile_size_times(spark, g, (2, 8), 2).count() == 2
     sweep = workloads.cache_modes(spark, prep, (0, 1 << 40), (3,), 2, (1, 3)).collect()
-    assert {(r.capacity > 0, r.hit_ratio) for r in sweep} == {(False, 0.0), (True, 1.0)}
+    assert {(r.capacity > 0, r.hit_ratio) for r in sweep} == {(False, 0.0), (True, 0.5)}
+    study = workloads.cache_study(spark, prep, 0.6, 3).collect()
+    hits = {(r.servers, r.mode): r.hit_ratio for r in study}
+    assert hits[3, 1] < hits[3, 4] and hits[9, 1] == hits[9, 4] == 2 / 3
     talk = workloads.communication(spark, prep, 3).toPandas()
-    assert (talk.zlib1_b <= talk.none_b * 1.1).all() and len(talk) == 3
-    res = workloads.compare_engines(spark, SF, "sssp", ("skew",), ("pull", "msg_mem"), (3,), None)
-    assert all(r.max_diff == 0 for r in res.collect())
+    assert len(talk) == 3 and (talk.msg_hybrid_b <= talk[["msg_dense_b", "msg_sparse_b"]].max(axis=1)).all()
+    by = {r.codec: r for r in workloads.message_codecs(spark, prep, 3).collect()}
+    assert by["none"].reduction == 1 and by["zlib3"].sent_b <= by["snappy"].sent_b * 1.1
+    res = workloads.compare_engines(spark, SF, "sssp", ("skew",), ("pull", "msg_mem"), (1, 3), None)
+    assert all(r.max_diff == 0 for r in res.collect()) and res.count() == 4
     assert set(workloads.by_engine(res).columns) == {"graph", "program", "servers", "pull", "msg_mem"}
     assert workloads.report(res).count() >= 5
-    assert workloads.replication(spark, SF, ("trade",), 4).count() == 20
+    assert workloads.replication(prep, 4, 2).count() == 4
     assert workloads.load_rates(spark).count() == 3
+    assert workloads.codecs(spark, {"trade": prep}).count() == 4
+    skips = workloads.skip_effect(spark, prep, "bloom").collect()
+    assert all(r.tiles_loaded + r.tiles_skipped == r.tiles_total and r.tiles_fp >= 0 for r in skips)
+    held = {r.engine: r for r in workloads.memory_measured(spark, prep, 9, 2).filter("program = 'pagerank'").collect()}
+    assert held["gas_vcut"].vertex_b > held["msg_mem"].vertex_b > 0 and held["pull"].edge_b == 8 * prep.largest_tile
+    counted = {r.engine: r for r in workloads.ops(spark, prep).collect()}
+    assert counted["pull"].gathers == counted["pull"].applies == g.n_vertices < counted["gas_vcut"].gathers
+
+
+def test_update_ratio_and_traffic_of_a_long_run(spark):
+    prep = tiles.prepare(graphs.build(spark, SF, "skew"), n_tiles=8)
+    log = tilepath.run(prep, workloads.PROGRAMS["pagerank"](), StopRule(60), tilepath.EngineConfig(cache_mode=0)).log
+    ratio = [e["update_ratio"] for e in log]
+    assert ratio[0] > 0.9 and min(ratio) < 0.5
+    dense_wins = [e["msg_dense_b"] < e["msg_sparse_b"] for e in log]
+    assert dense_wins[0] and not dense_wins[ratio.index(min(ratio))], "sparse messages are shorter only late in a run"
 
 
 def test_codec_stats_and_sizes(spark):

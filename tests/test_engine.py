@@ -43,7 +43,7 @@ def test_worked_pagerank_step(tiny):
 
 def test_worked_sssp_with_skipping(tiny):
     for mode in ("exact", "bloom"):
-        r = tilepath.run(tiny, programs.sssp(0), StopRule(), tilepath.EngineConfig(skip=mode))
+        r = tilepath.run(tiny, programs.sssp(0), StopRule(), tilepath.EngineConfig(skip=mode, audit=True))
         assert values(r).tolist() == [0, 1, 7, 3, np.inf, np.inf]
         assert [e["changed"] for e in r.log] == [2, 1, 0]
         assert all(e["tiles_fp"] >= 0 for e in r.log)
@@ -147,7 +147,7 @@ def test_edge_cases(spark):
     dangling = tiles.prepare(of_rows(spark, [(0, 1, 1)], 2), tile_edges=1)
     assert values(tilepath.run(dangling, programs.pagerank(), StopRule(2))).sum() < 1
     with pytest.raises(MemoryError):
-        tilepath.run(dangling, programs.pagerank(), StopRule(1), tilepath.EngineConfig(memory_budget=1))
+        tilepath.run(dangling, programs.pagerank(), StopRule(1), tilepath.EngineConfig(memory_budget=1, replication="all"))
     assert len(values(tilepath.run(dangling, programs.pagerank(), StopRule(1), tilepath.EngineConfig(memory_budget=1, replication="auto")))) == 2
 
 
@@ -188,12 +188,50 @@ def test_bloom_filters_never_miss(skew):
 
 def test_cache_modes(skew):
     plain = values(tilepath.run(skew, programs.pagerank(), StopRule(3)))
+    raw = tilepath.raw_bytes(skew)
     for mode in (0, 1, 2, 3, 4):
         r = tilepath.run(skew, programs.pagerank(), StopRule(3), tilepath.EngineConfig(servers=2, cache_mode=mode))
-        assert (values(r) == plain).all() and meters.hit_ratio(r.log) == 1 and meters.disk(r.log) == 0
+        # The first load of a tile comes from disk, the others from memory.
+        assert (values(r) == plain).all() and meters.hit_ratio(r.log) == 2 / 3 and meters.disk(r.log) == raw
+        assert [e["cache_hits"] for e in r.log] == [0, skew.n_tiles, skew.n_tiles]
     r = tilepath.run(skew, programs.pagerank(), StopRule(3), tilepath.EngineConfig(servers=2, cache_mode=1, cache_capacity=0))
-    assert meters.hit_ratio(r.log) == 0 and (values(r) == plain).all()
+    assert meters.hit_ratio(r.log) == 0 and meters.disk(r.log) == 3 * raw and (values(r) == plain).all()
     r = tilepath.run(skew, programs.pagerank(), StopRule(3), tilepath.EngineConfig(servers=2, cache_mode=1, cache_capacity=30_000))
-    assert 0 < meters.hit_ratio(r.log) < 1 and (values(r) == plain).all()
+    assert 0 < meters.hit_ratio(r.log) < 2 / 3 and (values(r) == plain).all()
     assert [cache.choose_mode(100, c) for c in (100, 60, 30, 20, 19)] == [1, 2, 3, 4, 4]
     assert cache.choose_mode(100, 19, fallback=3) == 3
+
+
+def test_policy_follows_the_memory_model(skew):
+    p, n = programs.pagerank(), skew.graph.n_vertices
+    cfg = tilepath.EngineConfig(workers=2)
+    everywhere, on_demand = tilepath.memory_needed(skew, p, cfg)
+    assert everywhere == 24 * n + 2 * skew.largest_tile and on_demand > 2 * skew.largest_tile
+    assert tilepath.policy(skew, p, tilepath.EngineConfig(workers=2, memory_budget=everywhere)) == "all"
+    assert tilepath.policy(skew, p, tilepath.EngineConfig(workers=2, memory_budget=everywhere - 1)) == "on_demand"
+    cheap = [tilepath.policy(skew, p, tilepath.EngineConfig(servers=k, replication="cheapest")) for k in (1, 1000)]
+    assert cheap == ["all", "on_demand"]
+    small = tilepath.EngineConfig(memory_budget=1)
+    assert np.allclose(values(tilepath.run(skew, p, StopRule(3), small)), reference_pagerank(skew.graph, 3), atol=1e-12)
+    assert (values(tilepath.run(skew, programs.sssp(0), StopRule(), small)) == values(tilepath.run(skew, programs.sssp(0), StopRule()))).all()
+
+
+def test_messages_by_file_and_degrees_in_parts(skew, monkeypatch):
+    want = values(tilepath.run(skew, programs.pagerank(), StopRule(3)))
+    monkeypatch.setattr(tilepath, "_result_limit", lambda spark: 1)
+    monkeypatch.setattr(tilepath, "FETCH", 37)
+    skew.kept.pop("d_out"), skew.kept.pop("d_out_everywhere")
+    assert (values(tilepath.run(skew, programs.pagerank(), StopRule(3))) == want).all()
+
+
+def test_counted_operations(skew):
+    log = tilepath.run(skew, programs.pagerank(), StopRule(2), tilepath.EngineConfig(servers=3, workers=2)).log
+    n, n_e = skew.graph.n_vertices, skew.graph.n_edges
+    assert all(e["op_gather"] == n_e and e["op_apply"] == n and e["op_broadcast"] == e["changed"] for e in log)
+    assert log[0]["rounds"] == -(-max(sum(t % 3 == s for t in range(skew.n_tiles)) for s in range(3)) // 2)
+
+
+def test_cached_tiles_beyond_the_listed_number(skew, monkeypatch):
+    monkeypatch.setattr(tilepath, "LISTED", 2)
+    cfg = tilepath.EngineConfig(servers=2, cache_mode=2, cache_capacity=31_000)
+    assert np.allclose(values(tilepath.run(skew, programs.pagerank(), StopRule(2), cfg)), reference_pagerank(skew.graph, 2), atol=1e-12)

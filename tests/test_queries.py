@@ -7,7 +7,7 @@ from pullgraph import oracles, queries
 from tests.conftest import SF
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-QUICK = [k for k in queries.queries() if re.search(r"_(trade|link)$|^(memory|od_cross|op_counts|explosion|cache_mode|components|event_edges|degree_rollup|labels|graph_stats)", k) and not re.search(r"gas|hadoop|disk|ondemand", k)]
+QUICK = [k for k in queries.queries() if re.search(r"_(trade|link)$|^(memory_aa|od_cross|explosion|cache_mode|components|event_edges|degree_rollup|labels|graph_stats|load)", k) and not re.search(r"gas|hadoop|disk|ondemand|compare|agreement|times|measured", k)]
 
 
 @pytest.fixture(scope="module")
