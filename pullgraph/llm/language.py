@@ -38,6 +38,8 @@ STRETCH, CONTEXT = 512, 64
 #: Numbers in the arrays of one group of stretches.
 CELLS = 6_000_000
 UNDETERMINED = "und"
+#: Groups that the rows of one language are dealt to before the smallest hashes of all are chosen.
+SALTS = 64
 
 ANY_LETTER = regex.compile(r"\p{L}").search
 PADDING = 256
@@ -261,10 +263,13 @@ def fit(labelled: DataFrame, documents: int = TRAIN_DOCUMENTS, windows: int = WI
     """
     pick = labelled.filter(F.col("text").rlike(r"\p{L}") & F.col("lang").isNotNull()).select("doc_id", "text", "lang", F.xxhash64("doc_id").alias("h"))
     # The text stays out of the sort; only the chosen rows bring theirs, cut to stretches before they leave the executors.
-    # Each task passes on its first rows of every lang alone.
+    # Each task passes on its first rows of every lang and salt alone, and each salt its first of a lang, so that one
+    # language's rows are spread however many tasks there are.
     counts = [r["count"] for r in pick.groupBy("lang").count().collect()]
-    place = F.row_number().over(Over.partitionBy("lang").orderBy("h", "doc_id"))
-    ids = pick.select("h", "doc_id", "lang").withColumn("place", place).filter(F.col("place") <= level(counts, documents))
+    most = level(counts, documents)
+    first = lambda df, *by: df.withColumn("place", F.row_number().over(Over.partitionBy(*by).orderBy("h", "doc_id"))).filter(F.col("place") <= most)
+    salted = pick.select("h", "doc_id", "lang", F.pmod(F.xxhash64("h"), F.lit(SALTS)).alias("salt"))
+    ids = first(first(salted, "lang", "salt").drop("place"), "lang")
     documents = max(documents, len(counts))
     step = F.greatest(F.lit(WINDOW), F.floor(F.char_length("text") / windows))
     starts = F.slice(F.sequence(F.lit(0).cast("long"), F.char_length("text").cast("long"), step.cast("long")), 1, windows)
