@@ -10,6 +10,9 @@ itself.  `Merges.compatible` decides that from how each of the two was built, an
 
 Pieces hold the space mark only at their start, so a text falls into independent chunks at every space mark that
 follows another character; chunks repeat, and each worker keeps a bounded two-generation table of chunks seen.
+
+Texts are taken as they are, with one space mark put before them, as the model's normaliser does; a model with another one
+is refused when it is loaded, where PROBES are compared with the library.
 """
 
 from __future__ import annotations
@@ -28,6 +31,8 @@ from .common import arrow_map, batches, documents_of, table
 SPACE_MARK = "▁"
 #: Chunks kept per generation in each worker.
 CACHE = 400_000
+#: Texts that other normalisers, or none of a space put first, would change.
+PROBES = ("", " ", "  two  spaces ", "Ａｂ ① ﬁ e\u0301 é", "a\tb\r\nc\u00a0d\u3000e", "x\u0000y\u200b \ufeff", "UPPER lower ▁ 12")
 #: Longer chunks are encoded each time and not kept.
 LONGEST_KEPT = 64
 
@@ -216,6 +221,15 @@ class Codec:
         x = "".join(re.escape(c) for c in "\n\t\r" if c not in self.merges.chars)
         self.cut = re.compile(f"[ {SPACE_MARK}]+[^ {SPACE_MARK}{x}]*|[^ {SPACE_MARK}{x}]+" + (f"|[{x}]" if x else "")).findall
 
+    def check(self, path: str) -> Codec:
+        """Refuses a model whose normaliser is another than the one this codec follows."""
+        model = sentencepiece.SentencePieceProcessor(model_file=path)
+        for text in PROBES:
+            ids = model.encode(text)
+            if self.encode(text) != ids or self.decode(ids) != model.decode(ids):
+                raise ValueError(f"the model normalises texts in a way that is not followed here: {text!r}")
+        return self
+
     def run(self, text: str) -> tuple[tuple[str, ...], int, str]:
         """Per chunk the decimal ids joined by commas; number of ids; decoded text."""
         if not text:
@@ -235,7 +249,7 @@ class Codec:
 
 @lru_cache(maxsize=4)
 def codec(path: str) -> Codec:
-    return Codec(path)
+    return Codec(path).check(path)
 
 
 def encode(docs: DataFrame, model_path: str, text_col: str = "text", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
@@ -262,7 +276,10 @@ def encode(docs: DataFrame, model_path: str, text_col: str = "text", keep: tuple
 
 
 def digests(docs: DataFrame, model_path: str) -> DataFrame:
-    """doc_id, n_tokens, ids_sha256, decoded_sha256 of every whole text; the digest form of encode()."""
+    """doc_id, n_tokens, ids_sha256, decoded_sha256 of every whole text; the digest form of encode().
+
+    Null is empty; rows that repeat are answered each time, extra columns are dropped, an empty table gives none.
+    """
 
     def run(it):
         c = codec(model_path)
