@@ -12,7 +12,7 @@ SF = "/root/testdata/sf0.001"
 
 @pytest.fixture(scope="session")
 def spark():
-    s = local_session("tests")
+    s = local_session("tests", partitions=4)
     s.sparkContext.setLogLevel("ERROR")
     yield s
     s.stop()
