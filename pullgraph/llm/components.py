@@ -20,6 +20,8 @@ def components(edges: DataFrame) -> DataFrame:
     table gives an empty result.
     """
     both = materialize(edges.select("a", "b").union(edges.select("b", "a")).filter("a <> b").distinct(), "links")
+    if not both.limit(1).count():
+        return both.select(F.col("a").alias("node"), F.col("b").alias("component"))
     label = materialize(both.groupBy("a").agg(F.min("b").alias("m")).select(F.col("a").alias("node"), F.least("a", "m").alias("component")), "labels")
     for _ in range(MAX_ROUNDS):
         near = both.join(label.withColumnRenamed("node", "b"), "b").groupBy("a").agg(F.min("component").alias("near"))
