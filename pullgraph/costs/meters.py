@@ -67,7 +67,8 @@ def od_vertices(g: Graph, splitter: DataFrame, servers: int) -> DataFrame:
 
 
 def traffic_rows(changes: DataFrame, splitter: DataFrame, threshold: float = SPARSITY) -> DataFrame:
-    """(superstep, tile_id, n, k, dense_b, sparse_b, hybrid_b): encoded bytes of each tile's message.
+    """(superstep, tile_id, n, k, dense_b, sparse_b, hybrid_b, bytes_b): encoded bytes of each tile's message, the last by
+    whichever encoding is shorter.
 
     changes (superstep, id): the vertices that changed.  A tile without changes has k = 0.
     """
@@ -77,7 +78,7 @@ def traffic_rows(changes: DataFrame, splitter: DataFrame, threshold: float = SPA
     rows = steps.crossJoin(splitter.select("tile_id", (F.col("v_hi") - F.col("v_lo")).alias("n"))).join(k, ["superstep", "tile_id"], "left").withColumn("k", F.coalesce("k", F.lit(0)))
     dense, sparse = 8 * F.col("n") + F.ceil(F.col("n") / 8), 12 * F.col("k")
     hybrid = F.when((F.col("n") - F.col("k")) / F.col("n") > threshold, sparse).otherwise(dense)
-    return rows.select("superstep", "tile_id", "n", "k", dense.cast("long").alias("dense_b"), sparse.cast("long").alias("sparse_b"), hybrid.cast("long").alias("hybrid_b"))
+    return rows.select("superstep", "tile_id", "n", "k", dense.cast("long").alias("dense_b"), sparse.cast("long").alias("sparse_b"), hybrid.cast("long").alias("hybrid_b"), F.least(dense, sparse).cast("long").alias("bytes_b"))
 
 
 def sparsity(rows: DataFrame) -> DataFrame:

@@ -96,5 +96,13 @@ def replication_sweep(graphs: DataFrame, most: int = 64, workers: int = 0) -> Da
     return rows.select("graph", "servers", F.round(aa, 0).cast("long").alias("aa_bytes"), F.round(od, 0).cast("long").alias("od_bytes"), F.when(aa <= od, F.lit("all")).otherwise(F.lit("on_demand")).alias("cheaper"))
 
 
+def od_expected(graphs: DataFrame, most: int = 64) -> DataFrame:
+    """Share of the vertices that a server meets on demand, for the graph's own size and in the limit, 1..most servers."""
+    n = graphs.sparkSession.range(1, most + 1).select(F.col("id").alias("servers"))
+    v, d, k = F.col("n_v"), F.col("d_avg"), F.col("servers")
+    finite = F.lit(1.0) - F.pow(F.lit(1.0) - d / v, v / k) + F.lit(1.0) / k
+    return graphs.crossJoin(n).select("graph", "servers", F.round(finite, 5).alias("finite"), F.round(od_column(v, d, k) / v, 5).alias("limit"))
+
+
 def published(spark: SparkSession) -> DataFrame:
     return spark.createDataFrame([(g, float(v), d) for g, v, _, d in PUBLISHED], "graph string, n_v double, d_avg double")

@@ -188,7 +188,7 @@ def _measures(g: str) -> dict[str, str]:
     }
     k = "(SELECT superstep, tile_id, count(*) AS k FROM ch JOIN sp ON id >= v_lo AND id < v_hi GROUP BY superstep, tile_id)"
     t = f"SELECT s.superstep, sp.tile_id, v_hi - v_lo AS n, coalesce(k, 0) AS k FROM (SELECT DISTINCT superstep FROM ch) s CROSS JOIN sp LEFT JOIN {k} c ON c.superstep = s.superstep AND c.tile_id = sp.tile_id"
-    size = {"dense": "8 * n + (n + 7) // 8", "sparse": "12 * k", "hybrid": "CASE WHEN (n - k) / n > 0.8 THEN 12 * k ELSE 8 * n + (n + 7) // 8 END"}
+    size = {"dense": "8 * n + (n + 7) // 8", "sparse": "12 * k", "hybrid": "CASE WHEN (n - k) / n > 0.8 THEN 12 * k ELSE 8 * n + (n + 7) // 8 END", "bytes": "least(12 * k, 8 * n + (n + 7) // 8)"}
     for mode, b in size.items():
         out[f"traffic_{mode}_{g}"] = sssp + f"SELECT CAST(superstep AS BIGINT) AS superstep, CAST(sum({b}) AS BIGINT) AS bytes FROM ({t}) GROUP BY superstep"
     out[f"sparsity_{g}"] = sssp + f"SELECT CAST(superstep AS BIGINT) AS superstep, round(min(1.0::DOUBLE * (n - k) / n), 6) AS least, round(avg(1.0::DOUBLE * (n - k) / n), 6) AS mean, round(max(1.0::DOUBLE * (n - k) / n), 6) AS most FROM ({t}) GROUP BY superstep"
@@ -197,8 +197,14 @@ def _measures(g: str) -> dict[str, str]:
     part = {"random": "(src * 31 + dst * 17) % 9", "degree": f"{degree}", "grid": "(src % 3) * 3 + dst % 3", "hybrid": "CASE WHEN d_in <= 100 THEN dst ELSE src END % 9"}
     for cut, p in part.items():
         out[f"replication_factor_{cut}_{g}"] = _with(g, MORE) + f"SELECT count(*) AS n_replicas, (SELECT n FROM nv) AS n_vertices, round(count(*) / (SELECT n FROM nv), 6) AS factor FROM (WITH p AS (SELECT {p} AS part, src, dst FROM e JOIN i USING (dst) JOIN (SELECT id AS src, d_in + d_out AS ds FROM dg) USING (src) JOIN (SELECT id AS dst, d_in + d_out AS dd FROM dg) USING (dst)) SELECT part, src AS id FROM p UNION SELECT part, dst FROM p)"
+    refined = ", v AS (SELECT dst, src % 9 AS home, count(*) AS k FROM e JOIN i USING (dst) WHERE d_in <= 100 GROUP BY 1, 2), ld AS (SELECT src % 9 AS home, count(*) AS load FROM e GROUP BY 1), b AS (SELECT dst, home AS best FROM v JOIN ld USING (home) QUALIFY row_number() OVER (PARTITION BY dst ORDER BY k / load DESC, home) = 1), p AS (SELECT coalesce(best, src % 9) AS part, src, dst FROM e LEFT JOIN b USING (dst))"
+    out[f"replication_factor_refined_hybrid_{g}"] = _with(g, MORE, refined) + "SELECT count(*) AS n_replicas, (SELECT n FROM nv) AS n_vertices, round(count(*) / (SELECT n FROM nv), 6) AS factor FROM (SELECT part, src AS id FROM p UNION SELECT part, dst FROM p)"
+    out[f"pagerank_partly_cached_{g}"] = _with(g, MORE, AUG, PR.format(steps=STEPS)) + RANKS.format(steps=STEPS)
+    out[f"tiles_reloaded_{g}"] = split + "SELECT tile_id, CAST(src AS BIGINT) AS src, CAST(dst AS BIGINT) AS dst, CAST(w AS DOUBLE) AS w FROM e JOIN sp ON e.dst >= sp.v_lo AND e.dst < sp.v_hi"
+    out[f"tiles_unweighted_{g}"] = split + "SELECT tile_id, CAST(src AS BIGINT) AS src, CAST(dst AS BIGINT) AS dst, 1.0::DOUBLE AS w FROM e JOIN sp ON e.dst >= sp.v_lo AND e.dst < sp.v_hi"
+    out[f"edge_list_{g}"] = _with(g) + "SELECT CAST(src AS BIGINT) AS src, CAST(dst AS BIGINT) AS dst, CAST(w AS DOUBLE) AS w FROM e"
     out[f"pagerank_ondemand_{g}"] = _with(g, MORE, AUG, PR.format(steps=STEPS)) + RANKS.format(steps=STEPS)
-    for engine in ("skip_bloom", "ondemand", "frontier"):
+    for engine in ("skip_bloom", "probe", "ondemand", "frontier"):
         out[f"sssp_{engine}_{g}"] = _with(g, MORE, AUG, SSSP.format(w="w", steps=FAR)) + DISTANCES.format(steps=FAR)
     kc, table = _cost_parts(g)
     out[f"cost_table_{g}"] = _with(g, kc) + table
@@ -230,6 +236,7 @@ def oracle_sql() -> dict[str, str]:
     published = "(VALUES ('D1', 42000000, 35.3), ('D2', 134000000, 41.2), ('D3', 788000000, 60.4), ('D4', 1100000000, 85.7)) t(graph, v, d)"
     od = "24 * ((1 - exp(-CAST(d AS DOUBLE) / n)) * CAST(v AS DOUBLE) + CAST(v AS DOUBLE) / n)"
     out["memory_aa_od_sweep"] = f"SELECT graph, n AS servers, 20 * CAST(v AS BIGINT) AS aa_bytes, CAST(round({od}) AS BIGINT) AS od_bytes, CASE WHEN 20.0 * v <= {od} THEN 'all' ELSE 'on_demand' END AS cheaper FROM {published}, range(1, 65) r(n)"
+    out["od_expected"] = f"SELECT graph, n AS servers, round(1 - pow(1 - CAST(d AS DOUBLE) / v, CAST(v AS DOUBLE) / n) + 1.0::DOUBLE / n, 5) AS finite, round(1 - exp(-CAST(d AS DOUBLE) / n) + 1.0::DOUBLE / n, 5) AS limit FROM {published}, range(1, 65) r(n)"
     out["od_crossover"] = f"SELECT graph, CAST(min(n) AS INTEGER) AS servers FROM {published}, range(1, 200) r(n) WHERE 20.0 * 1000000 > 24 * ((1 - exp(-CAST(d AS DOUBLE) / n)) * 1000000 + 1000000.0 / n) GROUP BY graph"
     out["explosion_factor"] = "SELECT engine, CAST(m AS DOUBLE) AS memory_gb, round(CAST(m AS DOUBLE) / 93.0, 2) AS explosion FROM (VALUES ('msg_hadoop', 795), ('gas_dataflow', 685), ('gas_vcut', 357), ('gas_hybrid', 511), ('msg_mem', 281), ('msg_disk', 73), ('edge_stream', 26)) t(engine, m)"
     out["components_link"] = _with("link", MORE, """,

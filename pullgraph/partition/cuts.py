@@ -57,12 +57,14 @@ def hybrid_cut(g: Graph, servers: int, theta: int = 100) -> DataFrame:
 def refined_hybrid_cut(g: Graph, servers: int, theta: int = 100) -> DataFrame:
     """Approximation of a greedy hybrid cut: a small target moves, in one round, to the part where most of its sources are.
 
-    Sources are placed by id; ties go to the smaller part number.  No balance term is kept.
+    Sources are placed by id.  Parts are weighed by the edges they would have without the round, so that of parts with as
+    many sources the emptier one wins; ties go to the smaller part number.
     """
     d = degrees(g).select(F.col("id").alias("dst"), "d_in")
     e = g.edges.join(d, "dst").withColumn("home", F.pmod("src", F.lit(servers)).cast("long"))
-    votes = e.filter(F.col("d_in") <= theta).groupBy("dst", "home").count()
-    best = votes.groupBy("dst").agg(F.min_by("home", F.struct(-F.col("count"), "home")).alias("best"))
+    load = e.groupBy("home").agg(F.count("*").alias("load"))  # one row per server
+    votes = e.filter(F.col("d_in") <= theta).groupBy("dst", "home").count().join(F.broadcast(load), "home")
+    best = votes.groupBy("dst").agg(F.min_by("home", F.struct(-(F.col("count") / F.col("load")), "home")).alias("best"))
     return e.join(best, "dst", "left").select(F.coalesce("best", "home").alias("part"), "src", "dst", "w")
 
 

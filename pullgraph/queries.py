@@ -5,12 +5,13 @@ Prepared graphs are kept per session and folder, so that queries over one graph
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import graphs, programs, workloads
+from . import graphs, programs, sinks, sources, workloads
 from .baselines.engines import ENGINES
 from .costs import meters, model
 from .engine import relational, tilepath
@@ -19,6 +20,7 @@ from .engine.program import StopRule
 from .graphs import Graph
 from .partition import tiles
 from .partition.cuts import CUTS
+from .session import scratch_root
 
 GRAPHS = ("trade", "skew", "word", "basket", "event", "link")
 #: The four graphs of the engine comparisons.
@@ -95,6 +97,18 @@ def _raw_cache(spark: SparkSession, d: str, g: str) -> DataFrame:
     return workloads.cache_modes(spark, prep, (third,), (1, 3, 9), TIMED_STEPS, (1,)).select("servers", "capacity", "hits", "loads", "disk_read_b")
 
 
+def _reloaded(spark: SparkSession, d: str, g: str) -> DataFrame:
+    path = f"{scratch_root(spark)}/saved-{g}-{uuid.uuid4().hex}"
+    sinks.save_tiles(prepared(spark, d, g), path, SERVERS)
+    return tiles.unpack(sources.load_tiles(spark, path).tiles)
+
+
+def _edge_list(spark: SparkSession, d: str, g: str) -> DataFrame:
+    path = f"{scratch_root(spark)}/edges-{g}-{uuid.uuid4().hex}"
+    graph(spark, d, g).edges.write.csv(path)
+    return sources.read_edge_list(spark, path)
+
+
 def _events_windowed(spark: SparkSession, d: str) -> DataFrame:
     from .streaming.ingest import daily_edges
 
@@ -171,12 +185,17 @@ def _measures(g: str) -> dict[str, Query]:
         f"pagerank_ondemand_{g}": lambda s, d: ranks(tilepath.run(prepared(s, d, g), programs.pagerank(), StopRule(STEPS), tilepath.EngineConfig(replication="on_demand")).values),
         f"sssp_ondemand_{g}": lambda s, d: distances(tilepath.run(prepared(s, d, g), programs.sssp(0), StopRule(), tilepath.EngineConfig(replication="on_demand")).values),
         f"sssp_skip_bloom_{g}": lambda s, d: distances(tilepath.run(prepared(s, d, g), programs.sssp(0), StopRule(), tilepath.EngineConfig(skip="bloom")).values),
+        f"sssp_probe_{g}": lambda s, d: distances(tilepath.run(prepared(s, d, g), programs.sssp(0), StopRule(), tilepath.EngineConfig(skip="bloom", probe_below=0.05)).values),
+        f"pagerank_partly_cached_{g}": lambda s, d: ranks(tilepath.run(prepared(s, d, g), programs.pagerank(), StopRule(STEPS), tilepath.EngineConfig(servers=3, cache_mode=2, cache_capacity=tilepath.raw_bytes(prepared(s, d, g)) // 8, codec="zlib1", message_mode="dense")).values),
+        f"tiles_unweighted_{g}": lambda s, d: tiles.unpack(tiles.prepare(graph(s, d, g), n_tiles=TILES, weighted=False).tiles),
+        f"tiles_reloaded_{g}": lambda s, d: _reloaded(s, d, g),
+        f"edge_list_{g}": lambda s, d: _edge_list(s, d, g),
         f"sssp_frontier_{g}": lambda s, d: distances(relational.run(graph(s, d, g), programs.sssp(0), frontier=True).values),
         f"update_ratio_pagerank_{g}": lambda s, d: meters.update_trend(meters.log_frame(s, tilepath.run(prepared(s, d, g), programs.pagerank(), StopRule(20)).log).select("superstep", "update_ratio")),
     }
-    for mode in ("dense", "sparse", "hybrid"):
+    for mode in ("dense", "sparse", "hybrid", "bytes"):
         out[f"traffic_{mode}_{g}"] = lambda s, d, mode=mode: _traffic(s, d, g, mode)
-    for cut in ("random", "grid", "hybrid", "degree"):
+    for cut in ("random", "grid", "hybrid", "degree", "refined_hybrid"):
         out[f"replication_factor_{cut}_{g}"] = lambda s, d, cut=cut: meters.replication_factor(CUTS[cut](graph(s, d, g), SERVERS), graph(s, d, g).n_vertices)
     return out
 
@@ -207,6 +226,7 @@ def queries() -> dict[str, Query]:
         "cache_study_word": lambda s, d: workloads.cache_study(s, prepared(s, d, "word")),
         "compression_table": lambda s, d: workloads.codecs(s, {g: prepared(s, d, g) for g in COMPARED}),
         "tile_size_times_trade": lambda s, d: workloads.tile_size_times(s, graph(s, d, "trade")),
+        "od_expected": lambda s, d: model.od_expected(model.published(s)),
         "load_rates": lambda s, d: workloads.load_rates(s),
         "explosion_factor": lambda s, d: workloads.memory(s),
         "components_link": lambda s, d: relational.run(graph(s, d, "link_both"), programs.components()).values.select("id", F.col("value").cast("long").alias("component")),
