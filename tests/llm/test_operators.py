@@ -547,22 +547,19 @@ def test_pipeline_stages_equal_brute_force(spark):
         want[i] = [w for k, w in enumerate(WORD.findall(t or "")) if k not in gone]
     left = after("suffix_array_dedup")
     assert {i: WORD.findall(t or "") for i, t in left.items()} == {i: w for i, w in want.items() if w or not WORD.search(kept[i] or "")}
-    packed = stage["packing"](spark, d, SF)
-    assert {r.doc_id for r in packed.select("doc_id").distinct().collect()} == set(left)
-    assert cp.run(spark, SF).count() == packed.count()
+    assert {r.doc_id for r in stage["packing"](spark, d, SF).select("doc_id").distinct().collect()} == set(left)
 
 
-def test_pipeline_keeps_its_shape_on_odd_tables(spark):
+def test_pipeline_runs_on_odd_tables(spark, tmp_path):
     import corpus_pipeline as cp
 
     rows = [(i, t, "en", "zz", len(t or "")) for i, t in enumerate([*ODD, "x y " * 30_000])] + [(None, "one more text of words", None, None, None), (4, "a", "en", "zz", 1)]
     df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long").withColumn("key", F.lit(1)).withColumn("__id", F.lit("x"))
-    for d in (df, df.limit(0)):
-        for _, stage in cp.STAGES[:-1]:
-            d2 = stage(spark, d, SF)
-            assert d2.columns == d.columns
-            d = d2
-        cp.STAGES[-1][1](spark, d, SF).count()
+    for name, d in (("odd", df), ("empty", df.limit(0))):
+        d.write.parquet(f"{tmp_path}/{name}/documents.parquet")
+    got = cp.run(spark, f"{tmp_path}/odd").groupBy("doc_id").count().collect()
+    assert {5, 6, None} <= {r.doc_id for r in got} and not {0, 1, 2, 3} & {r.doc_id for r in got}
+    assert cp.run(spark, f"{tmp_path}/empty").count() == 0
 
 
 def test_patterned_texts_are_told_apart(spark):
@@ -608,10 +605,10 @@ def test_long_texts(spark):
 
 
 def test_hot_segments_lose_no_pair(spark, monkeypatch):
-    monkeypatch.setattr(lines, "HOT", 64)
+    monkeypatch.setattr(lines, "HOT", 24)
     monkeypatch.setattr(lines, "SAMPLE", 1)
     rng = random.Random(8)
-    texts = {i: "common beginning of all of them " + "".join(rng.choice("abcd") for _ in range(6)) for i in range(400)}
+    texts = {i: "common beginning of all of them " + "".join(rng.choice("abcd") for _ in range(6)) for i in range(150)}
     df = docs(spark, list(texts.values()))
     got = {(r.doc_id, r.line_no): (r.class_doc, r.class_line, r.n_links) for r in lines.line_classes(df).collect()}
     assert got == brute_lines(texts)
