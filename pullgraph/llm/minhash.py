@@ -311,7 +311,9 @@ def near_duplicates(docs: DataFrame, width: int = 2, threshold: int = THRESHOLD)
     many = one.join(classes.filter("n > 1").select("set_id", "rep"), "set_id").select("doc_id", "rep")
     member = materialize(many, "membership")
     alone = classes.select(F.col("rep").alias("doc_id"))
-    reps = sigs.join(one.join(alone, "doc_id", "left_semi").select("doc_id", "version"), ["doc_id", "version"], "left_semi").dropDuplicates(["doc_id"])
+    # Joined on doc_id alone, so that what is left of it needs no other shuffle.
+    chosen = one.join(alone, "doc_id", "left_semi").select("doc_id", F.col("version").alias("own"))
+    reps = sigs.join(chosen, "doc_id").filter("version = own").drop("own").dropDuplicates(["doc_id"])
 
     slots = materialize(reps.select("doc_id", F.explode("bands").alias("bucket")), "slots")
     shared = slots.groupBy("bucket").agg(F.min(F.struct(F.xxhash64("doc_id", F.lit(1)), "doc_id")).alias("p1"), F.min(F.struct(F.xxhash64("doc_id", F.lit(2)), "doc_id")).alias("p2"), F.count("*").alias("n")).filter("n > 1")
@@ -320,7 +322,8 @@ def near_duplicates(docs: DataFrame, width: int = 2, threshold: int = THRESHOLD)
     crowd = materialize(slots.join(shared.select("bucket", F.col("p1.doc_id").alias("p1"), F.col("p2.doc_id").alias("p2")), "bucket"), "crowd")
     release(slots)
     light = materialize(reps.join(crowd.select("doc_id").distinct(), "doc_id", "left_semi").select("doc_id", "n_shingles", "sketch", "bands"), "sketches")
-    texts = docs.join(light.join(one, "doc_id").select("doc_id", "version").hint("shuffle_hash"), ["doc_id", "version"], "left_semi")
+    asked = light.select("doc_id").join(one.select("doc_id", F.col("version").alias("own")), "doc_id")
+    texts = docs.join(asked.hint("shuffle_hash"), "doc_id").filter("version = own")
     texts = materialize(texts.dropDuplicates(["doc_id"]).select("doc_id", "text"), "texts")
 
     def linked(pairs: DataFrame) -> DataFrame:
