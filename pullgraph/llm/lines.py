@@ -367,7 +367,8 @@ def drop_lines(docs: DataFrame, classes: DataFrame) -> DataFrame:
     names = docs.columns
     key, drop = unused(names, "__id"), unused(names, "__drop")
     doomed = classes.filter((F.col("doc_id") != F.col("class_doc")) | (F.col("line_no") != F.col("class_line"))).groupBy(F.col("doc_id").alias(key)).agg(F.collect_set("line_no").alias(drop))
-    src = docs.join(materialize(doomed, "doomed"), docs["doc_id"] == F.col(key), "left").drop(key)
+    # The same way at every size: what is dropped grows with the documents.
+    src = docs.join(materialize(doomed, "doomed").hint("shuffle_hash"), docs["doc_id"] == F.col(key), "left").drop(key)
 
     def run(it):
         for batch in it:

@@ -241,7 +241,8 @@ def cut_passages(docs: DataFrame, passages: DataFrame) -> DataFrame:
 
     key, version, cut = (unused(names, x) for x in ("__id", "__version", "__cut"))
     cuts = passages.filter("later_words > 0").select(F.col("doc_id").alias(key), F.col("version").alias(version), F.col("later").alias(cut))
-    src = docs.join(cuts, (docs["doc_id"] == F.col(key)) & (_version(docs) == F.col(version)), "left").drop(key, version)
+    # The same way at every size: what is cut grows with the documents.
+    src = docs.join(cuts.hint("shuffle_hash"), (docs["doc_id"] == F.col(key)) & (_version(docs) == F.col(version)), "left").drop(key, version)
     return arrow_map(src, run, docs.schema.simpleString().removeprefix("struct<").removesuffix(">"))
 
 
