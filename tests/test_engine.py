@@ -2,6 +2,7 @@ import numpy as np
 import pytest
 
 from pullgraph import graphs, programs, queries, workloads
+from pullgraph.baselines import engines as baselines
 from pullgraph.baselines.engines import ENGINES
 from pullgraph.costs import meters
 from pullgraph.engine import cache, exchange, relational, skip, tilepath
@@ -235,3 +236,11 @@ def test_cached_tiles_beyond_the_listed_number(skew, monkeypatch):
     monkeypatch.setattr(tilepath, "LISTED", 2)
     cfg = tilepath.EngineConfig(servers=2, cache_mode=2, cache_capacity=31_000)
     assert np.allclose(values(tilepath.run(skew, programs.pagerank(), StopRule(2), cfg)), reference_pagerank(skew.graph, 2), atol=1e-12)
+
+
+def test_a_superstep_of_a_baseline_writes_its_state_once(skew, monkeypatch):
+    written = []
+    keep = baselines.materialize
+    monkeypatch.setattr(baselines, "materialize", lambda df, name="step", by=(): written.append(name) or keep(df, name, by))
+    done = ENGINES["gas_vcut"](skew.graph, programs.sssp(0), StopRule(3)).supersteps
+    assert done == 3 and written.count("state") == done + 1 and written.count("active") == done + 1 and len(written) == 2 * done + 2
