@@ -4,6 +4,7 @@ from pullgraph import graphs, workloads
 from pullgraph.costs import meters, model
 from pullgraph.engine import tilepath
 from pullgraph.engine.program import StopRule
+from pullgraph.graphs import of_rows
 from pullgraph.partition import tiles
 from tests.conftest import SF
 
@@ -46,7 +47,7 @@ def test_workloads_run(spark):
     assert set(workloads.by_engine(res).columns) == {"graph", "program", "servers", "pull", "msg_mem"}
     assert workloads.report(res).count() >= 5
     assert workloads.replication(prep, 4, 2).count() == 4
-    assert workloads.load_rates(spark).count() == 3
+    assert workloads.load_rates(prep).count() == 3
     assert workloads.codecs(spark, {"trade": prep}).count() == 4
     skips = workloads.skip_effect(spark, prep, "bloom").collect()
     assert all(r.tiles_loaded + r.tiles_skipped == r.tiles_total and r.tiles_fp >= 0 for r in skips)
@@ -76,3 +77,13 @@ def test_codec_stats_and_sizes(spark):
 def test_update_ratio_falls(spark):
     log = workloads.changes(graphs.build(spark, SF, "skew").stored(), workloads.PROGRAMS["sssp"](0), 30).groupBy("superstep").count().collect()
     assert len(log) == 7  # the eighth superstep changes nothing
+
+
+def test_models_follow_the_graph_they_are_given(spark):
+    few, many = (of_rows(spark, [(i, j, 1) for i in range(40) for j in range(k)], 40) for k in (2, 40))
+    own = workloads.sizes({"few": few, "many": many})
+    assert {r.graph: (r.n_v, r.d_avg) for r in own.collect()} == {"few": (40.0, 2.0), "many": (40.0, 40.0)}
+    got = {r.graph: r.servers for r in workloads.crossovers(own).collect()}
+    assert got == {"few": model.crossover(2.0), "many": model.crossover(40.0)} and got["few"] < got["many"]
+    a, b = (workloads.cache_choice(tiles.prepare(g, n_tiles=2)).collect() for g in (few, many))
+    assert [r.mode for r in a] == [r.mode for r in b] == [1, 2, 3, 4, 4] and a[0].capacity < b[0].capacity
