@@ -33,8 +33,30 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 SMALL_ROWS, SMALL_ELEMENTS = 100_000, 1_000_000
 
 
+#: Functions whose caches a worker holds for tasks to come, by module.
+_HELD: dict[str, list] = {}
+
+
+def held_by(module: str) -> Callable:
+    """For a function with a cache: what it holds is given up when a worker runs another module's task."""
+
+    def register(fn):
+        _HELD.setdefault(module, []).append(fn)
+        return fn
+
+    return register
+
+
+def _give_up(but: str) -> None:
+    for module, fns in _HELD.items():
+        if module != but:
+            for fn in fns:
+                fn.cache_clear()
+
+
 def _give_back() -> None:
     """Return freed memory to the system: workers are reused, and what one task freed would count for the next."""
+    POWERS.drop()
     gc.collect()
     pa.default_memory_pool().release_unused()
     with contextlib.suppress(OSError, AttributeError):
@@ -42,10 +64,13 @@ def _give_back() -> None:
 
 
 def arrow_map(df: DataFrame, fn: Callable, schema: str) -> DataFrame:
-    """mapInArrow with the package shipped to the workers first, and memory given back after each task."""
+    """mapInArrow with the package shipped to the workers first, and memory given back after each task; what the tasks of
+    other modules left in the worker is given up before."""
     ship(df.sparkSession)
+    module = fn.__module__
 
     def run(it):
+        _give_up(module)
         try:
             yield from fn(it)
         finally:
@@ -99,9 +124,12 @@ def mix(x: np.ndarray) -> np.ndarray:
 
 
 class Powers:
-    """Powers of an odd base and of its inverse modulo 2**64, grown on demand."""
+    """Powers of an odd base and of its inverse modulo 2**64, grown on demand and dropped when a task ends."""
 
     def __init__(self) -> None:
+        self.drop()
+
+    def drop(self) -> None:
         self.up = np.ones(1, U64)
         self.down = np.ones(1, U64)
 

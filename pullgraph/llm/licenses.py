@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..session import materialize
-from .common import arrow_map, batches, table
+from .common import arrow_map, batches, held_by, table
 
 #: Standard notices, by SPDX identifier.
 TEMPLATES: dict[str, tuple[str, ...]] = {
@@ -115,6 +115,7 @@ SPDX_ID = re.compile(r"[A-Za-z0-9][A-Za-z0-9.+-]*")
 COMMENT = re.compile(r"\s*(?://|/\*|\*|#|--|;|%|<!--|\.\.|REM\b|dnl\b)", re.IGNORECASE)
 
 
+@held_by(__name__)
 @cache
 def standard() -> dict[str, tuple[str, ...]]:
     """All templates: notices, one-line notices, SPDX tags, opening lines and whole texts.  Read by the driver alone."""

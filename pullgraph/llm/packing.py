@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 
-from .common import U64, Words, arrow_map, batches, documents_of, numbered, slice_identity, table
+from .common import U64, Words, arrow_map, batches, documents_of, held_by, numbered, slice_identity, table
 
 WINDOW = 2048
 #: Tokens and pieces in open windows of a task at most; with either, open windows are settled.
@@ -184,6 +184,7 @@ class WordTokenizer:
         return [flat[4 * x : 4 * y] for x, y in zip(bounds, bounds[1:], strict=False)]
 
 
+@held_by(__name__)
 @lru_cache(maxsize=4)
 def word_tokenizer(path: str) -> WordTokenizer:
     return WordTokenizer(path)

@@ -26,7 +26,7 @@ import pyarrow as pa
 import sentencepiece
 from pyspark.sql import DataFrame, SparkSession
 
-from .common import arrow_map, batches, documents_of, table
+from .common import arrow_map, batches, documents_of, held_by, table
 
 SPACE_MARK = "▁"
 #: Chunks kept per generation in each worker.
@@ -247,6 +247,7 @@ class Codec:
         return out[1:] if out.startswith(" ") else out
 
 
+@held_by(__name__)
 @lru_cache(maxsize=4)
 def codec(path: str) -> Codec:
     return Codec(path).check(path)

@@ -146,6 +146,22 @@ def _passages(asked: DataFrame, docs: DataFrame, least: int) -> DataFrame:
 SPANS = "doc_id long, version int, repeats array<struct<start:int,stop:int>>, later array<struct<start:int,stop:int>>, repeat_words long, later_words long"
 
 
+def _united(text: np.ndarray, start: np.ndarray, stop: np.ndarray, texts: int) -> tuple[pa.Array, pa.Array]:
+    """(spans of each text, words in them) of [start, stop) by text number, where spans that overlap or touch are one."""
+    order = np.lexsort((start, text))
+    text, start, stop = text[order], start[order], stop[order]
+    # One number line for all texts, on which no span of a text reaches the next one's.
+    far = text * (int(stop.max(initial=0)) + 1)
+    reach = np.maximum.accumulate(far + stop)
+    head = np.flatnonzero(np.concatenate([[True], (far + start)[1:] > reach[:-1]])) if len(text) else np.zeros(0, np.int64)
+    owner, low = text[head], start[head]
+    high = (reach - far)[np.concatenate([head[1:], [len(text)]]) - 1] if len(text) else low
+    offsets = np.searchsorted(owner, np.arange(texts + 1))
+    words = np.concatenate([[0], np.cumsum(high - low)])[offsets]
+    spans = pa.StructArray.from_arrays([pa.array(low, pa.int32()), pa.array(high, pa.int32())], ["start", "stop"])
+    return pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), spans), pa.array(np.diff(words), pa.int64())
+
+
 def _version(docs: DataFrame) -> Column:
     """Tells texts of rows with one doc_id apart."""
     return F.hash(F.coalesce(docs["text"].cast("string"), F.lit(""))).alias("version")
@@ -185,21 +201,12 @@ def repeated_passages(docs: DataFrame, least: int = LEAST, window: int = WINDOW,
 
     def merge(it):
         for b in it:
-            rows = []
-            for doc_id, version, all_ in zip(*(b.column(i).to_pylist() for i in range(3)), strict=True):
-                out: list[list[dict]] = [[], []]
-                for s in sorted(all_, key=lambda x: (x["start"], x["stop"])):
-                    for held in out[: 1 + s["kind"]]:
-                        if held and s["start"] <= held[-1]["stop"]:
-                            held[-1]["stop"] = max(held[-1]["stop"], s["stop"])
-                        else:
-                            held.append({"start": s["start"], "stop": s["stop"]})
-                repeats, later = out
-                if repeats:
-                    rows.append((doc_id, version, repeats, later, *(sum(s["stop"] - s["start"] for s in k) for k in (repeats, later))))
-            span = pa.list_(pa.struct([("start", pa.int32()), ("stop", pa.int32())]))
-            cols = list(zip(*rows, strict=True)) if rows else [[]] * 6
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int32(), span, span, pa.int64(), pa.int64()), strict=True)], ["doc_id", "version", "repeats", "later", "repeat_words", "later_words"])
+            lists = b.column(2)
+            flat, count = lists.flatten(), np.diff(lists.offsets.to_numpy())
+            start, stop, kind = (flat.field(k).to_numpy(zero_copy_only=False).astype(np.int64) for k in ("start", "stop", "kind"))
+            text = np.repeat(np.arange(b.num_rows), count)
+            cols = [_united(*(x[pick] for x in (text, start, stop)), b.num_rows) for pick in (slice(None), kind == 1)]
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), *(c[0] for c in cols), *(c[1] for c in cols)], ["doc_id", "version", "repeats", "later", "repeat_words", "later_words"])
 
     grouped = spans.groupBy("doc_id", "version").agg(F.collect_list(F.struct("start", "stop", "kind")).alias("spans"))
     return arrow_map(grouped, merge, SPANS)

@@ -10,7 +10,7 @@ import pytest
 from pyspark.sql import functions as F
 
 import public_tokenizers
-from pullgraph.llm import chat, language, licenses, lines, minhash, packing, pieces, quality, suffixes, topk
+from pullgraph.llm import chat, common, language, licenses, lines, minhash, packing, pieces, quality, suffixes, topk
 from tests.conftest import SF
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
@@ -788,3 +788,41 @@ def test_rare_languages_are_learned(spark):
     assert net.labels == ["en", "ru"]
     assert {r.lang_pred for r in language.predict(df.filter("doc_id >= 300"), net).collect()} == {"ru"}
     assert language.level([10, 2, 1], 9) == 6 and language.level([5, 5], 1) == 1 and language.level([], 3) == 1
+
+
+def test_united_spans_equal_brute_force():
+    rng = random.Random(11)
+    for texts in (0, 1, 7):
+        spans = [(t, a, a + rng.randrange(1, 9)) for t in range(texts) if t != 3 for a in (rng.randrange(40) for _ in range(rng.randrange(1, 9)))]
+        rng.shuffle(spans)
+        got, words = suffixes._united(*(np.array(x, np.int64) for x in (zip(*spans, strict=True) if spans else ([], [], []))), texts)
+        for t, (found, n) in enumerate(zip(got.to_pylist(), words.to_pylist(), strict=True)):
+            covered = sorted({i for x, a, b in spans if x == t for i in range(a, b)})
+            want = [i for i in covered if i - 1 not in covered], [i + 1 for i in covered if i + 1 not in covered]
+            # Spans that only touch are one, as are those that overlap.
+            assert ([s["start"] for s in found], [s["stop"] for s in found]) == want and n == len(covered)
+
+
+def test_a_task_gives_up_what_other_operators_held(spark):
+    class Here:
+        sparkSession = spark
+
+        def mapInArrow(self, run, schema):
+            return run
+
+    import public_tokenizers
+
+    path = public_tokenizers.path("word_bpe_49k.json")
+
+    def pack(it):
+        yield packing.word_tokenizer(path)
+
+    def other(it):
+        yield packing.word_tokenizer.cache_info().currsize
+
+    pack.__module__ = "pullgraph.llm.packing"
+    first, second = common.arrow_map(Here(), pack, ""), common.arrow_map(Here(), other, "")
+    kept = list(first([]))
+    assert list(first([])) == kept, "tasks of one operator share it"
+    common.POWERS.need(100_000)
+    assert list(second([])) == [0] and len(common.POWERS.up) == 1
