@@ -244,3 +244,17 @@ def test_a_superstep_of_a_baseline_writes_its_state_once(skew, monkeypatch):
     monkeypatch.setattr(baselines, "materialize", lambda df, name="step", by=(): written.append(name) or keep(df, name, by))
     done = ENGINES["gas_vcut"](skew.graph, programs.sssp(0), StopRule(3)).supersteps
     assert done == 3 and written.count("state") == done + 1 and written.count("active") == done + 1 and len(written) == 2 * done + 2
+
+
+def test_small_graphs_are_laid_out_in_few_partitions(spark):
+    g = graphs.tiny8(spark)
+    before = spark.conf.get("spark.sql.shuffle.partitions")
+    spark.conf.set("spark.sql.shuffle.partitions", "64")
+    try:
+        few = baselines._laid_out(g.edges, g.n_edges, "src")
+        many = baselines._laid_out(g.edges, 1 << 40, "src")
+        assert few.rdd.getNumPartitions() == min(64, spark.sparkContext.defaultParallelism)
+        assert many.rdd.getNumPartitions() == 64
+        assert few.count() == many.count() == g.n_edges
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", before)
