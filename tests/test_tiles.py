@@ -1,8 +1,11 @@
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
-from pullgraph import graphs, ids, sinks, sources
-from pullgraph.engine import replica
+from pullgraph import graphs, ids, programs, sinks, sources, workloads
+from pullgraph.costs import meters
+from pullgraph.engine import replica, tilepath
+from pullgraph.engine.program import StopRule
 from pullgraph.graphs import Graph, of_rows
 from pullgraph.partition import cuts, tiles
 from tests.conftest import SF
@@ -122,3 +125,27 @@ def test_routing_table_holds_sources_and_targets(spark):
     p = tiles.prepare(graphs.tiny8(spark), tile_edges=2)
     assert rows(replica.vertices_of_tiles(p.tiles).filter("tile_id = 1"), "id") == [(0,), (1,), (2,), (3,)]
     assert isinstance(p.graph, Graph)
+
+
+def test_large_tiles_are_kept_in_rows(spark, monkeypatch):
+    g = graphs.build(spark, SF, "skew").stored()
+    assert g.stored() is g
+    one, few = tiles.prepare(g, n_tiles=4), tiles.prepare(g, n_tiles=4, row_edges=100)
+    most = one.degrees.agg(F.max("d_in")).first()[0]
+    rows = few.tiles.select("tile_id", "v_lo", "v_hi", "n_edges").orderBy("v_lo").collect()
+    assert len(rows) > 2 * one.n_tiles and max(r["n_edges"] for r in rows) < 100 + most
+    assert all(a["v_hi"] == b["v_lo"] for a, b in zip(rows, rows[1:])) and (rows[0]["v_lo"], rows[-1]["v_hi"]) == (0, g.n_vertices)
+    assert few.largest_tile == one.largest_tile == one.largest_row > few.largest_row
+    assert tilepath.policy(few, programs.pagerank(), tilepath.EngineConfig(memory_budget=24 * one.largest_tile)) == "all" != tilepath.policy(one, programs.pagerank(), tilepath.EngineConfig(memory_budget=24 * one.largest_tile))
+    assert few.splitter.collect() == one.splitter.collect()
+    assert tiles.unpack(few.tiles).exceptAll(tiles.unpack(one.tiles)).count() == tiles.unpack(one.tiles).exceptAll(tiles.unpack(few.tiles)).count() == 0
+    for cfg in (tilepath.EngineConfig(cache_mode=1), tilepath.EngineConfig(skip="bloom"), tilepath.EngineConfig(replication="on_demand")):
+        for p, stop in ((programs.pagerank(), StopRule(3)), (programs.sssp(0), StopRule())):
+            a, b = (tilepath.run(x, p, stop, cfg) for x in (one, few))
+            assert meters.agree(a.values, b.values).first()["max_diff"] < 1e-12
+            assert [e.get("tiles_loaded") for e in a.log] == [e.get("tiles_loaded") for e in b.log] or cfg.skip == "bloom"
+    made, keep = [], tilepath.run
+    monkeypatch.setattr(tiles, "ROW_EDGES", 100)
+    monkeypatch.setattr(tilepath, "run", lambda prep, *a: made.append((prep.n_tiles, prep.tiles.agg(F.max("n_edges")).first()[0])) or keep(prep, *a))
+    got = workloads.tile_size_times(spark, g, (4, 16), 2).collect()
+    assert [(r["asked"], r["n_tiles"]) for r in got] == [(4, made[0][0]), (16, made[1][0])] and all(m < 100 + most for _, m in made)
