@@ -2,6 +2,7 @@ import numpy as np
 import pytest
 
 from pullgraph import graphs, programs, queries, workloads
+from pullgraph.baselines import arrays
 from pullgraph.baselines import engines as baselines
 from pullgraph.baselines.engines import ENGINES
 from pullgraph.costs import meters
@@ -258,3 +259,29 @@ def test_small_graphs_are_laid_out_in_few_partitions(spark):
         assert few.count() == many.count() == g.n_edges
     finally:
         spark.conf.set("spark.sql.shuffle.partitions", before)
+
+
+def test_compared_engines_write_no_state_and_lay_out_a_cut_once(skew, monkeypatch):
+    written = []
+    keep, pack = baselines.materialize, arrays._pack
+    monkeypatch.setattr(baselines, "materialize", lambda df, name="step", by=(): written.append(name) or keep(df, name, by))
+    monkeypatch.setattr(arrays, "_pack", lambda *a: written.append("layout") or pack(*a))
+    for e in ("msg_mem", "gas_vcut", "gas_hybrid", "msg_disk", "edge_stream"):
+        for p, stop in ((programs.pagerank(), StopRule(2)), (programs.sssp(0), StopRule())):
+            ours, theirs = tilepath.run(skew, p, stop), workloads._run(e, skew, p, stop, 3)
+            assert meters.agree(ours.values, theirs.values).first()["max_diff"] < 1e-12
+            assert [x["changed"] for x in ours.log] == [x["changed"] for x in theirs.log]
+    assert written == ["layout"] * 4, "msg_mem and msg_disk share theirs"
+    g, of = skew.graph, {e: arrays.layout(skew, e, 3).blocks.selectExpr("sum(length(src)) div 4", "sum(length(dst)) div 4").first() for e in arrays.ENGINE_CUT}
+    assert {r[0] for r in of.values()} == {g.n_edges}
+    # A block's targets are the messages that its worker or server sends when every vertex does.
+    assert of["msg_mem"][1] == meters.eta(g, 3).first()["combined"]
+    assert of["gas_vcut"][1] == arrays.random_cut(g, 3).select("part", "dst").distinct().count()
+    arrays.drop_layouts(skew)
+
+
+def test_chunks_without_edges_apply_too(spark):
+    p = tiles.prepare(of_rows(spark, [(0, 8, 2), (8, 0, 1)], 9), tile_edges=1)
+    for e in arrays.ENGINE_CUT:
+        assert np.allclose(values(arrays.run(e, p, programs.pagerank(), StopRule(2), 2)), values(tilepath.run(p, programs.pagerank(), StopRule(2))))
+    assert values(arrays.run("gas_vcut", p, programs.sssp(0), StopRule(), 2))[[0, 8]].tolist() == [0, 2]
