@@ -9,7 +9,7 @@ from pullgraph.costs import meters
 from pullgraph.engine import cache, exchange, relational, skip, tilepath
 from pullgraph.engine.program import StopRule
 from pullgraph.graphs import of_rows
-from pullgraph.partition import tiles
+from pullgraph.partition import cuts, tiles
 from tests.conftest import SF
 
 
@@ -285,3 +285,32 @@ def test_chunks_without_edges_apply_too(spark):
     for e in arrays.ENGINE_CUT:
         assert np.allclose(values(arrays.run(e, p, programs.pagerank(), StopRule(2), 2)), values(tilepath.run(p, programs.pagerank(), StopRule(2))))
     assert values(arrays.run("gas_vcut", p, programs.sssp(0), StopRule(), 2))[[0, 8]].tolist() == [0, 2]
+
+
+def test_cuts_are_made_from_one_shuffle_of_the_edges(spark, monkeypatch):
+    dealt, deal = [], arrays.deal
+    monkeypatch.setattr(arrays, "deal", lambda *a: dealt.append(1) or deal(*a))
+    monkeypatch.setattr(arrays, "CHUNK_EDGES", 300)
+    p = tiles.prepare(graphs.build(spark, SF, "trade"), n_tiles=4)
+    for e, cut in (("msg_mem", cuts.hash_edge_cut(p.graph, 3).withColumnRenamed("worker", "part")), ("gas_vcut", cuts.random_cut(p.graph, 3)), ("gas_hybrid", cuts.hybrid_cut(p.graph, 3))):
+        laid = arrays.layout(p, e, 3)
+        assert laid.chunks > laid.tasks, "a task has several chunks"
+        blocks = laid.blocks.groupBy("part").agg({"src": "count"}).count(), {r[0]: r[1] for r in laid.blocks.selectExpr("part", "length(src) div 4 as n").groupBy("part").sum("n").collect()}
+        assert blocks == (3, {r[0]: r[1] for r in cut.groupBy("part").count().collect()})
+    assert len(dealt) == 1
+    for e in ("msg_mem", "edge_stream"):
+        assert np.allclose(values(arrays.run(e, p, programs.pagerank(), StopRule(2), 3)), values(tilepath.run(p, programs.pagerank(), StopRule(2))))
+
+
+def test_compared_tiles_of_a_large_graph_are_kept_in_rows(spark, monkeypatch):
+    whole = queries.prepared(spark, SF, "skew")
+    assert queries.in_rows(spark, SF, "skew") is whole
+    monkeypatch.setattr(tiles, "ROW_EDGES", 60)
+    p = queries.in_rows(spark, SF, "skew")
+    queries._KEPT.pop(("rows", spark.sparkContext.applicationId, SF, "skew"))
+    assert p.n_tiles == whole.n_tiles and p.tiles.count() > p.n_tiles
+    a, b = (workloads._run("pull", x, programs.sssp(0), StopRule(), 3) for x in (whole, p))
+    assert np.array_equal(values(a), values(b)) and [x["tiles_loaded"] for x in a.log] == [x["tiles_loaded"] for x in b.log]
+    tilepath.give_up_cache(p)
+    assert not any(k.startswith("cache-") for k in p.kept)
+    p.drop()
